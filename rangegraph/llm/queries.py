@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import exact_topk, pieces, token_counts, transport_stream
+from . import exact_topk, pieces, suffix_dedup, token_counts, transport_stream
 from .common import table
 
 MODEL = "piece_bpe_32k.model"
@@ -29,11 +29,16 @@ def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.count_tokens(table(spark, sf_dir, "documents"), public_tokenizers.path(MODEL))
 
 
+def op7_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.repeat_digests(table(spark, sf_dir, "documents"))
+
+
 QUERIES = {
     "op1_sentencepiece_codec": op1_sentencepiece_codec,
     "op4_transport_stream": op4_transport_stream,
     "op5_exact_topk": op5_exact_topk,
     "op6_token_counts": op6_token_counts,
+    "op7_suffix_dedup": op7_suffix_dedup,
 }
 
 ORACLES: dict[str, str] = {
