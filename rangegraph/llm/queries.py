@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import exact_topk, pieces, suffix_dedup, token_counts, transport_stream
+from . import chosen_path, exact_topk, pieces, suffix_dedup, token_counts, transport_stream
 from .common import table
 
 MODEL = "piece_bpe_32k.model"
@@ -16,6 +16,10 @@ def op1_sentencepiece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pieces.encode_digests(table(spark, sf_dir, "documents"), public_tokenizers.path(MODEL))
 
 
+def op2_chosen_path_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chosen_path.link_classes(table(spark, sf_dir, "documents")).select("doc_id", "class_id", "n_links", "class_size")
+
+
 def op4_transport_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     return transport_stream.read_media(transport_stream.write_media(table(spark, sf_dir, "documents")))
 
@@ -35,6 +39,7 @@ def op7_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {
     "op1_sentencepiece_codec": op1_sentencepiece_codec,
+    "op2_chosen_path_join": op2_chosen_path_join,
     "op4_transport_stream": op4_transport_stream,
     "op5_exact_topk": op5_exact_topk,
     "op6_token_counts": op6_token_counts,
