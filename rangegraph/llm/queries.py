@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chosen_path, exact_topk, pieces, suffix_dedup, token_counts, transport_stream
+from . import chosen_path, exact_topk, importance, pieces, suffix_dedup, token_counts, toxicity, transport_stream
 from .common import table
 
 MODEL = "piece_bpe_32k.model"
@@ -20,6 +20,10 @@ def op2_chosen_path_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chosen_path.link_classes(table(spark, sf_dir, "documents")).select("doc_id", "class_id", "n_links", "class_size")
 
 
+def op3_importance_resampling(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return importance.resample(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op4_transport_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     return transport_stream.read_media(transport_stream.write_media(table(spark, sf_dir, "documents")))
 
@@ -37,13 +41,19 @@ def op7_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix_dedup.repeat_digests(table(spark, sf_dir, "documents"))
 
 
+def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.score(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 QUERIES = {
     "op1_sentencepiece_codec": op1_sentencepiece_codec,
     "op2_chosen_path_join": op2_chosen_path_join,
+    "op3_importance_resampling": op3_importance_resampling,
     "op4_transport_stream": op4_transport_stream,
     "op5_exact_topk": op5_exact_topk,
     "op6_token_counts": op6_token_counts,
     "op7_suffix_dedup": op7_suffix_dedup,
+    "op10_toxicity": op10_toxicity,
 }
 
 ORACLES: dict[str, str] = {
