@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chosen_path, exact_topk, importance, pieces, suffix_dedup, token_counts, toxicity, transport_stream
+from . import chosen_path, exact_topk, importance, mixing, pieces, suffix_dedup, token_counts, toxicity, transport_stream, unit_dedup
 from .common import table
 
 MODEL = "piece_bpe_32k.model"
@@ -41,6 +41,16 @@ def op7_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix_dedup.repeat_digests(table(spark, sf_dir, "documents"))
 
 
+def op8_hierarchical_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.draw(table(spark, sf_dir, "documents"))
+
+
+def op9_unit_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    cut = unit_dedup.remove_units(table(spark, sf_dir, "documents"))
+    kept = F.sha2(F.encode("text", "UTF-8"), 256).alias("kept_sha256")
+    return cut.select("doc_id", "n_units", "n_removed", F.char_length("text").cast("long").alias("n_chars_kept"), kept, F.transform("removed", lambda s: s.start).alias("removed_start"), F.transform("removed", lambda s: s.end).alias("removed_end"))
+
+
 def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
@@ -53,6 +63,8 @@ QUERIES = {
     "op5_exact_topk": op5_exact_topk,
     "op6_token_counts": op6_token_counts,
     "op7_suffix_dedup": op7_suffix_dedup,
+    "op8_hierarchical_mixing": op8_hierarchical_mixing,
+    "op9_unit_dedup": op9_unit_dedup,
     "op10_toxicity": op10_toxicity,
 }
 
@@ -71,4 +83,61 @@ ORACLES: dict[str, str] = {
           SELECT query_id, CAST(row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS INTEGER) AS rank, vec_id, score FROM s)
         SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 5
     """,
+    "op9_unit_dedup": r"""
+        WITH u AS (
+          SELECT doc_id, generate_subscripts(p, 1) AS place, unnest(p) AS unit
+          FROM (SELECT doc_id, string_split(coalesce(text, ''), chr(10)) AS p FROM documents)),
+        o AS (
+          SELECT doc_id, place, unit,
+                 coalesce(sum(length(unit) + 1) OVER (PARTITION BY doc_id ORDER BY place ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS a,
+                 trim(regexp_replace(lower(unit), '\s+', ' ', 'g')) AS form
+          FROM u),
+        m AS (
+          SELECT *, CASE WHEN length(form) - length(replace(form, ' ', '')) + 1 >= 4 AND form <> ''
+                         THEN row_number() OVER (PARTITION BY form ORDER BY doc_id, place) ELSE 1 END AS nth
+          FROM o)
+        SELECT doc_id, CAST(count(*) AS INTEGER) AS n_units, CAST(count(*) FILTER (nth > 1) AS INTEGER) AS n_removed,
+               length(coalesce(string_agg(unit, chr(10) ORDER BY place) FILTER (nth = 1), '')) AS n_chars_kept,
+               sha256(coalesce(string_agg(unit, chr(10) ORDER BY place) FILTER (nth = 1), '')) AS kept_sha256,
+               coalesce(list(CAST(a AS INTEGER) ORDER BY place) FILTER (nth > 1), []) AS removed_start,
+               coalesce(list(CAST(a + length(unit) AS INTEGER) ORDER BY place) FILTER (nth > 1), []) AS removed_end
+        FROM m GROUP BY doc_id
+    """,
+    "op8_hierarchical_mixing": r"""
+        WITH d AS (
+          SELECT doc_id, lang, source,
+                 CASE WHEN regexp_extract(coalesce(source, ''), '([0-9]+)$', 1) = '' THEN 'other'
+                      ELSE list_extract(['web', 'books', 'code', 'forum'], CAST(regexp_extract(source, '([0-9]+)$', 1) AS BIGINT) % 4 + 1) END AS domain,
+                 len(list_filter(regexp_split_to_array(coalesce(text, ''), '\s+'), lambda x: x <> '')) AS n_tokens
+          FROM documents),
+        leaf AS (SELECT domain, lang, source, sum(n_tokens) AS t, 2.0 * sum(n_tokens) AS c, 1.0 AS w FROM d GROUP BY ALL),
+        lng AS (SELECT domain, lang, sum(c) AS c,
+                       CASE lang WHEN 'en' THEN 0.5 WHEN 'de' THEN 0.2 WHEN 'fr' THEN 0.2 WHEN 'es' THEN 0.1 ELSE 1.0 END AS w FROM leaf GROUP BY ALL),
+        dom AS (SELECT domain, sum(c) AS c,
+                       CASE domain WHEN 'web' THEN 0.4 WHEN 'books' THEN 0.3 WHEN 'code' THEN 0.2 WHEN 'forum' THEN 0.1 ELSE 1.0 END AS w FROM lng GROUP BY domain),
+        -- a level x fits a family if the children's min(capacity, weight * x) sum to what the family gets
+        dx AS (SELECT x.domain, x.c / x.w AS x, sum(least(y.c, y.w * x.c / x.w)) AS g FROM dom x, dom y GROUP BY x.domain, x.c, x.w),
+        db AS (
+          SELECT domain, c, w, (SELECT 0.8 * sum(t) FROM leaf) AS b FROM dom),
+        d1 AS (
+          SELECT domain, least(c, w * ((b - (SELECT coalesce(sum(z.c), 0) FROM dom z JOIN dx ON dx.domain = z.domain WHERE dx.g <= b))
+                                / nullif((SELECT sum(z.w) FROM dom z JOIN dx ON dx.domain = z.domain WHERE dx.g > b), 0))) AS part, c,
+                 (SELECT g FROM dx WHERE dx.domain = db.domain) <= b AS isfull FROM db),
+        d2 AS (SELECT domain, CASE WHEN isfull THEN c ELSE part END AS b FROM d1),
+        lx AS (SELECT x.domain, x.lang, sum(least(y.c, y.w * x.c / x.w)) AS g FROM lng x JOIN lng y USING (domain) GROUP BY x.domain, x.lang, x.c, x.w),
+        l0 AS (SELECT lng.*, lx.g, d2.b FROM lng JOIN lx USING (domain, lang) JOIN d2 USING (domain)),
+        l1 AS (
+          SELECT domain, lang, CASE WHEN g <= b THEN c ELSE w * (b - coalesce(sum(c) FILTER (g <= b) OVER (PARTITION BY domain), 0)) / sum(w) FILTER (g > b) OVER (PARTITION BY domain) END AS b FROM l0),
+        sx AS (SELECT x.domain, x.lang, x.source, sum(least(y.c, y.w * x.c / x.w)) AS g FROM leaf x JOIN leaf y USING (domain, lang) GROUP BY x.domain, x.lang, x.source, x.c, x.w),
+        s0 AS (SELECT leaf.*, sx.g, l1.b FROM leaf JOIN sx USING (domain, lang, source) JOIN l1 USING (domain, lang)),
+        s1 AS (
+          SELECT domain, lang, source, t, CAST(floor(CASE WHEN g <= b THEN c ELSE w * (b - coalesce(sum(c) FILTER (g <= b) OVER (PARTITION BY domain, lang), 0)) / sum(w) FILTER (g > b) OVER (PARTITION BY domain, lang) END + 1e-6) AS BIGINT) AS b FROM s0),
+        s2 AS (SELECT *, least(CASE WHEN t > 0 THEN b // t ELSE 0 END, 2) AS e FROM s1),
+        s3 AS (SELECT *, CASE WHEN e < 2 THEN b - e * t ELSE 0 END AS r FROM s2),
+        j AS (SELECT d.*, s3.e, s3.r FROM d JOIN s3 USING (domain, lang, source)),
+        p AS (SELECT *, sum(n_tokens) OVER (PARTITION BY domain, lang, source ORDER BY md5('7:' || e || ':' || doc_id) ROWS UNBOUNDED PRECEDING) AS s FROM j)
+        SELECT doc_id, domain, lang, source, CAST(n_tokens AS BIGINT) AS n_tokens, CAST(x AS INTEGER) AS epoch FROM (SELECT *, unnest(range(0, CAST(e AS BIGINT))) AS x FROM j)
+        UNION ALL
+        SELECT doc_id, domain, lang, source, CAST(n_tokens AS BIGINT) AS n_tokens, CAST(e AS INTEGER) AS epoch FROM p WHERE r > 0 AND s <= r
+    """,
 }
