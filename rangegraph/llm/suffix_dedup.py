@@ -8,10 +8,12 @@ bytes only, by most-significant-digit passes over distributed buckets:
   group, and one anchor stands for all neighbouring windows that share it (about one position in
   sixteen). Anchors are dealt to buckets by the leading bits of their hash, packed as columns of bytes.
   Inside a bucket they are sorted; groups that lie in a single document are done.
-* Pass 2. Anchors of the other groups get the bytes around them (what windows through the anchor can
-  reach), are dealt again, and are ordered by these bytes. Occurrences whose whole surroundings occur in a
-  smaller document are settled at once; the first of each distinct surroundings are ordered window by
-  window. The equal groups are exactly the repeated windows.
+  In the other groups the next digit is a hash of the bytes around the anchor, all that windows through
+  it can reach. Occurrences whose surroundings occur in a smaller document are settled; of groups with one
+  surroundings only, nothing is left.
+* Pass 2. The first occurrences of each surroundings of the remaining groups get the bytes themselves, are
+  dealt again, and are ordered by these bytes, window by window. The equal groups are exactly the
+  repeated windows.
 * The covered bytes come back to their documents as intervals.
 
 Only anchors, never all suffixes, are shuffled, and no group of equal windows is compared pairwise.
@@ -30,14 +32,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import mix64, stash, text_bytes, texts
+from .common import mix64, release, stash, text_bytes, texts
 
 DEPTH = 50
 GRAM = 20
 LAST = np.iinfo(np.int64).max
 CHUNK = 131_072  # window starts looked at together
 SLICE = 6_000_000  # bytes of text packed together
-RADIX = 512
+BUCKETS_PER_TASK = 8  # of the session's shuffle partitions, so that buckets stay small as the input grows
 
 _TABLE = mix64(np.arange(1, 257, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
 _M = np.uint64(0xD1342543DE82EF95)
@@ -54,24 +56,34 @@ def sliding(x: np.ndarray, width: int, op) -> np.ndarray:
     return op(have[: len(x) - width + 1], have[width - size : len(x) - size + 1]) if width > size else have
 
 
-def anchors(buf: np.ndarray, off: np.ndarray, depth: int = DEPTH, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray]:
-    """Positions in buf of the anchors of all windows, and their gram hashes. off: bounds of the documents."""
-    places, hashes = [], []
+def seal(poly: np.ndarray) -> np.ndarray:
+    """56 bits of the hash of a byte range, from its polynomial."""
+    return mix64(poly) >> np.uint64(8)
+
+
+def anchors(buf: np.ndarray, off: np.ndarray, depth: int = DEPTH, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Anchors of all windows in buf: positions, gram hashes, seals of the bytes that windows through them can reach.
+
+    off: bounds of the documents. The seal is 0 where those bytes leave the buffer.
+    """
+    places, hashes, seals = [], [], []
     span = depth - gram + 1
     ends, starts = off[1:], off[:-1]
     for s0 in range(0, len(buf) - depth + 1, CHUNK):
-        part = buf[s0 : s0 + CHUNK + depth - 1]
-        n = len(part) - depth + 1
+        base = max(0, s0 - depth)
+        part = buf[base : s0 + CHUNK + 2 * depth]
+        n = min(CHUNK, len(buf) - depth + 1 - s0)
         a, b = np.searchsorted(ends, s0, "right"), np.searchsorted(starts, s0 + n, "left")
-        open_ = np.zeros(n + 1, np.int32)
-        np.add.at(open_, np.clip(np.maximum(starts[a:b], ends[a:b] - depth + 1) - s0, 0, n), 1)
-        np.add.at(open_, np.clip(ends[a:b] - s0, 0, n), -1)
-        valid = np.cumsum(open_[:n]) == 0
+        closed = np.zeros(n + 1, np.int32)
+        np.add.at(closed, np.clip(np.maximum(starts[a:b], ends[a:b] - depth + 1) - s0, 0, n), 1)
+        np.add.at(closed, np.clip(ends[a:b] - s0, 0, n), -1)
+        valid = np.cumsum(closed[:n]) == 0
         if not valid.any():
             continue
         total = np.zeros(len(part) + 1, np.uint64)
         np.cumsum(_TABLE[part] * _POWER[: len(part)], out=total[1:])
-        h = (total[gram:] - total[:-gram]) * _INVERSE[: len(part) - gram + 1]
+        x, y = s0 - base, s0 - base + n + span - 1
+        h = (total[x + gram : y + gram] - total[x:y]) * _INVERSE[x:y]
         h ^= h >> np.uint64(32)
         h *= np.uint64(0x9FB21C651E98DF25)
         short = (h >> np.uint64(32)).astype(np.uint32)
@@ -81,29 +93,40 @@ def anchors(buf: np.ndarray, off: np.ndarray, depth: int = DEPTH, gram: int = GR
         wide = np.zeros(n + 2 * (span - 1), np.uint32)
         wide[span - 1 : span - 1 + n] = least
         hit = np.flatnonzero(sliding(wide, span, np.maximum) == short)
+        lo, hi = hit + x - (depth - gram), hit + x + depth
+        inside = (lo >= 0) & (hi < len(total))
+        lo, hi = np.where(inside, lo, 0), np.where(inside, hi, 0)
         places.append(hit + s0)
         hashes.append(h[hit])
+        seals.append(np.where(inside, seal((total[hi] - total[lo]) * _INVERSE[lo]), np.uint64(0)))
     if not places:
-        return np.zeros(0, np.int64), np.zeros(0, np.uint64)
-    p, h = np.concatenate(places), np.concatenate(hashes)
+        return np.zeros(0, np.int64), np.zeros(0, np.uint64), np.zeros(0, np.uint64)
+    p, h, c = np.concatenate(places), np.concatenate(hashes), np.concatenate(seals)
     order = np.argsort(p, kind="stable")  # an anchor of two chunks' windows is found twice
     at = order[_runs(p[order])]
-    return p[at], h[at]
+    return p[at], h[at], c[at]
 
 
-def planes(*columns: np.ndarray) -> bytes:
-    """Columns of numbers as planes of bytes, which compress where high bytes are alike."""
-    n = len(columns[0])
-    return n.to_bytes(4, "little") + b"".join(np.ascontiguousarray(np.ascontiguousarray(c).view(np.uint8).reshape(n, -1).T).tobytes() for c in columns)
+def planes(*columns) -> bytes:
+    """Columns of numbers as planes of bytes, which compress where high bytes are alike. (column, w): its w low bytes."""
+    parts = [c if isinstance(c, tuple) else (c, None) for c in columns]
+    n = len(parts[0][0])
+    return n.to_bytes(4, "little") + b"".join(np.ascontiguousarray(np.ascontiguousarray(c).view(np.uint8).reshape(n, -1)[:, :w].T).tobytes() for c, w in parts)
 
 
 def unplanes(raw: bytes, *kinds) -> list[np.ndarray]:
+    """The columns back. Kinds: a type, (type, w) for its w low bytes, or a number for rows of so many bytes."""
     n, at, out = int.from_bytes(raw[:4], "little"), 4, []
     for kind in kinds:
-        width = np.dtype(kind).itemsize if not isinstance(kind, int) else kind
+        kind, width = kind if isinstance(kind, tuple) else (kind, kind if isinstance(kind, int) else np.dtype(kind).itemsize)
         m = np.frombuffer(raw, np.uint8, n * width, at).reshape(width, n).T
-        out.append(np.ascontiguousarray(m).view(kind).reshape(n) if not isinstance(kind, int) else m)
         at += n * width
+        if isinstance(kind, int):
+            out.append(m)
+            continue
+        full = np.zeros((n, np.dtype(kind).itemsize), np.uint8)
+        full[:, :width] = m
+        out.append(full.view(kind).reshape(n))
     return out
 
 
@@ -132,16 +155,16 @@ def _doc_ids(b: pa.RecordBatch) -> np.ndarray:
     return b.column("doc_id").cast(pa.int64()).fill_null(LAST).to_numpy(zero_copy_only=False)
 
 
-def _blocks(bucket: np.ndarray, *columns: np.ndarray):
-    """Rows (bucket, payload) of columns, one for each bucket that occurs."""
+def _blocks(bucket: np.ndarray, *columns):
+    """Rows (bucket, payload) of columns (or (column, bytes)), one for each bucket that occurs."""
     order = np.argsort(bucket, kind="stable")
-    bucket, columns = bucket[order], [c[order] for c in columns]
+    bucket, widths, columns = bucket[order], [c[1] if isinstance(c, tuple) else None for c in columns], [(c[0] if isinstance(c, tuple) else c)[order] for c in columns]
     cuts = np.flatnonzero(np.diff(bucket)) + 1
     at = np.concatenate([[0], cuts, [len(bucket)]])
     if not len(bucket):
         return
     yield pa.RecordBatch.from_arrays(
-        [pa.array(bucket[at[:-1]].astype(np.int32)), pa.array([planes(*(c[a:b] for c in columns)) for a, b in zip(at[:-1], at[1:])], pa.binary())], names=["bucket", "payload"]
+        [pa.array(bucket[at[:-1]].astype(np.int32)), pa.array([planes(*((c[a:b], w) for c, w in zip(columns, widths))) for a, b in zip(at[:-1], at[1:])], pa.binary())], names=["bucket", "payload"]
     )
 
 
@@ -149,12 +172,18 @@ def _bucket_of(h: np.ndarray, radix: int) -> np.ndarray:
     return ((h >> np.uint64(40)) % np.uint64(radix)).astype(np.int64)
 
 
+GRAM_BYTES, SEAL_BYTES = 5, 7
+
+
 def _emit_anchors(batches, radix: int):
     for b in slices(batches):
         buf, off = text_bytes(b)
-        p, h = anchors(buf, off)
+        p, h, c = anchors(buf, off)
         row = np.searchsorted(off, p, "right") - 1
-        yield from _blocks(_bucket_of(h, radix), h, _doc_ids(b)[row], (p - off[row]).astype(np.int32))
+        doc, pos = _doc_ids(b)[row], p - off[row]
+        whole = (pos >= DEPTH - GRAM) & (p + DEPTH <= off[1:][row])
+        c = np.where(whole, c, seal(doc.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15) ^ h ^ pos.astype(np.uint64)))  # like no other
+        yield from _blocks(_bucket_of(h, radix), (h >> np.uint64(24), GRAM_BYTES), (c, SEAL_BYTES), doc, pos.astype(np.int32), (whole, 1))
 
 
 def _by_bucket(batches):
@@ -176,17 +205,38 @@ def _runs(key: np.ndarray) -> np.ndarray:
     return np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])) if len(key) else np.zeros(0, np.int64)
 
 
+FOUND = "doc_id long, pos int, gram long, seal long, settled boolean"
+
+
 def _shared(batches):
-    """Of the anchors of a bucket, those whose gram lies in more than one document."""
+    """Of the anchors of a bucket, those whose gram lies in more than one document.
+
+    Settled: all bytes that windows through the anchor can reach occur in a smaller document. Of the others,
+    those whose gram has more than one surroundings are still to be ordered.
+    """
+    kinds = ((np.uint64, GRAM_BYTES), (np.uint64, SEAL_BYTES), np.int64, np.int32, bool)
     for held in _by_bucket(batches):
-        h, doc, pos = (np.concatenate(c) for c in zip(*(unplanes(x, np.uint64, np.int64, np.int32) for x in held)))
+        h, c, doc, pos, whole = (np.concatenate(x) for x in zip(*(unplanes(x, *kinds) for x in held)))
         order = np.argsort(h, kind="stable")
-        h, doc, pos = h[order], doc[order], pos[order]
+        h, doc = h[order], doc[order]
         at = _runs(h)
         many = np.minimum.reduceat(doc, at) != np.maximum.reduceat(doc, at)
         keep = np.repeat(many, np.diff(np.append(at, len(h))))
+        if not keep.any():
+            continue
+        h, doc, order = h[keep], doc[keep], order[keep]
+        c, pos, whole = c[order], pos[order], whole[order]
+        order = np.lexsort((doc, c, h))
+        h, doc, c, pos, whole = h[order], doc[order], c[order], pos[order], whole[order]
+        at = np.flatnonzero(np.concatenate([[True], (h[1:] != h[:-1]) | (c[1:] != c[:-1])]))
+        first = np.repeat(doc[at], np.diff(np.append(at, len(h))))
+        settled = (doc > first) & whole
+        groups = _runs(h)
+        kinds_of = np.add.reduceat(np.bincount(at, minlength=len(h)), groups)
+        more = np.repeat(kinds_of > 1, np.diff(np.append(groups, len(h))))
+        keep = settled | more
         if keep.any():
-            yield pa.RecordBatch.from_arrays([pa.array(doc[keep]), pa.array(pos[keep]), pa.array(h[keep].view(np.int64))], names=["doc_id", "pos", "h"])
+            yield pa.RecordBatch.from_arrays([pa.array(doc[keep]), pa.array(pos[keep]), pa.array(h[keep].view(np.int64)), pa.array(c[keep].view(np.int64)), pa.array(settled[keep])], names=["doc_id", "pos", "gram", "seal", "settled"])
 
 
 def _flat(b: pa.RecordBatch, name: str) -> tuple[np.ndarray, dict[str, np.ndarray]]:
@@ -204,7 +254,7 @@ def _emit_contexts(batches, radix: int):
     for b in slices(batches, SLICE // 2):
         buf, off = text_bytes(b)
         row, f = _flat(b, "found")
-        pos, h = f["pos"].astype(np.int64), f["h"].view(np.uint64)
+        pos, h = f["pos"].astype(np.int64), f["gram"].view(np.uint64)
         size = (off[1:] - off[:-1])[row]
         fits = pos + GRAM <= size
         row, pos, h, size = row[fits], pos[fits], h[fits], size[fits]
@@ -213,13 +263,13 @@ def _emit_contexts(batches, radix: int):
         for i in range(0, len(row), 50_000):
             j = slice(i, i + 50_000)
             around = wide[place[j, None] + np.arange(width)]
-            g = (_TABLE[around[:, left : left + GRAM]] * _POWER[:GRAM]).sum(axis=1, dtype=np.uint64)
+            g = _gram(around)
             g ^= g >> np.uint64(32)
             g *= np.uint64(0x9FB21C651E98DF25)
-            own = g == h[j]  # rows with the same doc_id may have other texts
+            own = g >> np.uint64(24) == h[j]  # rows with the same doc_id may have other texts
             before, after = np.minimum(pos[j], left).astype(np.uint8), np.minimum(size[j] - pos[j], DEPTH).astype(np.uint8)
             order = np.flatnonzero(own)[np.argsort(h[j][own], kind="stable")]
-            yield from _blocks(_bucket_of(h[j][order], radix), _doc_ids(b)[row[j]][order], pos[j][order].astype(np.int32), before[order], after[order], around[order])
+            yield from _blocks(_bucket_of(h[j][order] << np.uint64(24), radix), _doc_ids(b)[row[j]][order], pos[j][order].astype(np.int32), before[order], after[order], around[order])
 
 
 def _settle(doc, pos, before, after, around):
@@ -278,8 +328,8 @@ def _repeats(batches):
             r, lo, hi, total = _settle(doc[s], pos[s], before[s], after[s], around[s])
             if len(r):
                 c0, c1 = lo - pos[s][r] + left, hi - pos[s][r] + left
-                seal = (total[r, c1] - total[r, c0]) * _INVERSE[c0]
-                yield pa.RecordBatch.from_arrays([pa.array(doc[s][r]), pa.array(lo.astype(np.int32)), pa.array(hi.astype(np.int32)), pa.array(seal.view(np.int64))], names=["doc_id", "lo", "hi", "seal"])
+                mark = seal((total[r, c1] - total[r, c0]) * _INVERSE[c0])
+                yield pa.RecordBatch.from_arrays([pa.array(doc[s][r]), pa.array(lo.astype(np.int32)), pa.array(hi.astype(np.int32)), pa.array(mark.view(np.int64))], names=["doc_id", "lo", "hi", "seal"])
             i = j
 
 
@@ -302,7 +352,7 @@ def merged_spans(row: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> tuple[np.nd
     return row[at], lo[at], np.maximum.reduceat(hi, at)
 
 
-def _own(buf: np.ndarray, place: np.ndarray, size: np.ndarray, seal: np.ndarray) -> np.ndarray:
+def _own(buf: np.ndarray, place: np.ndarray, size: np.ndarray, seals: np.ndarray) -> np.ndarray:
     """Whether the bytes at each interval are those it was found on."""
     out = np.zeros(len(place), bool)
     for i in range(0, len(place), 50_000):
@@ -310,18 +360,18 @@ def _own(buf: np.ndarray, place: np.ndarray, size: np.ndarray, seal: np.ndarray)
         at = p[:, None] + np.arange(2 * DEPTH - GRAM)
         inside = np.arange(2 * DEPTH - GRAM) < n[:, None]
         v = _TABLE[buf[np.minimum(at, len(buf) - 1)]] * _POWER[: 2 * DEPTH - GRAM]
-        out[i : i + 50_000] = np.where(inside, v, np.uint64(0)).sum(axis=1, dtype=np.uint64) == seal[i : i + 50_000]
+        out[i : i + 50_000] = seal(np.where(inside, v, np.uint64(0)).sum(axis=1, dtype=np.uint64)) == seals[i : i + 50_000]
     return out
 
 
 def _spans(b: pa.RecordBatch):
-    """Text bytes, offsets and the removed runs of a batch of (doc_id, text, removed)."""
+    """Text bytes, offsets and the removed runs of a batch of (doc_id, text, __removed)."""
     buf, off = text_bytes(b)
-    row, f = _flat(b, "removed")
-    lo, hi, seal = f["lo"].astype(np.int64), f["hi"].astype(np.int64), f["seal"].view(np.uint64)
+    row, f = _flat(b, "__removed")
+    lo, hi, seals = f["lo"].astype(np.int64), f["hi"].astype(np.int64), f["seal"].view(np.uint64)
     fits = hi <= (off[1:] - off[:-1])[row]
-    row, lo, hi, seal = row[fits], lo[fits], hi[fits], seal[fits]
-    own = _own(buf, off[:-1][row] + lo, hi - lo, seal)
+    row, lo, hi, seals = row[fits], lo[fits], hi[fits], seals[fits]
+    own = _own(buf, off[:-1][row] + lo, hi - lo, seals)
     return buf, off, *merged_spans(row[own], lo[own], hi[own])
 
 
@@ -336,17 +386,28 @@ def _kept(buf: np.ndarray, off: np.ndarray, row, lo, hi) -> tuple[np.ndarray, np
     return buf[keep], count[off]
 
 
-def removed_intervals(docs: DataFrame, radix: int = RADIX) -> DataFrame:
-    """doc_id (null as the largest number), text, removed ARRAY<lo, hi, seal>: what to take from each document."""
+def _by_document(docs: DataFrame) -> DataFrame:
+    """__id (null doc_ids as the largest number), __removed ARRAY<lo, hi, seal>: what to take from each document."""
+    radix = BUCKETS_PER_TASK * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     base = texts(docs).withColumn("doc_id", F.coalesce("doc_id", F.lit(LAST)))
     packed = base.mapInArrow(lambda it: _emit_anchors(it, radix), "bucket int, payload binary")
-    shared = stash(packed.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_shared, "doc_id long, pos int, h long"), "anchors")
-    found = shared.groupBy("doc_id").agg(F.collect_list(F.struct("pos", "h")).alias("found"))
+    shared = stash(packed.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_shared, FOUND), "anchors")
+    del packed
+    release(docs.sparkSession)
+    found = shared.where("not settled").groupBy("doc_id").agg(F.collect_list(F.struct("pos", "gram")).alias("found"))
     around = base.join(found, "doc_id").mapInArrow(lambda it: _emit_contexts(it, radix), "bucket int, payload binary")
     hits = stash(around.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_repeats, "doc_id long, lo int, hi int, seal long"), "repeats")
-    back = hits.groupBy("doc_id").agg(F.collect_list(F.struct("lo", "hi", "seal")).alias("removed"))
+    del around, found
+    release(docs.sparkSession)
+    reach = shared.where("settled").select("doc_id", (F.col("pos") - (DEPTH - GRAM)).alias("lo"), (F.col("pos") + DEPTH).alias("hi"), "seal")
+    return hits.unionByName(reach).groupBy(F.col("doc_id").alias("__id")).agg(F.collect_list(F.struct("lo", "hi", "seal")).alias("__removed"))
+
+
+def _with_removed(docs: DataFrame) -> DataFrame:
+    """The rows of docs with __removed."""
+    back = _by_document(docs)
     none = F.from_json(F.lit("[]"), "array<struct<lo:int,hi:int,seal:bigint>>")
-    return base.join(back, "doc_id", "left").withColumn("removed", F.coalesce("removed", none))
+    return docs.withColumn("__id", F.coalesce("doc_id", F.lit(LAST))).join(back, "__id", "left").withColumn("__removed", F.coalesce("__removed", none)).drop("__id")
 
 
 def remove_repeats(docs: DataFrame) -> DataFrame:
@@ -360,14 +421,9 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
             raw = kept.tobytes()
             per = np.searchsorted(row, np.arange(b.num_rows + 1))
             spans = pa.ListArray.from_arrays(pa.array(per, pa.int32()), pa.StructArray.from_arrays([pa.array(lo, pa.int32()), pa.array(hi, pa.int32())], names=["start", "end"]))
-            yield pa.RecordBatch.from_arrays([_ids_back(b), pa.array([raw[x:y] for x, y in zip(at[:-1], at[1:])], pa.binary()), spans], schema=schema)
-
-    return removed_intervals(docs).mapInArrow(run, "doc_id long, kept binary, spans array<struct<start:int,end:int>>")
-
+            yield pa.RecordBatch.from_arrays([b.column("doc_id").cast(pa.int64()), pa.array([raw[x:y] for x, y in zip(at[:-1], at[1:])], pa.binary()), spans], schema=schema)
 
-def _ids_back(b: pa.RecordBatch) -> pa.Array:
-    ids = _doc_ids(b)
-    return pa.array(ids, mask=ids == LAST)
+    return _with_removed(texts(docs)).mapInArrow(run, "doc_id long, kept binary, spans array<struct<start:int,end:int>>")
 
 
 def repeat_digests(docs: DataFrame) -> DataFrame:
@@ -380,29 +436,26 @@ def repeat_digests(docs: DataFrame) -> DataFrame:
             kept, at = _kept(buf, off, row, lo, hi)
             raw, size = memoryview(kept.tobytes()), np.diff(off)
             sha = [hashlib.sha256(raw[x:y]).hexdigest() for x, y in zip(at[:-1], at[1:])]
-            yield pa.RecordBatch.from_arrays([_ids_back(b), pa.array(size), pa.array(size - np.diff(at)), pa.array(np.bincount(row, minlength=b.num_rows)), pa.array(sha, pa.string())], schema=schema)
+            yield pa.RecordBatch.from_arrays([b.column("doc_id").cast(pa.int64()), pa.array(size), pa.array(size - np.diff(at)), pa.array(np.bincount(row, minlength=b.num_rows)), pa.array(sha, pa.string())], schema=schema)
 
-    return removed_intervals(docs).mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+    return _with_removed(texts(docs)).mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
 
 
 def without_repeats(docs: DataFrame) -> DataFrame:
     """The documents with the repeated bytes taken out of text, n_chars set anew; all other columns stay.
 
-    Where a cut falls inside a character, the rest of its bytes is left out of the text.
+    Where a cut falls inside a character, the rest of its bytes is left out of the text. A null text becomes
+    empty. n_chars must be a long, as in documents.
     """
-    rest = [c for c in docs.columns if c not in ("doc_id", "text")]
-    cut = removed_intervals(docs.select("doc_id", "text"))
-    schema = pa.schema([("doc_id", pa.int64()), ("seal", pa.int64()), ("text", pa.string())])
+    columns = docs.columns
 
     def run(batches):
         for b in slices(batches):
             buf, off, row, lo, hi = _spans(b)
             kept, at = _kept(buf, off, row, lo, hi)
             raw = kept.tobytes()
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("seal"), pa.array([raw[x:y].decode("utf-8", "ignore") for x, y in zip(at[:-1], at[1:])], pa.string())], schema=schema)
+            text = [raw[x:y].decode("utf-8", "ignore") for x, y in zip(at[:-1], at[1:])]
+            new = {"text": pa.array(text, pa.string()), "n_chars": pa.array(map(len, text), pa.int64())}
+            yield pa.RecordBatch.from_arrays([new.get(c, b.column(c)) for c in columns], names=columns)
 
-    new = cut.withColumn("seal", F.xxhash64("text")).select("doc_id", "text", "removed", "seal").mapInArrow(run, "doc_id long, seal long, text string").dropDuplicates(["doc_id", "seal"])
-    old = docs.select(F.coalesce("doc_id", F.lit(LAST)).alias("_id"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("_seal"), "doc_id", *rest)
-    joined = old.join(new.select(F.col("doc_id").alias("_id"), F.col("seal").alias("_seal"), "text"), ["_id", "_seal"])
-    size = F.char_length("text").cast("long")
-    return joined.select(*[size.alias(c) if c == "n_chars" else F.col(c) for c in docs.columns])
+    return _with_removed(docs).mapInArrow(run, docs.schema)
