@@ -402,7 +402,9 @@ def link_classes(docs: DataFrame, threshold: float = THRESHOLD, target: float =
 
 
 def one_per_class(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """The documents with one row of each class: that with the least doc_id (the least text where rows repeat it)."""
-    keep = link_classes(docs, threshold).where(F.col("doc_id").eqNullSafe(F.col("class_id"))).select(F.col("doc_id").alias("_id")).distinct()
-    kept = docs.join(keep, docs.doc_id.eqNullSafe(keep["_id"])).drop("_id")
-    return kept.dropDuplicates(["doc_id"])
+    """The documents with one row of each class: that with the least doc_id (any one where rows repeat that doc_id)."""
+    keep = link_classes(docs, threshold).where(F.col("doc_id").eqNullSafe(F.col("class_id"))).select(F.col("doc_id").alias("__id")).distinct()
+    kept = docs.join(keep, docs.doc_id.eqNullSafe(keep["__id"]), "left_semi")
+    if docs.groupBy("doc_id").count().where("count > 1").limit(1).count():
+        kept = kept.dropDuplicates(["doc_id"])
+    return kept
