@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import gc
 import uuid
 
@@ -84,3 +85,17 @@ def merge_iter(batches, schema: pa.Schema, build, rows: int = 20_000):
             part = batch.slice(i, rows)
             if part.num_rows:
                 yield pa.RecordBatch.from_pydict(build(part), schema=schema)
+
+
+def lean(fn):
+    """fn over batches that gives freed memory back at its end: Python workers stay, and others need room."""
+
+    def run(batches):
+        try:
+            yield from fn(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            if (trim := getattr(ctypes.CDLL(None), "malloc_trim", None)) is not None:
+                trim(0)
+
+    return run

@@ -28,13 +28,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import mix64, texts
+from .common import lean, mix64, texts
 from .importance import labelled_sample
 
 ORDER = 6
 SHARED = 2
 DISCOUNT = 0.75
-SAMPLE = 8_000
+SAMPLE = 3_000
 STRONGEST = (1, 2)  # different words
 STRONG_PLACES = (4, 8)
 ABOVE = (1, 2, 3, 4)
@@ -50,16 +50,17 @@ def characters(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
     pad = "\x01" * (ORDER - 1)
     cut = [pad + w[:LONGEST] + "\x02" for w in words]
     size = np.array([len(w) for w in cut], np.int64)
-    codes = np.frombuffer("".join(cut).encode("utf-32-le"), np.uint32).astype(np.uint64)
-    return codes, np.repeat(np.arange(len(words)), size)
+    codes = np.frombuffer("".join(cut).encode("utf-32-le"), np.uint32)
+    return codes, np.repeat(np.arange(len(words), dtype=np.int32), size)
 
 
 def grams(codes: np.ndarray, owner: np.ndarray, order: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """For each character that is no mark in front: hash of its context and of context plus character; its word."""
-    at = np.flatnonzero(codes != 1)
+    at = np.flatnonzero(codes != 1).astype(np.int32)
     context = np.full(len(at), order, np.uint64)
     for k in range(order - 1, 0, -1):
-        context = (context ^ codes[at - k]) * _C[k]
+        context ^= codes[at - k]
+        context *= _C[k]
         context ^= context >> np.uint64(31)
     gram = (context ^ codes[at]) * _C[0]
     gram ^= gram >> np.uint64(29)
@@ -110,16 +111,25 @@ class Evidence:
         self.levels: list[tuple[Lookup, Lookup]] = []
         size = int((codes > 2).any() and len(np.unique(codes)))
         below = None  # per character place: the two log-probabilities of the order below
+        weights = None
         for order in range(1, ORDER + 1):
             context, gram, word = grams(codes, owner, order)
-            weights = (toxic[word].astype(float), ordinary[word].astype(float))
+            if weights is None:
+                weights = (toxic[word].astype(np.float32), ordinary[word].astype(np.float32))
             uniq, first, inverse = np.unique(gram, return_index=True, return_inverse=True)
+            inverse = inverse.astype(np.int32)
             c_uniq, c_inverse = np.unique(context[first], return_inverse=True)
+            del context, word
             if order < ORDER:  # continuation: in how many longer grams, per class or in both
-                wide, one = np.unique(grams(codes, owner, order + 1)[1], return_index=True)
-                in_class = [np.bincount(np.searchsorted(uniq, gram[one]), self._seen(wide, grams(codes, owner, order + 1)[1], w), len(uniq)) for w in weights]
-                both = np.bincount(np.searchsorted(uniq, gram[one]), minlength=len(uniq)).astype(float)
-                counts = in_class if order > SHARED else [both, both]
+                longer = grams(codes, owner, order + 1)[1]
+                wide, one, place = np.unique(longer, return_index=True, return_inverse=True)
+                del longer
+                up = np.searchsorted(uniq, gram[one])
+                if order > SHARED:
+                    counts = [np.bincount(up, np.bincount(place, w, len(wide)) > 0, len(uniq)) for w in weights]
+                else:
+                    counts = [np.bincount(up, minlength=len(uniq)).astype(float)] * 2
+                del wide, one, place, up
             else:
                 counts = [np.bincount(inverse, w, len(uniq)) for w in weights]
             logs, back = [], []
@@ -132,12 +142,7 @@ class Evidence:
                 logs.append(np.log(np.maximum(p, 1e-12)))
                 back.append(np.log(np.maximum(free, 1e-12)))
             self.levels.append((Lookup(uniq, (logs[0] - logs[1]).astype(np.float32)), Lookup(c_uniq, (back[0] - back[1]).astype(np.float32))))
-            below = [x[inverse] for x in logs]
-
-    @staticmethod
-    def _seen(wide: np.ndarray, each: np.ndarray, weight: np.ndarray) -> np.ndarray:
-        """1 for the longer grams that the class has."""
-        return (np.bincount(np.searchsorted(wide, each), weight, len(wide)) > 0).astype(float)
+            below = [x[inverse].astype(np.float32) for x in logs]
 
     def of(self, words: list[str]) -> np.ndarray:
         """Evidence of each word."""
@@ -220,11 +225,12 @@ def fit(docs: DataFrame, labels: DataFrame) -> tuple[Evidence, np.ndarray, np.nd
         return None
     small = spark.createDataFrame([(r.doc_id, r.label) for r in sample], "doc_id long, label int")
     rows = texts(docs).join(F.broadcast(small), "doc_id").select("text", "label", (F.pmod(F.xxhash64("doc_id"), F.lit(4)) == 0).alias("curve"))
-    counts = rows.where("not curve").mapInArrow(_word_counts, "word string, toxic long, ordinary long").groupBy("word").agg(F.sum("toxic").alias("toxic"), F.sum("ordinary").alias("ordinary")).toPandas()
+    counts = rows.where("not curve").mapInArrow(lean(_word_counts), "word string, toxic long, ordinary long").groupBy("word").agg(F.sum("toxic").alias("toxic"), F.sum("ordinary").alias("ordinary")).toPandas()
     if not len(counts):
         return None
     counts = counts.sort_values("word")
     model = Evidence(counts.word.tolist(), counts.toxic.to_numpy(float), counts.ordinary.to_numpy(float))
+    del counts
     sent = spark.sparkContext.broadcast(model)
 
     def measure(batches):
@@ -232,7 +238,7 @@ def fit(docs: DataFrame, labels: DataFrame) -> tuple[Evidence, np.ndarray, np.nd
             f = text_features([t or "" for t in b.column("text").to_pylist()], sent.value, id(sent))
             yield pa.RecordBatch.from_arrays([pa.array(f[:, i]) for i in range(f.shape[1])] + [b.column("label").cast(pa.int32())], names=[f"f{i}" for i in range(f.shape[1])] + ["label"])
 
-    seen = rows.where("curve").mapInArrow(measure, ", ".join(f"f{i} double" for i in range(FEATURES)) + ", label int").toPandas()
+    seen = rows.where("curve").mapInArrow(lean(measure), ", ".join(f"f{i} double" for i in range(FEATURES)) + ", label int").toPandas()
     if not len(seen) or seen.label.nunique() < 2:
         return None
     x, y = seen[[f"f{i}" for i in range(FEATURES)]].to_numpy(), seen.label.to_numpy(float)
@@ -261,4 +267,4 @@ def score(docs: DataFrame, labels: DataFrame) -> DataFrame:
                 s = 1 / (1 + np.exp(-np.clip((f - middle) / spread @ w[:-1] + w[-1], -30, 30)))
                 yield pa.RecordBatch.from_arrays([part.column("doc_id").cast(pa.int64()), part.column("held_out"), pa.array(s), pa.array((s >= CUT).astype(np.int32))], schema=schema)
 
-    return base.mapInArrow(run, "doc_id long, held_out boolean, score double, predicted int")
+    return base.mapInArrow(lean(run), "doc_id long, held_out boolean, score double, predicted int")
