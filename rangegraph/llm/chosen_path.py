@@ -36,7 +36,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import mix64, stash, texts
+from .common import lean, mix64, stash, texts
 from .components import components
 from .suffix_dedup import _TABLE, _blocks, _by_bucket, _runs, planes, slices, unplanes
 
@@ -161,7 +161,7 @@ SUMMARY = "doc_id long, set long, n int, sketch binary, picks binary"
 
 def _summaries(batches, runs: int, threshold: float):
     """Digest, size, sketch and the selected tokens of all levels, per document."""
-    for b in slices(batches, 3_000_000):
+    for b in slices(batches, 1_500_000):
         value, at = shingle_sets(b)
         sk, size = sketches(value, at), np.diff(at)
         chosen = [picks(value, at, runs, threshold, level) for level in range(DEPTH)]
@@ -289,7 +289,7 @@ def _forest(batches, threshold: float):
 
 def _members(batches):
     """Sets of the texts that stand for a family member; rows whose text is another one are left out."""
-    for b in slices(batches, 3_000_000):
+    for b in slices(batches, 1_500_000):
         value, at = shingle_sets(b)
         own = set_digests(value, at) == b.column("set").to_numpy()
         raw = [value[x:y].tobytes() for x, y in zip(at[:-1], at[1:])]
@@ -371,28 +371,28 @@ def link_classes(docs: DataFrame, threshold: float = THRESHOLD, target: float =
     """doc_id, class_id, n_links, class_size (documents in the class), set (digest of the document's shingle set)."""
     runs = runs_for(threshold, target)
     base = texts(docs)
-    summaries = stash(base.mapInArrow(lambda it: _summaries(it, runs, threshold), SUMMARY), "summaries")
+    summaries = stash(base.mapInArrow(lean(lambda it: _summaries(it, runs, threshold)), SUMMARY), "summaries")
     reps = stash(summaries.groupBy("set").agg(F.min("doc_id").alias("doc_id"), F.count(F.lit(1)).alias("copies"), F.first("n").alias("n"), F.first("sketch").alias("sketch"), F.first("picks").alias("picks")), "sets")
-    dealt = reps.where("n > 0").select("set", "picks").mapInArrow(lambda it: _first_keys(it, RADIX), "bucket int, payload binary")
+    dealt = reps.where("n > 0").select("set", "picks").mapInArrow(lean(lambda it: _first_keys(it, RADIX)), "bucket int, payload binary")
     ready = None
     for level in range(1, DEPTH + 1):
         last = level == DEPTH
-        found = stash(dealt.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(lambda it, last=last: _grouped(it, last), BUCKETS), "buckets")
+        found = stash(dealt.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(lean(lambda it, last=last: _grouped(it, last)), BUCKETS), "buckets")
         small = found.where("not large").select("set", "key")
         ready = small if ready is None else ready.unionByName(small)
         if last:
             break
         deep = found.where("large").join(reps.select("set", "picks"), "set")
-        dealt = deep.select("set", "key", "run", "picks").mapInArrow(lambda it, level=level: _deeper_keys(it, RADIX, level), "bucket int, payload binary")
+        dealt = deep.select("set", "key", "run", "picks").mapInArrow(lean(lambda it, level=level: _deeper_keys(it, RADIX, level)), "bucket int, payload binary")
     sketched = ready.distinct().join(reps.select("set", "n", "sketch"), "set")
-    near = sketched.repartition("key").sortWithinPartitions("key").select("key", "set", "n", "sketch").mapInArrow(lambda it: _forest(it, threshold), "u long, v long")
+    near = sketched.repartition("key").sortWithinPartitions("key").select("key", "set", "n", "sketch").mapInArrow(lean(lambda it: _forest(it, threshold)), "u long, v long")
     family = components(near, "families")
     sizes = family.groupBy("root").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("parts"))
     chosen = family.join(sizes, "root").select(F.col("node").alias("set"), "root", "parts").join(reps.select("set", "doc_id", "copies"), "set")
     with_text = base.join(chosen, base.doc_id.eqNullSafe(chosen.doc_id)).select("text", "set", "root", "copies", "parts")
-    members = with_text.mapInArrow(_members, "set long, root long, copies long, parts int, tokens binary").dropDuplicates(["set"])
-    tasks = members.mapInArrow(_block_pairs, PAIRS)
-    verified = stash(tasks.repartition("task").sortWithinPartitions("task").mapInArrow(lambda it: _verify(it, threshold), "u long, v long, links long"), "links")
+    members = with_text.mapInArrow(lean(_members), "set long, root long, copies long, parts int, tokens binary").dropDuplicates(["set"])
+    tasks = members.mapInArrow(lean(_block_pairs), PAIRS)
+    verified = stash(tasks.repartition("task").sortWithinPartitions("task").mapInArrow(lean(lambda it: _verify(it, threshold)), "u long, v long, links long"), "links")
     classes = components(verified.where("u <> v").select("u", "v"), "classes")
     links = verified.where("links > 0").groupBy(F.col("u").alias("set")).agg(F.sum("links").alias("links"))
     mine = reps.select("set", "doc_id", "copies").join(links, "set", "left").join(classes.select(F.col("node").alias("set"), "root"), "set", "left").withColumn("root", F.coalesce("root", "set"))

@@ -23,6 +23,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .common import lean
+
 QUERY_BLOCK = 8_192
 CANDIDATES = 4_096
 OUT = "query_id long, vec_id long, score long"
@@ -100,7 +102,7 @@ def search(queries: DataFrame, candidates: DataFrame, k: int = 5, block: int = Q
         for i, r in enumerate(held):
             matrix[i, : len(r.w)] = r.w
         sent = spark.sparkContext.broadcast((np.array([r.vec_id for r in held], np.int64), matrix))
-        return candidates.select("vec_id", "w").mapInArrow(lambda it: _run(it, sent, k), OUT)
+        return candidates.select("vec_id", "w").mapInArrow(lean(lambda it: _run(it, sent, k)), OUT)
 
     for r in rows:
         held.append(r)

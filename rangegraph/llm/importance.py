@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .chosen_path import word_hashes
-from .common import mix64, stash, text_bytes, texts
+from .common import lean, mix64, stash, text_bytes, texts
 from .suffix_dedup import slices
 
 BUCKETS = 1 << 14
@@ -86,7 +86,7 @@ def features(buf: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 def _count(batches):
     """Sums of raw and target counts per bucket, over a task."""
     total = np.zeros((2, STREAMS * BUCKETS), np.int64)
-    for b in slices(batches, 4_000_000):
+    for b in slices(batches, 1_500_000):
         doc, bucket = features(*text_bytes(b))
         total[0] += np.bincount(bucket, minlength=total.shape[1])
         good = b.column("good").fill_null(0).to_numpy(zero_copy_only=False) == 1
@@ -109,7 +109,7 @@ def log_ratios(docs: DataFrame, sample: DataFrame) -> DataFrame:
     small = spark.createDataFrame(list(held.items()), "doc_id long, label int")
     marked = texts(docs).join(F.broadcast(small), "doc_id", "left")
     half = F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(2)) == 0  # the other half places the cut
-    counted = marked.select("text", F.when(half, F.col("label")).alias("good")).mapInArrow(_count, "bucket int, raw long, target long")
+    counted = marked.select("text", F.when(half, F.col("label")).alias("good")).mapInArrow(lean(_count), "bucket int, raw long, target long")
     rows = counted.groupBy("bucket").agg(F.sum("raw").alias("raw"), F.sum("target").alias("target")).collect()
     raw, target = np.zeros(STREAMS * BUCKETS), np.zeros(STREAMS * BUCKETS)
     for r in rows:
@@ -126,7 +126,7 @@ def log_ratios(docs: DataFrame, sample: DataFrame) -> DataFrame:
 
     def score(batches):
         table = sent.value
-        for b in slices(batches, 4_000_000):
+        for b in slices(batches, 1_500_000):
             doc, bucket = features(*text_bytes(b))
             stream = bucket // BUCKETS
             slot = doc * STREAMS + stream
@@ -136,7 +136,7 @@ def log_ratios(docs: DataFrame, sample: DataFrame) -> DataFrame:
             weight = WEIGHT * (total / np.maximum(n, 20)).mean(axis=1)
             yield pa.RecordBatch.from_arrays([b.column("doc_id").cast(pa.int64()), b.column("label").cast(pa.int32()), pa.array(weight)], schema=schema)
 
-    return marked.mapInArrow(score, "doc_id long, label int, log_weight double")
+    return marked.mapInArrow(lean(score), "doc_id long, label int, log_weight double")
 
 
 def best_cut(weight: np.ndarray, label: np.ndarray) -> float:

@@ -26,7 +26,7 @@ import pyarrow as pa
 import sentencepiece
 from pyspark.sql import DataFrame
 
-from .common import texts
+from .common import lean, texts
 
 SPACE = "▁"
 
@@ -34,7 +34,7 @@ SPACE = "▁"
 class PieceTable:
     """The vocabulary with its automaton, pair memory and unit cache; one per Python worker."""
 
-    def __init__(self, model_path: str, units: int = 300_000, pairs: int = 500_000):
+    def __init__(self, model_path: str, units: int = 150_000, pairs: int = 300_000):
         sp = sentencepiece.SentencePieceProcessor(model_file=model_path)
         n = sp.get_piece_size()
         self.surface = [sp.id_to_piece(i) for i in range(n)]
@@ -215,7 +215,7 @@ def encode_documents(docs: DataFrame, model_path: str) -> DataFrame:
                 [b.column("doc_id").cast(pa.int64()), pa.array([list(map(int, p[0].split(" "))) for p in pairs], pa.list_(pa.int32())), pa.array([p[1] for p in pairs], pa.string())], schema=schema
             )
 
-    return texts(docs).mapInArrow(run, "doc_id long, ids array<int>, decoded string")
+    return texts(docs).mapInArrow(lean(run), "doc_id long, ids array<int>, decoded string")
 
 
 def encode_digests(docs: DataFrame, model_path: str) -> DataFrame:
@@ -233,4 +233,4 @@ def encode_digests(docs: DataFrame, model_path: str) -> DataFrame:
                 back.append(hashlib.sha256(text.encode()).hexdigest())
             yield pa.RecordBatch.from_arrays([b.column("doc_id").cast(pa.int64()), pa.array(count, pa.int64()), pa.array(ids, pa.string()), pa.array(back, pa.string())], schema=schema)
 
-    return texts(docs).mapInArrow(run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    return texts(docs).mapInArrow(lean(run), "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")

@@ -32,13 +32,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import mix64, release, stash, text_bytes, texts
+from .common import lean, mix64, release, stash, text_bytes, texts
 
 DEPTH = 50
 GRAM = 20
 LAST = np.iinfo(np.int64).max
 CHUNK = 131_072  # window starts looked at together
-SLICE = 6_000_000  # bytes of text packed together
+SLICE = 4_000_000  # bytes of text packed together
 BUCKETS_PER_TASK = 8  # of the session's shuffle partitions, so that buckets stay small as the input grows
 
 _TABLE = mix64(np.arange(1, 257, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
@@ -260,8 +260,8 @@ def _emit_contexts(batches, radix: int):
         row, pos, h, size = row[fits], pos[fits], h[fits], size[fits]
         wide = np.concatenate([np.zeros(left, np.uint8), buf, np.zeros(DEPTH, np.uint8)])
         place = off[:-1][row] + pos
-        for i in range(0, len(row), 50_000):
-            j = slice(i, i + 50_000)
+        for i in range(0, len(row), 20_000):
+            j = slice(i, i + 20_000)
             around = wide[place[j, None] + np.arange(width)]
             g = _gram(around)
             g ^= g >> np.uint64(32)
@@ -355,12 +355,12 @@ def merged_spans(row: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> tuple[np.nd
 def _own(buf: np.ndarray, place: np.ndarray, size: np.ndarray, seals: np.ndarray) -> np.ndarray:
     """Whether the bytes at each interval are those it was found on."""
     out = np.zeros(len(place), bool)
-    for i in range(0, len(place), 50_000):
-        p, n = place[i : i + 50_000], size[i : i + 50_000]
+    for i in range(0, len(place), 10_000):
+        p, n = place[i : i + 10_000], size[i : i + 10_000]
         at = p[:, None] + np.arange(2 * DEPTH - GRAM)
         inside = np.arange(2 * DEPTH - GRAM) < n[:, None]
         v = _TABLE[buf[np.minimum(at, len(buf) - 1)]] * _POWER[: 2 * DEPTH - GRAM]
-        out[i : i + 50_000] = seal(np.where(inside, v, np.uint64(0)).sum(axis=1, dtype=np.uint64)) == seals[i : i + 50_000]
+        out[i : i + 10_000] = seal(np.where(inside, v, np.uint64(0)).sum(axis=1, dtype=np.uint64)) == seals[i : i + 10_000]
     return out
 
 
@@ -390,13 +390,13 @@ def _by_document(docs: DataFrame) -> DataFrame:
     """__id (null doc_ids as the largest number), __removed ARRAY<lo, hi, seal>: what to take from each document."""
     radix = BUCKETS_PER_TASK * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     base = texts(docs).withColumn("doc_id", F.coalesce("doc_id", F.lit(LAST)))
-    packed = base.mapInArrow(lambda it: _emit_anchors(it, radix), "bucket int, payload binary")
-    shared = stash(packed.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_shared, FOUND), "anchors")
+    packed = base.mapInArrow(lean(lambda it: _emit_anchors(it, radix)), "bucket int, payload binary")
+    shared = stash(packed.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(lean(_shared), FOUND), "anchors")
     del packed
     release(docs.sparkSession)
     found = shared.where("not settled").groupBy("doc_id").agg(F.collect_list(F.struct("pos", "gram")).alias("found"))
-    around = base.join(found, "doc_id").mapInArrow(lambda it: _emit_contexts(it, radix), "bucket int, payload binary")
-    hits = stash(around.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_repeats, "doc_id long, lo int, hi int, seal long"), "repeats")
+    around = base.join(found, "doc_id").mapInArrow(lean(lambda it: _emit_contexts(it, radix)), "bucket int, payload binary")
+    hits = stash(around.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(lean(_repeats), "doc_id long, lo int, hi int, seal long"), "repeats")
     del around, found
     release(docs.sparkSession)
     reach = shared.where("settled").select("doc_id", (F.col("pos") - (DEPTH - GRAM)).alias("lo"), (F.col("pos") + DEPTH).alias("hi"), "seal")
@@ -423,7 +423,7 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
             spans = pa.ListArray.from_arrays(pa.array(per, pa.int32()), pa.StructArray.from_arrays([pa.array(lo, pa.int32()), pa.array(hi, pa.int32())], names=["start", "end"]))
             yield pa.RecordBatch.from_arrays([b.column("doc_id").cast(pa.int64()), pa.array([raw[x:y] for x, y in zip(at[:-1], at[1:])], pa.binary()), spans], schema=schema)
 
-    return _with_removed(texts(docs)).mapInArrow(run, "doc_id long, kept binary, spans array<struct<start:int,end:int>>")
+    return _with_removed(texts(docs)).mapInArrow(lean(run), "doc_id long, kept binary, spans array<struct<start:int,end:int>>")
 
 
 def repeat_digests(docs: DataFrame) -> DataFrame:
@@ -438,7 +438,7 @@ def repeat_digests(docs: DataFrame) -> DataFrame:
             sha = [hashlib.sha256(raw[x:y]).hexdigest() for x, y in zip(at[:-1], at[1:])]
             yield pa.RecordBatch.from_arrays([b.column("doc_id").cast(pa.int64()), pa.array(size), pa.array(size - np.diff(at)), pa.array(np.bincount(row, minlength=b.num_rows)), pa.array(sha, pa.string())], schema=schema)
 
-    return _with_removed(texts(docs)).mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+    return _with_removed(texts(docs)).mapInArrow(lean(run), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
 
 
 def without_repeats(docs: DataFrame) -> DataFrame:
@@ -458,4 +458,4 @@ def without_repeats(docs: DataFrame) -> DataFrame:
             new = {"text": pa.array(text, pa.string()), "n_chars": pa.array(map(len, text), pa.int64())}
             yield pa.RecordBatch.from_arrays([new.get(c, b.column(c)) for c in columns], names=columns)
 
-    return _with_removed(docs).mapInArrow(run, docs.schema)
+    return _with_removed(docs).mapInArrow(lean(run), docs.schema)

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import new_path, texts
+from .common import lean, new_path, texts
 
 CACHE_SCHEMA = "text_digest binary, tokenizer_digest string, n_tokens long"
 LIMIT = 4096
@@ -86,6 +86,6 @@ def count_tokens(docs: DataFrame, model_path: str, cache_path: str | None = None
     stored = read_cache(spark, cache_path).where(F.col("tokenizer_digest") == version).select("text_digest")
     fresh = keyed.select("text_digest", "text").join(stored.distinct(), "text_digest", "left_anti") if stored.limit(1).count() else keyed.select("text_digest", "text")
     misses = fresh.groupBy("text_digest").agg(F.first("text").alias("text"))
-    misses.mapInArrow(lambda it: _encode(it, model_path, version), CACHE_SCHEMA).write.mode("append").parquet(cache_path)
+    misses.mapInArrow(lean(lambda it: _encode(it, model_path, version)), CACHE_SCHEMA).write.mode("append").parquet(cache_path)
     counts = read_cache(spark, cache_path).where(F.col("tokenizer_digest") == version).groupBy("text_digest").agg(F.max("n_tokens").alias("n_tokens"))
     return rows.join(counts, "text_digest").select("doc_id", "n_bytes", "n_tokens", (F.col("n_tokens") > LIMIT).alias("over_limit"))

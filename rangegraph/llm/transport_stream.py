@@ -23,7 +23,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import texts
+from .common import lean, texts
 
 # Fixed values of the format.
 PACKET = 188
@@ -211,7 +211,7 @@ def write_media(docs: DataFrame) -> DataFrame:
                 raw = [(x.as_py() or "").encode() for x in part.column("text")]
                 yield pa.RecordBatch.from_arrays([part.column("doc_id").cast(pa.int64()), pa.array(map(len, raw), pa.int64()), pa.array([pack(padded(x)) for x in raw], pa.binary())], schema=schema)
 
-    return texts(docs).mapInArrow(run, "doc_id long, n_bytes long, media binary")
+    return texts(docs).mapInArrow(lean(run), "doc_id long, n_bytes long, media binary")
 
 
 FEATURES = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, pts array<long>, unit_position array<long>, access_points array<int>, continuity_errors int"
@@ -239,4 +239,4 @@ def read_media(stored: DataFrame) -> DataFrame:
                     column.append(value)
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("n_bytes"), *(pa.array(v, f.type) for v, f in zip(got, list(schema)[2:]))], schema=schema)
 
-    return stored.select("doc_id", "n_bytes", "media").mapInArrow(run, FEATURES)
+    return stored.select("doc_id", "n_bytes", "media").mapInArrow(lean(run), FEATURES)

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import texts
+from .common import lean, texts
 
 MIN_WORDS = 4
 LAST = (1 << 63) - 1
@@ -47,7 +47,7 @@ def units(docs: DataFrame, separator: str = "\n", min_words: int = MIN_WORDS) ->
                     out = [[] for _ in range(5)]
             yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(out, schema)], schema=schema)
 
-    return texts(docs).mapInArrow(run, "doc_id long, place int, start int, end int, digest binary")
+    return texts(docs).mapInArrow(lean(run), "doc_id long, place int, start int, end int, digest binary")
 
 
 def removed_units(docs: DataFrame, separator: str = "\n", min_words: int = MIN_WORDS) -> DataFrame:
@@ -82,5 +82,5 @@ def remove_units(docs: DataFrame, separator: str = "\n", min_words: int = MIN_WO
             yield pa.RecordBatch.from_arrays([b.column("doc_id").cast(pa.int64()), *(pa.array(c, f.type) for c, f in zip(out, list(schema)[1:]))], schema=schema)
 
     joined = base.join(spans, "_id", "left").select("doc_id", "text", F.coalesce("removed", none).alias("removed"))
-    cut = joined.mapInArrow(run, "doc_id long, text string, n_units int, removed array<struct<start:int,end:int>>")
+    cut = joined.mapInArrow(lean(run), "doc_id long, text string, n_units int, removed array<struct<start:int,end:int>>")
     return cut.select("doc_id", "text", "n_units", F.size("removed").alias("n_removed"), "removed")
