@@ -1,4 +1,8 @@
 """All registered queries of the engine and their SQL counterparts."""
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+from __future__ import annotations
+
+from .catalogue import core
+
+QUERIES = dict(core.QUERIES)
+ORACLES = dict(core.ORACLES)
