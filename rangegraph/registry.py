@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from .catalogue import core
+from .catalogue import core, relational, streams
 
-QUERIES = dict(core.QUERIES)
-ORACLES = dict(core.ORACLES)
+QUERIES = core.QUERIES | relational.QUERIES | streams.QUERIES
+ORACLES = core.ORACLES | relational.ORACLES | streams.ORACLES
