@@ -9,11 +9,11 @@ least THRESHOLD.
   about 1/(threshold * size) of its tokens, so similar sets meet with constant probability. Buckets of more
   than LIMIT sets are split again on tokens that the next hash of the run selects. Runs are repeated
   until a pair at the threshold is lost with at most 1 - TARGET: `runs_for` gives the number.
-* Small buckets are compared outright on sketches (first values of bins of the set), which gives a
-  spanning forest of candidate links per bucket, never its pairs. Equal buckets of several runs count once.
-* The components of these forests are small families of sets. Inside a family all pairs are
+* Small buckets are compared outright on sketches (first values of bins of the set), which gives the
+  families of candidates of a bucket as stars, never its pairs. Equal buckets of several runs count once.
+* The components of these stars are small families of sets. Inside a family all pairs are
   verified exactly on the sets, by accumulating shared tokens, in blocks of at most BLOCK sets a side:
-  each block pair gives a number of links per set and a spanning forest of true links.
+  each block pair gives a number of links per set and the stars of true links.
 * The components of the true links are the classes.
 
 So links within a family are exact; a true link is lost only if no run brings its two sets (or a chain of
@@ -43,7 +43,7 @@ from .suffix_dedup import _TABLE, _blocks, _by_bucket, _runs, planes, slices, un
 SHINGLE = 5
 THRESHOLD = 0.8
 TARGET = 1 - 1e-6
-LIMIT = 256
+LIMIT = 4_096
 DEPTH = 3
 BINS = 128
 BLOCK = 512
@@ -262,24 +262,26 @@ def _groups(batches, key: str):
 
 
 def _forest(batches, threshold: float):
-    """Spanning forests of the candidate links of each bucket, by search over the sets not yet reached."""
+    """The families of candidates of each bucket, by search over the sets not yet reached: each member and the least one."""
     us, vs = [], []
     for g in _groups(batches, "key"):
         sets, n = g.column("set").to_numpy(), g.column("n").to_numpy().astype(np.int64)
         sk = np.frombuffer(b"".join(x.as_py() for x in g.column("sketch")), np.uint16).reshape(len(sets), BINS)
         open_ = np.arange(len(sets))
         while len(open_) > 1:
-            frontier, open_ = [open_[0]], open_[1:]
+            frontier, open_, reached = [open_[0]], open_[1:], [open_[:1]]
             while frontier and len(open_):
                 a = frontier.pop()
                 both, either = (sk[open_] == sk[a]) & (sk[a] > 0), (sk[open_] > 0) | (sk[a] > 0)
                 close = both.sum(axis=1) >= (threshold - SLACK) * either.sum(axis=1)
                 close &= np.minimum(n[open_], n[a]) >= threshold * np.maximum(n[open_], n[a])
                 got = open_[close]
-                us.append(np.full(len(got), sets[a]))
-                vs.append(sets[got])
+                reached.append(got)
                 frontier.extend(got)
                 open_ = open_[~close]
+            family = sets[np.concatenate(reached)]
+            us.append(family[family != family.min()])
+            vs.append(np.full(len(us[-1]), family.min()))
         if sum(map(len, us)) > 50_000:
             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(us)), pa.array(np.concatenate(vs))], names=["u", "v"])
             us, vs = [], []
@@ -317,7 +319,7 @@ PAIRS = "task long, set long, copies long, second boolean, alone boolean, tokens
 
 
 def _verify(batches, threshold: float):
-    """Exact similarities between two blocks (or inside one): links per set and a forest of links."""
+    """Exact similarities between two blocks (or inside one): links per set, and the least set it is connected with."""
     for g in _groups(batches, "task"):
         sets, copies = g.column("set").to_numpy(), g.column("copies").to_numpy()
         second, alone = g.column("second").to_numpy(zero_copy_only=False), bool(g.column("alone")[0].as_py())
@@ -333,7 +335,7 @@ def _verify(batches, threshold: float):
         place = np.empty(len(sets), np.int64)
         place[order] = np.arange(len(order))
         mark = np.zeros(len(flat) + 1, bool)
-        links, parent, edges = np.zeros(len(sets), np.int64), np.arange(len(sets)), []
+        links, parent = np.zeros(len(sets), np.int64), np.arange(len(sets))
         rsize = size[right]
 
         def root(x):
@@ -360,11 +362,12 @@ def _verify(batches, threshold: float):
                 ra, rb = root(a), root(b)
                 if ra != rb:
                     parent[ra] = rb
-                    edges.append((sets[a], sets[b]))
         some = np.flatnonzero(links)
-        u = np.concatenate([sets[some], np.array([e[0] for e in edges], np.int64)])
-        v = np.concatenate([sets[some], np.array([e[1] for e in edges], np.int64)])
-        yield pa.RecordBatch.from_arrays([pa.array(u), pa.array(v), pa.array(np.concatenate([links[some], np.zeros(len(edges), np.int64)]))], names=["u", "v", "links"])
+        top = np.array([root(x) for x in some.tolist()], np.int64)
+        least: dict[int, int] = {}
+        for r, x in zip(top.tolist(), sets[some].tolist()):
+            least[r] = min(x, least.get(r, x))
+        yield pa.RecordBatch.from_arrays([pa.array(sets[some]), pa.array([least[r] for r in top.tolist()], pa.int64()), pa.array(links[some])], names=["u", "v", "links"])
 
 
 def link_classes(docs: DataFrame, threshold: float = THRESHOLD, target: float = TARGET) -> DataFrame:
@@ -380,7 +383,7 @@ def link_classes(docs: DataFrame, threshold: float = THRESHOLD, target: float =
         found = stash(dealt.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(lean(lambda it, last=last: _grouped(it, last)), BUCKETS), "buckets")
         small = found.where("not large").select("set", "key")
         ready = small if ready is None else ready.unionByName(small)
-        if last:
+        if last or not found.where("large").limit(1).count():
             break
         deep = found.where("large").join(reps.select("set", "picks"), "set")
         dealt = deep.select("set", "key", "run", "picks").mapInArrow(lean(lambda it, level=level: _deeper_keys(it, RADIX, level)), "bucket int, payload binary")

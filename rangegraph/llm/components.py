@@ -22,6 +22,13 @@ def _small_star(edges: DataFrame) -> DataFrame:
     return hung.unionByName(least.select("u", F.col("m").alias("v"))).distinct()
 
 
+def _unsettled(edges: DataFrame) -> bool:
+    """Whether some node has two parents, or is both child and parent: else the edges are stars, and that is the answer."""
+    ends = edges.select(F.col("u").alias("node"), F.lit(1).alias("up"), F.lit(0).alias("down")).unionByName(edges.select(F.col("v").alias("node"), F.lit(0).alias("up"), F.lit(1).alias("down")))
+    odd = ends.groupBy("node").agg(F.sum("up").alias("up"), F.max("down").alias("down")).where("up > 1 or (up = 1 and down = 1)")
+    return odd.limit(1).count() > 0
+
+
 def components(edges: DataFrame, tag: str = "components") -> DataFrame:
     """u LONG, v LONG -> node, root: the least node of its component, for all nodes that have an edge.
 
@@ -29,12 +36,6 @@ def components(edges: DataFrame, tag: str = "components") -> DataFrame:
     Self-loops and repeated edges are allowed; nodes without edges are left out.
     """
     now = stash(edges.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), tag)
-    mark = F.struct(F.count(F.lit(1)), F.sum(F.hash("u", "v").cast("long")), F.bit_xor(F.xxhash64("u", "v")))
-    before = now.agg(mark.alias("m")).first().m
-    while before[0]:
+    while _unsettled(now):
         now = stash(_small_star(_large_star(now)), tag)
-        after = now.agg(mark.alias("m")).first().m
-        if after == before:
-            break
-        before = after
     return now.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(now.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
