@@ -111,7 +111,7 @@ def planes(*columns) -> bytes:
     """Columns of numbers as planes of bytes, which compress where high bytes are alike. (column, w): its w low bytes."""
     parts = [c if isinstance(c, tuple) else (c, None) for c in columns]
     n = len(parts[0][0])
-    return n.to_bytes(4, "little") + b"".join(np.ascontiguousarray(np.ascontiguousarray(c).view(np.uint8).reshape(n, -1)[:, :w].T).tobytes() for c, w in parts)
+    return n.to_bytes(4, "little") + b"".join(np.ascontiguousarray(np.ascontiguousarray(c).view(np.uint8).reshape(n, c.nbytes // n if n else 1)[:, :w].T).tobytes() for c, w in parts)
 
 
 def unplanes(raw: bytes, *kinds) -> list[np.ndarray]:
