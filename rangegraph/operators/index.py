@@ -13,6 +13,7 @@ from dataclasses import asdict, dataclass, field
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -105,7 +106,7 @@ def _node_table(g: kernel.Graph, shard: int) -> pa.Table:
 
 
 def _graph(nodes: pa.Table, norm: Norm) -> kernel.Graph:
-    base = nodes.filter(pa.compute.equal(nodes.column("level"), 0)).sort_by("id")
+    base = nodes.filter(pc.equal(nodes.column("level"), 0)).sort_by("id")
     ids = base.column("id").to_numpy()
     g = kernel.Graph(ids, matrix(base.column("e")), matrix(base.column("s")), norm)
     for p, (dst, lo, hi) in enumerate(zip(base.column("dst").to_pylist(), base.column("lo").to_pylist(), base.column("hi").to_pylist())):
@@ -114,7 +115,7 @@ def _graph(nodes: pa.Table, norm: Norm) -> kernel.Graph:
         n = [len(x) for x in lo]
         g.flat[p] = np.repeat(at, n), np.array([x for y in lo for x in y], np.int32), np.array([x for y in hi for x in y], np.int32)
     g.seeds = np.flatnonzero(base.column("seed").to_numpy(zero_copy_only=False))
-    upper = nodes.filter(pa.compute.greater(nodes.column("level"), 0))
+    upper = nodes.filter(pc.greater(nodes.column("level"), 0))
     if upper.num_rows:
         top = max(upper.column("level").to_pylist())
         g.levels = [dict() for _ in range(top + 1)]
