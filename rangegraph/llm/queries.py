@@ -84,24 +84,38 @@ ORACLES: dict[str, str] = {
         SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 5
     """,
     "op9_unit_dedup": r"""
-        WITH u AS (
-          SELECT doc_id, generate_subscripts(p, 1) AS place, unnest(p) AS unit
+        WITH l0 AS (
+          SELECT doc_id, generate_subscripts(p, 1) AS li, unnest(p) AS line
           FROM (SELECT doc_id, string_split(coalesce(text, ''), chr(10)) AS p FROM documents)),
-        o AS (
-          SELECT doc_id, place, unit,
-                 coalesce(sum(length(unit) + 1) OVER (PARTITION BY doc_id ORDER BY place ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS a,
-                 trim(regexp_replace(lower(unit), '\s+', ' ', 'g')) AS form
-          FROM u),
-        m AS (
-          SELECT *, CASE WHEN length(form) - length(replace(form, ' ', '')) + 1 >= 4 AND form <> ''
-                         THEN row_number() OVER (PARTITION BY form ORDER BY doc_id, place) ELSE 1 END AS nth
-          FROM o)
-        SELECT doc_id, CAST(count(*) AS INTEGER) AS n_units, CAST(count(*) FILTER (nth > 1) AS INTEGER) AS n_removed,
-               length(coalesce(string_agg(unit, chr(10) ORDER BY place) FILTER (nth = 1), '')) AS n_chars_kept,
-               sha256(coalesce(string_agg(unit, chr(10) ORDER BY place) FILTER (nth = 1), '')) AS kept_sha256,
-               coalesce(list(CAST(a AS INTEGER) ORDER BY place) FILTER (nth > 1), []) AS removed_start,
-               coalesce(list(CAST(a + length(unit) AS INTEGER) ORDER BY place) FILTER (nth > 1), []) AS removed_end
-        FROM m GROUP BY doc_id
+        l AS (
+          SELECT doc_id, li, line, string_split(regexp_replace(line, '([.!?]) ', '\1' || chr(1), 'g'), chr(1)) AS ss,
+                 coalesce(sum(length(line) + 1) OVER (PARTITION BY doc_id ORDER BY li ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS a
+          FROM l0),
+        s0 AS (SELECT doc_id, li, a AS la, len(ss) AS ns, generate_subscripts(ss, 1) AS si, unnest(ss) AS unit FROM l),
+        s AS (
+          SELECT *, la + coalesce(sum(length(unit) + 1) OVER (PARTITION BY doc_id, li ORDER BY si ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS a FROM s0),
+        u0 AS (
+          SELECT doc_id, li, 0 AS si, a, line AS unit, 4 AS least FROM l
+          UNION ALL SELECT doc_id, li, si, a, unit, 8 FROM s WHERE ns > 1),
+        u1 AS (SELECT *, trim(regexp_replace(lower(unit), '\s+', ' ', 'g')) AS form FROM u0),
+        u2 AS (SELECT * FROM u1 WHERE form <> '' AND length(form) - length(replace(form, ' ', '')) + 1 >= least),
+        u AS (SELECT doc_id, li, si, (doc_id, a) > min((doc_id, a)) OVER (PARTITION BY form) AS again FROM u2),
+        k AS (
+          SELECT s.doc_id, s.li, s.si, s.a, s.unit, s.ns, NOT coalesce(ul.again, false) AND NOT (s.ns > 1 AND coalesce(us.again, false)) AS stays
+          FROM s LEFT JOIN u ul ON ul.doc_id = s.doc_id AND ul.li = s.li AND ul.si = 0
+          LEFT JOIN u us ON us.doc_id = s.doc_id AND us.li = s.li AND us.si = s.si),
+        ln AS (
+          SELECT doc_id, li, min(a) AS a, max(a + length(unit)) AS b, bool_or(stays) AS partly,
+                 string_agg(unit, ' ' ORDER BY si) FILTER (stays) AS kept,
+                 CASE WHEN bool_or(stays) THEN coalesce(list(struct_pack(a := CAST(a AS INTEGER), b := CAST(a + length(unit) AS INTEGER)) ORDER BY si) FILTER (NOT stays), [])
+                      ELSE [struct_pack(a := CAST(min(a) AS INTEGER), b := CAST(max(a + length(unit)) AS INTEGER))] END AS gone
+          FROM k GROUP BY doc_id, li)
+        SELECT doc_id, CAST(count(*) AS INTEGER) AS n_units, CAST(sum(len(gone)) AS INTEGER) AS n_removed,
+               length(coalesce(string_agg(kept, chr(10) ORDER BY li) FILTER (partly), '')) AS n_chars_kept,
+               sha256(coalesce(string_agg(kept, chr(10) ORDER BY li) FILTER (partly), '')) AS kept_sha256,
+               list_transform(flatten(list(gone ORDER BY li)), lambda g: g.a) AS removed_start,
+               list_transform(flatten(list(gone ORDER BY li)), lambda g: g.b) AS removed_end
+        FROM ln GROUP BY doc_id
     """,
     "op8_hierarchical_mixing": r"""
         WITH d AS (
