@@ -840,3 +840,27 @@ def wl_spatial_prior(spark, sf_dir):
     methods = {"quad_ring": spatial.quad_ring_topk, "pivot": spatial.pivot_topk, "clusters": spatial.cluster_topk, "clusters_approx": lambda o, q, n: spatial.cluster_topk(o, q, n, exact=False)}
     prior = [runs_of(m, c, lambda q, ef, f=f: f(c.objects, q, c.norm), [10]) for m, f in methods.items()]
     return _union([*prior, runs_of("range", c, gated(c), [50])])
+
+
+# --- plans and the index source ----------------------------------------------------------------------------
+
+
+@query("planner_filtered_topk", f"{sql_with()}, h AS (SELECT qid, band, o.id, {DIST} AS dist FROM q, o, nrm WHERE o.id IN (SELECT doc_id FROM documents WHERE lang <> 'en')), t AS (SELECT *, CAST(row_number() OVER (PARTITION BY qid, band ORDER BY round(dist, 9), id) AS INTEGER) AS rank FROM h) SELECT qid, band, rank, id, round(dist, 6) AS dist FROM t WHERE rank <= 10")
+def planner_filtered_topk(spark, sf_dir):
+    """A filtered search; at this size the planner scans."""
+    from ..plans import planner
+
+    c = case(spark, sf_dir)
+    return rounded(planner.topk(c.objects, c.queries, c.norm, 10, F.col("attrs.lang") != "en", c.index())[0])
+
+
+@query("range_index_source")
+def range_index_source(spark, sf_dir):
+    """Edges of a written index that are active at 0.5, through the data source."""
+    from ..sources import range_index
+    from ..storage import new_path
+
+    path = new_path(spark, "saved")
+    index.write_index(case(spark, sf_dir).index(None, ShardParams(3)), path)
+    range_index.register(spark)
+    return spark.read.format("range_index").option("alpha", "0.5").load(path)

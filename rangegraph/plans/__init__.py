@@ -1 +1 @@
-
+"""Choice of the way a search is executed."""
