@@ -200,3 +200,15 @@ def test_units(spark):
     assert unit_dedup.remove_units(spark.createDataFrame([], "doc_id long, text string")).count() == 0
     paragraphs = spark.createDataFrame([(1, "one two three four\n\nfive six seven eight"), (2, "five six seven eight\n\nnine")], "doc_id long, text string")
     assert {r.doc_id: r.text for r in unit_dedup.remove_units(paragraphs, "\n\n").collect()} == {1: "one two three four\n\nfive six seven eight", 2: "nine"}
+
+
+def test_sentences_inside_lines(spark):
+    """A passage in the middle of a line goes by its sentences; the first occurrence, short forms and other text stay."""
+    first, second = "A long enough sentence of the passage that repeats here.", "And a second sentence with more than eight words in it!"
+    rows = [(1, f"Opening words differ. {first} {second} Short one."), (2, f"Nothing alike at the start of this one. {first} {second} Short one. The end is new."), (3, f"{second}\nplain last line of it"), (4, first)]
+    got = {r.doc_id: r for r in unit_dedup.remove_units(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got[1].text == rows[0][1] and got[1].n_removed == 0
+    assert got[2].text == "Nothing alike at the start of this one. Short one. The end is new."
+    assert [rows[1][1][s.start : s.end] for s in got[2].removed] == [first, second]
+    assert (got[3].text, got[3].n_removed) == ("plain last line of it", 1)
+    assert (got[4].text, got[4].n_removed) == ("", 1)
