@@ -29,12 +29,14 @@ from pyspark.sql import DataFrame
 from .common import lean, texts
 
 SPACE = "▁"
+PIECES = 1 << 22  # more than any vocabulary has
+CHARACTER = 1 << 21  # keys of single characters start here
 
 
 class PieceTable:
     """The vocabulary with its automaton, pair memory and unit cache; one per Python worker."""
 
-    def __init__(self, model_path: str, units: int = 150_000, pairs: int = 300_000):
+    def __init__(self, model_path: str, units: int = 150_000, pairs: int = 400_000):
         sp = sentencepiece.SentencePieceProcessor(model_file=model_path)
         n = sp.get_piece_size()
         self.surface = [sp.id_to_piece(i) for i in range(n)]
@@ -52,7 +54,7 @@ class PieceTable:
                 self.score[p] = (sp.get_score(i), i)
         if sp.encode("a  b\tc ") != sp.encode("a  b\tc ", enable_sampling=False) or sp.decode(sp.encode(" a  b ")) != " a  b ":
             raise ValueError("only vocabularies with an identity normaliser are supported")
-        joined = {a + b for p in self.score for a, b in zip(p, p[1:])}
+        joined = self.joined = {a + b for p in self.score for a, b in zip(p, p[1:])}
         if any(j[1] == SPACE and j[0] != SPACE for j in joined):
             raise ValueError("pieces span a word boundary")
         lone = any("\n" in j for j in joined)
@@ -60,12 +62,16 @@ class PieceTable:
         self.automaton = ahocorasick.Automaton()
         for p, (_, i) in self.score.items():
             if len(p) > 1 and self.merged(p) == [p]:
-                self.automaton.add_word(p, (len(p), p))
+                self.automaton.add_word(p, (len(p), p, i))
         self.automaton.make_automaton()
         self.id_text = {p: str(i) for p, (_, i) in self.score.items()}
-        self.pair: dict[tuple[str, str], bool] = {}
-        self.unit: dict[str, tuple[str, str]] = {}
+        self.pair: dict[int, bool] = {}
+        self.newer: dict[str, tuple[str, str]] = {}
+        self.older: dict[str, tuple[str, str]] = {}
         self.max_units, self.max_pairs = units, pairs
+        self.lines = not lone
+        self.line_end = self.encode_unit("\n")
+        self.single = {c: self.encode_unit(c) for c in map(chr, range(33, 127))}
 
     def merged(self, s: str) -> list[str]:
         """The merge procedure itself on a short string: best score first, then leftmost."""
@@ -93,34 +99,37 @@ class PieceTable:
             offer(a, nxt[a])
         return [x for x in sym if x is not None]
 
-    def compatible(self, left: str, right: str) -> bool:
-        key = (left, right)
-        ok = self.pair.get(key)
-        if ok is None:
-            ok = self.merged(left + right) == [left, right]
-            if len(self.pair) >= self.max_pairs:
-                self.pair.clear()
-            self.pair[key] = ok
+    def compatible(self, key: int, left: str, right: str) -> bool:
+        """Whether two tokens may stand side by side, remembered under their key."""
+        ok = self.merged(left + right) == [left, right]
+        if len(self.pair) >= self.max_pairs:
+            self.pair.clear()
+        self.pair[key] = ok
         return ok
 
     def split(self, s: str) -> list[str]:
         """The tokens of one unit, from the table of its prefixes."""
+        if s in self.automaton:
+            return [s]
         n, pair = len(s), self.pair
-        last = [""] * (n + 1)  # empty: no longer piece fits, so the character itself
-        for e, (size, p) in self.automaton.iter(s):  # at each end the longest first
+        last: list[tuple | None] = [None] * (n + 1)  # None: no longer piece fits, so the character itself
+        for e, found in self.automaton.iter(s):  # at each end the longest first
             e += 1
-            if last[e]:
-                continue
-            st = e - size
-            if st:
-                left = last[st] or s[st - 1]
-                ok = pair.get((left, p))
-                if not (self.compatible(left, p) if ok is None else ok):
-                    continue
-            last[e] = p
+            if last[e] is None:
+                size, p, own = found
+                st = e - size
+                if st:
+                    left = last[st]
+                    key = own + (left[2] if left is not None else ord(s[st - 1]) + CHARACTER) * PIECES
+                    ok = pair.get(key)
+                    if ok is None:
+                        ok = self.compatible(key, left[1] if left is not None else s[st - 1], p)
+                    if not ok:
+                        continue
+                last[e] = found
         out, i = [], n
         while i:
-            p = last[i] or s[i - 1]
+            p = last[i][1] if last[i] is not None else s[i - 1]
             out.append(p)
             i -= len(p)
         out.reverse()
@@ -159,25 +168,50 @@ class PieceTable:
         return self.cut.findall(SPACE + text.replace(" ", SPACE)) if text else []
 
     def encode_unit(self, u: str) -> tuple[str, str]:
-        """Decimal ids and decoded surface of a unit, remembered."""
-        got = self.unit.get(u)
+        """Decimal ids and decoded surface of a unit."""
+        tokens = self.split(u)
+        try:
+            return " ".join([self.id_text[t] for t in tokens]), "".join(tokens).replace(SPACE, " ")
+        except KeyError:
+            numbers = self.ids_of(tokens)
+            return " ".join(map(str, numbers)), self.surface_of(numbers)
+
+    def learn(self, word: str) -> tuple[str, str]:
+        """The unit of a word with a space in front: from the older half of the cache, or encoded now."""
+        got = self.older.get(word)
         if got is None:
-            tokens = self.split(u)
-            try:
-                ids = [self.id_text[t] for t in tokens]
-                back = "".join(tokens).replace(SPACE, " ")
-            except KeyError:
-                numbers = self.ids_of(tokens)
-                ids, back = list(map(str, numbers)), self.surface_of(numbers)
-            got = (" ".join(ids), back)
-            if len(u) <= 64:
-                if len(self.unit) >= self.max_units:
-                    self.unit.clear()
-                self.unit[u] = got
+            if word[-2:] in self.joined or len(word) < 2:
+                got = self.encode_unit(SPACE + word)
+            else:  # no piece spans the last two characters (a stop behind a letter)
+                stem, tail = word[:-1], word[-1]
+                a, b = self.newer.get(stem) or self.learn(stem), self.single.get(tail) or self.encode_unit(tail)
+                return a[0] + " " + b[0], a[1] + b[1]
+        if len(word) <= 64:
+            if len(self.newer) >= self.max_units:  # what was used since the last turn stays
+                self.older, self.newer = self.newer, {}
+            self.newer[word] = got
         return got
 
+    def coded(self, text: str) -> list[tuple[str, str]]:
+        """Decimal ids and surfaces of the units of a text."""
+        if not text:
+            return []
+        if not self.lines or SPACE in text or text[0] == " " or "  " in text:
+            return [self.learn(u[1:]) if u[0] == SPACE else self.encode_unit(u) for u in self.units(text)]
+        out: list[tuple[str, str]] = []
+        for k, line in enumerate(text.split("\n")):
+            words = line.split(" ")
+            if k:  # the first word of a later line has no space in front
+                out.append(self.line_end)
+                if words[0]:
+                    out.append(self.encode_unit(words[0]))
+                del words[0]
+            known = self.newer
+            out += [known.get(w) or self.learn(w) for w in words]
+        return out
+
     def encode(self, text: str) -> list[int]:
-        return [i for u in self.units(text) for i in map(int, self.encode_unit(u)[0].split(" "))]
+        return [i for ids, _ in self.coded(text) for i in map(int, ids.split(" "))]
 
     def decode(self, ids: list[int]) -> str:
         s = self.surface_of(ids)
@@ -185,11 +219,9 @@ class PieceTable:
 
     def round_trip(self, text: str) -> tuple[str, str]:
         """Decimal ids with the end id, and the text decoded from them."""
-        units = self.units(text)
-        if not units:
+        got = self.coded(text)
+        if not got:
             return str(self.eos), ""
-        known, code = self.unit, self.encode_unit
-        got = [known.get(u) or code(u) for u in units]
         back = "".join([g[1] for g in got])
         return " ".join([g[0] for g in got]) + f" {self.eos}", back[1:] if back.startswith(" ") else back
 
