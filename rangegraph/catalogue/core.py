@@ -14,7 +14,7 @@ from ..operators import bsp, exact, index, metrics, normalisers, pareto, prune,
 from ..schema import BuildParams, SearchParams, ShardParams
 from ..sources import tables
 from ..storage import stash
-from ..workloads import Case, case, gated, merged, plain, runs_of
+from ..workloads import Case, case, gated, merged, plain, runs_of, together
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
@@ -734,8 +734,10 @@ def wl_motivation(spark, sf_dir):
 @query("wl_tradeoff")
 def wl_tradeoff(spark, sf_dir):
     out = []
-    for name in ("emb_split", "emb_geo", "text_emb", "doc_pair"):
-        c = case(spark, sf_dir, name)
+    cases = [case(spark, sf_dir, name) for name in ("emb_split", "emb_geo", "text_emb", "doc_pair")]
+    together(*[f for c in cases for f in (c.index, c.fixed, c.merge, c.overlay, c.truth)])
+    for c in cases:
+        name = c.name
         for method, search in (("range", gated(c)), ("fixed", plain(c.fixed())), ("merge", merged(c.merge())), ("overlay", plain(c.overlay()))):
             out.append(_named(runs_of(method, c, search, EFS), workload=name))
     return _union(out)
@@ -744,6 +746,7 @@ def wl_tradeoff(spark, sf_dir):
 @query("wl_oracle_gap")
 def wl_oracle_gap(spark, sf_dir):
     c = case(spark, sf_dir)
+    together(c.index, c.merge, c.overlay, *[lambda a=a: c.fixed(None, a) for a in graphs.FIVE])
     q, g = stash(tables.with_alphas(c.queries, list(graphs.FIVE)), "five"), c.oracle()
     searches = {"range": gated(c), "fixed": plain(c.fixed()), "merge": merged(c.merge()), "overlay": plain(c.overlay()), "oracle": lambda q, ef: g.search(q, SearchParams(10, max(10, ef)))}
     return _union([runs_of(m, c, s, EFS, q, "five") for m, s in searches.items()])
@@ -752,6 +755,7 @@ def wl_oracle_gap(spark, sf_dir):
 @query("wl_extreme")
 def wl_extreme(spark, sf_dir):
     c = case(spark, sf_dir)
+    together(c.index, c.fixed, c.overlay, c.merge)
     q, g = stash(tables.with_alphas(c.queries, [0.0, 1.0]), "extreme"), c.oracle((0.0, 1.0))
     searches = {"range": gated(c), "fixed": plain(c.fixed()), "overlay": plain(c.overlay()), "oracle": lambda q, ef: g.search(q, SearchParams(10, max(10, ef)))}
     return _union([runs_of(m, c, s, EFS, q, "extreme") for m, s in searches.items()])
@@ -773,10 +777,10 @@ def wl_scale(spark, sf_dir):
 @query("wl_index_cost")
 def wl_index_cost(spark, sf_dir):
     """Edges, bytes and distance evaluations of all indexes (evaluations stand for build time, which the bench measures)."""
-    out = []
-    for name in ("emb_split", "emb_geo", "text_emb", "doc_pair"):
-        c = case(spark, sf_dir, name)
-        m = c.merge()
+    out, cases = [], [case(spark, sf_dir, name) for name in ("emb_split", "emb_geo", "text_emb", "doc_pair")]
+    together(*[f for c in cases for f in (c.index, c.fixed, c.merge, c.overlay)])
+    for c in cases:
+        name, m = c.name, c.merge()
         for method, parts in (("range", [c.index()]), ("fixed", [c.fixed()]), ("merge", [m.by_e, m.by_s]), ("overlay", [c.overlay()])):
             for k, ix in enumerate(parts):
                 one = metrics.degree(ix.edges(), ix.nodes).join(metrics.index_size(ix), F.lit(True)).join(ix.nodes.agg(F.sum("n_dist").alias("evaluations")), F.lit(True))
@@ -791,7 +795,9 @@ def _scaled(c: Case, M: int, ef: int) -> BuildParams:
 @query("wl_sensitivity")
 def wl_sensitivity(spark, sf_dir):
     c, out = case(spark, sf_dir), []
-    for M, ef, oM, oef in ((40, 200, 10, 50), (50, 250, 12, 60), (60, 300, 14, 70)):
+    grid = ((40, 200, 10, 50), (50, 250, 12, 60), (60, 300, 14, 70))
+    together(*[f for M, ef, a, b in grid for p in [_scaled(c, M, ef)] for f in (lambda p=p: c.index(p), lambda p=p: c.fixed(p), lambda p=p: c.merge(p), lambda a=a, b=b: c.overlay(_scaled(c, a, b)))])
+    for M, ef, oM, oef in grid:
         p = _scaled(c, M, ef)
         for method, s in (("range", gated(c, p)), ("fixed", plain(c.fixed(p))), ("merge", merged(c.merge(p))), ("overlay", plain(c.overlay(_scaled(c, oM, oef))))):
             out.append(_named(runs_of(method, c, s, [50]).where("band is null"), M=M, ef_c=ef))
@@ -803,6 +809,7 @@ def wl_ablation(spark, sf_dir):
     c = case(spark, sf_dir)
     p = c.params
     kinds = {"full": (p, True), "no_pruning": (p.but(pruning="none"), True), "static_use": (p, False), "greedy_candidates": (p.but(candidates="greedy"), True), "centroid_seeds": (p.but(seeds="centroid"), True), "random_seeds": (p.but(seeds="random"), True)}
+    together(*[lambda k=k: c.index(k) for k, _ in kinds.values()])
     return _union([runs_of(m, c, gated(c, k, gate), EFS) for m, (k, gate) in kinds.items()])
 
 
@@ -812,6 +819,7 @@ def wl_variants(spark, sf_dir):
     c = case(spark, sf_dir)
     p = c.params
     kinds = {"printed": p, "witness_active": p.but(witness="active"), "cap_hard": p.but(cap="hard"), "ties_definition": p.but(ties="definition"), "reverse_append": p.but(reverse="append"), "th_0": p.but(th=0.0), "th_0.3": p.but(th=0.3), "seeds_capped": p.but(max_seeds=4)}
+    together(*[lambda k=k: c.index(k) for k in kinds.values()])
     return _union([runs_of(m, c, gated(c, k), [50]) for m, k in kinds.items()])
 
 
@@ -822,6 +830,8 @@ PARITY = {"range": [(40, 200)], "fixed": [(40, 200), (50, 250), (60, 300), (70,
 def wl_parity(spark, sf_dir):
     """All settings of the parity tables, scaled: edges per node, bytes, evaluations to build, recall at ef 50."""
     c, out = case(spark, sf_dir), []
+    builds = {"range": c.index, "fixed": c.fixed, "merge": c.merge, "overlay": c.overlay}
+    together(*[lambda f=builds[m], p=_scaled(c, M, ef): f(p) for m, settings in PARITY.items() for M, ef in settings])
     for method, settings in PARITY.items():
         for M, ef in settings:
             p = _scaled(c, M, ef)

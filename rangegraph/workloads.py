@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
 from functools import cached_property
+from threading import Lock
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -31,6 +33,7 @@ class Case:
         objects, queries = tables.held_out(rows)
         self.objects, self.queries = objects, stash(queries, "queries")
         self._indexes: dict = {}
+        self._lock = Lock()
         self._truth: dict = {}
 
     @cached_property
@@ -39,6 +42,11 @@ class Case:
 
     @cached_property
     def norm(self) -> Norm:
+        with self._lock:
+            return self._norm
+
+    @cached_property
+    def _norm(self) -> Norm:
         return normalisers.exact(self.objects) if self.n <= 20_000 else normalisers.bounded(self.objects)
 
     @property
@@ -76,15 +84,24 @@ class Case:
         return graphs.Oracle({a: self.fixed(params, a) for a in alphas})
 
 
+def together(*makes) -> None:
+    """Runs independent builds at the same time; each is a job with a task per shard."""
+    with ThreadPoolExecutor(8) as pool:
+        list(pool.map(lambda f: f(), makes))
+
+
 def runs_of(method: str, c: Case, search, efs, queries: DataFrame | None = None, tag: str = "bands", k: int = 10) -> DataFrame:
     """method, ef, band (null: all), recall, n_dist of a search at each ef. Recall and work do not depend on the machine."""
     truth, out = c.truth(k, queries, tag), None
     q = c.queries if queries is None else queries
+    true = truth.where(F.col("rank") <= k).select("qid", "band", "id", F.lit(1).alias("true"), F.lit(0).alias("found"), F.lit(None).cast("long").alias("n_dist"))
     for ef in efs:
-        found = stash(search(q, ef), "found")
-        per = metrics.recall(found, truth, k)
-        work = found.groupBy("qid", "band").agg(F.first("n_dist").alias("n_dist")) if "n_dist" in found.columns else per.select("qid", "band", F.lit(None).cast("long").alias("n_dist"))
-        one = per.join(work, ["qid", "band"], "left").rollup("band").agg(F.avg("recall").alias("recall"), F.avg("n_dist").alias("n_dist"))
+        hits = search(q, ef)
+        work = F.col("n_dist") if "n_dist" in hits.columns else F.lit(None).cast("long").alias("n_dist")
+        both = true.unionByName(hits.where(F.col("rank") <= k).select("qid", "band", "id", F.lit(0).alias("true"), F.lit(1).alias("found"), work))
+        each = both.groupBy("qid", "band", "id").agg(F.max("true").alias("true"), F.max("found").alias("found"), F.max("n_dist").alias("n_dist"))
+        per = each.groupBy("qid", "band").agg((F.sum(F.col("true") * F.col("found")) / k).alias("recall"), F.max("n_dist").alias("n_dist"))
+        one = per.rollup("band").agg(F.avg("recall").alias("recall"), F.avg("n_dist").alias("n_dist"))
         one = one.select(F.lit(method).alias("method"), F.lit(ef).alias("ef"), "band", F.round("recall", 4).alias("recall"), F.round("n_dist", 1).alias("n_dist"))
         out = one if out is None else out.unionByName(one)
     return out
