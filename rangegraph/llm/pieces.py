@@ -180,7 +180,7 @@ class PieceTable:
         """The unit of a word with a space in front: from the older half of the cache, or encoded now."""
         got = self.older.get(word)
         if got is None:
-            if word[-2:] in self.joined or len(word) < 2:
+            if not 2 <= len(word) <= 64 or word[-2:] in self.joined:  # the length also bounds the recursion
                 got = self.encode_unit(SPACE + word)
             else:  # no piece spans the last two characters (a stop behind a letter)
                 stem, tail = word[:-1], word[-1]
