@@ -10,9 +10,12 @@ score.
 
 Words with no place in the models are rated from their characters, so a new form of a known stem counts.
 
-Training takes at most SAMPLE labelled rows per class (those least by a hash of doc_id) of the rows
-allowed for learning: 3 of 4 train the models, 1 of 4 the curve. The fitted tables are bounded by that
-sample and sent to the tasks. Labels, language, source and doc_id are no inputs of a score.
+Training takes all labelled rows that are allowed for learning. At most SAMPLE rows per class (of one row
+in four, those least by a hash of doc_id) fit the curve and all others train the models. Each place of a
+word has one gram of ORDER characters, and the grams of lower orders are its ends, so the models need no
+more than the counts of these grams in both classes: they are summed per task, then by gram over all
+tasks, and only the distinct grams reach the driver. The fitted tables grow with the number of distinct
+grams, not of rows, and are sent to the tasks. Labels, language, source and doc_id are no inputs of a score.
 
 Defined cases: null text is empty; a text without words gets the score of no evidence; without labels of
 both classes every score is 0; equal texts get equal scores; repeated rows give repeated results; other
@@ -34,7 +37,7 @@ from .importance import labelled_sample
 ORDER = 6
 SHARED = 2
 DISCOUNT = 0.75
-SAMPLE = 3_000
+SAMPLE = 8_000  # for the curve
 STRONGEST = (1, 2)  # different words
 STRONG_PLACES = (4, 8)
 ABOVE = (1, 2, 3, 4)
@@ -42,6 +45,7 @@ FEATURES = 13
 CUT = 0.7
 LONGEST = 40
 _WORD = re.compile(r"\w+")
+_BITS = 21  # of a code point; half a gram is one number
 _C = mix64(np.arange(1, ORDER + 2, dtype=np.uint64)) | np.uint64(1)
 
 
@@ -54,9 +58,14 @@ def characters(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
     return codes, np.repeat(np.arange(len(words), dtype=np.int32), size)
 
 
+def places(owner: np.ndarray) -> np.ndarray:
+    """The places with ORDER - 1 others of the same word in front of them."""
+    return (np.flatnonzero(owner[ORDER - 1 :] == owner[: len(owner) - ORDER + 1]) + ORDER - 1).astype(np.int32)
+
+
 def grams(codes: np.ndarray, owner: np.ndarray, order: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """For each character that is no mark in front: hash of its context and of context plus character; its word."""
-    at = np.flatnonzero(codes != 1).astype(np.int32)
+    """For each of the places: hash of its context and of context plus character; its word."""
+    at = places(owner)
     context = np.full(len(at), order, np.uint64)
     for k in range(order - 1, 0, -1):
         context ^= codes[at - k]
@@ -107,7 +116,16 @@ class Evidence:
 
     def __init__(self, words: list[str], toxic: np.ndarray, ordinary: np.ndarray):
         """Words with their counts in the two classes."""
-        codes, owner = characters(words)
+        self._fit(*characters(words), toxic, ordinary)
+
+    @classmethod
+    def of_grams(cls, table: np.ndarray, toxic: np.ndarray, ordinary: np.ndarray) -> Evidence:
+        """The same from the distinct grams of ORDER code points (n x ORDER) with their counts in the two classes."""
+        model = cls.__new__(cls)
+        model._fit(np.ascontiguousarray(table, np.uint32).ravel(), np.repeat(np.arange(len(table), dtype=np.int32), ORDER), toxic, ordinary)
+        return model
+
+    def _fit(self, codes: np.ndarray, owner: np.ndarray, toxic: np.ndarray, ordinary: np.ndarray) -> None:
         self.levels: list[tuple[Lookup, Lookup]] = []
         size = int((codes > 2).any() and len(np.unique(codes)))
         below = None  # per character place: the two log-probabilities of the order below
@@ -115,7 +133,7 @@ class Evidence:
         for order in range(1, ORDER + 1):
             context, gram, word = grams(codes, owner, order)
             if weights is None:
-                weights = (toxic[word].astype(np.float32), ordinary[word].astype(np.float32))
+                weights = (toxic[word].astype(float), ordinary[word].astype(float))
             uniq, first, inverse = np.unique(gram, return_index=True, return_inverse=True)
             inverse = inverse.astype(np.int32)
             c_uniq, c_inverse = np.unique(context[first], return_inverse=True)
@@ -147,7 +165,7 @@ class Evidence:
     def of(self, words: list[str]) -> np.ndarray:
         """Evidence of each word."""
         codes, owner = characters(words)
-        at = np.flatnonzero(codes != 1)
+        at = places(owner)
         total = np.zeros(len(at))
         left = np.arange(len(at))
         for order in range(ORDER, 0, -1):
@@ -194,13 +212,40 @@ def _features(v: np.ndarray, distinct: np.ndarray) -> list[float]:
     )
 
 
-def _word_counts(batches):
+def _gram_counts(batches, most: int = 200_000):
+    """high, low (a gram of ORDER code points as two numbers), toxic, ordinary: counts over a task, in parts of bounded memory."""
     seen: dict[str, list[int]] = {}
+
+    def part():
+        codes, owner = characters(list(seen))
+        count = np.array(list(seen.values()), np.int64).reshape(-1, 2)
+        at = places(owner)
+        half = [np.zeros(len(at), np.int64), np.zeros(len(at), np.int64)]
+        for k in range(ORDER):
+            h = half[k >= ORDER // 2]
+            h <<= _BITS
+            h |= codes[at - (ORDER - 1 - k)]
+        _, first, inverse = np.unique(grams(codes, owner, ORDER)[1], return_index=True, return_inverse=True)
+        sums = [np.bincount(inverse, count[owner[at], y], len(first)).astype(np.int64) for y in (1, 0)]
+        seen.clear()
+        return pa.RecordBatch.from_arrays([pa.array(x) for x in (half[0][first], half[1][first], *sums)], names=["high", "low", "toxic", "ordinary"])
+
     for b in batches:
-        for t, y in zip(b.column("text").to_pylist(), b.column("label").to_pylist()):
-            for w in _WORD.findall((t or "").lower()):
+        for t, y in zip(b.column("text"), b.column("label").to_pylist()):
+            for w in _WORD.findall((t.as_py() or "").lower()):
                 seen.setdefault(w[:LONGEST], [0, 0])[y] += 1
-    yield pa.RecordBatch.from_arrays([pa.array(list(seen), pa.string()), pa.array([v[1] for v in seen.values()], pa.int64()), pa.array([v[0] for v in seen.values()], pa.int64())], names=["word", "toxic", "ordinary"])
+            if len(seen) > most:
+                yield part()
+    yield part()
+
+
+def gram_table(high: np.ndarray, low: np.ndarray) -> np.ndarray:
+    """n x ORDER code points of grams packed by _gram_counts."""
+    out = np.zeros((len(high), ORDER), np.uint32)
+    for k in range(ORDER):
+        half, back = (high, ORDER // 2 - 1 - k) if k < ORDER // 2 else (low, ORDER - 1 - k)
+        out[:, k] = half >> (_BITS * back) & ((1 << _BITS) - 1)
+    return out
 
 
 def logistic(x: np.ndarray, y: np.ndarray, steps: int = 60, ridge: float = 1e-2) -> np.ndarray:
@@ -219,18 +264,21 @@ def logistic(x: np.ndarray, y: np.ndarray, steps: int = 60, ridge: float = 1e-2)
 def fit(docs: DataFrame, labels: DataFrame) -> tuple[Evidence, np.ndarray, np.ndarray, np.ndarray] | None:
     """Models and curve from the labels whose rows may be learnt from."""
     spark = docs.sparkSession
-    allowed = labels.where(F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(3)) != 1)
-    sample = labelled_sample(allowed, "toxic", SAMPLE).collect()
+    learn = F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(3)) != 1
+    allowed = labels.select(F.col("doc_id").cast("long").alias("doc_id"), "toxic").where(learn)
+    sample = labelled_sample(allowed.where(F.pmod(F.xxhash64("doc_id"), F.lit(4)) == 0), "toxic", SAMPLE).collect()
     if len({r.label for r in sample}) < 2:
         return None
-    small = spark.createDataFrame([(r.doc_id, r.label) for r in sample], "doc_id long, label int")
-    rows = texts(docs).join(F.broadcast(small), "doc_id").select("text", "label", (F.pmod(F.xxhash64("doc_id"), F.lit(4)) == 0).alias("curve"))
-    counts = rows.where("not curve").mapInArrow(lean(_word_counts), "word string, toxic long, ordinary long").groupBy("word").agg(F.sum("toxic").alias("toxic"), F.sum("ordinary").alias("ordinary")).toPandas()
+    curve = F.broadcast(spark.createDataFrame([(r.doc_id, r.label) for r in sample], "doc_id long, label int"))
+    train = allowed.groupBy("doc_id").agg(F.max("toxic").cast("int").alias("label")).where("label in (0, 1)").join(curve, "doc_id", "left_anti")
+    rows = texts(docs).where(learn).join(train.hint("shuffle_hash"), "doc_id").select("text", "label")
+    counts = rows.mapInArrow(lean(_gram_counts), "high long, low long, toxic long, ordinary long").groupBy("high", "low").agg(F.sum("toxic").alias("toxic"), F.sum("ordinary").alias("ordinary")).toArrow()
     if not len(counts):
         return None
-    counts = counts.sort_values("word")
-    model = Evidence(counts.word.tolist(), counts.toxic.to_numpy(float), counts.ordinary.to_numpy(float))
-    del counts
+    high, low, toxic, ordinary = (counts.column(c).to_numpy() for c in counts.column_names)
+    order = np.lexsort((low, high))
+    model = Evidence.of_grams(gram_table(high[order], low[order]), toxic[order], ordinary[order])
+    del counts, high, low, toxic, ordinary, order
     sent = spark.sparkContext.broadcast(model)
 
     def measure(batches):
@@ -238,7 +286,8 @@ def fit(docs: DataFrame, labels: DataFrame) -> tuple[Evidence, np.ndarray, np.nd
             f = text_features([t or "" for t in b.column("text").to_pylist()], sent.value, id(sent))
             yield pa.RecordBatch.from_arrays([pa.array(f[:, i]) for i in range(f.shape[1])] + [b.column("label").cast(pa.int32())], names=[f"f{i}" for i in range(f.shape[1])] + ["label"])
 
-    seen = rows.where("curve").mapInArrow(lean(measure), ", ".join(f"f{i} double" for i in range(FEATURES)) + ", label int").toPandas()
+    rows = texts(docs).where(learn).join(curve, "doc_id").select("text", "label")
+    seen = rows.mapInArrow(lean(measure), ", ".join(f"f{i} double" for i in range(FEATURES)) + ", label int").toPandas()
     if not len(seen) or seen.label.nunique() < 2:
         return None
     x, y = seen[[f"f{i}" for i in range(FEATURES)]].to_numpy(), seen.label.to_numpy(float)

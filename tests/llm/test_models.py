@@ -5,6 +5,7 @@ from __future__ import annotations
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -98,6 +99,31 @@ def test_models_are_distributions():
     assert m.of([]).shape == (0,)
 
 
+def test_models_learn_from_every_labelled_row(spark, monkeypatch):
+    """The bound on rows is the curve's alone: rare words far beyond it are in the toxic model."""
+    monkeypatch.setattr(toxicity, "SAMPLE", 20)
+    docs, labels = toxic_texts(spark)
+    curve = {r.doc_id for r in toxicity.labelled_sample(labels.where(F.pmod(F.xxhash64("doc_id"), F.lit(4)) == 0), "toxic", 20).collect()}
+    rare = [i for i in range(0, 600, 5) if zlib.crc32(str(i).encode()) % 3 != 1 and i not in curve]
+    word = F.concat(F.lit(" q"), F.translate(F.col("doc_id").cast("string"), "0123456789", "bcdfgjkmpw"), F.lit("x"))
+    docs = docs.withColumn("text", F.when(F.col("doc_id").isin(rare), F.concat("text", word)).otherwise(F.col("text")))
+    model = toxicity.fit(docs, labels)[0]
+    evidence = model.of(["q" + str(i).translate(str.maketrans("0123456789", "bcdfgjkmpw")) + "x" for i in rare])
+    assert len(rare) > 40 and (evidence > 2).all()
+
+
+def test_models_of_grams_are_those_of_words():
+    words, rng = ["abba", "abc", "bac", "cab", "aab", "abracadabra"], np.random.default_rng(4)
+    t, o = rng.integers(0, 9, 6), rng.integers(0, 9, 6)
+    rows = [(w, y) for w, a, b in zip(words, t, o) for y, n in ((1, a), (0, b)) for _ in range(n)]
+    batch = pa.RecordBatch.from_pydict({"text": [w for w, _ in rows], "label": [y for _, y in rows]})
+    (got,) = toxicity._gram_counts([batch])
+    high, low, toxic, ordinary = (c.to_numpy() for c in got.columns)
+    a, b = toxicity.Evidence.of_grams(toxicity.gram_table(high, low), toxic, ordinary), toxicity.Evidence(words, t.astype(float), o.astype(float))
+    probe = [*words, "abb", "zzz", "cabba"]
+    assert a.of(probe) == pytest.approx(b.of(probe), abs=1e-5)
+
+
 def test_lookup():
     rng = np.random.default_rng(0)
     k = np.unique(rng.integers(1, 2**63, 5_000).astype(np.uint64))
