@@ -8,6 +8,9 @@ the mean over a text. The features of a text are that length-normalised mean, th
 strongest words and what exceeds some levels; a logistic curve, fitted on labelled rows the models have not seen, turns them into a
 score.
 
+Runs of more than LONGEST characters (scripts without spaces, words joined by `_`) count as words of LONGEST
+characters each, which see the ORDER - 1 characters before them, so every character of a run has its part.
+
 Words with no place in the models are rated from their characters, so a new form of a known stem counts.
 
 Training takes all labelled rows that are allowed for learning. At most SAMPLE rows per class (of one row
@@ -49,10 +52,22 @@ _BITS = 21  # of a code point; half a gram is one number
 _C = mix64(np.arange(1, ORDER + 2, dtype=np.uint64)) | np.uint64(1)
 
 
+def words_of(text: str) -> list[str]:
+    """The words of a text; a long run as pieces, each behind a mark with the ORDER - 1 characters before it."""
+    out = []
+    for w in _WORD.findall(text.lower()):
+        if len(w) <= LONGEST:
+            out.append(w)
+        else:
+            run = "\x01" * (ORDER - 1) + w + "\x02"
+            out += ["\x03" + run[i : i + LONGEST + ORDER - 1] for i in range(0, len(w) + 1, LONGEST)]
+    return out
+
+
 def characters(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
-    """Code points of words, each with ORDER - 1 marks in front and one behind; and the word of each place."""
+    """Code points of words, each with ORDER - 1 characters or marks in front and, at its end, a mark; and the word of each place."""
     pad = "\x01" * (ORDER - 1)
-    cut = [pad + w[:LONGEST] + "\x02" for w in words]
+    cut = [w[1:] if w[:1] == "\x03" else pad + w + "\x02" for w in words]
     size = np.array([len(w) for w in cut], np.int64)
     codes = np.frombuffer("".join(cut).encode("utf-32-le"), np.uint32)
     return codes, np.repeat(np.arange(len(words), dtype=np.int32), size)
@@ -185,7 +200,7 @@ _remembered: dict[int, dict[str, float]] = {}
 def text_features(texts_: list[str], model: Evidence, key: int = 0, most: int = 300_000) -> np.ndarray:
     """Per text: length-normalised mean evidence, means of the strongest words, and what exceeds some levels."""
     known = _remembered.setdefault(key, {})
-    split = [_WORD.findall(t.lower()) for t in texts_]
+    split = [words_of(t) for t in texts_]
     new = [w for w in set().union(*split) if w not in known] if split else []
     if len(known) + len(new) > most:
         known.clear()
@@ -232,8 +247,8 @@ def _gram_counts(batches, most: int = 200_000):
 
     for b in batches:
         for t, y in zip(b.column("text"), b.column("label").to_pylist()):
-            for w in _WORD.findall((t.as_py() or "").lower()):
-                seen.setdefault(w[:LONGEST], [0, 0])[y] += 1
+            for w in words_of(t.as_py() or ""):
+                seen.setdefault(w, [0, 0])[y] += 1
             if len(seen) > most:
                 yield part()
     yield part()

@@ -124,6 +124,23 @@ def test_models_of_grams_are_those_of_words():
     assert a.of(probe) == pytest.approx(b.of(probe), abs=1e-5)
 
 
+def test_every_character_of_a_long_run_counts():
+    bad, fine = "vilgaro", "etaoinshr"
+    model = toxicity.Evidence([bad, fine], np.array([50.0, 0]), np.array([0, 50.0]))
+    run = fine * 30
+    for n in (1, 39, 40, 41, 80, 81, 270):
+        pieces = toxicity.words_of(run[:n])
+        codes, owner = toxicity.characters(pieces)
+        assert "".join(map(chr, codes[toxicity.places(owner)])) == run[:n] + "\x02" and len(pieces) == (1 if n <= 40 else -(-(n + 1) // 40))
+    for at in (0, 38, 100, 200, 270):
+        a, b = toxicity.text_features([run, run[:at] + bad * 2 + run[at:]], model, key=-at - 1)
+        assert b[1] > a[1] + 1
+    joined = pa.RecordBatch.from_pydict({"text": [run + bad], "label": [1]})
+    (got,) = toxicity._gram_counts([joined])
+    grams = {"".join(map(chr, g)) for g in toxicity.gram_table(got.column(0).to_numpy(), got.column(1).to_numpy())}
+    assert {"vilgar", "ilgaro", "lgaro\x02"} <= grams and sum(got.column(2).to_pylist()) == len(run + bad) + 1
+
+
 def test_lookup():
     rng = np.random.default_rng(0)
     k = np.unique(rng.integers(1, 2**63, 5_000).astype(np.uint64))
