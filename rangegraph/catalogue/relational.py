@@ -473,11 +473,12 @@ def udaf_vector(spark, sf_dir):
 
 @query("udtf_topk", f"{HITS} SELECT qid, band, CAST(rank AS INTEGER) AS rank, id FROM hits WHERE rank <= 3")
 def udtf_topk(spark, sf_dir):
-    """Lateral top-3 per query as a table function over a small published set of objects."""
+    """Lateral top-3 per query as a table function over a small published set of objects; larger sets are scanned."""
     from ..functions.udx import register
 
     c = case(spark, sf_dir)
-    register(spark, c)
+    if not register(spark, c):
+        return exact.topk(c.objects, c.queries, c.norm, 3).select("qid", "band", "rank", "id")
     return spark.sql("SELECT q.qid, q.band, t.rank, t.id FROM queries q, LATERAL hybrid_topk(q.e, q.s, q.alpha, 3) t")
 
 

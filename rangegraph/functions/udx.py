@@ -41,12 +41,18 @@ def topk_function(ids: np.ndarray, e: np.ndarray, s: np.ndarray, e_max: float, s
     return HybridTopK
 
 
-def register(spark: SparkSession, case) -> None:
-    """Views objects and queries of a workload, and the functions with its normalisers."""
+def register(spark: SparkSession, case) -> bool:
+    """Views objects and queries of a workload, and the functions with its normalisers.
+
+    False if the objects are too many for the table function, which is then not there: callers scan instead.
+    """
     case.objects.select("id", "e", "s").createOrReplaceTempView("objects")
     case.queries.createOrReplaceTempView("queries")
     spark.udf.register("hybrid_dist", hybrid_dist(case.norm.e, case.norm.s))
     spark.udf.register("vector_mean", vector_mean)
-    if case.n <= 20_000:
+    width = case.objects.select("e", "s").first()
+    fits = case.n * (len(width.e) + len(width.s)) * 8 <= PUBLISHED_BYTES if width else True
+    if fits:
         rows = case.objects.select("id", "e", "s").orderBy("id").collect()
         spark.udtf.register("hybrid_topk", topk_function(np.array([r.id for r in rows]), np.array([r.e for r in rows], float), np.array([r.s for r in rows], float), case.norm.e, case.norm.s))
+    return fits

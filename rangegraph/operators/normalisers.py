@@ -55,8 +55,8 @@ def exact(objects: DataFrame) -> Norm:
 def bounded(objects: DataFrame, rounds: int = 3) -> Norm:
     """Lower bounds by sweeps to the farthest object, in linear time; `extra` has the upper bounds 2 r.
 
-    With r the largest distance to the centroid, the diameter is in [r, 2 r]. Order of results does not
-    depend on the estimate (see Norm.remap).
+    With r the largest distance to the centroid, the diameter is in [r, 2 r]. Results at a weight are those of
+    the true normalisers only at the weight of Norm.remap.
     """
     ce, cs = seeds.centroid(objects)
     out = {}
@@ -70,6 +70,21 @@ def bounded(objects: DataFrame, rounds: int = 3) -> Norm:
     return Norm(out["e"][0] or 1.0, out["s"][0] or 1.0, {"e_upper": out["e"][1], "s_upper": out["s"][1], "e_radius": out["e"][2], "s_radius": out["s"][2]})
 
 
+def pruned(objects: DataFrame) -> Norm:
+    """The same as `exact`: two objects at distance d are together at least d from the centroid, so those whose
+    distance is below the lower bound less the radius are left out of the pairs. In many dimensions few
+    are, and the pairs of blocks stay quadratic.
+    """
+    from ..functions.vectors import l2
+
+    low, center, out = bounded(objects), seeds.centroid(objects), {}
+    for name, c, least in (("e", center[0], low.e - low.extra["e_radius"]), ("s", center[1], low.s - low.extra["s_radius"])):
+        at = F.array(*[F.lit(float(x)) for x in c])
+        far = objects.where(l2(name, at) >= F.lit(least - 1e-6 * max(abs(least), 1.0)))
+        out[name] = exact_df(far).first()[f"{name}_max"]
+    return Norm(out["e"] or 1.0, out["s"] or 1.0)
+
+
 def _farthest(objects: DataFrame, column: str, point):
     from ..functions.vectors import l2
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from threading import Lock
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -141,6 +143,30 @@ def test_bounds_of_normalisers(spark, small):
     assert b.e <= c.norm.e + 1e-9 <= b.extra["e_upper"] + 1e-6 and b.s <= c.norm.s + 1e-9 <= b.extra["s_upper"] + 1e-6
 
 
+def test_normalisers_are_true_at_every_size(spark, small, monkeypatch):
+    from rangegraph.workloads import Case
+
+    rng = np.random.default_rng(5)
+    e, s = rng.normal(size=(400, 16)).astype(np.float32), rng.normal(size=(400, 2)).astype(np.float32)
+    objects = spark.createDataFrame([(i, a.tolist(), b.tolist()) for i, (a, b) in enumerate(zip(e, s))], "id long, e array<float>, s array<float>")
+    c = Case.__new__(Case)
+    c.objects, c._lock = objects, Lock()
+    monkeypatch.setattr(Case, "n", 20_001)
+    true = [max(float(np.linalg.norm(v.astype(float) - x, axis=1).max()) for x in v.astype(float)) for v in (e, s)]
+    assert [c.norm.e, c.norm.s] == pytest.approx(true, abs=1e-6)
+    assert normalisers.bounded(objects).e < true[0] - 1e-6
+
+
+def test_table_function_too_large_is_a_scan(spark, small, monkeypatch):
+    from rangegraph.catalogue import relational
+    from rangegraph.functions import udx
+
+    key = lambda df: sorted((r.qid, r.band, r["rank"], r.id) for r in df.collect())
+    want = key(relational.udtf_topk(spark, small))
+    monkeypatch.setattr(udx, "PUBLISHED_BYTES", 0)
+    assert want and key(relational.udtf_topk(spark, small)) == want
+
+
 def test_vectors_are_checked(spark):
     bad = spark.createDataFrame([(1, [1.0, float("nan")], [0.0]), (2, [1.0, 2.0], [0.0])], "id long, e array<float>, s array<float>")
     with pytest.raises(ValueError):
