@@ -172,12 +172,17 @@ def insert_waves(spark: SparkSession, sf_dir: str, params: BuildParams = BuildPa
     return index.Index(nodes, index.summarise(nodes), norm, params)
 
 
+def grown_queries(objects: DataFrame) -> DataFrame:
+    """The objects with id % 20 = 7 (the rows that other workloads hold out), five weights each."""
+    return objects.where("id % 20 = 7").select(F.col("id").alias("qid"), "e", "s").withColumn("band", F.explode(F.sequence(F.lit(0), F.lit(4)))).withColumn("alpha", tables.alpha_of(F.col("qid"), F.col("band"))).select("qid", "band", "alpha", "e", "s")
+
+
 def grown_recall(spark: SparkSession, sf_dir: str) -> DataFrame:
     """band, recall of the grown index against an exact scan of all events."""
     from ..operators import metrics
 
     ix = insert_waves(spark, sf_dir)
     objects = ix.nodes.select("id", "e", "s")
-    q = objects.where("id % 200 = 7").select(F.col("id").alias("qid"), "e", "s").withColumn("band", F.explode(F.sequence(F.lit(0), F.lit(4)))).withColumn("alpha", tables.alpha_of(F.col("qid"), F.col("band"))).select("qid", "band", "alpha", "e", "s")
+    q = grown_queries(objects)
     truth = exact.topk(objects, q, ix.norm, 10)
     return metrics.by_band(metrics.recall(index.topk(ix, q, SearchParams(10, 50)), truth))

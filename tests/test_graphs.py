@@ -167,6 +167,14 @@ def test_table_function_too_large_is_a_scan(spark, small, monkeypatch):
     assert want and key(relational.udtf_topk(spark, small)) == want
 
 
+def test_grown_index_is_asked_by_the_usual_queries(spark):
+    from rangegraph.streaming.events import grown_queries
+
+    objects = spark.range(400).selectExpr("id", "array(1f) AS e", "array(2f) AS s")
+    got = grown_queries(objects).collect()
+    assert {r.qid for r in got} == set(range(7, 400, 20)) and len(got) == 100
+
+
 def test_vectors_are_checked(spark):
     bad = spark.createDataFrame([(1, [1.0, float("nan")], [0.0]), (2, [1.0, 2.0], [0.0])], "id long, e array<float>, s array<float>")
     with pytest.raises(ValueError):
