@@ -6,6 +6,8 @@ executor costs one hop. The driver sees one count per hop.
 
 from __future__ import annotations
 
+from itertools import count
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
@@ -18,10 +20,11 @@ from . import pareto, prune
 from .exact import final_topk
 
 
-def search(edges: DataFrame, objects: DataFrame, queries: DataFrame, seeds: DataFrame, norm: Norm, k: int = 10, ef: int = 10, most: int = 50) -> DataFrame:
+def search(edges: DataFrame, objects: DataFrame, queries: DataFrame, seeds: DataFrame, norm: Norm, k: int = 10, ef: int = 10, most: int | None = None) -> DataFrame:
     """qid, band, rank, id, dist. Each hop expands all unexpanded nodes among the ef best of a query over active edges.
 
-    edges: src, dst, lo, hi; seeds: id (few). Visits at least what the one-by-one search does.
+    edges: src, dst, lo, hi; seeds: id (few). Visits at least what the one-by-one search does. Ends when no node
+    is left to expand; more hops than `most` are an error.
     """
     from ..schema import SCALE
 
@@ -35,11 +38,12 @@ def search(edges: DataFrame, objects: DataFrame, queries: DataFrame, seeds: Data
     start = q.select("qid", "band").join(F.broadcast(seeds.select("id").distinct()), F.lit(True))
     state = stash(scored(start).withColumn("expanded", F.lit(False)), "hop")
     best = Window.partitionBy("qid", "band").orderBy("dist", "id")
-    for _ in range(most):
+    for hops in count():
         ranked = state.withColumn("r", F.row_number().over(best))
         now = ranked.where(F.col("r") <= ef).where(~F.col("expanded")).select("qid", "band", "id")
         if not now.limit(1).count():
             break
+        _within(hops, most)
         at = F.round(F.col("alpha") * SCALE)
         arcs = now.join(q.select("qid", "band", "alpha"), ["qid", "band"]).join(edges.select(F.col("src").alias("id"), "dst", "lo", "hi"), "id").where((F.col("lo") <= at) & (at <= F.col("hi")))
         new = arcs.select("qid", "band", F.col("dst").alias("id")).distinct().join(state.select("qid", "band", "id"), ["qid", "band", "id"], "left_anti")
@@ -48,6 +52,11 @@ def search(edges: DataFrame, objects: DataFrame, queries: DataFrame, seeds: Data
     return final_topk(state.select("qid", "band", "id", "dist"), k)
 
 
+def _within(hops: int, most: int | None) -> None:
+    if most is not None and hops >= most:
+        raise RuntimeError(f"nodes are left to expand after {most} hops")
+
+
 STATE = "p long, x long, de double, ds double, layer int, explored boolean, now boolean"
 
 
@@ -64,8 +73,9 @@ def _layered(t: pa.Table, ef: int) -> pa.Table:
     return pa.table({"p": t.column("p"), "x": t.column("x"), "de": t.column("de"), "ds": t.column("ds"), "layer": pa.array(layer.astype(np.int32)), "explored": pa.array(explored | now), "now": pa.array(now)})
 
 
-def frontier_search(edges: DataFrame, objects: DataFrame, targets: DataFrame, seeds: DataFrame, norm: Norm, ef: int, most: int = 50) -> DataFrame:
-    """p, x, de, ds, layer: candidates of each target (id, e, s) found over the edges (src, dst). One job per hop."""
+def frontier_search(edges: DataFrame, objects: DataFrame, targets: DataFrame, seeds: DataFrame, norm: Norm, ef: int, most: int | None = None) -> DataFrame:
+    """p, x, de, ds, layer: candidates of each target (id, e, s) found over the edges (src, dst). One job per hop,
+    until no node is left to explore; more hops than `most` are an error."""
     t = targets.select(F.col("id").alias("p"), F.col("e").alias("pe"), F.col("s").alias("ps"))
     vectors = objects.select(F.col("id").alias("x"), "e", "s")
     arcs = stash(edges.select("src", "dst").distinct(), "arcs")
@@ -78,9 +88,10 @@ def frontier_search(edges: DataFrame, objects: DataFrame, targets: DataFrame, se
         return stash(state.groupBy("p").applyInArrow(lambda g: _layered(g, ef), STATE), "hop")
 
     state = hop(entered(t.select("p").join(F.broadcast(seeds.select(F.col("id").alias("x")).distinct()), F.lit(True))))
-    for _ in range(most):
+    for hops in count():
         if not state.where("now").limit(1).count():
             break
+        _within(hops, most)
         new = state.where("now").select("p", F.col("x").alias("src")).join(arcs, "src").select("p", F.col("dst").alias("x")).distinct().where("p <> x")
         state = hop(state.unionByName(entered(new.join(state.select("p", "x"), ["p", "x"], "left_anti"))))
     return state.where("layer > 0").select("p", "x", "de", "ds", "layer")

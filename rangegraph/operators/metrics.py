@@ -81,14 +81,14 @@ def work(result: DataFrame) -> DataFrame:
     return per.groupBy("band").agg(*[F.avg(c).alias(c) for c in ("n_dist", "hops", "scanned", "gated", "stopped", "probed")])
 
 
-def reachability(index: Index, most: int = 100) -> DataFrame:
+def reachability(index: Index) -> DataFrame:
     """One row: nodes, reached from the seeds over any edges, by semi-joins to a fixpoint."""
     from ..storage import stash
 
     edges = index.edges().select("shard", "src", "dst").distinct()
     reached = stash(index.seeds().distinct(), "reached")
     n = reached.count()
-    for _ in range(most):
+    while True:
         step = reached.join(edges, (reached.shard == edges.shard) & (reached.id == edges.src)).select(edges.shard, F.col("dst").alias("id"))
         reached = stash(reached.unionByName(step).distinct(), "reached")
         now = reached.count()

@@ -167,6 +167,21 @@ def test_table_function_too_large_is_a_scan(spark, small, monkeypatch):
     assert want and key(relational.udtf_topk(spark, small)) == want
 
 
+def test_hops_have_no_silent_end(spark):
+    """A chain is walked to its end; a bound that is too small is an error."""
+    objects = spark.createDataFrame([(i, [float(i)], [float(i)]) for i in range(6)], "id long, e array<float>, s array<float>")
+    edges = spark.createDataFrame([(i, i + 1, 0, 10_000) for i in range(5)], "src long, dst long, lo int, hi int")
+    seeds = spark.createDataFrame([(0,)], "id long")
+    target = spark.createDataFrame([(9, [5.0], [5.0])], "id long, e array<float>, s array<float>")
+    query = target.selectExpr("id AS qid", "0 AS band", "0.5D AS alpha", "e", "s")
+    assert bsp.search(edges, objects, query, seeds, Norm(1.0, 1.0), 1, 6).first().id == 5
+    assert {r.x for r in bsp.frontier_search(edges, objects, target, seeds, Norm(1.0, 1.0), 6).collect()} == set(range(6))
+    with pytest.raises(RuntimeError):
+        bsp.search(edges, objects, query, seeds, Norm(1.0, 1.0), 1, 6, most=2)
+    with pytest.raises(RuntimeError):
+        bsp.frontier_search(edges, objects, target, seeds, Norm(1.0, 1.0), 6, most=2)
+
+
 def test_grown_index_is_asked_by_the_usual_queries(spark):
     from rangegraph.streaming.events import grown_queries
 
