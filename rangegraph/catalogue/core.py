@@ -172,24 +172,7 @@ def threshold_topk(spark, sf_dir):
 def early_stop(spark, sf_dir):
     """Top-k with two-part distances: the second part only where the first is within the k-th result so far."""
     c = case(spark, sf_dir)
-    norm = c.norm
-
-    def run(block, t):
-        qid, band, alpha, qe, qs = block
-        ids, e, s = t.column("id").to_numpy(), vectors.matrix(t.column("e")), vectors.matrix(t.column("s"))
-        out = []
-        for i in range(len(qid)):
-            d, x = np.zeros(0), np.zeros(0, np.int64)
-            for at in range(0, len(ids), 64):
-                limit = np.sort(d)[9] + 1e-9 if len(d) >= 10 else np.inf
-                rows, got, _ = vectors.hybrid_bounded((qe[i], qs[i]), e[at : at + 64], s[at : at + 64], alpha[i], norm, limit)
-                d, x = np.concatenate([d, got]), np.concatenate([x, ids[at : at + 64][rows]])
-                keep = np.lexsort((x, np.round(d, 9)))[:10]
-                d, x = d[keep], x[keep]
-            out += [(int(qid[i]), int(band[i]), int(b), float(a)) for a, b in zip(d, x)]
-        return out
-
-    return rounded(exact.final_topk(spatial._per_block(c.objects, c.queries, ["id", "e", "s"], run), 10))
+    return rounded(spatial.early_stop_topk(c.objects, c.queries, c.norm))
 
 
 # --- frontiers ---------------------------------------------------------------------------------------------

@@ -25,13 +25,19 @@ def hybrid(e1, s1, e2, s2, alpha, e_max, s_max) -> Column:
 
 
 def l2_block(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """All distances between the rows of two blocks, by differences (exact zeros for twins)."""
-    out = np.empty((len(a), len(b)))
-    step = max(1, 4_000_000 // max(1, b.size))
-    for i in range(0, len(a), step):
-        d = a[i : i + step, None, :] - b[None, :, :]
-        out[i : i + step] = np.sqrt(np.einsum("ijk,ijk->ij", d, d))
-    return out
+    """All distances between the rows of two blocks, by products; near twins again by differences, so twins are at exactly 0."""
+    aa, bb = np.einsum("ij,ij->i", a, a), np.einsum("ij,ij->i", b, b)
+    out = a @ b.T
+    out *= -2.0
+    out += aa[:, None]
+    out += bb[None, :]
+    low = 1e-6 * (aa.max(initial=0.0) + bb.max(initial=0.0))
+    if out.size and out.min() < low:
+        i, j = np.nonzero(out < low)
+        for k in range(0, len(i), 100_000):
+            d = a[i[k : k + 100_000]] - b[j[k : k + 100_000]]
+            out[i[k : k + 100_000], j[k : k + 100_000]] = np.einsum("ij,ij->i", d, d)
+    return np.sqrt(out, out=out)
 
 
 def l2_rows(a: np.ndarray, rows: np.ndarray) -> np.ndarray:

@@ -1,4 +1,4 @@
-"""Exact search: the ground truth. Queries in bounded blocks against all objects, partial then final top-k."""
+"""Exact search: the ground truth. Blocks of queries against blocks of objects, partial then final top-k."""
 
 from __future__ import annotations
 
@@ -7,55 +7,43 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.vectors import l2_block, matrix
-from ..schema import HITS, Norm
+from ..functions.vectors import l2_block
+from ..schema import Norm
+from ..storage import stash
+from .blocks import SENT_BYTES, Objects, Queries, best_columns, every_pair
 
-QUERY_BYTES = 64_000_000  # of query vectors sent to tasks at once; more queries go in several passes
 PARTIAL = "qid long, band int, id long, dist double"
 _ARROW = pa.schema([("qid", pa.int64()), ("band", pa.int32()), ("id", pa.int64()), ("dist", pa.float64())])
 
 
-def query_blocks(queries: DataFrame, size: int = QUERY_BYTES):
-    """The queries as numpy blocks (qid, band, alpha, e, s), each of bounded size."""
-    rows, width = [], 0
-    for r in queries.select("qid", "band", "alpha", "e", "s").toLocalIterator():
-        rows.append(r)
-        width = max(width, 8 * (len(r.e) + len(r.s)))
-        if len(rows) * width >= size:
-            yield _block(rows)
-            rows = []
-    if rows:
-        yield _block(rows)
-
-
-def _block(rows):
-    for r in rows:
-        if not 0 <= r.alpha <= 1:
-            raise ValueError(f"alpha {r.alpha} is not in [0, 1]")
-    return (
-        np.array([r.qid for r in rows], np.int64), np.array([r.band for r in rows], np.int32), np.array([r.alpha for r in rows], float),
-        np.array([r.e for r in rows], np.float64), np.array([r.s for r in rows], np.float64),
-    )
-
-
-def _partial(batches, sent, norm: Norm, k: int):
-    qid, band, alpha, qe, qs = sent.value
-    best = None
-    # queries that share their vectors share the distances
-    _, first, which = np.unique(np.hstack([qid[:, None].astype(float), qe[:, :1]]), axis=0, return_index=True, return_inverse=True)
-    which = which.reshape(-1)
-    for b in batches:
-        for i in range(0, b.num_rows, 2_000):
-            part = b.slice(i, 2_000)
-            ids = part.column("id").to_numpy()
-            de, ds = l2_block(qe[first], matrix(part.column("e"))) / norm.e, l2_block(qs[first], matrix(part.column("s"))) / norm.s
-            d = alpha[:, None] * de[which] + (1 - alpha[:, None]) * ds[which]
-            all_d, all_i = (d, np.broadcast_to(ids, d.shape)) if best is None else (np.hstack([best[0], d]), np.hstack([best[1], np.broadcast_to(ids, d.shape)]))
-            order = np.lexsort((all_i, np.round(all_d, 9)), axis=1)[:, :k]
-            best = np.take_along_axis(all_d, order, 1), np.take_along_axis(all_i, order, 1)
-    if best is not None:
-        n = best[0].shape[1]
-        yield pa.RecordBatch.from_arrays([pa.array(np.repeat(qid, n)), pa.array(np.repeat(band, n)), pa.array(best[1].reshape(-1)), pa.array(best[0].reshape(-1))], schema=_ARROW)
+def pairs_of_blocks(batches):
+    """(object block, query block) of joined rows; equal neighbours are unpacked once."""
+    last_o = last_q = None
+    for t in batches:
+        names = t.schema.names
+        for i in range(t.num_rows):
+            row = {c: t.column(j)[i].as_buffer() if c != "block" else t.column(j)[i].as_py() for j, c in enumerate(names)}
+            if last_o is None or not row["o_ids"].equals(last_o[0]) or not row["o_e"].equals(last_o[1]):
+                last_o = (row["o_ids"], row["o_e"], Objects(row))
+            if last_q is None or last_q[0] != row["block"] or not row["q_alphas"].equals(last_q[1]):
+                last_q = (row["block"], row["q_alphas"], Queries(row))
+            yield last_o[2], last_q[2]
+
+
+def _nearest(batches, norm: Norm, k: int):
+    """The k best of each query over all object blocks that a task sees."""
+    best: dict[str, tuple] = {}
+    for o, q in pairs_of_blocks(batches):
+        de, ds = l2_block(q.e, o.e) / norm.e, l2_block(q.s, o.s) / norm.s
+        d = q.alpha[:, None] * de[q.which] + (1 - q.alpha[:, None]) * ds[q.which]
+        now = best_columns(d, o.ids, k)
+        if q.name in best:
+            _, old_d, old_i = best[q.name]
+            now = best_columns(np.hstack([old_d, now[0]]), np.hstack([old_i, now[1]]), k)
+        best[q.name] = (q, *now)
+    for q, d, i in best.values():
+        r, c = np.nonzero(np.isfinite(d))
+        yield pa.RecordBatch.from_arrays([pa.array(q.qid[r]), pa.array(q.band[r]), pa.array(i[r, c]), pa.array(d[r, c])], schema=_ARROW)
 
 
 def final_topk(partial: DataFrame, k: int, by: tuple[str, ...] = ("qid", "band")) -> DataFrame:
@@ -66,46 +54,35 @@ def final_topk(partial: DataFrame, k: int, by: tuple[str, ...] = ("qid", "band")
 
 def topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int = 10) -> DataFrame:
     """The k objects of least hybrid distance for each query: qid, band, rank, id, dist."""
-    spark = objects.sparkSession
-    found = None
-    for block in query_blocks(queries):
-        sent = spark.sparkContext.broadcast(block)
-        part = objects.select("id", "e", "s").mapInArrow(lambda it, sent=sent: _partial(it, sent, norm, k), PARTIAL)
-        found = part if found is None else found.unionByName(part)
-    return spark.createDataFrame([], HITS) if found is None else final_topk(found, k)
+    return final_topk(every_pair(objects, queries).mapInArrow(lambda it: _nearest(it, norm, k), PARTIAL), k)
 
 
 def topk_many(objects: DataFrame, queries: DataFrame, columns: list[str], norms: list[float], k: int = 10) -> DataFrame:
-    """Exact top-k over any number of vectors per object; queries (qid, weights ARRAY<DOUBLE>, the vectors)."""
+    """Exact top-k over any number of vectors per object; queries (qid, weights ARRAY<DOUBLE>, the vectors). Queries whose
+    size is checked go to all tasks; more are dealt as well."""
     from ..functions.vectors import l2
 
-    q = queries.select("qid", "weights", *[F.col(c).alias(f"q_{c}") for c in columns])
+    q = stash(queries.select("qid", "weights", *[F.col(c).alias(f"q_{c}") for c in columns]), "queries")
+    size = q.agg(F.sum(sum((F.size(f"q_{c}") for c in columns), F.lit(2)) * 8)).first()[0] or 0
     d = sum((F.element_at("weights", i + 1) * l2(f"q_{c}", c) / F.lit(float(n)) for i, (c, n) in enumerate(zip(columns, norms))), F.lit(0.0))
-    every = objects.join(F.broadcast(q), how="cross").select("qid", F.lit(0).alias("band"), "id", d.alias("dist"))
+    every = objects.join(F.broadcast(q) if size <= SENT_BYTES else q.hint("shuffle_replicate_nl"), F.lit(True)).select("qid", F.lit(0).alias("band"), "id", d.alias("dist"))
     return final_topk(every, k).drop("band")
 
 
 def pair_distances(objects: DataFrame, norm: Norm, nodes: DataFrame | None = None) -> DataFrame:
-    """p, x, de, ds for the given nodes p (default: all) against all other objects, by blocks of nodes. For small tables."""
-    spark = objects.sparkSession
-    ps = (nodes if nodes is not None else objects).select(F.col("id").alias("qid"), F.lit(0).alias("band"), F.lit(0.5).alias("alpha"), "e", "s")
-    out = None
-    for block in query_blocks(ps):
-        sent = spark.sparkContext.broadcast(block)
+    """p, x, de, ds for the given nodes p (default: all) against all other objects, by blocks. For small tables."""
 
-        def run(batches, sent=sent):
-            p, _, _, pe, ps_ = sent.value
-            for b in batches:
-                for i in range(0, b.num_rows, 500):
-                    part = b.slice(i, 500)
-                    x = part.column("id").to_numpy()
-                    de, ds = l2_block(pe, matrix(part.column("e"))) / norm.e, l2_block(ps_, matrix(part.column("s"))) / norm.s
-                    keep = (p[:, None] != x[None, :]).reshape(-1)
-                    yield pa.RecordBatch.from_arrays([pa.array(np.repeat(p, len(x))[keep]), pa.array(np.tile(x, len(p))[keep]), pa.array(de.reshape(-1)[keep]), pa.array(ds.reshape(-1)[keep])], names=["p", "x", "de", "ds"])
+    def run(batches):
+        for o, q in pairs_of_blocks(batches):
+            step = max(1, 200_000 // max(1, len(o.ids)))
+            for i in range(0, len(q.qid), step):
+                p, w = q.qid[i : i + step], q.which[i : i + step]
+                de, ds = l2_block(q.e[w], o.e) / norm.e, l2_block(q.s[w], o.s) / norm.s
+                r, c = np.nonzero(p[:, None] != o.ids[None, :])
+                yield pa.RecordBatch.from_arrays([pa.array(p[r]), pa.array(o.ids[c]), pa.array(de[r, c]), pa.array(ds[r, c])], names=["p", "x", "de", "ds"])
 
-        one = objects.select("id", "e", "s").mapInArrow(run, "p long, x long, de double, ds double")
-        out = one if out is None else out.unionByName(one)
-    return out
+    ps = (nodes if nodes is not None else objects).select(F.col("id").alias("qid"), F.lit(0).alias("band"), F.lit(0.5).alias("alpha"), "e", "s")
+    return every_pair(objects, ps).mapInArrow(run, "p long, x long, de double, ds double")
 
 
 def threshold_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int = 10, depth: int = 32) -> tuple[DataFrame, int]:
@@ -118,11 +95,10 @@ def threshold_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int =
     done, left = None, queries
     while True:
         depth = min(depth, n)
-        by_e = topk(objects, left.withColumn("alpha", F.lit(1.0)), norm, depth).select("qid", "band", "id", "rank", F.col("dist").alias("end"))
-        by_s = topk(objects, left.withColumn("alpha", F.lit(0.0)), norm, depth).select("qid", "band", "id", "rank", F.col("dist").alias("end"))
+        by_e, by_s = (stash(topk(objects, left.withColumn("alpha", F.lit(a)), norm, depth).select("qid", "band", "id", "rank", F.col("dist").alias("end")), "list") for a in (1.0, 0.0))
         ends = by_e.groupBy("qid", "band").agg(F.max("end").alias("e_end")).join(by_s.groupBy("qid", "band").agg(F.max("end").alias("s_end")), ["qid", "band"])
         seen = by_e.select("qid", "band", "id").union(by_s.select("qid", "band", "id")).distinct()
-        hits = rescore(seen, objects, left, norm, k)
+        hits = stash(rescore(seen, objects, left, norm, k), "hits")
         kth = hits.groupBy("qid", "band").agg(F.max("dist").alias("kth"))
         bound = ends.join(left.select("qid", "band", "alpha"), ["qid", "band"]).join(kth, ["qid", "band"]).withColumn("floor", F.col("alpha") * F.col("e_end") + (1 - F.col("alpha")) * F.col("s_end"))
         ok = bound.where(F.col("kth") < F.col("floor")).select("qid", "band") if depth < n else left.select("qid", "band")

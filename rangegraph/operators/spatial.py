@@ -1,148 +1,370 @@
-"""Exact and approximate methods for text with coordinates: packed rectangles, rings in quadrants, pivots, hybrid clusters.
+"""Exact and approximate methods for text with coordinates: rectangle trees, a quadtree with rings, pivots, hybrid clusters.
 
-All bound distances from below per unit (leaf, cell, cluster), visit units in the order of the bound, and
-stop where it exceeds the k-th result. A query's pass is one task's work over its own rows of the table.
+All bound distances from below per unit (box, cell, cluster), visit units in the order of the bound, and stop where
+it exceeds the k-th result. The table is dealt to parts of a bounded number of rows; each part builds its structure
+once and answers all blocks of queries.
 """
 
 from __future__ import annotations
 
+import heapq
+import time
+from collections.abc import Callable, Iterator
+
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.vectors import l2_block, l2_rows, matrix
+from ..functions.vectors import l2, l2_block, l2_rows, matrix
 from ..schema import Norm
 from ..storage import stash
-from .exact import PARTIAL, final_topk, query_blocks
+from .blocks import SENT_BYTES, Queries, pack_queries
+from .exact import final_topk
+
+PART_ROWS = 100_000
+FOUND = "qid long, band int, id long, dist double, part int, n_dist long, seconds double"
 
-SPATIAL = "qid long, band int, id long, dist double"
+
+# --- a packed rectangle tree as tables ---------------------------------------------------------------------
 
 
 def str_pack(objects: DataFrame, leaf: int = 64) -> DataFrame:
-    """objects (2-dimensional s) with `slab` and `leaf` of a sort-tile packing, leaves of about `leaf` rows."""
-    n = objects.count()
-    leaves = max(1, -(-n // leaf))
+    """objects (2-dimensional s) with `slab` and `leaf` of a sort-tile packing, leaves of about `leaf` rows.
+
+    Slabs are cut at quantiles of the first coordinate, so no task sees all rows: a slab has about the square root
+    of rows times `leaf`.
+    """
+    leaves = max(1, -(-objects.count() // leaf))
     slabs = max(1, round(leaves**0.5))
     x, y = F.col("s")[0], F.col("s")[1]
-    one = objects.withColumn("slab", F.ntile(slabs).over(Window.orderBy(x, y, "id")))
-    return one.withColumn("leaf", F.ntile(-(-leaves // slabs)).over(Window.partitionBy("slab").orderBy(y, x, "id")))
+    cuts = objects.agg(F.percentile_approx(x, [i / slabs for i in range(1, slabs)], 10 * slabs)).first()[0] if slabs > 1 else []
+    bounds = np.array(cuts or [], float)
 
+    def place(batches):
+        for b in batches:
+            at = np.searchsorted(bounds, matrix(b.column("s"))[:, 0]) if b.num_rows else np.zeros(0)
+            yield b.append_column("slab", pa.array(at.astype(np.int32)))
 
-def leaf_boxes(packed: DataFrame) -> DataFrame:
-    x, y = F.col("s")[0].cast("double"), F.col("s")[1].cast("double")
-    return packed.groupBy("slab", "leaf").agg(F.min(x).alias("x0"), F.max(x).alias("x1"), F.min(y).alias("y0"), F.max(y).alias("y1"), F.count(F.lit(1)).alias("n"))
+    from pyspark.sql.types import IntegerType, StructType
 
+    one = objects.mapInArrow(place, StructType([*objects.schema.fields]).add("slab", IntegerType()))
+    w = Window.partitionBy("slab")
+    n = F.ceil(F.count(F.lit(1)).over(w) / F.lit(leaf))
+    place_in = F.row_number().over(w.orderBy(y, x, "id")) - 1
+    return one.withColumn("leaf", (F.floor(place_in / F.ceil(F.count(F.lit(1)).over(w) / n)) + 1).cast("int"))
 
-def box_topk(packed: DataFrame, queries: DataFrame, norm: Norm, k: int) -> DataFrame:
-    """Exact top-k by coordinate: leaves whose box is no farther than the k-th upper bound, then their rows."""
-    from ..functions.vectors import l2
 
-    boxes = stash(leaf_boxes(packed), "boxes")
-    q = queries.select("qid", "band", F.col("s").alias("qs"))
-    x, y = F.col("qs")[0].cast("double"), F.col("qs")[1].cast("double")
-    zero = F.lit(0.0)
+def boxes(packed: DataFrame, *level: str) -> DataFrame:
+    """The boxes of a level (slabs, or leaves inside them) and how many rows each has."""
+    x, y = F.col("s")[0].cast("double"), F.col("s")[1].cast("double")
+    return packed.groupBy(*level).agg(F.min(x).alias("x0"), F.max(x).alias("x1"), F.min(y).alias("y0"), F.max(y).alias("y1"), F.count(F.lit(1)).alias("n"))
+
+
+def _near_far() -> tuple[Column, Column]:
+    x, y, zero = F.col("qs")[0].cast("double"), F.col("qs")[1].cast("double"), F.lit(0.0)
     near = F.sqrt(F.pow(F.greatest(F.col("x0") - x, zero, x - F.col("x1")), 2) + F.pow(F.greatest(F.col("y0") - y, zero, y - F.col("y1")), 2))
     far = F.sqrt(F.pow(F.greatest(F.abs(F.col("x0") - x), F.abs(F.col("x1") - x)), 2) + F.pow(F.greatest(F.abs(F.col("y0") - y), F.abs(F.col("y1") - y)), 2))
-    both = q.join(F.broadcast(boxes), F.lit(True)).withColumn("near", near).withColumn("far", far)
-    w = Window.partitionBy("qid", "band").orderBy("far", "slab", "leaf").rowsBetween(Window.unboundedPreceding, 0)
+    return near, far
+
+
+def _within(reached: DataFrame, k: int, *level: str) -> DataFrame:
+    """Of the boxes a query has reached, those no farther than the far side of the boxes that surely hold k rows."""
+    near, far = _near_far()
+    both = reached.withColumn("near", near).withColumn("far", far)
+    w = Window.partitionBy("qid", "band").orderBy("far", *level).rowsBetween(Window.unboundedPreceding, 0)
     limit = both.withColumn("have", F.sum("n").over(w)).where(F.col("have") >= k).groupBy("qid", "band").agg(F.min("far").alias("limit"))
-    pick = both.join(limit, ["qid", "band"], "left").where(F.col("limit").isNull() | (F.col("near") <= F.col("limit")))
-    rows = packed.select("slab", "leaf", "id", "s").join(pick.select("qid", "band", "qs", "slab", "leaf"), ["slab", "leaf"])
+    return both.join(limit, ["qid", "band"], "left").where(F.col("limit").isNull() | (F.col("near") <= F.col("limit"))).select("qid", "band", "qs", *level)
+
+
+def box_topk(packed: DataFrame, queries: DataFrame, norm: Norm, k: int) -> DataFrame:
+    """Exact top-k by coordinate, down the tree: slabs, then leaves of the slabs reached, then their rows.
+
+    Slabs are few (about the square root of the leaves) and sent along behind a check of their size; leaves and rows
+    are met by equal keys.
+    """
+    q = queries.select("qid", "band", F.col("s").alias("qs"))
+    low = stash(boxes(packed, "slab", "leaf"), "boxes")
+    top = low.groupBy("slab").agg(F.min("x0").alias("x0"), F.max("x1").alias("x1"), F.min("y0").alias("y0"), F.max("y1").alias("y1"), F.sum("n").alias("n"))
+    top = F.broadcast(top) if low.select("slab").distinct().count() * 48 <= SENT_BYTES else top
+    slabs = _within(q.join(top, F.lit(True)), k, "slab")
+    leaves = _within(slabs.join(low, "slab"), k, "slab", "leaf")
+    rows = packed.select("slab", "leaf", "id", "s").join(leaves, ["slab", "leaf"])
     return final_topk(rows.select("qid", "band", "id", (l2("s", "qs") / norm.s).alias("dist")), k)
 
 
-def _per_block(objects: DataFrame, queries: DataFrame, columns: list[str], run) -> DataFrame:
-    """Partial top-k of run(block, table) per task of objects, for each bounded block of queries."""
-    spark, out = objects.sparkSession, None
-    for block in query_blocks(queries):
-        sent = spark.sparkContext.broadcast(block)
+# --- structures inside a part ------------------------------------------------------------------------------
+
+
+class RectTree:
+    """A packed rectangle tree over points of any dimension, read by rising distance."""
+
+    def __init__(self, points: np.ndarray, leaf: int = 32, metric: str = "l2"):
+        self.points, self.metric = points, metric
+        groups = self._tiles(np.arange(len(points)), leaf, 0)
+        self.levels = [[(points[g].min(axis=0), points[g].max(axis=0), g) for g in groups]]
+        while len(self.levels[-1]) > 1:
+            below = self.levels[-1]
+            lo, hi = np.array([b[0] for b in below]), np.array([b[1] for b in below])
+            if len(below) <= leaf:
+                groups = [np.arange(len(below))]
+            else:
+                groups = self._tiles(np.arange(len(below)), leaf, 0, (lo + hi) / 2)
+            self.levels.append([(lo[g].min(axis=0), hi[g].max(axis=0), g) for g in groups])
+        self.lo = [np.array([b[0] for b in level]) for level in self.levels]
+        self.hi = [np.array([b[1] for b in level]) for level in self.levels]
+
+    def _tiles(self, rows: np.ndarray, leaf: int, dim: int, points: np.ndarray | None = None) -> list[np.ndarray]:
+        p = self.points if points is None else points
+        if len(rows) <= leaf:
+            return [rows]
+        order = rows[np.argsort(p[rows, dim], kind="stable")]
+        left = p.shape[1] - dim
+        if left == 1:
+            return [order[i : i + leaf] for i in range(0, len(order), leaf)]
+        slabs = max(1, round((len(rows) / leaf) ** (1 / left)))
+        size = -(-len(order) // slabs)
+        return [t for i in range(0, len(order), size) for t in self._tiles(order[i : i + size], leaf, dim + 1, points)]
+
+    def _away(self, gap: np.ndarray) -> np.ndarray:
+        return np.sqrt(np.einsum("ij,ij->i", gap, gap)) if self.metric == "l2" else np.abs(gap).max(axis=1)
+
+    def nearest(self, q: np.ndarray) -> Iterator[tuple[float, int]]:
+        """(distance, row) of all points, nearest first."""
+        top = len(self.levels) - 1
+        todo = [(0.0, 0, top, 0)] if len(self.points) else []
+        while todo:
+            d, _, level, i = heapq.heappop(todo)
+            if level < 0:
+                yield d, i
+                continue
+            inside = self.levels[level][i][2]
+            if level:
+                gap = np.maximum(0, np.maximum(self.lo[level - 1][inside] - q, q - self.hi[level - 1][inside]))
+            else:
+                gap = self.points[inside] - q
+            for x, j in zip(self._away(gap).tolist(), inside.tolist()):
+                heapq.heappush(todo, (x, j if not level else -1, level - 1, j))
+
+
+class QuadTree:
+    """Cells of the plane, cut in four while they hold more than `leaf` points; in each leaf the points by their distance to a pivot of e."""
+
+    def __init__(self, e: np.ndarray, s: np.ndarray, leaf: int = 64, depth: int = 16):
+        self.nodes: list[tuple] = []
+        self.e, self.s = e, s
+        self.root = self._cut(np.arange(len(s)), leaf, depth) if len(s) else None
+
+    def _cut(self, rows: np.ndarray, leaf: int, depth: int) -> int:
+        lo, hi = self.s[rows].min(axis=0), self.s[rows].max(axis=0)
+        at = len(self.nodes)
+        self.nodes.append(())
+        if len(rows) <= leaf or depth == 0 or (lo == hi).all():
+            pivot = self.e[rows].mean(axis=0)
+            ring = l2_rows(pivot, self.e[rows])
+            order = np.argsort(ring, kind="stable")
+            self.nodes[at] = (lo, hi, None, pivot, rows[order], ring[order])
+        else:
+            mid = (lo + hi) / 2
+            quarter = (self.s[rows] > mid) @ np.array([1, 2])
+            self.nodes[at] = (lo, hi, [self._cut(rows[quarter == k], leaf, depth - 1) for k in range(4) if (quarter == k).any()], None, None, None)
+        return at
+
+    def leaves(self, q: np.ndarray) -> Iterator[tuple[float, tuple]]:
+        """(least distance, leaf) of all leaves, nearest first."""
+        away = lambda n: float(np.linalg.norm(np.maximum(0, np.maximum(self.nodes[n][0] - q, q - self.nodes[n][1]))))
+        todo = [] if self.root is None else [(away(self.root), self.root)]
+        while todo:
+            d, n = heapq.heappop(todo)
+            if self.nodes[n][2] is None:
+                yield d, self.nodes[n]
+            else:
+                for child in self.nodes[n][2]:
+                    heapq.heappush(todo, (away(child), child))
+
+
+class Best:
+    """The k nearest so far of one query: distance to nine places, then smaller id."""
+
+    def __init__(self, k: int):
+        self.k, self.d, self.i, self.n_dist = k, np.zeros(0), np.zeros(0, np.int64), 0
+
+    def add(self, d: np.ndarray, ids: np.ndarray) -> None:
+        self.n_dist += len(ids)
+        self.d, self.i = np.concatenate([self.d, d]), np.concatenate([self.i, ids])
+        keep = np.lexsort((self.i, np.round(self.d, 9)))[: self.k]
+        self.d, self.i = self.d[keep], self.i[keep]
+
+    @property
+    def limit(self) -> float:
+        """What nothing of use may exceed."""
+        return float(self.d[-1]) + 1e-9 if len(self.d) >= self.k else np.inf
+
+
+def over_parts(objects: DataFrame, queries: DataFrame, prepare: Callable, k: int, columns: tuple[str, ...] = ("id", "e", "s")) -> DataFrame:
+    """FOUND rows of all queries over parts of at most about PART_ROWS objects.
+
+    prepare(table) builds a part's structure once and gives search(qe, qs, alpha) -> Best. Queries reach the parts as
+    blocks of bounded size, and in several portions where all of them are too many for one task.
+    """
+    parts = max(1, -(-objects.count() // PART_ROWS))
+    q = stash(pack_queries(queries), "query-blocks")
+    size = q.agg(F.sum(F.octet_length("q_e") + F.octet_length("q_s"))).first()[0] or 0
+    portions = max(1, -(-int(size) // SENT_BYTES))
+    spark = objects.sparkSession
+
+    def run(rows: pa.Table, asked: pa.Table) -> pa.Table:
+        out: list[tuple] = []
+        if rows.num_rows and asked.num_rows:
+            search, part = prepare(rows), rows.column("part")[0].as_py()
+            for row in asked.to_pylist():
+                b = Queries(row)
+                for j in range(len(b.qid)):
+                    began = time.perf_counter()
+                    best = search(b.e[b.which[j]], b.s[b.which[j]], float(b.alpha[j]))
+                    seconds = time.perf_counter() - began
+                    out += [(int(b.qid[j]), int(b.band[j]), x, d, part, best.n_dist, seconds) for d, x in zip(best.d.tolist(), best.i.tolist())]
+        types = (pa.int64(), pa.int32(), pa.int64(), pa.float64(), pa.int32(), pa.int64(), pa.float64())
+        return pa.table({f.split()[0]: pa.array([r[j] for r in out], t) for j, (f, t) in enumerate(zip(FOUND.split(", "), types))})
+
+    left = objects.select(*columns).withColumn("part", F.pmod(F.xxhash64("id"), F.lit(parts)).cast("int")).withColumn("portion", F.explode(F.sequence(F.lit(0), F.lit(portions - 1))))
+    right = q.withColumn("portion", F.pmod(F.xxhash64("block"), F.lit(portions)).cast("int")).join(F.broadcast(spark.range(parts).select(F.col("id").cast("int").alias("part"))), F.lit(True))
+    return left.groupBy("part", "portion").cogroup(right.groupBy("part", "portion")).applyInArrow(lambda a, b: run(a, b), FOUND)
 
-        def tasks(batches, sent=sent):
-            held = [b for b in batches if b.num_rows]
-            if held:
-                rows = run(sent.value, pa.Table.from_batches(held).combine_chunks())
-                yield pa.RecordBatch.from_arrays([pa.array([r[j] for r in rows], t) for j, t in enumerate((pa.int64(), pa.int32(), pa.int64(), pa.float64()))], names=["qid", "band", "id", "dist"])
 
-        one = objects.select(*columns).mapInArrow(tasks, PARTIAL)
-        out = one if out is None else out.unionByName(one)
-    return out
+def merged(found: DataFrame, k: int) -> DataFrame:
+    """qid, band, rank, id, dist, and the work over all parts: n_dist, seconds."""
+    work = found.groupBy("qid", "band", "part").agg(F.first("n_dist").alias("n_dist"), F.first("seconds").alias("seconds")).groupBy("qid", "band").agg(F.sum("n_dist").alias("n_dist"), F.sum("seconds").alias("seconds"))
+    return final_topk(found, k).join(work, ["qid", "band"])
 
 
-def _best(d: np.ndarray, ids: np.ndarray, k: int) -> np.ndarray:
-    return np.lexsort((ids, np.round(d, 9)))[:k]
+def _vectors(t: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    return t.column("id").to_numpy(), matrix(t.column("e")), matrix(t.column("s"))
 
 
-def quad_ring_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int = 10, depth: int = 3) -> DataFrame:
-    """Exact: quadrants of the plane, near ones first; inside, objects sorted by their distance to the quadrant's pivot."""
+# --- the methods -------------------------------------------------------------------------------------------
 
-    def run(block, t):
-        qid, band, alpha, qe, qs = block
-        ids, e, s = t.column("id").to_numpy(), matrix(t.column("e")), matrix(t.column("s"))
-        low, side = s.min(axis=0), np.maximum(np.ptp(s, axis=0), 1e-12)
-        grid = np.minimum(((s - low) / side * 2**depth).astype(int), 2**depth - 1)
-        cell = sum(((grid[:, 0] >> b & 1) << 2 * b) | ((grid[:, 1] >> b & 1) << 2 * b + 1) for b in range(depth))
-        cells = []
-        for c in np.unique(cell):
-            rows = np.flatnonzero(cell == c)
-            pivot = e[rows].mean(axis=0)
-            ring = l2_rows(pivot, e[rows])
-            order = np.argsort(ring, kind="stable")
-            cells.append((s[rows].min(axis=0), s[rows].max(axis=0), pivot, rows[order], ring[order]))
-        out = []
-        for i in range(len(qid)):
-            a, near = alpha[i], []
-            for c in cells:
-                near.append(np.linalg.norm(np.maximum(0, np.maximum(c[0] - qs[i], qs[i] - c[1]))) / norm.s * (1 - a))
-            found_d, found_i = np.zeros(0), np.zeros(0, np.int64)
-            for j in np.argsort(near, kind="stable"):
-                kth = np.sort(found_d)[k - 1] if len(found_d) >= k else np.inf
-                if near[j] > kth + 1e-9:
+
+def scan_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int = 10) -> DataFrame:
+    """Brute force in the same frame as the others, for their cost."""
+
+    def prepare(t: pa.Table):
+        ids, e, s = _vectors(t)
+
+        def search(qe, qs, a):
+            best = Best(k)
+            best.add(a * l2_rows(qe, e) / norm.e + (1 - a) * l2_rows(qs, s) / norm.s, ids)
+            return best
+
+        return search
+
+    return merged(over_parts(objects, queries, prepare, k), k)
+
+
+def early_stop_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int = 10, step: int = 64) -> DataFrame:
+    """A scan with two-part distances: the second part only where the first is within the k-th result so far."""
+    from ..functions.vectors import hybrid_bounded
+
+    def prepare(t: pa.Table):
+        ids, e, s = _vectors(t)
+
+        def search(qe, qs, a):
+            best = Best(k)
+            for at in range(0, len(ids), step):
+                rows, got, _ = hybrid_bounded((qe, qs), e[at : at + step], s[at : at + step], a, norm, best.limit)
+                best.add(got, ids[at : at + step][rows])
+            return best
+
+        return search
+
+    return merged(over_parts(objects, queries, prepare, k), k)
+
+
+def rect_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int = 10) -> DataFrame:
+    """Exact top-k by s alone over a rectangle tree in each part (the merge's index for coordinates)."""
+
+    def prepare(t: pa.Table):
+        ids, _, s = _vectors(t)
+        tree = RectTree(s)
+
+        def search(qe, qs, a):
+            best, d, x = Best(k), [], []
+            for away, i in tree.nearest(qs):
+                if len(d) >= k and away > d[k - 1] + 1e-9 * norm.s:  # equal ones all come, ids decide
                     break
-                _, _, pivot, rows, ring = cells[j]
-                reach = ((kth - near[j]) * norm.e / a) if a > 0 and np.isfinite(kth) else np.inf
-                mid = np.linalg.norm(qe[i] - pivot)
-                x, y = np.searchsorted(ring, mid - reach - 1e-9), np.searchsorted(ring, mid + reach + 1e-9, "right")
-                rows = rows[x:y]
-                d = a * l2_rows(qe[i], e[rows]) / norm.e + (1 - a) * l2_rows(qs[i], s[rows]) / norm.s
-                found_d, found_i = np.concatenate([found_d, d]), np.concatenate([found_i, ids[rows]])
-                keep = _best(found_d, found_i, k)
-                found_d, found_i = found_d[keep], found_i[keep]
-            out += [(int(qid[i]), int(band[i]), int(x), float(d)) for d, x in zip(found_d, found_i)]
-        return out
-
-    return final_topk(_per_block(objects, queries, ["id", "e", "s"], run), k)
-
-
-def pivot_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int = 10, pivots: int = 8) -> DataFrame:
-    """Exact: distances to a few pivots bound those of e from below; rows in the order of the bound."""
-
-    def run(block, t):
-        qid, band, alpha, qe, qs = block
-        ids, e, s = t.column("id").to_numpy(), matrix(t.column("e")), matrix(t.column("s"))
+                d.append(away), x.append(i)
+            best.add(np.array(d) / norm.s, ids[x])
+            return best
+
+        return search
+
+    return merged(over_parts(objects, queries, prepare, k), k)
+
+
+def quad_ring_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int = 10) -> DataFrame:
+    """Exact: a quadtree of the plane, near leaves first; inside a leaf the rings around its pivot that can hold results."""
+
+    def prepare(t: pa.Table):
+        ids, e, s = _vectors(t)
+        tree = QuadTree(e, s)
+
+        def search(qe, qs, a):
+            best = Best(k)
+            for away, (_, _, _, pivot, rows, ring) in tree.leaves(qs):
+                near = (1 - a) * away / norm.s
+                if near > best.limit:
+                    break
+                if a > 0 and np.isfinite(best.limit):
+                    reach, mid = (best.limit - near) * norm.e / a, float(np.linalg.norm(qe - pivot))
+                    rows = rows[np.searchsorted(ring, mid - reach - 1e-9) : np.searchsorted(ring, mid + reach + 1e-9, "right")]
+                best.add(a * l2_rows(qe, e[rows]) / norm.e + (1 - a) * l2_rows(qs, s[rows]) / norm.s, ids[rows])
+            return best
+
+        return search
+
+    return merged(over_parts(objects, queries, prepare, k), k)
+
+
+def pivot_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int = 10, pivots: int = 4) -> DataFrame:
+    """Exact: a rectangle tree over s and one over the distances of e to a few pivots, both read by rising distance.
+
+    What neither has given yet is at least as far as the weighted sum of both fronts (differences of distances to a
+    pivot bound e from below), so the search ends where that exceeds the k-th result.
+    """
+
+    def prepare(t: pa.Table):
+        ids, e, s = _vectors(t)
         chosen = [0]
         for _ in range(1, min(pivots, len(e))):
             chosen.append(int(np.min(l2_block(e, e[chosen]), axis=1).argmax()))
-        to_pivot = l2_block(e, e[chosen])
-        out = []
-        for i in range(len(qid)):
-            a = alpha[i]
-            bound = a * np.abs(to_pivot - l2_rows(qe[i], e[chosen])).max(axis=1) / norm.e + (1 - a) * l2_rows(qs[i], s) / norm.s
-            order = np.argsort(bound, kind="stable")
-            found_d, found_i, at, step = np.zeros(0), np.zeros(0, np.int64), 0, max(32, 2 * k)
-            while at < len(order):
-                if len(found_d) >= k and bound[order[at]] > found_d.max() + 1e-9:
+        place, mapped = RectTree(s), RectTree(l2_block(e, e[chosen]), metric="max")
+
+        def search(qe, qs, a):
+            best, seen = Best(k), set()
+            fronts = [[0.0, (1 - a) / norm.s, place.nearest(qs)], [0.0, a / norm.e, mapped.nearest(l2_rows(qe, e[chosen]))]]
+            while fronts[0][0] * fronts[0][1] + fronts[1][0] * fronts[1][1] <= best.limit:
+                new, ended = [], False
+                for f in fronts:
+                    if not f[1]:
+                        continue
+                    for _ in range(16):
+                        got = next(f[2], None)
+                        if got is None:
+                            ended = True
+                            break
+                        f[0] = got[0]
+                        if got[1] not in seen:
+                            seen.add(got[1])
+                            new.append(got[1])
+                if new:
+                    best.add(a * l2_rows(qe, e[new]) / norm.e + (1 - a) * l2_rows(qs, s[new]) / norm.s, ids[new])
+                if ended:  # one tree has given all its rows
                     break
-                rows = order[at : at + step]
-                at += step
-                d = a * l2_rows(qe[i], e[rows]) / norm.e + (1 - a) * l2_rows(qs[i], s[rows]) / norm.s
-                found_d, found_i = np.concatenate([found_d, d]), np.concatenate([found_i, ids[rows]])
-                keep = _best(found_d, found_i, k)
-                found_d, found_i = found_d[keep], found_i[keep]
-            out += [(int(qid[i]), int(band[i]), int(x), float(d)) for d, x in zip(found_d, found_i)]
-        return out
+            return best
+
+        return search
 
-    return final_topk(_per_block(objects, queries, ["id", "e", "s"], run), k)
+    return merged(over_parts(objects, queries, prepare, k), k)
 
 
 def hybrid_clusters(objects: DataFrame, norm: Norm, ke: int = 8, ks: int = 8, dims: int = 8, seed: int = 42):
@@ -173,9 +395,10 @@ def cluster_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int = 10
     """
     placed, (mean, axes) = hybrid_clusters(objects, norm)
 
-    def run(block, t):
-        qid, band, alpha, qe, qs = block
-        ids, e, s, low = t.column("id").to_numpy(), matrix(t.column("e")), matrix(t.column("s")), matrix(t.column("low"))
+    def prepare(t: pa.Table):
+        t = t.sort_by("id")  # so that the order of rows decides ties as ids do
+        ids, e, s = _vectors(t)
+        low = matrix(t.column("low"))
         key = t.column("ce").to_numpy() * 1_000 + t.column("cs").to_numpy()
         space = e if exact else low
         units = []
@@ -183,25 +406,21 @@ def cluster_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int = 10
             rows = np.flatnonzero(key == c)
             me, ms = space[rows].mean(axis=0), s[rows].mean(axis=0)
             units.append((me, ms, l2_rows(me, space[rows]).max(), l2_rows(ms, s[rows]).max(), rows))
-        out = []
-        for i in range(len(qid)):
-            a, q = alpha[i], qe[i] if exact else (qe[i] - mean) @ axes.T
-            bound = np.array([a * max(0, np.linalg.norm(q - u[0]) - u[2]) / norm.e + (1 - a) * max(0, np.linalg.norm(qs[i] - u[1]) - u[3]) / norm.s for u in units])
-            found_d, found_i, rows_of = np.zeros(0), np.zeros(0, np.int64), np.zeros(0, np.int64)
-            want = k if exact else 4 * k
+
+        def search(qe, qs, a):
+            q = qe if exact else (qe - mean) @ axes.T
+            bound = np.array([a * max(0, np.linalg.norm(q - u[0]) - u[2]) / norm.e + (1 - a) * max(0, np.linalg.norm(qs - u[1]) - u[3]) / norm.s for u in units])
+            best = Best(k if exact else 4 * k)
             for j in np.argsort(bound, kind="stable"):
-                if len(found_d) >= want and bound[j] > np.sort(found_d)[want - 1] + 1e-9:
+                if bound[j] > best.limit:
                     break
                 rows = units[j][4]
-                d = a * l2_rows(q, space[rows]) / norm.e + (1 - a) * l2_rows(qs[i], s[rows]) / norm.s
-                found_d, found_i, rows_of = np.concatenate([found_d, d]), np.concatenate([found_i, ids[rows]]), np.concatenate([rows_of, rows])
-                keep = _best(found_d, found_i, want)
-                found_d, found_i, rows_of = found_d[keep], found_i[keep], rows_of[keep]
-            if not exact:
-                found_d = a * l2_rows(qe[i], e[rows_of]) / norm.e + (1 - a) * l2_rows(qs[i], s[rows_of]) / norm.s
-                keep = _best(found_d, found_i, k)
-                found_d, found_i = found_d[keep], found_i[keep]
-            out += [(int(qid[i]), int(band[i]), int(x), float(d)) for d, x in zip(found_d, found_i)]
-        return out
-
-    return final_topk(_per_block(placed, queries, ["id", "e", "s", "ce", "cs", "low"], run), k)
+                best.add(a * l2_rows(q, space[rows]) / norm.e + (1 - a) * l2_rows(qs, s[rows]) / norm.s, rows)
+            rows, out = best.i, Best(k)
+            out.n_dist = best.n_dist - len(rows)
+            out.add(a * l2_rows(qe, e[rows]) / norm.e + (1 - a) * l2_rows(qs, s[rows]) / norm.s, ids[rows])
+            return out
+
+        return search
+
+    return merged(over_parts(placed, queries, prepare, k, ("id", "e", "s", "low", "ce", "cs")), k)

@@ -120,6 +120,32 @@ def test_exact_scan_and_threshold(spark, small):
     assert exact.topk(c.objects, c.queries.where("false"), c.norm).count() == 0
 
 
+def test_exact_scan_keeps_queries_apart(spark):
+    """Large ids that are equal as doubles, and one id with other vectors per band, are queries of their own."""
+    rng = np.random.default_rng(3)
+    e, s = rng.normal(size=(300, 5)).astype(np.float32), rng.normal(size=(300, 2)).astype(np.float32)
+    objects = spark.createDataFrame([(i, a.tolist(), b.tolist()) for i, (a, b) in enumerate(zip(e, s))], "id long, e array<float>, s array<float>").repartition(3)
+    asked = [(2**60, 0, 0.4, [0.0] * 5, [0.0] * 2), (2**60 + 1, 0, 0.4, [0.0, 9, 0, 0, 0], [0.0] * 2), (7, 0, 0.3, [1.0] * 5, [0.0] * 2), (7, 1, 0.3, [1.0, 0, 0, 0, 0], [0.0] * 2), (8, 0, 1.0, [1.0] * 5, [0.0] * 2)]
+    norm = Norm(3.0, 2.0)
+    got: dict = {}
+    for r in exact.topk(objects, spark.createDataFrame(asked, "qid long, band int, alpha double, e array<double>, s array<double>"), norm, 5).collect():
+        got.setdefault((r.qid, r.band), {})[r["rank"]] = r.id
+    for qid, band, a, qe, qs in asked:
+        d = a * vectors.l2_rows(np.array(qe), e.astype(float)) / norm.e + (1 - a) * vectors.l2_rows(np.array(qs), s.astype(float)) / norm.s
+        assert [got[qid, band][k + 1] for k in range(5)] == np.lexsort((np.arange(300), d))[:5].tolist()
+
+
+def test_distances_by_products_are_those_by_differences():
+    rng = np.random.default_rng(4)
+    a, b = rng.normal(size=(70, 33)), rng.normal(size=(90, 33))
+    b[:20] = a[:20]
+    b[20:30] = a[20:30] + 1e-9
+    got = vectors.l2_block(a, b)
+    assert (got[np.arange(20), np.arange(20)] == 0).all()
+    assert np.abs(got - np.sqrt(((a[:, None] - b[None]) ** 2).sum(axis=2))).max() < 1e-10
+    assert vectors.l2_block(np.ones((3, 2)), np.zeros((0, 2))).shape == (3, 0)
+
+
 def test_merge_with_all_rows_is_exact_and_overlay_follows_its_tag(spark, small):
     c = case(spark, small)
     merged = graphs.merge_exact(c.objects, c.queries, c.norm, 10, c.n)
