@@ -4,11 +4,11 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.alpha import overlay_tag
-from ..operators import exact, index
+from ..operators import exact, index, spatial
 from ..operators.index import Index
 from ..schema import SCALE, BuildParams, Norm, SearchParams, ShardParams
 from ..storage import stash
@@ -23,23 +23,49 @@ def fixed_alpha(objects: DataFrame, params: BuildParams, norm: Norm, alpha0: flo
 
 @dataclass
 class Merge:
-    """Two single-vector indexes."""
+    """Two single-vector indexes. by_s None: a rectangle tree over a two-dimensional s, read exactly."""
 
     by_e: Index
-    by_s: Index
+    by_s: Index | None
     objects: DataFrame
     norm: Norm
 
+    def sides(self, queries: DataFrame, k_primes: tuple[int, ...]) -> tuple[DataFrame, DataFrame]:
+        """The lists of k' objects of each modality, for each k' (column ef), with n_dist and seconds."""
+        a = index.lists(self.by_e, queries.withColumn("alpha", F.lit(1.0)), k_primes)
+        if self.by_s is None:
+            return a, spatial.rect_lists(self.objects, queries.withColumn("alpha", F.lit(0.0)), self.norm, k_primes)
+        return a, index.lists(self.by_s, queries.withColumn("alpha", F.lit(0.0)), k_primes)
+
+    def sweep(self, queries: DataFrame, k_primes: tuple[int, ...], k: int = 10) -> DataFrame:
+        """Top-k' of each modality, united and ranked again by the hybrid distance, for each k' >= k.
+
+        The distances of candidates are computed once for all k'. seconds: of the two searches; the ranking is a join.
+        """
+        k_primes = tuple(max(k, x) for x in k_primes)
+        key = ["qid", "band", "ef"]
+        both = None
+        for i, side in enumerate(self.sides(queries, k_primes)):
+            one = side.select(*key, "id", "n_dist", "seconds", F.lit(i).alias("side"))
+            both = one if both is None else both.unionByName(one)
+        both = stash(both, "lists")
+        per = both.groupBy(*key, "side").agg(F.first("n_dist").alias("n_dist"), F.first("seconds").alias("seconds"))
+        work = per.groupBy(*key).agg(F.sum("n_dist").alias("n_dist"), F.sum("seconds").alias("seconds"))
+        scored = exact.distances(both.select("qid", "band", "id").distinct(), self.objects, queries, self.norm)
+        rows = both.select(*key, "id").distinct().join(scored, ["qid", "band", "id"])
+        w = Window.partitionBy(*key).orderBy(F.round("dist", 9), "id")
+        best = rows.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select(*key, "rank", "id", "dist")
+        return best.join(work, key)
+
     def search(self, queries: DataFrame, k: int = 10, k_prime: int = 100) -> DataFrame:
-        """Top-k' of each modality, united and ranked again by the hybrid distance."""
-        p = SearchParams(k=k_prime, ef_search=k_prime)
-        a = index.topk(self.by_e, queries.withColumn("alpha", F.lit(1.0)), p)
-        b = index.topk(self.by_s, queries.withColumn("alpha", F.lit(0.0)), p)
-        return rerank(a, b, self.objects, queries, self.norm, k)
+        return self.sweep(queries, (k_prime,), k).drop("ef")
 
 
 def merge(objects: DataFrame, params: BuildParams, norm: Norm, shards: ShardParams = ShardParams()) -> Merge:
-    return Merge(fixed_alpha(objects, params, norm, 1.0, shards), fixed_alpha(objects, params, norm, 0.0, shards), objects, norm)
+    """The two indexes; a rectangle tree takes the place of the second graph where s has two dimensions."""
+    width = objects.select(F.size("s").alias("n")).first()
+    flat = width is not None and width.n == 2
+    return Merge(fixed_alpha(objects, params, norm, 1.0, shards), None if flat else fixed_alpha(objects, params, norm, 0.0, shards), objects, norm)
 
 
 def rerank(a: DataFrame, b: DataFrame, objects: DataFrame, queries: DataFrame, norm: Norm, k: int) -> DataFrame:
@@ -55,35 +81,28 @@ def merge_exact(objects: DataFrame, queries: DataFrame, norm: Norm, k: int = 10,
 
 
 def overlay(objects: DataFrame, params: BuildParams, norm: Norm, shards: ShardParams = ShardParams()) -> Index:
-    """Five fixed-weight graphs in one: edges carry the weights of the graphs they come from.
+    """Five hierarchical fixed-weight graphs in one: edges of every level carry the weights of the graphs they come from.
 
-    A query uses the edges of the nearest weight. A tag is stored as its band of weights, so the search is
-    that of the range-gated graph, and a weight on the edge of two bands belongs to the lower one.
+    Levels are drawn by id, so all five have the same nodes on each level and the same entry. A query uses the edges
+    of the nearest weight. A tag is stored as its band of weights, so the search is a gated descent, and a weight on
+    the edge of two bands belongs to the lower one.
     """
-    parts = [index.build_index(objects, params.but(pruning="rng", alpha0=a, candidates="greedy", seeds="first"), norm, shards, f"overlay{i}") for i, a in enumerate(FIVE)]
-    width = SCALE // 5
-    tagged = None
+    parts = [fixed_alpha(objects, params, norm, a, shards) for a in FIVE]
+    width, key = SCALE // 5, ["shard", "level", "id"]
+    tagged = work = None
     for i, p in enumerate(parts):
-        e = p.edges().select("shard", "src", "dst", F.lit(i).alias("tag")).distinct()
+        e = p.nodes.select(*key, F.explode("dst").alias("dst"), F.lit(i).alias("tag"))
         tagged = e if tagged is None else tagged.unionByName(e)
-    tags = tagged.groupBy("shard", "src", "dst").agg(F.array_sort(F.collect_set("tag")).alias("tags"))
+        w = p.nodes.select(*key, "n_dist")
+        work = w if work is None else work.unionByName(w)
+    tags = tagged.groupBy(*key, "dst").agg(F.array_sort(F.collect_set("tag")).alias("tags"))
     lo = F.transform("tags", lambda t: F.when(t == 0, 0).otherwise(t * width + 1).cast("short"))
     hi = F.transform("tags", lambda t: ((t + 1) * width).cast("short"))
-    per = tags.withColumn("lo", lo).withColumn("hi", hi).groupBy("shard", F.col("src").alias("id")).agg(F.sort_array(F.collect_list(F.struct("dst", "lo", "hi"))).alias("a"))
-    seeds = parts[0].seeds()
-    for p in parts[1:]:
-        seeds = seeds.unionByName(p.seeds())
-    base = parts[0].nodes.select("shard", "id", "level", "e", "s")
-    nodes = base.join(per, ["shard", "id"], "left").join(seeds.distinct().withColumn("seed", F.lit(True)), ["shard", "id"], "left")
-    empty = F.array().cast("array<struct<dst:bigint,lo:array<smallint>,hi:array<smallint>>>")
-    a = F.coalesce("a", empty)
-    built = sum(p.metrics["build_s"] for p in parts)
-    work = parts[0].nodes.select("shard", "id", "n_dist")
-    for p in parts[1:]:
-        work = work.unionByName(p.nodes.select("shard", "id", "n_dist"))
-    n_dist = work.groupBy("shard", "id").agg(F.sum("n_dist").alias("n_dist"))
-    out = nodes.join(n_dist, ["shard", "id"]).select("shard", "id", F.coalesce("seed", F.lit(False)).alias("seed"), "level", "e", "s", F.transform(a, lambda x: x.dst).alias("dst"), F.transform(a, lambda x: x.lo).alias("lo"), F.transform(a, lambda x: x.hi).alias("hi"), "n_dist")
-    return Index(stash(out, "overlay"), parts[0].shards, norm, params, {"build_s": built})
+    per = tags.withColumn("lo", lo).withColumn("hi", hi).groupBy(*key).agg(F.sort_array(F.collect_list(F.struct("dst", "lo", "hi"))).alias("a"))
+    nodes = parts[0].nodes.select(*key, "seed", "e", "s").join(per, key, "left").join(work.groupBy(*key).agg(F.sum("n_dist").alias("n_dist")), key)
+    a = F.coalesce("a", F.array().cast("array<struct<dst:bigint,lo:array<smallint>,hi:array<smallint>>>"))
+    out = nodes.select("shard", "id", "seed", "level", "e", "s", F.transform(a, lambda x: x.dst).alias("dst"), F.transform(a, lambda x: x.lo).alias("lo"), F.transform(a, lambda x: x.hi).alias("hi"), "n_dist")
+    return Index(stash(out, "overlay"), parts[0].shards, norm, params.but(levels=True, pruning="rng"), {"build_s": sum(p.metrics["build_s"] for p in parts)})
 
 
 @dataclass
@@ -92,13 +111,24 @@ class Oracle:
 
     graphs: dict[float, Index]
 
-    def search(self, queries: DataFrame, params: SearchParams = SearchParams()) -> DataFrame:
+    def sweep(self, queries: DataFrame, efs: tuple[int, ...], params: SearchParams = SearchParams()) -> DataFrame:
+        """As index.sweep; queries at a weight without a graph are an error."""
+        own = lambda a: F.abs(F.col("alpha") - a) < 1e-9
+        known = F.lit(False)
+        for a in self.graphs:
+            known = known | own(a)
+        other = queries.where(~known).select("alpha").first()
+        if other is not None:
+            raise ValueError(f"no graph for weight {other.alpha}")
         out = None
         for a, g in self.graphs.items():
-            one = index.topk(g, queries.where(F.abs(F.col("alpha") - a) < 1e-9), params)
+            one = index.sweep(g, queries.where(own(a)), efs, params)
             out = one if out is None else out.unionByName(one)
         return out
 
+    def search(self, queries: DataFrame, params: SearchParams = SearchParams()) -> DataFrame:
+        return self.sweep(queries, (params.ef_search,), params).drop("ef")
+
 
 def oracle(objects: DataFrame, params: BuildParams, norm: Norm, alphas=FIVE, shards: ShardParams = ShardParams()) -> Oracle:
     return Oracle({a: fixed_alpha(objects, params, norm, a, shards) for a in alphas})

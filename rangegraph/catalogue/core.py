@@ -14,7 +14,7 @@ from ..operators import bsp, exact, index, metrics, normalisers, pareto, prune,
 from ..schema import BuildParams, SearchParams, ShardParams
 from ..sources import tables
 from ..storage import stash
-from ..workloads import Case, case, gated, merged, plain, runs_of, together
+from ..workloads import Case, asked, case, gated, merged, plain, runs_of, together
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
@@ -501,7 +501,7 @@ def graph_search_sharded(spark, sf_dir):
     c = case(spark, sf_dir)
     out = None
     for by, n, probes in (("hash", 4, "all"), ("cluster", 4, 1), ("cluster", 4, 2), ("cluster", 4, "bound")):
-        one = runs_of(f"{by}{n}/{probes}", c, gated(c, None, True, ShardParams(n, by), probes), [50])
+        one = runs_of(f"{by}{n}/{probes}", c, gated(c, None, True, ShardParams(n, by), probes), (50,))
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -511,7 +511,7 @@ def route_bounds(spark, sf_dir):
     """Pairs of query and object whose shard's bound exceeds their distance: none."""
     c = case(spark, sf_dir)
     ix = c.index(None, ShardParams(4, "cluster"))
-    r = index.route(ix, c.queries)
+    r = index.route(ix, c.queries).join(c.queries, ["qid", "band"])
     o = ix.nodes.where("level = 0").select("shard", "id", F.col("e").alias("oe"), F.col("s").alias("os"))
     d = r.join(o, "shard").withColumn("dist", vectors.hybrid("e", "s", "oe", "os", F.col("alpha"), c.norm.e, c.norm.s))
     return d.agg(F.count(F.lit(1)).alias("checked"), F.sum(F.when(F.col("bound") > F.col("dist") + 1e-6, 1).otherwise(0)).alias("above"))
@@ -548,7 +548,7 @@ def index_roundtrip(spark, sf_dir):
 @query("bl_fixed_alpha")
 def bl_fixed_alpha(spark, sf_dir):
     c = case(spark, sf_dir)
-    return runs_of("fixed", c, plain(c.fixed()), [10, 50, 100])
+    return runs_of("fixed", c, plain(c.fixed()))
 
 
 @query("bl_hsw")
@@ -561,7 +561,7 @@ def bl_hsw(spark, sf_dir):
 @query("bl_merge")
 def bl_merge(spark, sf_dir):
     c = case(spark, sf_dir)
-    return runs_of("merge", c, merged(c.merge()), [10, 50, 100])
+    return runs_of("merge", c, merged(c.merge()))
 
 
 MERGE = f"""{sql_with()}, {TOP},
@@ -580,15 +580,14 @@ def bl_merge_exact(spark, sf_dir):
 @query("bl_overlay")
 def bl_overlay(spark, sf_dir):
     c = case(spark, sf_dir)
-    return runs_of("overlay", c, plain(c.overlay()), [10, 50, 100])
+    return runs_of("overlay", c, plain(c.overlay()))
 
 
 @query("bl_oracle")
 def bl_oracle(spark, sf_dir):
     c = case(spark, sf_dir)
     q = tables.with_alphas(c.queries, list(graphs.FIVE))
-    g = c.oracle()
-    return runs_of("oracle", c, lambda q, ef: g.search(q, SearchParams(10, max(10, ef))), [10, 50, 100], q, "five")
+    return runs_of("oracle", c, asked(c.oracle()), queries=q, tag="five")
 
 
 GEO = f"{sql_with('emb_geo')}, {TOP} SELECT qid, band, rank, id, round(dist, 6) AS dist FROM t WHERE rank <= 10"
@@ -645,17 +644,30 @@ def recall_by_band(spark, sf_dir):
 
 @query("tradeoff_curve")
 def tradeoff_curve(spark, sf_dir):
-    """(recall, queries per 1,000 distance evaluations) of the range-gated graph: points that nothing beats."""
+    """(recall, queries a second on one core) of the range-gated graph over the sweep of ef: points that nothing beats."""
     c = case(spark, sf_dir)
-    runs = runs_of("range", c, gated(c), [10, 20, 50, 100]).where("band is null").withColumn("qps", 1000 / F.col("n_dist"))
-    return metrics.tradeoff(runs).select("method", "ef", "recall", F.round("qps", 4).alias("qps"))
+    runs = stash(runs_of("range", c, gated(c)).where("band is null"), "runs")
+    return metrics.tradeoff(runs).select("method", "ef", "recall", "qps", "n_dist")
 
 
 @query("qps_at_recall")
 def qps_at_recall(spark, sf_dir):
+    """Queries a second on one core at recall 0.9, of each method, from its curve."""
     c = case(spark, sf_dir)
-    runs = stash(runs_of("range", c, gated(c), [10, 20, 50, 100]).where("band is null").withColumn("qps", 1000 / F.col("n_dist")).select("method", "ef", "recall", "qps"), "runs")
-    return metrics.qps_at(runs, 0.9).select("method", F.round("qps", 4).alias("qps"))
+    together(c.index, c.fixed, c.merge)
+    out = _union([runs_of("range", c, gated(c)), runs_of("fixed", c, plain(c.fixed())), runs_of("merge", c, merged(c.merge()))])
+    return metrics.qps_at(stash(out.where("band is null").select("method", "ef", "recall", "qps"), "runs"), 0.9).select("method", F.round("qps", 1).alias("qps"))
+
+
+@query("merge_sides")
+def merge_sides(spark, sf_dir):
+    """Queries a second of the merge's two sides on the workload with coordinates: graph and rectangle tree, k' = 10 and more."""
+    c = case(spark, sf_dir, "emb_geo")
+    out = []
+    for name, side in zip(("graph", "rectangle_tree"), c.merge().sides(c.queries, (10, 50, 200))):
+        per = side.groupBy("qid", "band", "ef").agg(F.first("n_dist").alias("n_dist"), F.first("seconds").alias("seconds"))
+        out.append(_named(per.groupBy(F.col("ef").alias("k_prime")).agg(F.round(1 / F.avg("seconds"), 1).alias("qps"), F.round(F.avg("n_dist"), 1).alias("n_dist")), side=name))
+    return _union(out)
 
 
 @query("degree_stats")
@@ -684,7 +696,8 @@ def index_size(spark, sf_dir):
 @query("search_work")
 def search_work(spark, sf_dir):
     c = case(spark, sf_dir)
-    return metrics.work(index.topk(c.index(), c.queries, SearchParams(10, 100)))
+    width = c.queries.select((F.size("e") + F.size("s")).alias("n")).first().n
+    return metrics.work(index.topk(c.index(), c.queries, SearchParams(10, 100)), width)
 
 
 @query("reachability")
@@ -692,9 +705,7 @@ def reachability(spark, sf_dir):
     return metrics.reachability(case(spark, sf_dir).index())
 
 
-# --- experiments -------------------------------------------------------------------------------------------
-
-EFS = [10, 50, 100]
+# --- experiments: every sweep is the published one, ef and k' from 10 to 200 in steps of 10 ------------------
 
 
 def _union(frames) -> DataFrame:
@@ -708,10 +719,17 @@ def _named(df: DataFrame, **columns) -> DataFrame:
     return df.select(*[F.lit(v).alias(k) for k, v in columns.items()], "*")
 
 
+def _active(c: Case, ix: index.Index) -> DataFrame:
+    """band, active_degree: mean number of edges per node that a query of the band may use."""
+    per = metrics.active_degree(ix.edges(), c.queries.select("band", "alpha").distinct())
+    return per.groupBy("band").agg(F.round(F.avg("active_edges") / c.n, 2).alias("active_degree"))
+
+
 @query("wl_motivation")
 def wl_motivation(spark, sf_dir):
     c = case(spark, sf_dir)
-    return _union([runs_of("fixed", c, plain(c.fixed()), EFS), runs_of("merge", c, merged(c.merge()), EFS)]).where("band is not null")
+    together(c.fixed, c.merge)
+    return _union([runs_of("fixed", c, plain(c.fixed())), runs_of("merge", c, merged(c.merge()))]).where("band is not null")
 
 
 @query("wl_tradeoff")
@@ -720,9 +738,19 @@ def wl_tradeoff(spark, sf_dir):
     cases = [case(spark, sf_dir, name) for name in ("emb_split", "emb_geo", "text_emb", "doc_pair")]
     together(*[f for c in cases for f in (c.index, c.fixed, c.merge, c.overlay, c.truth)])
     for c in cases:
-        name = c.name
         for method, search in (("range", gated(c)), ("fixed", plain(c.fixed())), ("merge", merged(c.merge())), ("overlay", plain(c.overlay()))):
-            out.append(_named(runs_of(method, c, search, EFS), workload=name))
+            out.append(_named(runs_of(method, c, search), workload=c.name))
+    return _union(out)
+
+
+@query("wl_bands")
+def wl_bands(spark, sf_dir):
+    """Recall and work per band next to the active degree of the band: what a query may use against what it finds."""
+    c = case(spark, sf_dir)
+    together(c.index, c.fixed, c.overlay)
+    out = []
+    for method, ix in (("range", c.index()), ("fixed", c.fixed()), ("overlay", c.overlay())):
+        out.append(runs_of(method, c, plain(ix)).where("band is not null").join(_active(c, ix), "band"))
     return _union(out)
 
 
@@ -730,45 +758,56 @@ def wl_tradeoff(spark, sf_dir):
 def wl_oracle_gap(spark, sf_dir):
     c = case(spark, sf_dir)
     together(c.index, c.merge, c.overlay, *[lambda a=a: c.fixed(None, a) for a in graphs.FIVE])
-    q, g = stash(tables.with_alphas(c.queries, list(graphs.FIVE)), "five"), c.oracle()
-    searches = {"range": gated(c), "fixed": plain(c.fixed()), "merge": merged(c.merge()), "overlay": plain(c.overlay()), "oracle": lambda q, ef: g.search(q, SearchParams(10, max(10, ef)))}
-    return _union([runs_of(m, c, s, EFS, q, "five") for m, s in searches.items()])
+    q = stash(tables.with_alphas(c.queries, list(graphs.FIVE)), "five")
+    searches = {"range": gated(c), "fixed": plain(c.fixed()), "merge": merged(c.merge()), "overlay": plain(c.overlay()), "oracle": asked(c.oracle())}
+    return _union([runs_of(m, c, s, queries=q, tag="five") for m, s in searches.items()])
 
 
 @query("wl_extreme")
 def wl_extreme(spark, sf_dir):
     c = case(spark, sf_dir)
     together(c.index, c.fixed, c.overlay, c.merge)
-    q, g = stash(tables.with_alphas(c.queries, [0.0, 1.0]), "extreme"), c.oracle((0.0, 1.0))
-    searches = {"range": gated(c), "fixed": plain(c.fixed()), "overlay": plain(c.overlay()), "oracle": lambda q, ef: g.search(q, SearchParams(10, max(10, ef)))}
-    return _union([runs_of(m, c, s, EFS, q, "extreme") for m, s in searches.items()])
+    q = stash(tables.with_alphas(c.queries, [0.0, 1.0]), "extreme")
+    searches = {"range": gated(c), "fixed": plain(c.fixed()), "merge": merged(c.merge()), "overlay": plain(c.overlay()), "oracle": asked(c.oracle((0.0, 1.0)))}
+    return _union([runs_of(m, c, s, queries=q, tag="extreme") for m, s in searches.items()])
+
+
+SCALES = (("doc_geo", 1), ("event_stream", 1), ("line_geo", 16), ("line_geo", 4), ("line_geo", 1))
 
 
 @query("wl_scale")
-def wl_scale(spark, sf_dir):
-    """Objects, shards, distance evaluations per insertion, degree and recall on the growing workloads with coordinates."""
+def wl_scale(spark, sf_dir, rows_per_shard: int = 2_048):
+    """The growing workloads with coordinates (the largest one at a sixteenth, a quarter and all of its rows): build
+    seconds, shards, evaluations per insertion, and the sharded graph against an exact scan."""
+    from ..workloads import portion
+
     out = []
-    for name, rows in (("doc_geo", 512), ("event_stream", 2_048)):
-        c = case(spark, sf_dir, name)
-        ix = c.index(None, ShardParams(max(1, -(-c.n // rows)), "hash"))
+    for name, part in SCALES:
+        c = portion(spark, sf_dir, name, part, BuildParams(M=10, ef_c=50))
+        shards = ShardParams(max_rows=rows_per_shard)
+        ix = c.index(None, shards)
         n_dist = ix.nodes.agg(F.sum("n_dist").alias("n")).first().n
-        r = runs_of("range", c, gated(c, None, True, ShardParams(max(1, -(-c.n // rows)), "hash")), [50]).where("band is null")
-        out.append(_named(r, workload=name, objects=c.n, evaluations_per_insertion=round(n_dist / max(1, c.n), 1)))
+        cost = {"workload": name, "objects": c.n, "shards": ix.shards.count(), "build_s": round(ix.metrics["build_s"], 2), "evaluations_per_insertion": round(n_dist / max(1, c.n), 1)}
+        out.append(_named(runs_of("range", c, gated(c, None, True, shards), (10, 50, 100)), **cost))
+        out.append(_named(runs_of("scan", c, lambda q, efs, c=c: spatial.scan_topk(c.objects, q, c.norm), (10,)), **cost))
     return _union(out)
 
 
+def _cost(parts: list[index.Index]) -> DataFrame:
+    """One row: edges, degree, bytes, evaluations and seconds to build, summed over the parts."""
+    each = [metrics.degree(x.edges(), x.nodes).join(metrics.index_size(x), F.lit(True)).join(x.nodes.agg(F.sum("n_dist").alias("evaluations")), F.lit(True)).withColumn("build_s", F.lit(round(x.metrics["build_s"], 3))) for x in parts]
+    return _union(each).agg(*[F.sum(x).alias(x) for x in ("edges", "avg_edges", "vector_bytes", "edge_bytes", "range_bytes", "evaluations", "build_s")])
+
+
 @query("wl_index_cost")
 def wl_index_cost(spark, sf_dir):
-    """Edges, bytes and distance evaluations of all indexes (evaluations stand for build time, which the bench measures)."""
+    """Edges, bytes, distance evaluations and seconds to build of all indexes, built one after the other."""
     out, cases = [], [case(spark, sf_dir, name) for name in ("emb_split", "emb_geo", "text_emb", "doc_pair")]
-    together(*[f for c in cases for f in (c.index, c.fixed, c.merge, c.overlay)])
     for c in cases:
-        name, m = c.name, c.merge()
-        for method, parts in (("range", [c.index()]), ("fixed", [c.fixed()]), ("merge", [m.by_e, m.by_s]), ("overlay", [c.overlay()])):
-            for k, ix in enumerate(parts):
-                one = metrics.degree(ix.edges(), ix.nodes).join(metrics.index_size(ix), F.lit(True)).join(ix.nodes.agg(F.sum("n_dist").alias("evaluations")), F.lit(True))
-                out.append(_named(one, workload=name, method=method, part=k))
-    return _union(out).groupBy("workload", "method").agg(*[F.sum(x).alias(x) for x in ("edges", "avg_edges", "vector_bytes", "edge_bytes", "range_bytes", "evaluations")])
+        m = c.merge()
+        for method, parts in (("range", [c.index()]), ("fixed", [c.fixed()]), ("merge", [x for x in (m.by_e, m.by_s) if x is not None]), ("overlay", [c.overlay()])):
+            out.append(_named(_cost(parts), workload=c.name, method=method))
+    return _union(out)
 
 
 def _scaled(c: Case, M: int, ef: int) -> BuildParams:
@@ -783,7 +822,7 @@ def wl_sensitivity(spark, sf_dir):
     for M, ef, oM, oef in grid:
         p = _scaled(c, M, ef)
         for method, s in (("range", gated(c, p)), ("fixed", plain(c.fixed(p))), ("merge", merged(c.merge(p))), ("overlay", plain(c.overlay(_scaled(c, oM, oef))))):
-            out.append(_named(runs_of(method, c, s, [50]).where("band is null"), M=M, ef_c=ef))
+            out.append(_named(runs_of(method, c, s).where("band is null"), M=M, ef_c=ef))
     return _union(out)
 
 
@@ -793,7 +832,7 @@ def wl_ablation(spark, sf_dir):
     p = c.params
     kinds = {"full": (p, True), "no_pruning": (p.but(pruning="none"), True), "static_use": (p, False), "greedy_candidates": (p.but(candidates="greedy"), True), "centroid_seeds": (p.but(seeds="centroid"), True), "random_seeds": (p.but(seeds="random"), True)}
     together(*[lambda k=k: c.index(k) for k, _ in kinds.values()])
-    return _union([runs_of(m, c, gated(c, k, gate), EFS) for m, (k, gate) in kinds.items()])
+    return _union([runs_of(m, c, gated(c, k, gate)) for m, (k, gate) in kinds.items()])
 
 
 @query("wl_variants")
@@ -803,7 +842,7 @@ def wl_variants(spark, sf_dir):
     p = c.params
     kinds = {"printed": p, "witness_active": p.but(witness="active"), "cap_hard": p.but(cap="hard"), "ties_definition": p.but(ties="definition"), "reverse_append": p.but(reverse="append"), "th_0": p.but(th=0.0), "th_0.3": p.but(th=0.3), "seeds_capped": p.but(max_seeds=4)}
     together(*[lambda k=k: c.index(k) for k in kinds.values()])
-    return _union([runs_of(m, c, gated(c, k), [50]) for m, k in kinds.items()])
+    return _union([runs_of(m, c, gated(c, k)) for m, k in kinds.items()])
 
 
 PARITY = {"range": [(40, 200)], "fixed": [(40, 200), (50, 250), (60, 300), (70, 350), (80, 400)], "merge": [(40, 200), (50, 250), (60, 300), (70, 350), (80, 400)], "overlay": [(10, 50), (12, 60), (14, 70), (16, 80), (18, 90), (20, 100), (30, 150), (40, 200)]}
@@ -811,7 +850,7 @@ PARITY = {"range": [(40, 200)], "fixed": [(40, 200), (50, 250), (60, 300), (70,
 
 @query("wl_parity")
 def wl_parity(spark, sf_dir):
-    """All settings of the parity tables, scaled: edges per node, bytes, evaluations to build, recall at ef 50."""
+    """All settings of the parity tables, scaled: seconds and evaluations to build, edges per node, bytes, and the sweep."""
     c, out = case(spark, sf_dir), []
     builds = {"range": c.index, "fixed": c.fixed, "merge": c.merge, "overlay": c.overlay}
     together(*[lambda f=builds[m], p=_scaled(c, M, ef): f(p) for m, settings in PARITY.items() for M, ef in settings])
@@ -820,19 +859,17 @@ def wl_parity(spark, sf_dir):
             p = _scaled(c, M, ef)
             parts = {"range": lambda: [c.index(p)], "fixed": lambda: [c.fixed(p)], "merge": lambda: [c.fixed(p, 1.0), c.fixed(p, 0.0)], "overlay": lambda: [c.overlay(p)]}[method]()
             search = merged(c.merge(p)) if method == "merge" else plain(parts[0])
-            cost = _union([metrics.degree(x.edges(), x.nodes).join(metrics.index_size(x), F.lit(True)).join(x.nodes.agg(F.sum("n_dist").alias("evaluations")), F.lit(True)) for x in parts])
-            total = cost.agg(F.sum("avg_edges").alias("avg_edges"), F.sum(F.col("vector_bytes") + F.col("edge_bytes") + F.col("range_bytes")).alias("bytes"), F.sum("evaluations").alias("evaluations"))
-            out.append(_named(runs_of(method, c, search, [50]).where("band is null").join(total, F.lit(True)), M=M, ef_c=ef))
+            out.append(_named(runs_of(method, c, search).where("band is null").join(F.broadcast(_cost(parts)), F.lit(True)), M=M, ef_c=ef))
     return _union(out)
 
 
 @query("wl_spatial_prior")
 def wl_spatial_prior(spark, sf_dir):
-    """Prior methods for text with coordinates against the graph: recall on the workload with a two-dimensional side."""
+    """Prior methods for text with coordinates, a scan and the graph: recall, evaluations and rate on the workload with a two-dimensional side."""
     c = case(spark, sf_dir, "emb_geo")
-    methods = {"quad_ring": spatial.quad_ring_topk, "pivot": spatial.pivot_topk, "clusters": spatial.cluster_topk, "clusters_approx": lambda o, q, n: spatial.cluster_topk(o, q, n, exact=False)}
-    prior = [runs_of(m, c, lambda q, ef, f=f: f(c.objects, q, c.norm), [10]) for m, f in methods.items()]
-    return _union([*prior, runs_of("range", c, gated(c), [50])])
+    methods = {"scan": spatial.scan_topk, "quad_ring": spatial.quad_ring_topk, "pivot": spatial.pivot_topk, "clusters": spatial.cluster_topk, "clusters_approx": lambda o, q, n: spatial.cluster_topk(o, q, n, exact=False)}
+    prior = [runs_of(m, c, lambda q, efs, f=f: f(c.objects, q, c.norm), (10,)) for m, f in methods.items()]
+    return _union([*prior, runs_of("range", c, gated(c))])
 
 
 # --- plans and the index source ----------------------------------------------------------------------------
@@ -840,11 +877,20 @@ def wl_spatial_prior(spark, sf_dir):
 
 @query("planner_filtered_topk", f"{sql_with()}, h AS (SELECT qid, band, o.id, {DIST} AS dist FROM q, o, nrm WHERE o.id IN (SELECT doc_id FROM documents WHERE lang <> 'en')), t AS (SELECT *, CAST(row_number() OVER (PARTITION BY qid, band ORDER BY round(dist, 9), id) AS INTEGER) AS rank FROM h) SELECT qid, band, rank, id, round(dist, 6) AS dist FROM t WHERE rank <= 10")
 def planner_filtered_topk(spark, sf_dir):
-    """A filtered search; at this size the planner scans."""
+    """A filtered search that must be exact."""
+    from ..plans import planner
+
+    c = case(spark, sf_dir)
+    return rounded(planner.topk(c.objects, c.queries, c.norm, 10, F.col("attrs.lang") != "en")[0])
+
+
+@query("planner_graph_topk")
+def planner_graph_topk(spark, sf_dir):
+    """The same filter over the graph: the search asks for more, filters, and scans for queries that come short."""
     from ..plans import planner
 
     c = case(spark, sf_dir)
-    return rounded(planner.topk(c.objects, c.queries, c.norm, 10, F.col("attrs.lang") != "en", c.index())[0])
+    return rounded(planner.topk(c.objects, c.queries, c.norm, 10, F.col("attrs.lang") != "en", c.index(), guarantee="approximate")[0])
 
 
 @query("range_index_source")

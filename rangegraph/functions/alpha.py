@@ -107,7 +107,11 @@ def halfline_block(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray
         cut = a / b
     lo = np.where(b < 0, np.maximum(cut, 0.0), 0.0)
     hi = np.where(b > 0, np.minimum(cut, 1.0), 1.0)
-    return np.where((b == 0) & (a <= 0), 1.0, lo), np.where((b == 0) & (a <= 0), 0.0, hi)
+    flat = b == 0
+    if flat.any():
+        none = flat & (a <= 0)
+        lo[none], hi[none] = 1.0, 0.0
+    return lo, hi
 
 
 def pruned_block(de_pz, ds_pz, de_px, ds_px, de_zx, ds_zx) -> tuple[np.ndarray, np.ndarray]:

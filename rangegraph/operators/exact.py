@@ -110,13 +110,18 @@ def threshold_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int =
         depth *= 2
 
 
-def rescore(candidates: DataFrame, objects: DataFrame, queries: DataFrame, norm: Norm, k: int) -> DataFrame:
-    """Top-k of candidate rows (qid, band, id) by their hybrid distance."""
+def distances(candidates: DataFrame, objects: DataFrame, queries: DataFrame, norm: Norm) -> DataFrame:
+    """qid, band, id, dist of candidate rows (qid, band, id)."""
     from ..functions.vectors import hybrid
 
     q = queries.select("qid", "band", "alpha", F.col("e").alias("qe"), F.col("s").alias("qs"))
     rows = candidates.join(objects.select("id", "e", "s"), "id").join(q, ["qid", "band"])
-    return final_topk(rows.select("qid", "band", "id", hybrid("e", "s", "qe", "qs", F.col("alpha"), norm.e, norm.s).alias("dist")), k)
+    return rows.select("qid", "band", "id", hybrid("e", "s", "qe", "qs", F.col("alpha"), norm.e, norm.s).alias("dist"))
+
+
+def rescore(candidates: DataFrame, objects: DataFrame, queries: DataFrame, norm: Norm, k: int) -> DataFrame:
+    """Top-k of candidate rows (qid, band, id) by their hybrid distance."""
+    return final_topk(distances(candidates, objects, queries, norm), k)
 
 
 def similarity_pairs(objects: DataFrame, norm: Norm, alpha: float, radius: float) -> DataFrame:

@@ -3,6 +3,10 @@
 Each shard holds its own graph, of a bounded number of rows, so building is one shuffle by shard and one
 task per shard, and a search reads the shards it is routed to. A shard's lower bound of distance holds for
 every weight (triangle inequality per modality), so one layout serves all weights.
+
+Routing moves numbers only (query, shard, bound); vectors are joined to what is left after the bounds have pruned.
+A shard is read as flat arrays, once per task, for all settings of a sweep. With fewer shards than cores several
+tasks share a shard's queries.
 """
 
 from __future__ import annotations
@@ -24,7 +28,7 @@ from ..storage import stash
 from . import kernel
 from .exact import final_topk
 
-FOUND = "qid long, band int, id long, dist double, shard int, n_dist long, hops long, scanned long, gated long, stopped long"
+FOUND = "qid long, band int, ef int, id long, dist double, shard int, n_dist long, hops long, scanned long, gated long, stopped long, seconds double"
 SHARDS = "shard int, n long, ce array<double>, cs array<double>, re double, rs double"
 ROUTE_BYTES = 64_000_000
 
@@ -51,15 +55,18 @@ class Index:
 
 
 def assign(objects: DataFrame, params: ShardParams, norm: Norm | None = None) -> DataFrame:
-    """objects with `shard`. Hash: even sizes. Cluster: nearest of trained centroids, too large clusters split by hash."""
-    if params.n <= 1:
+    """objects with `shard`; no shard is meant to get more than max_rows. Hash: even sizes, as many shards as that needs.
+    Cluster: nearest of trained centroids, too large clusters split by hash."""
+    rows = objects.count()
+    n = max(params.n or 1, -(-rows // params.max_rows), 1)
+    if n == 1:
         return objects.withColumn("shard", F.lit(0))
     if params.by == "hash":
-        return objects.withColumn("shard", F.pmod(F.xxhash64("id"), F.lit(params.n)).cast("int"))
+        return objects.withColumn("shard", F.pmod(F.xxhash64("id"), F.lit(n)).cast("int"))
     norm = norm or Norm(1.0, 1.0)
-    sample = objects.orderBy(F.xxhash64("id")).limit(min(20_000, 200 * params.n)).select("e", "s").collect()
+    sample = objects.orderBy(F.xxhash64("id")).limit(min(20_000, 200 * n)).select("e", "s").collect()
     points = np.array([np.concatenate([np.array(r.e) / norm.e, np.array(r.s) / norm.s]) for r in sample])
-    centers = _centers(points, params.n)
+    centers = _centers(points, n)
 
     def near(batches):
         for b in batches:
@@ -98,29 +105,43 @@ def _node_table(g: kernel.Graph, shard: int) -> pa.Table:
         for k, v in zip(rows, (shard, int(g.ids[p]), p in seeds, 0, g.e[p].astype(np.float32).tolist(), g.s[p].astype(np.float32).tolist(), g.ids[g.nbrs[p]].tolist(), lo, hi, g.n_dist if p == 0 else 0)):
             rows[k].append(v)
     for k in range(1, len(g.levels)):
-        for p, near in g.levels[k].items():
-            for c, v in zip(rows, (shard, int(g.ids[p]), p in seeds, k, [], [], g.ids[near].tolist(), [], [], 0)):
+        for p, (near, low, high) in g.levels[k].items():
+            for c, v in zip(rows, (shard, int(g.ids[p]), p in seeds, k, [], [], g.ids[near].tolist(), [[x] for x in low.tolist()], [[x] for x in high.tolist()], 0)):
                 rows[c].append(v)
     types = [pa.int32(), pa.int64(), pa.bool_(), pa.int32(), pa.list_(pa.float32()), pa.list_(pa.float32()), pa.list_(pa.int64()), pa.list_(pa.list_(pa.int16())), pa.list_(pa.list_(pa.int16())), pa.int64()]
     return pa.table({k: pa.array(v, t) for (k, v), t in zip(rows.items(), types)})
 
 
+def _one(column: pa.ChunkedArray) -> pa.Array:
+    return column.combine_chunks() if column.num_chunks != 1 else column.chunk(0)
+
+
+def _arcs(rows: pa.Table, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """start, dst, lo, hi: the arcs of all rows as flat arrays, one place per interval, read from the buffers of the lists."""
+    near, low, high = (_one(rows.column(c)) for c in ("dst", "lo", "hi"))
+    degree = np.diff(near.offsets.to_numpy())
+    dst = np.searchsorted(ids, near.flatten().to_numpy())
+    inner, pieces = low.flatten(), np.diff(low.flatten().offsets.to_numpy()) if len(dst) else np.zeros(0, np.int64)
+    lo, hi = (x.flatten().to_numpy().astype(np.int32) if len(dst) else np.zeros(0, np.int32) for x in (inner, high.flatten()))
+    total = np.concatenate([[0], np.cumsum(pieces)])
+    start = total[np.concatenate([[0], np.cumsum(degree)])]
+    return start, np.repeat(dst, pieces), lo, hi
+
+
 def _graph(nodes: pa.Table, norm: Norm) -> kernel.Graph:
-    base = nodes.filter(pc.equal(nodes.column("level"), 0)).sort_by("id")
+    base = nodes.filter(pc.equal(nodes.column("level"), 0)).sort_by("id").combine_chunks()
     ids = base.column("id").to_numpy()
     g = kernel.Graph(ids, matrix(base.column("e")), matrix(base.column("s")), norm)
-    for p, (dst, lo, hi) in enumerate(zip(base.column("dst").to_pylist(), base.column("lo").to_pylist(), base.column("hi").to_pylist())):
-        at = np.searchsorted(ids, np.array(dst, np.int64))
-        g.nbrs[p] = at
-        n = [len(x) for x in lo]
-        g.flat[p] = np.repeat(at, n), np.array([x for y in lo for x in y], np.int32), np.array([x for y in hi for x in y], np.int32)
+    g.load(*_arcs(base, ids))
     g.seeds = np.flatnonzero(base.column("seed").to_numpy(zero_copy_only=False))
-    upper = nodes.filter(pc.greater(nodes.column("level"), 0))
+    upper = nodes.filter(pc.greater(nodes.column("level"), 0)).combine_chunks()
     if upper.num_rows:
-        top = max(upper.column("level").to_pylist())
-        g.levels = [dict() for _ in range(top + 1)]
-        for i, k, dst in zip(upper.column("id").to_pylist(), upper.column("level").to_pylist(), upper.column("dst").to_pylist()):
-            g.levels[k][int(np.searchsorted(ids, i))] = np.searchsorted(ids, np.array(dst, np.int64))
+        level, at = upper.column("level").to_numpy(), np.searchsorted(ids, upper.column("id").to_numpy())
+        start, dst, lo, hi = _arcs(upper, ids)
+        g.levels = [dict() for _ in range(int(level.max()) + 1)]
+        for i, (k, p) in enumerate(zip(level.tolist(), at.tolist())):
+            x = slice(start[i], start[i + 1])
+            g.levels[k][p] = dst[x], lo[x], hi[x]
     return g
 
 
@@ -138,7 +159,7 @@ def build_index(objects: DataFrame, params: BuildParams, norm: Norm, shards: Sha
 
     placed = assign(objects.select("id", "e", "s"), shards, norm)
     nodes = stash(placed.groupBy("shard").applyInArrow(run, NODES), tag)
-    built = Index(nodes, summarise(nodes), norm, params)
+    built = Index(nodes, stash(summarise(nodes), "shards"), norm, params)
     built.metrics["build_s"] = time.time() - began
     return built
 
@@ -169,7 +190,7 @@ def read_index(spark: SparkSession, path: str) -> Index:
 
 
 def route(index: Index, queries: DataFrame, probes: int | str = "all") -> DataFrame:
-    """queries with `shard` and `bound`, a row per shard to visit; the table of shards is sent along (its size is checked)."""
+    """qid, band, shard, bound, place: a row per shard to visit, by rising bound; the table of shards is sent along (its size is checked)."""
     shards = index.shards.collect()
     width = max((len(r.ce) + len(r.cs) for r in shards), default=0)
     if len(shards) * width * 8 > ROUTE_BYTES:
@@ -182,67 +203,97 @@ def route(index: Index, queries: DataFrame, probes: int | str = "all") -> DataFr
 
     def run(batches):
         for b in batches:
-            if not b.num_rows:
+            if not b.num_rows or not most:
                 continue
             a = b.column("alpha").to_numpy()[:, None]
             low = a * np.maximum(0, l2_block(matrix(b.column("e")), ce) - re) / norm.e + (1 - a) * np.maximum(0, l2_block(matrix(b.column("s")), cs) - rs) / norm.s
             pick = np.lexsort((np.broadcast_to(names, low.shape), low), axis=1)[:, :most]
-            row = np.repeat(np.arange(b.num_rows), most)
-            t = b.take(pa.array(row))
-            yield t.append_column("shard", pa.array(names[pick.reshape(-1)])).append_column("bound", pa.array(np.take_along_axis(low, pick, 1).reshape(-1)))
+            row = pa.array(np.repeat(np.arange(b.num_rows), most))
+            yield pa.RecordBatch.from_arrays(
+                [b.column("qid").take(row), b.column("band").take(row), pa.array(names[pick.reshape(-1)]), pa.array(np.take_along_axis(low, pick, 1).reshape(-1)), pa.array(np.tile(np.arange(1, most + 1, dtype=np.int32), b.num_rows))],
+                names=["qid", "band", "shard", "bound", "place"],
+            )
 
-    from pyspark.sql.types import DoubleType, IntegerType, StructType
+    return queries.select("qid", "band", "alpha", "e", "s").mapInArrow(run, ROUTED)
 
-    q = queries.select("qid", "band", "alpha", "e", "s")
-    return q.mapInArrow(run, StructType([*q.schema.fields]).add("shard", IntegerType()).add("bound", DoubleType()))
+
+ROUTED = "qid long, band int, shard int, bound double, place int"
 
 
-def search_shards(index: Index, routed: DataFrame, params: SearchParams, tags: list[float] | None = None) -> DataFrame:
-    """Results of each query in each shard it is routed to, with counters of work (FOUND)."""
-    norm, levels = index.norm, index.params.levels
+def search_shards(index: Index, queries: DataFrame, routed: DataFrame | None, params: SearchParams, efs: tuple[int, ...] | None = None) -> DataFrame:
+    """FOUND: results of each query in each shard it is routed to (None: all), for each ef, with counters and seconds of work.
+
+    k is params.k for every ef, or ef itself where params.k is 0 (lists for a merge).
+    """
+    norm, levels, efs = index.norm, index.params.levels, tuple(efs or (params.ef_search,))
+    n = index.shards.count()
+    cores = index.nodes.sparkSession.sparkContext.defaultParallelism
+    copies = params.copies or max(1, min(8, cores // max(1, n)))
 
     def run(nodes: pa.Table, asked: pa.Table) -> pa.Table:
         rows: list[tuple] = []
         if nodes.num_rows and asked.num_rows:
             g, shard = _graph(nodes, norm), nodes.column("shard")[0].as_py()
             qe, qs = matrix(asked.column("e")), matrix(asked.column("s"))
+            ids = g.ids.tolist()
             for i, (qid, band, alpha) in enumerate(zip(asked.column("qid").to_pylist(), asked.column("band").to_pylist(), asked.column("alpha").to_pylist())):
-                c: dict = {}
-                if levels:
-                    got = kernel.descend(g, qe[i], qs[i], alpha, params.ef_search, c)
-                else:
-                    got = kernel.best_first(g, qe[i], qs[i], alpha, g.seeds, params.ef_search, params.gate, params.early_stop, None, c)
-                for d, x in got[: params.k]:
-                    rows.append((qid, band, int(g.ids[x]), d, shard, c["n_dist"], c["hops"], c["scanned"], c["gated"], c["stopped"]))
-        types = [pa.int64(), pa.int32(), pa.int64(), pa.float64(), pa.int32()] + [pa.int64()] * 5
-        names = ["qid", "band", "id", "dist", "shard", "n_dist", "hops", "scanned", "gated", "stopped"]
-        return pa.table({n: pa.array([r[j] for r in rows], t) for j, (n, t) in enumerate(zip(names, types))})
+                for ef in efs:
+                    c: dict = {}
+                    began = time.perf_counter()
+                    if levels:
+                        got = kernel.descend(g, qe[i], qs[i], alpha, ef, c, params.gate)
+                    else:
+                        got = kernel.best_first(g, qe[i], qs[i], alpha, g.seeds, ef, params.gate, params.early_stop, None, c)
+                    seconds = time.perf_counter() - began
+                    rows += [(qid, band, ef, ids[x], d, shard, c["n_dist"], c["hops"], c["scanned"], c["gated"], c["stopped"], seconds) for d, x in got[: params.k or ef]]
+        types = [pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.float64(), pa.int32()] + [pa.int64()] * 5 + [pa.float64()]
+        return pa.table({f.split()[0]: pa.array([r[j] for r in rows], t) for j, (f, t) in enumerate(zip(FOUND.split(", "), types))})
 
-    return index.nodes.groupBy("shard").cogroup(routed.groupBy("shard")).applyInArrow(run, FOUND)
+    q = queries.select("qid", "band", "alpha", "e", "s")
+    if routed is None:
+        asked = q.join(F.broadcast(index.shards.select("shard")), F.lit(True))
+    else:
+        asked = q.join(routed.select("qid", "band", "shard"), ["qid", "band"])
+    asked = asked.withColumn("copy", F.pmod(F.xxhash64("qid", "band"), F.lit(copies)).cast("int"))
+    nodes = index.nodes.withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(copies - 1)))) if copies > 1 else index.nodes.withColumn("copy", F.lit(0))
+    return nodes.groupBy("shard", "copy").cogroup(asked.groupBy("shard", "copy")).applyInArrow(lambda a, b: run(a, b), FOUND)
 
 
 def topk(index: Index, queries: DataFrame, params: SearchParams = SearchParams()) -> DataFrame:
     """qid, band, rank, id, dist and the counters of work per query, from a gated best-first search."""
+    return sweep(index, queries, (params.ef_search,), params).drop("ef")
+
+
+def sweep(index: Index, queries: DataFrame, efs: tuple[int, ...], params: SearchParams = SearchParams()) -> DataFrame:
+    """The same for several ef at once, with the column `ef`: every shard is read once."""
+    efs = tuple(max(params.k, ef) for ef in efs)
     if params.probes == "bound":
-        return _by_rounds(index, queries, params)
-    return merge(search_shards(index, route(index, queries, params.probes), params), params.k)
+        found = _by_rounds(index, queries, efs, params)
+    else:
+        found = search_shards(index, queries, None if params.probes == "all" else route(index, queries, params.probes), params, efs)
+    return merge(found, params.k)
+
+
+def lists(index: Index, queries: DataFrame, efs: tuple[int, ...]) -> DataFrame:
+    """As `sweep` over all shards, but the ef best for each ef."""
+    return merge(search_shards(index, queries, None, SearchParams(k=0), efs), 0)
 
 
-WORK = ("n_dist", "hops", "scanned", "gated", "stopped")
+WORK = ("n_dist", "hops", "scanned", "gated", "stopped", "seconds")
 
 
 def merge(found: DataFrame, k: int) -> DataFrame:
-    """Final top-k of the shards' results; counters are summed over shards."""
-    per = found.groupBy("qid", "band", "shard").agg(*[F.first(c).alias(c) for c in WORK]).groupBy("qid", "band").agg(*[F.sum(c).alias(c) for c in WORK], F.count(F.lit(1)).alias("probed"))
-    return final_topk(found, k).join(per, ["qid", "band"])
+    """Final top-k of the shards' results (k = 0: the ef best); counters are summed over shards."""
+    per = found.groupBy("qid", "band", "ef", "shard").agg(*[F.first(c).alias(c) for c in WORK]).groupBy("qid", "band", "ef").agg(*[F.sum(c).alias(c) for c in WORK], F.count(F.lit(1)).alias("probed"))
+    w = Window.partitionBy("qid", "band", "ef").orderBy(F.round("dist", 9), "id")
+    best = found.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= (F.lit(k) if k else F.col("ef"))).select("qid", "band", "ef", "rank", "id", "dist")
+    return best.join(per, ["qid", "band", "ef"])
 
 
-def _by_rounds(index: Index, queries: DataFrame, params: SearchParams) -> DataFrame:
-    """First the shard of least bound, then all shards whose bound is below the k-th result so far."""
+def _by_rounds(index: Index, queries: DataFrame, efs: tuple[int, ...], params: SearchParams) -> DataFrame:
+    """First the shard of least bound, then all shards whose bound is below the k-th result so far (of the least ef)."""
     routed = stash(route(index, queries, "all"), "route")
-    nearest = Window.partitionBy("qid", "band").orderBy("bound", "shard")
-    ranked = routed.withColumn("n", F.row_number().over(nearest))
-    first = stash(search_shards(index, ranked.where("n = 1").drop("n"), params), "round")
-    kth = final_topk(first, params.k).groupBy("qid", "band").agg(F.max("dist").alias("kth"), F.count(F.lit(1)).alias("have"))
-    again = ranked.where("n > 1").join(kth, ["qid", "band"], "left").where(F.col("kth").isNull() | (F.col("have") < params.k) | (F.col("bound") < F.col("kth")))
-    return merge(first.unionByName(search_shards(index, again.drop("n", "kth", "have"), params)), params.k)
+    first = stash(search_shards(index, queries, routed.where("place = 1"), params, efs), "round")
+    kth = final_topk(first.where(F.col("ef") == min(efs)), params.k).groupBy("qid", "band").agg(F.max("dist").alias("kth"), F.count(F.lit(1)).alias("have"))
+    again = routed.where("place > 1").join(kth, ["qid", "band"], "left").where(F.col("kth").isNull() | (F.col("have") < params.k) | (F.col("bound") < F.col("kth")))
+    return first.unionByName(search_shards(index, queries, again, params, efs))

@@ -14,16 +14,25 @@ from .seeds import rim_block
 
 
 class Graph:
-    """Nodes with two vectors, adjacency with active ranges, start nodes, and counters of work."""
+    """Nodes with two vectors, adjacency with active ranges, start nodes, and counters of work.
+
+    While it is built, a node has its neighbours and ranges in lists; a graph that is only read has its arcs as flat
+    arrays (`load`). levels: per upper level a dict from node to its arcs.
+    """
 
     def __init__(self, ids: np.ndarray, e: np.ndarray, s: np.ndarray, norm: Norm):
         self.ids, self.e, self.s, self.norm = ids, e, s, norm
         self.nbrs: list[np.ndarray] = [np.zeros(0, np.int64)] * len(ids)
         self.ranges: list[list] = [[] for _ in range(len(ids))]
         self.seeds = np.zeros(0, np.int64)
-        self.levels: list[dict[int, np.ndarray]] = []
+        self.levels: list[dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]]] = []
         self.n_dist = 0
         self.flat: list[tuple[np.ndarray, np.ndarray, np.ndarray] | None] = [None] * len(ids)
+        self.start: np.ndarray | None = None
+
+    def load(self, start: np.ndarray, dst: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> None:
+        """All arcs as flat arrays; those of node p are in start[p] to start[p + 1]."""
+        self.start, self.dst, self.lo, self.hi = start, dst, lo, hi
 
     def pair(self, p: int, xs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         self.n_dist += len(xs)
@@ -39,6 +48,9 @@ class Graph:
 
     def arcs(self, p: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Neighbours of p, one place per active interval, with stored ends."""
+        if self.start is not None:
+            at = slice(self.start[p], self.start[p + 1])
+            return self.dst[at], self.lo[at], self.hi[at]
         if self.flat[p] is None:
             dst, lo, hi = [], [], []
             for x, free in zip(self.nbrs[p].tolist(), self.ranges[p]):
@@ -48,6 +60,14 @@ class Graph:
         return self.flat[p]
 
 
+NO_ARCS = (np.zeros(0, np.int64), np.zeros(0, np.int32), np.zeros(0, np.int32))
+
+
+def always(nbrs: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Arcs that are active at every weight."""
+    return nbrs, np.zeros(len(nbrs), np.int32), np.full(len(nbrs), SCALE, np.int32)
+
+
 def frontier_search(g: Graph, qe, qs, starts: np.ndarray, ef: int, ties: str = "peel") -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Approximate layers of frontiers around a point: (nodes, de, ds), at most about ef.
 
@@ -83,7 +103,7 @@ def frontier_search(g: Graph, qe, qs, starts: np.ndarray, ef: int, ties: str = "
 def best_first(g: Graph, qe, qs, alpha: float, starts, ef: int, gate: bool = True, early_stop: bool = True, adjacency=None, counts: dict | None = None) -> list[tuple[float, int]]:
     """The ef nearest nodes found from the starts, in order: (distance, node).
 
-    gate: edges that are not active at alpha are left out. early_stop: the part of the distance that is
+    gate: edges that are not active at alpha are left out. adjacency: the arcs of an upper level. early_stop: the part of the distance that is
     cheaper for its weight is computed first, and the rest only where that part is within the worst result.
     """
     c = counts if counts is not None else {}
@@ -111,19 +131,19 @@ def best_first(g: Graph, qe, qs, alpha: float, starts, ef: int, gate: bool = Tru
         if len(found) >= ef and dist > -found[0][0]:
             break
         c["hops"] += 1
-        if adjacency is not None:
-            xs = adjacency.get(p, np.zeros(0, np.int64))
-            c["scanned"] += len(xs)
-        else:
-            dst, lo, hi = g.arcs(p)
-            c["scanned"] += len(dst)
-            xs = dst
-            if gate:
-                xs = dst[(lo <= a) & (a <= hi)]
-                c["gated"] += len(dst) - len(xs)
-        xs = np.unique(xs[~seen[xs]])
+        dst, lo, hi = g.arcs(p) if adjacency is None else adjacency.get(p, NO_ARCS)
+        c["scanned"] += len(dst)
+        xs = dst
+        if gate:
+            xs = dst[(lo <= a) & (a <= hi)]
+            c["gated"] += len(dst) - len(xs)
+        xs = xs[~seen[xs]]
         if not len(xs):
             continue
+        if len(xs) > 1:  # the intervals of an edge stand side by side
+            new = np.ones(len(xs), bool)
+            new[1:] = xs[1:] != xs[:-1]
+            xs = xs[new]
         seen[xs] = True
         c["n_dist"] += len(xs)
         part = w1 * l2_rows(q1, m1[xs])
@@ -219,7 +239,7 @@ def _build_levels(g: Graph, params: BuildParams, order) -> Graph:
     pick = params_rule(params.but(pruning="rng"))
     top = int(order[0])
     for k in range(level[top] + 1):
-        g.levels[k][top] = np.zeros(0, np.int64)
+        g.levels[k][top] = NO_ARCS
     for p in order[1:].tolist():
         at = [top]
         for k in range(int(level[top]), -1, -1):
@@ -232,33 +252,33 @@ def _build_levels(g: Graph, params: BuildParams, order) -> Graph:
                 pool = np.array(at, np.int64)
                 de, ds = g.to_query(e[p], s[p], pool)
                 places, _ = pick(de, ds, ids[pool], e[pool], s[pool], norm)
-                g.levels[k][p] = pool[places]
+                g.levels[k][p] = always(pool[places])
                 cap = params.M * (params.level0_factor if k == 0 else 1)
                 for y in pool[places].tolist():
-                    back = np.append(g.levels[k].get(y, np.zeros(0, np.int64)), p)
+                    back = np.append(g.levels[k].get(y, NO_ARCS)[0], p)
                     if len(back) > cap:
                         de, ds = g.pair(y, back)
                         keep, _ = params_rule(params.but(pruning="rng", M=cap))(de, ds, ids[back], e[back], s[back], norm)
                         back = back[keep]
-                    g.levels[k][y] = back
+                    g.levels[k][y] = always(back)
         for k in range(int(level[p]) + 1):
-            g.levels[k].setdefault(p, np.zeros(0, np.int64))
+            g.levels[k].setdefault(p, NO_ARCS)
         if level[p] > level[top]:
             top = p
     g.seeds = np.array([top])
     for p in range(len(ids)):
-        near = g.levels[0].get(p, np.zeros(0, np.int64))
+        near = g.levels[0].get(p, NO_ARCS)[0]
         g.set_edges(p, near, [FULL] * len(near))
     return g
 
 
-def descend(g: Graph, qe, qs, alpha: float, ef: int, counts: dict) -> list[tuple[float, int]]:
+def descend(g: Graph, qe, qs, alpha: float, ef: int, counts: dict, gate: bool = False) -> list[tuple[float, int]]:
     """Search of a graph with levels: greedy above, best-first at the bottom."""
     at = g.seeds
     for k in range(len(g.levels) - 1, 0, -1):
         if any(int(i) in g.levels[k] for i in at):
-            at = [i for _, i in best_first(g, qe, qs, alpha, at, 1, False, False, g.levels[k], counts)]
-    return best_first(g, qe, qs, alpha, at, ef, False, True, None, counts)
+            at = [i for _, i in best_first(g, qe, qs, alpha, at, 1, gate, False, g.levels[k], counts)]
+    return best_first(g, qe, qs, alpha, at, ef, gate, True, None, counts)
 
 
 def reachable(g: Graph, alpha: float | None = None) -> np.ndarray:

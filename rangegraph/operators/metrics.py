@@ -75,10 +75,12 @@ def index_size(index: Index) -> DataFrame:
     return index.nodes.agg(F.sum(4 * (F.size("e") + F.size("s"))).alias("vector_bytes"), F.sum(8 * F.size("dst")).alias("edge_bytes"), F.sum(4 * pieces).alias("range_bytes"))
 
 
-def work(result: DataFrame) -> DataFrame:
-    """band, mean distance evaluations, hops, edges scanned and gated, early stops and shards per query."""
-    per = result.groupBy("qid", "band").agg(*[F.first(c).alias(c) for c in ("n_dist", "hops", "scanned", "gated", "stopped", "probed")])
-    return per.groupBy("band").agg(*[F.avg(c).alias(c) for c in ("n_dist", "hops", "scanned", "gated", "stopped", "probed")])
+def work(result: DataFrame, width: int = 0) -> DataFrame:
+    """band, mean distance evaluations, hops, edges scanned and gated, early stops, shards, seconds per query, and the
+    bytes of vectors (of `width` numbers in both) that its shards were sent."""
+    columns = ("n_dist", "hops", "scanned", "gated", "stopped", "probed", "seconds")
+    per = result.groupBy("qid", "band").agg(*[F.first(c).alias(c) for c in columns])
+    return per.groupBy("band").agg(*[F.avg(c).alias(c) for c in columns], (F.avg("probed") * 4 * width).alias("bytes_sent"))
 
 
 def reachability(index: Index) -> DataFrame:

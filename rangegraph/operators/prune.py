@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-from bisect import bisect_left
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -33,7 +31,8 @@ def gate_block(de: np.ndarray, ds: np.ndarray, layer: np.ndarray, ids: np.ndarra
     x_e, x_s = cross()
     # for candidate x and witness y: the interval at which y removes x
     lo, hi = al.pruned_block(de[None, :], ds[None, :], de[:, None], ds[:, None], x_e, x_s)
-    lo, hi = lo.tolist(), hi.tolist()
+    lo, hi, layer = lo.tolist(), hi.tolist(), layer.tolist()
+    least = max(th, 1e-12)
     kept: list[int] = []
     ranges: dict[int, list[tuple[float, float]]] = {}
     now = layer[order[0]] if order else 0
@@ -46,12 +45,28 @@ def gate_block(de: np.ndarray, ds: np.ndarray, layer: np.ndarray, ids: np.ndarra
             break
         a, b = lo[x], hi[x]
         if witness == "any":
-            free = al.gaps([(a[y], b[y]) for y in kept if b[y] > a[y]])
+            taken = [(a[y], b[y]) for y in kept if b[y] > a[y]]
         else:
-            free = al.gaps([(max(a[y], i), min(b[y], j)) for y in kept if b[y] > a[y] for i, j in ranges[y]])
-        if free and sum(j - i for i, j in free) >= max(th, 1e-12):
-            kept.append(x)
-            ranges[x] = free
+            taken = [(max(a[y], i), min(b[y], j)) for y in kept if b[y] > a[y] for i, j in ranges[y]]
+        taken.sort()
+        free, at, total = [], 0.0, 0.0
+        for i, j in taken:
+            if j <= i:
+                continue
+            if i > at:
+                free.append((at, i))
+                total += i - at
+            if j > at:
+                at = j
+                if total + 1.0 - at < least:  # what is left can't reach the threshold
+                    break
+        else:
+            if at < 1.0:
+                free.append((at, 1.0))
+                total += 1.0 - at
+            if total >= least:
+                kept.append(x)
+                ranges[x] = free
     return [(x, ranges[x]) for x in kept]
 
 
@@ -155,9 +170,4 @@ def params_rule(params: BuildParams):
     return pick
 
 
-def position(values: list, x) -> int:
-    i = bisect_left(values, x)
-    return i if i < len(values) and values[i] == x else -1
-
-
 assert SCALE < 2**15

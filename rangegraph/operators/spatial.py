@@ -23,7 +23,7 @@ from .blocks import SENT_BYTES, Queries, pack_queries
 from .exact import final_topk
 
 PART_ROWS = 100_000
-FOUND = "qid long, band int, id long, dist double, part int, n_dist long, seconds double"
+FOUND = "qid long, band int, ef int, id long, dist double, part int, n_dist long, seconds double"
 
 
 # --- a packed rectangle tree as tables ---------------------------------------------------------------------
@@ -100,7 +100,7 @@ class RectTree:
     """A packed rectangle tree over points of any dimension, read by rising distance."""
 
     def __init__(self, points: np.ndarray, leaf: int = 32, metric: str = "l2"):
-        self.points, self.metric = points, metric
+        self.points, self.metric, self.evaluated = points, metric, 0
         groups = self._tiles(np.arange(len(points)), leaf, 0)
         self.levels = [[(points[g].min(axis=0), points[g].max(axis=0), g) for g in groups]]
         while len(self.levels[-1]) > 1:
@@ -142,6 +142,7 @@ class RectTree:
             if level:
                 gap = np.maximum(0, np.maximum(self.lo[level - 1][inside] - q, q - self.hi[level - 1][inside]))
             else:
+                self.evaluated += len(inside)
                 gap = self.points[inside] - q
             for x, j in zip(self._away(gap).tolist(), inside.tolist()):
                 heapq.heappush(todo, (x, j if not level else -1, level - 1, j))
@@ -201,10 +202,10 @@ class Best:
         return float(self.d[-1]) + 1e-9 if len(self.d) >= self.k else np.inf
 
 
-def over_parts(objects: DataFrame, queries: DataFrame, prepare: Callable, k: int, columns: tuple[str, ...] = ("id", "e", "s")) -> DataFrame:
-    """FOUND rows of all queries over parts of at most about PART_ROWS objects.
+def over_parts(objects: DataFrame, queries: DataFrame, prepare: Callable, ks: tuple[int, ...], columns: tuple[str, ...] = ("id", "e", "s")) -> DataFrame:
+    """FOUND rows of all queries over parts of at most about PART_ROWS objects, for each wanted number of results (`ef`).
 
-    prepare(table) builds a part's structure once and gives search(qe, qs, alpha) -> Best. Queries reach the parts as
+    prepare(table) builds a part's structure once and gives search(qe, qs, alpha, k) -> Best. Queries reach the parts as
     blocks of bounded size, and in several portions where all of them are too many for one task.
     """
     parts = max(1, -(-objects.count() // PART_ROWS))
@@ -219,12 +220,12 @@ def over_parts(objects: DataFrame, queries: DataFrame, prepare: Callable, k: int
             search, part = prepare(rows), rows.column("part")[0].as_py()
             for row in asked.to_pylist():
                 b = Queries(row)
-                for j in range(len(b.qid)):
+                for j, k in ((j, k) for j in range(len(b.qid)) for k in ks):
                     began = time.perf_counter()
-                    best = search(b.e[b.which[j]], b.s[b.which[j]], float(b.alpha[j]))
+                    best = search(b.e[b.which[j]], b.s[b.which[j]], float(b.alpha[j]), k)
                     seconds = time.perf_counter() - began
-                    out += [(int(b.qid[j]), int(b.band[j]), x, d, part, best.n_dist, seconds) for d, x in zip(best.d.tolist(), best.i.tolist())]
-        types = (pa.int64(), pa.int32(), pa.int64(), pa.float64(), pa.int32(), pa.int64(), pa.float64())
+                    out += [(int(b.qid[j]), int(b.band[j]), k, x, d, part, best.n_dist, seconds) for d, x in zip(best.d.tolist(), best.i.tolist())]
+        types = (pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.float64(), pa.int32(), pa.int64(), pa.float64())
         return pa.table({f.split()[0]: pa.array([r[j] for r in out], t) for j, (f, t) in enumerate(zip(FOUND.split(", "), types))})
 
     left = objects.select(*columns).withColumn("part", F.pmod(F.xxhash64("id"), F.lit(parts)).cast("int")).withColumn("portion", F.explode(F.sequence(F.lit(0), F.lit(portions - 1))))
@@ -232,10 +233,12 @@ def over_parts(objects: DataFrame, queries: DataFrame, prepare: Callable, k: int
     return left.groupBy("part", "portion").cogroup(right.groupBy("part", "portion")).applyInArrow(lambda a, b: run(a, b), FOUND)
 
 
-def merged(found: DataFrame, k: int) -> DataFrame:
-    """qid, band, rank, id, dist, and the work over all parts: n_dist, seconds."""
-    work = found.groupBy("qid", "band", "part").agg(F.first("n_dist").alias("n_dist"), F.first("seconds").alias("seconds")).groupBy("qid", "band").agg(F.sum("n_dist").alias("n_dist"), F.sum("seconds").alias("seconds"))
-    return final_topk(found, k).join(work, ["qid", "band"])
+def merged(found: DataFrame) -> DataFrame:
+    """qid, band, ef, rank, id, dist (the ef best of all parts), and the work over all parts: n_dist, seconds."""
+    key = ["qid", "band", "ef"]
+    work = found.groupBy(*key, "part").agg(F.first("n_dist").alias("n_dist"), F.first("seconds").alias("seconds")).groupBy(*key).agg(F.sum("n_dist").alias("n_dist"), F.sum("seconds").alias("seconds"))
+    w = Window.partitionBy(*key).orderBy(F.round("dist", 9), "id")
+    return found.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= F.col("ef")).select(*key, "rank", "id", "dist").join(work, key)
 
 
 def _vectors(t: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -251,14 +254,14 @@ def scan_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int = 10) -
     def prepare(t: pa.Table):
         ids, e, s = _vectors(t)
 
-        def search(qe, qs, a):
+        def search(qe, qs, a, k):
             best = Best(k)
             best.add(a * l2_rows(qe, e) / norm.e + (1 - a) * l2_rows(qs, s) / norm.s, ids)
             return best
 
         return search
 
-    return merged(over_parts(objects, queries, prepare, k), k)
+    return merged(over_parts(objects, queries, prepare, (k,)))
 
 
 def early_stop_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int = 10, step: int = 64) -> DataFrame:
@@ -268,7 +271,7 @@ def early_stop_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int =
     def prepare(t: pa.Table):
         ids, e, s = _vectors(t)
 
-        def search(qe, qs, a):
+        def search(qe, qs, a, k):
             best = Best(k)
             for at in range(0, len(ids), step):
                 rows, got, _ = hybrid_bounded((qe, qs), e[at : at + step], s[at : at + step], a, norm, best.limit)
@@ -277,28 +280,30 @@ def early_stop_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int =
 
         return search
 
-    return merged(over_parts(objects, queries, prepare, k), k)
+    return merged(over_parts(objects, queries, prepare, (k,)))
 
 
-def rect_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int = 10) -> DataFrame:
-    """Exact top-k by s alone over a rectangle tree in each part (the merge's index for coordinates)."""
+def rect_lists(objects: DataFrame, queries: DataFrame, norm: Norm, ks: tuple[int, ...] = (10,)) -> DataFrame:
+    """Exact lists by s alone over a rectangle tree in each part, of each length (the merge's index for coordinates)."""
 
     def prepare(t: pa.Table):
         ids, _, s = _vectors(t)
         tree = RectTree(s)
 
-        def search(qe, qs, a):
+        def search(qe, qs, a, k):
             best, d, x = Best(k), [], []
+            tree.evaluated = 0
             for away, i in tree.nearest(qs):
                 if len(d) >= k and away > d[k - 1] + 1e-9 * norm.s:  # equal ones all come, ids decide
                     break
                 d.append(away), x.append(i)
             best.add(np.array(d) / norm.s, ids[x])
+            best.n_dist = tree.evaluated
             return best
 
         return search
 
-    return merged(over_parts(objects, queries, prepare, k), k)
+    return merged(over_parts(objects, queries, prepare, tuple(ks)))
 
 
 def quad_ring_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int = 10) -> DataFrame:
@@ -308,7 +313,7 @@ def quad_ring_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int =
         ids, e, s = _vectors(t)
         tree = QuadTree(e, s)
 
-        def search(qe, qs, a):
+        def search(qe, qs, a, k):
             best = Best(k)
             for away, (_, _, _, pivot, rows, ring) in tree.leaves(qs):
                 near = (1 - a) * away / norm.s
@@ -322,7 +327,7 @@ def quad_ring_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int =
 
         return search
 
-    return merged(over_parts(objects, queries, prepare, k), k)
+    return merged(over_parts(objects, queries, prepare, (k,)))
 
 
 def pivot_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int = 10, pivots: int = 4) -> DataFrame:
@@ -339,7 +344,7 @@ def pivot_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int = 10,
             chosen.append(int(np.min(l2_block(e, e[chosen]), axis=1).argmax()))
         place, mapped = RectTree(s), RectTree(l2_block(e, e[chosen]), metric="max")
 
-        def search(qe, qs, a):
+        def search(qe, qs, a, k):
             best, seen = Best(k), set()
             fronts = [[0.0, (1 - a) / norm.s, place.nearest(qs)], [0.0, a / norm.e, mapped.nearest(l2_rows(qe, e[chosen]))]]
             while fronts[0][0] * fronts[0][1] + fronts[1][0] * fronts[1][1] <= best.limit:
@@ -364,7 +369,7 @@ def pivot_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int = 10,
 
         return search
 
-    return merged(over_parts(objects, queries, prepare, k), k)
+    return merged(over_parts(objects, queries, prepare, (k,)))
 
 
 def hybrid_clusters(objects: DataFrame, norm: Norm, ke: int = 8, ks: int = 8, dims: int = 8, seed: int = 42):
@@ -407,7 +412,7 @@ def cluster_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int = 10
             me, ms = space[rows].mean(axis=0), s[rows].mean(axis=0)
             units.append((me, ms, l2_rows(me, space[rows]).max(), l2_rows(ms, s[rows]).max(), rows))
 
-        def search(qe, qs, a):
+        def search(qe, qs, a, k):
             q = qe if exact else (qe - mean) @ axes.T
             bound = np.array([a * max(0, np.linalg.norm(q - u[0]) - u[2]) / norm.e + (1 - a) * max(0, np.linalg.norm(qs - u[1]) - u[3]) / norm.s for u in units])
             best = Best(k if exact else 4 * k)
@@ -423,4 +428,4 @@ def cluster_topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int = 10
 
         return search
 
-    return merged(over_parts(placed, queries, prepare, k, ("id", "e", "s", "low", "ce", "cs")), k)
+    return merged(over_parts(placed, queries, prepare, (k,), ("id", "e", "s", "low", "ce", "cs")))

@@ -1,4 +1,4 @@
-"""Exact scan or graph: a choice by sizes, made before the plan is built."""
+"""Plans for a filtered search. The caller says whether the answer must be exact; sizes only decide between plans of that guarantee."""
 
 from __future__ import annotations
 
@@ -10,8 +10,8 @@ from pyspark.sql import functions as F
 from ..operators import exact, index
 from ..operators.index import Index
 from ..schema import Norm, SearchParams
+from ..storage import stash
 
-SCAN_PAIRS = 50_000_000  # distance evaluations that a scan does in seconds on few cores
 FEW = 0.05  # a filter that keeps less than this share leaves too few of a graph's nodes to walk on
 
 
@@ -21,28 +21,30 @@ class Choice:
     why: str
 
 
-def choose(objects: int, kept: int, queries: int, has_index: bool) -> Choice:
-    """How to search `kept` of `objects` rows for so many queries."""
-    if not has_index:
-        return Choice("scan", "no index")
-    if kept * queries <= SCAN_PAIRS:
-        return Choice("scan", "few pairs")
+def choose(objects: int, kept: int, guarantee: str) -> Choice:
+    """How to search `kept` of `objects` rows. 'exact': a scan. 'approximate': the graph; what its walk can't give is scanned."""
+    if guarantee not in ("exact", "approximate"):
+        raise ValueError("guarantee is 'exact' or 'approximate'")
+    if guarantee == "exact":
+        return Choice("scan", "exact")
     if kept < FEW * objects:
         return Choice("scan", "the filter keeps few objects")
     return Choice("graph", "filter after the search" if kept < objects else "all objects")
 
 
-def topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int = 10, condition=None, ix: Index | None = None, ef: int = 100) -> tuple[DataFrame, Choice]:
+def topk(objects: DataFrame, queries: DataFrame, norm: Norm, k: int = 10, condition=None, ix: Index | None = None, ef: int = 100, guarantee: str = "exact") -> tuple[DataFrame, Choice]:
     """Top-k of the objects that meet a condition. A graph search asks for more and filters; what then lacks is scanned."""
     kept = objects.where(condition) if condition is not None else objects
-    n, m, q = objects.count(), kept.count(), queries.count()
-    choice = choose(n, m, q, ix is not None)
+    n, m = objects.count(), kept.count()
+    choice = choose(n, m, guarantee)
     if choice.method == "scan":
         return exact.topk(kept, queries, norm, k), choice
+    if ix is None:
+        raise ValueError("an approximate search needs an index")
     wide = min(4 * k * max(1, n // max(m, 1)), 10 * ef) if condition is not None else k
     hits = index.topk(ix, queries, SearchParams(wide, max(ef, wide)))
     if condition is not None:
         hits = hits.join(kept.select("id"), "id", "left_semi")
-    best = exact.final_topk(hits.select("qid", "band", "id", "dist"), k)
+    best = stash(exact.final_topk(hits.select("qid", "band", "id", "dist"), k), "hits")
     short = queries.join(best.groupBy("qid", "band").count().where(F.col("count") >= min(k, m)), ["qid", "band"], "left_anti")
     return best.join(short.select("qid", "band"), ["qid", "band"], "left_anti").unionByName(exact.topk(kept, short, norm, k)), choice

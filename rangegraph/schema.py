@@ -52,10 +52,11 @@ class SearchParams:
     gate: bool = True
     early_stop: bool = True
     probes: int | str = "all"  # shards per query, or 'bound': rounds in the order of the lower bound
+    copies: int | None = None  # tasks that share a shard's queries; None: as many as there are cores for
 
     def __post_init__(self):
-        if self.k < 1:
-            raise ValueError("k is at least 1")
+        if self.k < 0:
+            raise ValueError("k is at least 1, or 0 for as many as ef_search")
         if self.ef_search < self.k:
             warnings.warn("ef_search is raised to k", stacklevel=2)
             object.__setattr__(self, "ef_search", self.k)
@@ -63,10 +64,16 @@ class SearchParams:
 
 @dataclass(frozen=True)
 class ShardParams:
-    n: int = 1
+    """How objects are dealt. n: shards wanted; there are more where a shard would get over max_rows (n = None: as few as that allows)."""
+
+    n: int | None = None
     by: str = "hash"  # or 'cluster'
     max_rows: int = 1_000_000
 
+    def __post_init__(self):
+        if self.by not in ("hash", "cluster") or self.max_rows < 1 or (self.n is not None and self.n < 1):
+            raise ValueError("by is 'hash' or 'cluster', n and max_rows are at least 1")
+
 
 @dataclass
 class Norm:

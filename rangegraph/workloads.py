@@ -15,6 +15,11 @@ from .schema import BuildParams, Norm, SearchParams, ShardParams
 from .sources import tables
 from .storage import stash
 
+#: Half the published M and ef_construction, at every size of table.
+HALVED = BuildParams(M=20, ef_c=100)
+#: The published sweep of ef_search and k'.
+SWEEP = tuple(range(10, 201, 10))
+
 _cases: dict[tuple, "Case"] = {}
 
 
@@ -27,8 +32,10 @@ def case(spark: SparkSession, sf_dir: str, name: str = "text_emb") -> "Case":
 
 
 class Case:
-    def __init__(self, spark: SparkSession, sf_dir: str, name: str):
-        self.spark, self.sf_dir, self.name = spark, sf_dir, name
+    """A workload: objects, queries, normalisers, truth and indexes, each made when first asked for."""
+
+    def __init__(self, spark: SparkSession, sf_dir: str, name: str, params: BuildParams = HALVED):
+        self.spark, self.sf_dir, self.name, self.params = spark, sf_dir, name, params
         rows = stash(tables.WORKLOADS[name](spark, sf_dir), name)
         objects, queries = tables.held_out(rows)
         self.objects, self.queries = objects, stash(queries, "queries")
@@ -40,6 +47,12 @@ class Case:
     def n(self) -> int:
         return self.objects.count()
 
+    @cached_property
+    def flat(self) -> bool:
+        """Whether s has two dimensions."""
+        row = self.objects.select(F.size("s").alias("n")).first()
+        return row is not None and row.n == 2
+
     @cached_property
     def norm(self) -> Norm:
         with self._lock:
@@ -47,14 +60,9 @@ class Case:
 
     @cached_property
     def _norm(self) -> Norm:
-        """The true normalisers at every size; larger tables leave out objects near the centroid first."""
+        """The true normalisers at every size; larger tables leave out objects near the centroid first, which gives the same."""
         return normalisers.exact(self.objects) if self.n <= 20_000 else normalisers.pruned(self.objects)
 
-    @property
-    def params(self) -> BuildParams:
-        """The published settings scaled to the size of the tables."""
-        return BuildParams(M=10, ef_c=50) if self.n <= 1_000 else BuildParams(M=20, ef_c=100)
-
     def truth(self, k: int = 10, queries: DataFrame | None = None, tag: str = "bands") -> DataFrame:
         if (k, tag) not in self._truth:
             self._truth[k, tag] = stash(exact.topk(self.objects, self.queries if queries is None else queries, self.norm, k), "truth")
@@ -75,7 +83,7 @@ class Case:
 
     def merge(self, params: BuildParams | None = None) -> graphs.Merge:
         p = params or self.params
-        return graphs.Merge(self.fixed(p, 1.0), self.fixed(p, 0.0), self.objects, self.norm)
+        return graphs.Merge(self.fixed(p, 1.0), None if self.flat else self.fixed(p, 0.0), self.objects, self.norm)
 
     def overlay(self, params: BuildParams | None = None) -> index.Index:
         p = params or self.params.but(M=max(4, self.params.M // 4), ef_c=max(16, self.params.ef_c // 4))
@@ -85,44 +93,61 @@ class Case:
         return graphs.Oracle({a: self.fixed(params, a) for a in alphas})
 
 
+def portion(spark: SparkSession, sf_dir: str, name: str, part: int, params: BuildParams) -> "Case":
+    """A workload at one `part`-th of its objects (by a hash of the id), for the study of size; its queries are the
+    first hundred held-out rows by id, as the study fixes them."""
+    key = (spark.sparkContext.applicationId, sf_dir, name, part, params)
+    if key not in _cases:
+        c = Case(spark, sf_dir, name, params)
+        if part > 1:
+            c.objects = stash(c.objects.where(F.pmod(F.xxhash64("id", F.lit(part)), F.lit(part)) == 0), name)
+        first = c.queries.select("qid").distinct().orderBy("qid").limit(100)
+        c.queries = stash(c.queries.join(F.broadcast(first), "qid", "left_semi"), "queries")
+        _cases[key] = c
+    return _cases[key]
+
+
 def together(*makes) -> None:
     """Runs independent builds at the same time; each is a job with a task per shard."""
     with ThreadPoolExecutor(8) as pool:
         list(pool.map(lambda f: f(), makes))
 
 
-def runs_of(method: str, c: Case, search, efs, queries: DataFrame | None = None, tag: str = "bands", k: int = 10) -> DataFrame:
-    """method, ef, band (null: all), recall, n_dist of a search at each ef. Recall and work do not depend on the machine."""
-    truth, out = c.truth(k, queries, tag), None
+def runs_of(method: str, c: Case, search, efs=SWEEP, queries: DataFrame | None = None, tag: str = "bands", k: int = 10) -> DataFrame:
+    """method, ef, band (null: all), recall, n_dist, qps of search(queries, efs) -> hits with ef, n_dist, seconds.
+
+    Recall and distance evaluations do not depend on the machine. qps is one over the mean seconds that a query takes
+    inside its task, on one core, without reading the index; searches of one stage share the machine.
+    """
     q = c.queries if queries is None else queries
-    true = truth.where(F.col("rank") <= k).select("qid", "band", "id", F.lit(1).alias("true"), F.lit(0).alias("found"), F.lit(None).cast("long").alias("n_dist"))
-    for ef in efs:
-        hits = search(q, ef)
-        work = F.col("n_dist") if "n_dist" in hits.columns else F.lit(None).cast("long").alias("n_dist")
-        both = true.unionByName(hits.where(F.col("rank") <= k).select("qid", "band", "id", F.lit(0).alias("true"), F.lit(1).alias("found"), work))
-        each = both.groupBy("qid", "band", "id").agg(F.max("true").alias("true"), F.max("found").alias("found"), F.max("n_dist").alias("n_dist"))
-        per = each.groupBy("qid", "band").agg((F.sum(F.col("true") * F.col("found")) / k).alias("recall"), F.max("n_dist").alias("n_dist"))
-        one = per.rollup("band").agg(F.avg("recall").alias("recall"), F.avg("n_dist").alias("n_dist"))
-        one = one.select(F.lit(method).alias("method"), F.lit(ef).alias("ef"), "band", F.round("recall", 4).alias("recall"), F.round("n_dist", 1).alias("n_dist"))
-        out = one if out is None else out.unionByName(one)
-    return out
+    true = c.truth(k, queries, tag).where(F.col("rank") <= k).select("qid", "band", "id", F.lit(1).alias("true"))
+    efs = tuple(dict.fromkeys(max(k, ef) for ef in efs))
+    hits = search(q, efs).where(F.col("rank") <= k)
+    per = hits.join(true, ["qid", "band", "id"], "left").groupBy("qid", "band", "ef").agg((F.count("true") / k).alias("recall"), F.first("n_dist").alias("n_dist"), F.first("seconds").alias("seconds"))
+    every = q.select("qid", "band", F.explode(F.array(*map(F.lit, efs))).alias("ef")).join(per, ["qid", "band", "ef"], "left")
+    total = every.rollup("ef", "band").agg(F.avg(F.coalesce("recall", F.lit(0.0))).alias("recall"), F.avg("n_dist").alias("n_dist"), F.avg("seconds").alias("seconds")).where("ef is not null")
+    return total.select(F.lit(method).alias("method"), "ef", "band", F.round("recall", 4).alias("recall"), F.round("n_dist", 1).alias("n_dist"), F.round(1 / F.col("seconds"), 1).alias("qps"))
 
 
 def gated(c: Case, params: BuildParams | None = None, gate: bool = True, shards: ShardParams = ShardParams(), probes="all"):
     ix = c.index(params, shards)
-    return lambda q, ef: index.topk(ix, q, SearchParams(k=10, ef_search=max(10, ef), gate=gate, probes=probes))
+    return lambda q, efs: index.sweep(ix, q, efs, SearchParams(k=10, gate=gate, probes=probes))
 
 
 def plain(ix: index.Index):
-    return lambda q, ef: index.topk(ix, q, SearchParams(k=10, ef_search=max(10, ef)))
+    return lambda q, efs: index.sweep(ix, q, efs, SearchParams(k=10))
 
 
 def merged(m: graphs.Merge):
-    return lambda q, ef: m.search(q, 10, ef)
+    return lambda q, efs: m.sweep(q, efs, 10)
+
+
+def asked(o: graphs.Oracle):
+    return lambda q, efs: o.sweep(q, efs, SearchParams(k=10))
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Range-gated search of all held-out queries: hits with their work and each query's recall."""
     c = case(spark, sf_dir)
-    hits = index.topk(c.index(), c.queries, SearchParams(k=10, ef_search=100))
+    hits = stash(index.topk(c.index(), c.queries, SearchParams(k=10, ef_search=100)), "hits")
     return hits.join(metrics.recall(hits, c.truth()), ["qid", "band"]).select("qid", "band", "rank", "id", "dist", "n_dist", "recall")

@@ -125,7 +125,7 @@ def test_exact_scan_keeps_queries_apart(spark):
     rng = np.random.default_rng(3)
     e, s = rng.normal(size=(300, 5)).astype(np.float32), rng.normal(size=(300, 2)).astype(np.float32)
     objects = spark.createDataFrame([(i, a.tolist(), b.tolist()) for i, (a, b) in enumerate(zip(e, s))], "id long, e array<float>, s array<float>").repartition(3)
-    asked = [(2**60, 0, 0.4, [0.0] * 5, [0.0] * 2), (2**60 + 1, 0, 0.4, [0.0, 9, 0, 0, 0], [0.0] * 2), (7, 0, 0.3, [1.0] * 5, [0.0] * 2), (7, 1, 0.3, [1.0, 0, 0, 0, 0], [0.0] * 2), (8, 0, 1.0, [1.0] * 5, [0.0] * 2)]
+    asked = [(2**60, 0, 0.4, [0.0] * 5, [0.0] * 2), (2**60 + 1, 0, 0.4, [0.0, 9.0, 0.0, 0.0, 0.0], [0.0] * 2), (7, 0, 0.3, [1.0] * 5, [0.0] * 2), (7, 1, 0.3, [1.0, 0.0, 0.0, 0.0, 0.0], [0.0] * 2), (8, 0, 1.0, [1.0] * 5, [0.0] * 2)]
     norm = Norm(3.0, 2.0)
     got: dict = {}
     for r in exact.topk(objects, spark.createDataFrame(asked, "qid long, band int, alpha double, e array<double>, s array<double>"), norm, 5).collect():
@@ -146,6 +146,60 @@ def test_distances_by_products_are_those_by_differences():
     assert vectors.l2_block(np.ones((3, 2)), np.zeros((0, 2))).shape == (3, 0)
 
 
+def test_shards_keep_their_bound(spark, small):
+    """Whatever is asked for, a shard does not outgrow max_rows by more than chance."""
+    c = case(spark, small)
+    for shards in (ShardParams(max_rows=50), ShardParams(1, max_rows=50), ShardParams(2, "cluster", max_rows=60)):
+        sizes = [r.n for r in c.index(BuildParams(M=6, ef_c=20), shards).shards.collect()]
+        assert sum(sizes) == c.n and max(sizes) <= 1.6 * shards.max_rows and len(sizes) > 1
+
+
+def test_a_sweep_is_its_single_searches(spark, small):
+    c = case(spark, small)
+    key = lambda df: sorted((r.qid, r.band, r["rank"], r.id, r.n_dist) for r in df.collect())
+    for ix in (c.index(), c.fixed(), c.index(None, ShardParams(3, "cluster"))):
+        many = index.sweep(ix, c.queries, (10, 30, 60), SearchParams(10))
+        for ef in (10, 30, 60):
+            assert key(many.where(F.col("ef") == ef)) == key(index.topk(ix, c.queries, SearchParams(10, ef)))
+    parted = SearchParams(10, 30, copies=3)
+    assert key(index.topk(c.index(), c.queries, parted)) == key(index.topk(c.index(), c.queries, SearchParams(10, 30, copies=1)))
+    assert {r[0] for r in index.lists(c.fixed(), c.queries, (7, 20)).groupBy("qid", "band", "ef").count().select(F.col("count") - F.col("ef")).collect()} == {0}
+
+
+def test_rectangle_tree_and_quadtree():
+    from rangegraph.operators import spatial
+
+    rng = np.random.default_rng(6)
+    for n, d, metric in ((1, 2, "l2"), (33, 2, "l2"), (500, 2, "l2"), (700, 4, "max")):
+        points = np.round(rng.normal(size=(n, d)), 1)
+        tree, q = spatial.RectTree(points, 8, metric), rng.normal(size=d)
+        got = list(tree.nearest(q))
+        away = np.sqrt(((points - q) ** 2).sum(axis=1)) if metric == "l2" else np.abs(points - q).max(axis=1)
+        assert sorted(i for _, i in got) == list(range(n)) and np.allclose([x for x, _ in got], np.sort(away))
+    e, s = rng.normal(size=(400, 5)), np.round(rng.normal(size=(400, 2)), 1)
+    s[:150] = s[0]  # more equal places than a leaf holds
+    found = list(spatial.QuadTree(e, s, 16).leaves(np.zeros(2)))
+    assert sorted(np.concatenate([leaf[4] for _, leaf in found]).tolist()) == list(range(400))
+    assert [x for x, _ in found] == sorted(x for x, _ in found) and max(len(leaf[4]) for _, leaf in found[1:]) <= 150
+
+
+def test_merge_reads_a_rectangle_tree_where_s_is_flat(spark, small):
+    c = case(spark, small, "emb_geo")
+    m = c.merge()
+    assert m.by_s is None
+    lists = m.sides(c.queries, (10,))[1]
+    want = exact.topk(c.objects, c.queries.withColumn("alpha", F.lit(0.0)), c.norm, 10)
+    key = lambda df: sorted((r.qid, r.band, r["rank"], r.id) for r in df.collect())
+    assert key(lists) == key(want)
+    assert metrics.recall(m.search(c.queries, 10, c.n), c.truth()).agg(F.min("recall")).first()[0] == 1.0
+
+
+def test_oracle_refuses_other_weights(spark, small):
+    c = case(spark, small)
+    with pytest.raises(ValueError):
+        graphs.Oracle({0.5: c.fixed()}).search(c.queries)
+
+
 def test_merge_with_all_rows_is_exact_and_overlay_follows_its_tag(spark, small):
     c = case(spark, small)
     merged = graphs.merge_exact(c.objects, c.queries, c.norm, 10, c.n)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pytest
 from pyspark.sql import functions as F
 
 from rangegraph.operators import exact, index
@@ -13,23 +14,26 @@ from rangegraph.workloads import case
 
 
 def test_choices():
-    assert planner.choose(10**6, 10**6, 10, False).method == "scan"
-    assert planner.choose(10**6, 10**6, 10, True).method == "scan"
-    assert planner.choose(10**8, 10**8, 1_000, True).method == "graph"
-    assert planner.choose(10**8, 10**6, 1_000, True).method == "scan"
+    assert planner.choose(10**6, 10**6, "exact").method == "scan"
+    assert planner.choose(10**8, 10**8, "exact").method == "scan"
+    assert planner.choose(10**3, 10**3, "approximate").method == "graph"
+    assert planner.choose(10**8, 10**6, "approximate").method == "scan"
+    with pytest.raises(ValueError):
+        planner.choose(1, 1, "fast")
 
 
-def test_both_ways_agree(spark, small, monkeypatch):
+def test_both_ways_agree(spark, small):
     c = case(spark, small)
     condition = F.col("attrs.lang") == "en"
     scan, how = planner.topk(c.objects, c.queries, c.norm, 10, condition, c.index())
     assert how.method == "scan"
-    monkeypatch.setattr(planner, "SCAN_PAIRS", 0)
-    graph, how = planner.topk(c.objects, c.queries, c.norm, 10, condition, c.index())
+    graph, how = planner.topk(c.objects, c.queries, c.norm, 10, condition, c.index(), guarantee="approximate")
     assert how.method == "graph"
     a, b = ({(r.qid, r.band, r.id) for r in d.collect()} for d in (scan, graph))
     assert len(a & b) >= 0.9 * len(a) and len(a) == len(b)
     assert exact.topk(c.objects.where(condition), c.queries, c.norm, 10).count() == len(a)
+    with pytest.raises(ValueError):
+        planner.topk(c.objects, c.queries, c.norm, guarantee="approximate")
 
 
 def test_index_source(spark, small):
