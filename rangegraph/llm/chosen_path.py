@@ -215,7 +215,7 @@ BUCKETS = "set long, key long, run short, large boolean"
 
 def _grouped(batches, last: bool):
     """Buckets with two sets or more. Small ones are named by their members, so equal ones coincide."""
-    for held in _by_bucket(batches):
+    for _, held in _by_bucket(batches):
         key, run, sets = (np.concatenate(c) for c in zip(*(unplanes(x, np.uint64, np.int16, np.int64) for x in held)))
         order = np.lexsort((sets, key))
         key, run, sets = key[order], run[order], sets[order]

@@ -68,6 +68,14 @@ def text_bytes(batch: pa.RecordBatch, name: str = "text") -> tuple[np.ndarray, n
     return buf[off[0] : off[-1]], off - off[0]
 
 
+def fresh(taken: list[str], name: str) -> str:
+    """A column name that a table does not have."""
+    name = f"_{name}"
+    while name.lower() in {c.lower() for c in taken}:
+        name = "_" + name
+    return name
+
+
 def mix64(x: np.ndarray) -> np.ndarray:
     """A bijective finaliser on uint64."""
     x = x ^ (x >> np.uint64(30))

@@ -1,45 +1,55 @@
 """Removal of repeated substrings by a depth-limited radix sort of suffixes.
 
-Two suffixes are a repeat if their first `depth` bytes agree, so suffixes are ordered through `depth`
-bytes only, by most-significant-digit passes over distributed buckets:
-
-* Pass 1. The leading digit of a window of `depth` bytes is its anchor: the gram of GRAM bytes with the
-  least hash inside it. Equal windows have the same anchor at the same place, so they fall into the same
-  group, and one anchor stands for all neighbouring windows that share it (about one position in
-  sixteen). Anchors are dealt to buckets by the leading bits of their hash, packed as columns of bytes.
-  Inside a bucket they are sorted; groups that lie in a single document are done.
-  In the other groups the next digit is a hash of the bytes around the anchor, all that windows through
-  it can reach. Occurrences whose surroundings occur in a smaller document are settled; of groups with one
-  surroundings only, nothing is left.
-* Pass 2. The first occurrences of each surroundings of the remaining groups get the bytes themselves, are
-  dealt again, and are ordered by these bytes, window by window. The equal groups are exactly the
-  repeated windows.
+A window is the first `depth` bytes of a suffix; two suffixes are a repeat if their windows agree. So suffixes are
+ordered through `depth` bytes only, by most-significant-digit passes over distributed buckets, and the equal groups
+are exactly the repeated windows.
+
+* The leading digit of a window is its anchor: the gram of GRAM bytes with the least hash inside it (the first of
+  equal ones). It depends on the window's bytes alone, so equal windows have it at the same place. Neighbouring
+  windows mostly share their anchor; such a run travels as one string of bytes (about sixteen windows in sixty-five
+  bytes), compressed, to the bucket of its anchor. Grams that are frequent in a bounded sample of the text are taken as
+  anchors only where a window has no other, so common phrases do not gather in one bucket; that moves work, not results.
+* Before that, runs of equal bytes inside a slice of text are combined: the one of the smallest document travels, and
+  those of larger documents are repeats already. A passage of many documents costs a row per slice.
+* In a bucket the anchors' own bytes are the next digits; groups that lie in one document are done. Then runs of equal
+  bytes are found: all but those of the smallest document are repeats as a whole. Of the different runs that are left,
+  the windows at each place are ordered by the remaining bytes of their suffix, a digit of eight bytes at a time, and
+  only groups of several documents go on to the next digit.
 * The covered bytes come back to their documents as intervals.
 
-Only anchors, never all suffixes, are shuffled, and no group of equal windows is compared pairwise.
+Every removal is proved on bytes. Hashes only deal rows to buckets, find runs that are then compared, and tell rows
+that share a doc_id apart (by the CRC of their text).
 
 Defined cases: null text is empty; matches never cross documents; documents with equal doc_id do not
 remove from each other (each row keeps its own spans); a null doc_id counts as larger than any other;
-texts shorter than `depth` lose nothing; other columns are ignored.
+texts shorter than `depth` lose nothing; other columns are ignored, whatever their names.
 """
 
 from __future__ import annotations
 
 import hashlib
+import zlib
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import lean, mix64, release, stash, text_bytes, texts
+from .common import fresh, lean, mix64, new_path, release, text_bytes, texts
 
 DEPTH = 50
 GRAM = 20
+LEFT = DEPTH - GRAM  # bytes that a window can have before its anchor
+WIDTH = LEFT + DEPTH  # bytes that windows through an anchor can reach
 LAST = np.iinfo(np.int64).max
 CHUNK = 131_072  # window starts looked at together
 SLICE = 4_000_000  # bytes of text packed together
 BUCKETS_PER_TASK = 8  # of the session's shuffle partitions, so that buckets stay small as the input grows
+SAMPLE_BYTES = 8_000_000  # of text in which frequent grams are counted
+FREQUENT = 24  # anchors of one gram in the sample that make it frequent
+FILTER_BITS = 22
+BATCH = 60_000  # rows ordered together
 
 _TABLE = mix64(np.arange(1, 257, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
 _M = np.uint64(0xD1342543DE82EF95)
@@ -56,55 +66,54 @@ def sliding(x: np.ndarray, width: int, op) -> np.ndarray:
     return op(have[: len(x) - width + 1], have[width - size : len(x) - size + 1]) if width > size else have
 
 
-def seal(poly: np.ndarray) -> np.ndarray:
-    """56 bits of the hash of a byte range, from its polynomial."""
-    return mix64(poly) >> np.uint64(8)
+def _filter_place(h: np.ndarray) -> np.ndarray:
+    return (h >> np.uint64(8)) & np.uint64((1 << FILTER_BITS) - 1)
 
 
-def anchors(buf: np.ndarray, off: np.ndarray, depth: int = DEPTH, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Anchors of all windows in buf: positions, gram hashes, seals of the bytes that windows through them can reach.
+def frequency_filter(grams) -> np.ndarray:
+    """A table of marks over hashes of grams; others may share a mark, which moves anchors only."""
+    marks = np.zeros(1 << FILTER_BITS, bool)
+    marks[_filter_place(np.asarray(grams, np.int64).view(np.uint64)).astype(np.int64)] = True
+    return marks
 
-    off: bounds of the documents. The seal is 0 where those bytes leave the buffer.
+
+def anchors(buf: np.ndarray, off: np.ndarray, frequent: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Runs of windows with one anchor: place of the anchor, hash of its gram, first window, last window, hash of the run's bytes.
+
+    off: bounds of the documents; windows lie inside them. frequent: marks of grams to avoid.
     """
-    places, hashes, seals = [], [], []
-    span = depth - gram + 1
+    span, found = DEPTH - GRAM + 1, []
     ends, starts = off[1:], off[:-1]
-    for s0 in range(0, len(buf) - depth + 1, CHUNK):
-        base = max(0, s0 - depth)
-        part = buf[base : s0 + CHUNK + 2 * depth]
-        n = min(CHUNK, len(buf) - depth + 1 - s0)
+    for s0 in range(0, len(buf) - DEPTH + 1, CHUNK):
+        part = buf[s0 : s0 + CHUNK + 2 * DEPTH]
+        n = min(CHUNK, len(buf) - DEPTH + 1 - s0)
         a, b = np.searchsorted(ends, s0, "right"), np.searchsorted(starts, s0 + n, "left")
         closed = np.zeros(n + 1, np.int32)
-        np.add.at(closed, np.clip(np.maximum(starts[a:b], ends[a:b] - depth + 1) - s0, 0, n), 1)
+        np.add.at(closed, np.clip(np.maximum(starts[a:b], ends[a:b] - DEPTH + 1) - s0, 0, n), 1)
         np.add.at(closed, np.clip(ends[a:b] - s0, 0, n), -1)
-        valid = np.cumsum(closed[:n]) == 0
-        if not valid.any():
+        inside = np.flatnonzero(np.cumsum(closed[:n]) == 0)
+        if not len(inside):
             continue
         total = np.zeros(len(part) + 1, np.uint64)
         np.cumsum(_TABLE[part] * _POWER[: len(part)], out=total[1:])
-        x, y = s0 - base, s0 - base + n + span - 1
-        h = (total[x + gram : y + gram] - total[x:y]) * _INVERSE[x:y]
+        m = n + span - 1
+        h = (total[GRAM : GRAM + m] - total[:m]) * _INVERSE[:m]
         h ^= h >> np.uint64(32)
         h *= np.uint64(0x9FB21C651E98DF25)
-        short = (h >> np.uint64(32)).astype(np.uint32)
-        short |= np.uint32(1)
-        least = sliding(short, span, np.minimum)
-        least[~valid] = 0
-        wide = np.zeros(n + 2 * (span - 1), np.uint32)
-        wide[span - 1 : span - 1 + n] = least
-        hit = np.flatnonzero(sliding(wide, span, np.maximum) == short)
-        lo, hi = hit + x - (depth - gram), hit + x + depth
-        inside = (lo >= 0) & (hi < len(total))
-        lo, hi = np.where(inside, lo, 0), np.where(inside, hi, 0)
-        places.append(hit + s0)
-        hashes.append(h[hit])
-        seals.append(np.where(inside, seal((total[hi] - total[lo]) * _INVERSE[lo]), np.uint64(0)))
-    if not places:
-        return np.zeros(0, np.int64), np.zeros(0, np.uint64), np.zeros(0, np.uint64)
-    p, h, c = np.concatenate(places), np.concatenate(hashes), np.concatenate(seals)
-    order = np.argsort(p, kind="stable")  # an anchor of two chunks' windows is found twice
-    at = order[_runs(p[order])]
-    return p[at], h[at], c[at]
+        key = (h >> np.uint64(33)) << np.uint64(32)
+        if frequent is not None:
+            key |= frequent[_filter_place(h)].astype(np.uint64) << np.uint64(63)
+        key |= np.arange(m, dtype=np.uint64)
+        place = (sliding(key, span, np.minimum)[inside] & np.uint64(0xFFFFFFFF)).astype(np.int64)
+        new = np.ones(len(inside), bool)
+        new[1:] = (place[1:] != place[:-1]) | (inside[1:] != inside[:-1] + 1)
+        at = np.flatnonzero(new)
+        first, last = inside[at], inside[np.append(at[1:], len(inside)) - 1]
+        place = place[at]
+        found.append((place + s0, h[place], first + s0, last + s0, mix64((total[last + DEPTH] - total[first]) * _INVERSE[first])))
+    if not found:
+        return np.zeros(0, np.int64), np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint64)
+    return tuple(np.concatenate(c) for c in zip(*found))
 
 
 def planes(*columns) -> bytes:
@@ -168,36 +177,18 @@ def _blocks(bucket: np.ndarray, *columns):
     )
 
 
-def _bucket_of(h: np.ndarray, radix: int) -> np.ndarray:
-    return ((h >> np.uint64(40)) % np.uint64(radix)).astype(np.int64)
-
-
-GRAM_BYTES, SEAL_BYTES = 5, 7
-
-
-def _emit_anchors(batches, radix: int):
-    for b in slices(batches):
-        buf, off = text_bytes(b)
-        p, h, c = anchors(buf, off)
-        row = np.searchsorted(off, p, "right") - 1
-        doc, pos = _doc_ids(b)[row], p - off[row]
-        whole = (pos >= DEPTH - GRAM) & (p + DEPTH <= off[1:][row])
-        c = np.where(whole, c, seal(doc.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15) ^ h ^ pos.astype(np.uint64)))  # like no other
-        yield from _blocks(_bucket_of(h, radix), (h >> np.uint64(24), GRAM_BYTES), (c, SEAL_BYTES), doc, pos.astype(np.int32), (whole, 1))
-
-
 def _by_bucket(batches):
-    """The payloads of one bucket after the other, from rows sorted by bucket."""
+    """(bucket, payloads) of one bucket after the other, from rows sorted by bucket."""
     now, held = None, []
     for b in batches:
         for k, raw in zip(b.column("bucket").to_pylist(), b.column("payload")):
             if k != now:
                 if held:
-                    yield held
+                    yield now, held
                 now, held = k, []
             held.append(raw.as_py())
     if held:
-        yield held
+        yield now, held
 
 
 def _runs(key: np.ndarray) -> np.ndarray:
@@ -205,38 +196,236 @@ def _runs(key: np.ndarray) -> np.ndarray:
     return np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])) if len(key) else np.zeros(0, np.int64)
 
 
-FOUND = "doc_id long, pos int, gram long, seal long, settled boolean"
+def frequent_grams(docs: DataFrame) -> np.ndarray:
+    """Hashes of grams that are anchors FREQUENT times or more in a sample of about SAMPLE_BYTES of text, at most a thousandth
+    as many as there are marks. The sample decides which anchors are avoided, never what is compared."""
+    base = texts(docs)
+    size = base.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    every = max(1, -(-int(size) // SAMPLE_BYTES))
+
+    def run(batches):
+        for b in slices(batches):
+            yield pa.RecordBatch.from_arrays([pa.array(anchors(*text_bytes(b))[1].view(np.int64))], names=["gram"])
+
+    some = base.where(F.pmod(F.xxhash64("doc_id"), F.lit(every)) == 0).select("text")
+    common = some.mapInArrow(lean(run), "gram long").groupBy("gram").count().where(F.col("count") >= FREQUENT).orderBy(F.desc("count"), "gram").limit((1 << FILTER_BITS) // 1_000)
+    return np.array([r.gram for r in common.collect()], np.int64)
 
 
-def _shared(batches):
-    """Of the anchors of a bucket, those whose gram lies in more than one document.
+def _strings(wide: np.ndarray, place: np.ndarray, first: np.ndarray, last: np.ndarray) -> np.ndarray:
+    """Per run a row of WIDTH bytes around its anchor; bytes outside the run are 0. wide: the text behind LEFT others."""
+    at = place[:, None] + np.arange(WIDTH)
+    out = wide[at]
+    column = np.arange(WIDTH)
+    out[(column < (first - place + LEFT)[:, None]) | (column >= (last - place + LEFT + DEPTH)[:, None])] = 0
+    return out
 
-    Settled: all bytes that windows through the anchor can reach occur in a smaller document. Of the others,
-    those whose gram has more than one surroundings are still to be ordered.
-    """
-    kinds = ((np.uint64, GRAM_BYTES), (np.uint64, SEAL_BYTES), np.int64, np.int32, bool)
-    for held in _by_bucket(batches):
-        h, c, doc, pos, whole = (np.concatenate(x) for x in zip(*(unplanes(x, *kinds) for x in held)))
-        order = np.argsort(h, kind="stable")
-        h, doc = h[order], doc[order]
-        at = _runs(h)
-        many = np.minimum.reduceat(doc, at) != np.maximum.reduceat(doc, at)
-        keep = np.repeat(many, np.diff(np.append(at, len(h))))
-        if not keep.any():
+
+def _pack(*columns) -> bytes:
+    return zstandard.ZstdCompressor(level=1).compress(planes(*columns[:-1]) + np.ascontiguousarray(columns[-1]).tobytes())
+
+
+KINDS = (np.int64, np.uint32, np.int32, np.int32, np.uint8, np.uint8)  # doc, text, pos, span, before, after
+
+
+def _unpack(raw: bytes) -> list[np.ndarray]:
+    raw = zstandard.ZstdDecompressor().decompress(raw)
+    n = int.from_bytes(raw[:4], "little")
+    size = 4 + n * sum(np.dtype(k).itemsize for k in KINDS)
+    return [*unplanes(raw, *KINDS), np.frombuffer(raw, np.uint8, n * WIDTH, size).reshape(n, WIDTH)]
+
+
+def _emit_runs(batches, radix: int, frequent: np.ndarray | None):
+    """Rows (bucket, payload) of runs by their anchor; bucket -1: intervals that equal runs of the slice settle already."""
+    for b in slices(batches):
+        buf, off = text_bytes(b)
+        place, h, first, last, whole = anchors(buf, off, frequent)
+        if not len(place):
+            continue
+        row = np.searchsorted(off, place, "right") - 1
+        doc, pos = _doc_ids(b)[row], place - off[row]
+        raw = memoryview(buf)
+        text = np.array([zlib.crc32(raw[x:y]) for x, y in zip(off[:-1], off[1:])], np.uint32)[row]
+        wide = np.concatenate([np.zeros(LEFT, np.uint8), buf, np.zeros(DEPTH, np.uint8)])
+        before, after = place - first, last + DEPTH - place
+        # runs of equal bytes: side by side by document, then place
+        order = np.lexsort((pos, text, doc, before, whole))
+        same = np.zeros(len(order), bool)
+        same[1:] = (whole[order][1:] == whole[order][:-1]) & (before[order][1:] == before[order][:-1]) & (after[order][1:] == after[order][:-1])
+        twins = np.flatnonzero(same | np.append(same[1:], False))
+        span, keep = np.zeros(len(place), np.int64), np.ones(len(place), bool)
+        if len(twins):
+            i = order[twins]
+            bytes_ = _strings(wide, place[i], first[i], last[i])
+            equal = np.zeros(len(i), bool)
+            equal[1:] = same[twins][1:] & (bytes_[1:] == bytes_[:-1]).all(axis=1)
+            group = np.cumsum(~equal) - 1
+            head = np.flatnonzero(~equal)
+            least = i[head][group]  # of the smallest document
+            larger = doc[i] > doc[least]
+            keep[i[larger]] = False
+            if larger.any():
+                j = i[larger]
+                for k in range(0, len(j), 50_000):
+                    c = j[k : k + 50_000]
+                    yield from _blocks(np.full(len(c), -1), doc[c], text[c], (pos[c] - before[c]).astype(np.int32), (pos[c] + after[c]).astype(np.int32))
+            # in one document: places no farther apart than a window cover one stretch together
+            mine = i[~larger]
+            if len(mine) > 1:
+                g = group[~larger]
+                near = np.zeros(len(mine), bool)
+                near[1:] = (g[1:] == g[:-1]) & (doc[mine][1:] == doc[mine][:-1]) & (text[mine][1:] == text[mine][:-1]) & (row[mine][1:] == row[mine][:-1]) & (pos[mine][1:] - pos[mine][:-1] <= DEPTH)
+                at = np.flatnonzero(~near)
+                end = np.append(at[1:], len(mine)) - 1
+                span[mine[at]] = pos[mine[end]] - pos[mine[at]]
+                keep[mine[near]] = False
+        left = np.flatnonzero(keep)
+        bucket = _bucket_of(h[left], radix)
+        left, bucket = (x[np.argsort(bucket, kind="stable")] for x in (left, bucket))
+        cuts = np.concatenate([[0], np.flatnonzero(np.diff(bucket)) + 1, [len(bucket)]])
+        for k in range(0, len(cuts) - 1, 64):
+            few = list(zip(cuts[k : k + 64], cuts[k + 1 : k + 65]))
+            packed = []
+            for x, y in few:
+                i = left[x:y]
+                i = i[np.argsort(h[i], kind="stable")]
+                packed.append(_pack(doc[i], text[i], pos[i].astype(np.int32), span[i].astype(np.int32), before[i].astype(np.uint8), after[i].astype(np.uint8), _strings(wide, place[i], first[i], last[i])))
+            yield pa.RecordBatch.from_arrays([pa.array([int(bucket[x]) for x, _ in few], pa.int32()), pa.array(packed, pa.binary())], names=["bucket", "payload"])
+
+
+def _bucket_of(h: np.ndarray, radix: int) -> np.ndarray:
+    return ((h >> np.uint64(20)) % np.uint64(radix)).astype(np.int64)
+
+
+def digits(rows: np.ndarray) -> list[np.ndarray]:
+    """Rows of bytes as digits of eight bytes, the most significant first; their order is that of the bytes."""
+    n, width = rows.shape
+    full = np.zeros((n, -(-width // 8) * 8), np.uint8)
+    full[:, :width] = rows
+    words = full.view(">u8")
+    return [words[:, k].astype(np.uint64) for k in range(words.shape[1])]
+
+
+def next_digit(group: np.ndarray, digit: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """One pass: rows ordered by (group, digit), without those whose new group lies in one document; and their new groups."""
+    _, place = np.unique(digit, return_inverse=True)
+    key = group * np.int64(len(digit) + 1) + place
+    order = np.argsort(key, kind="stable")
+    key = key[order]
+    at = _runs(key)
+    d = doc[order]
+    many = np.minimum.reduceat(d, at) != np.maximum.reduceat(d, at)
+    size = np.diff(np.append(at, len(key)))
+    return order[np.repeat(many, size)], np.repeat(np.arange(int(many.sum())), size[many])
+
+
+def sort_digits(rows: np.ndarray, group: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Rows of bytes in groups, ordered through all their digits: (places of rows whose bytes several documents of the group have, their groups)."""
+    left, words = np.arange(len(rows)), digits(rows)
+    for k, word in enumerate(words):
+        if not len(left):
+            break
+        order, group = next_digit(group, word[left], doc[left])
+        left = left[order]
+    return left, group
+
+
+def _settle(group, doc, before, after, around) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Of runs in groups of one anchor: (row, farthest, nearest place before the anchor) of the windows that a smaller document has."""
+    n = len(doc)
+    far, near = np.full(n, -1, np.int64), np.full(n, DEPTH, np.int64)
+    for o in range(LEFT + 1):  # the window that starts o bytes before the anchor
+        rows = np.flatnonzero((before >= o) & (after >= DEPTH - o))
+        if len(rows) < 2:
+            continue
+        rest = np.concatenate([around[rows, LEFT - o : LEFT], around[rows, DEPTH : DEPTH + LEFT - o]], axis=1)
+        place, equal = sort_digits(rest, group[rows], doc[rows])
+        if not len(place):
             continue
-        h, doc, order = h[keep], doc[keep], order[keep]
-        c, pos, whole = c[order], pos[order], whole[order]
-        order = np.lexsort((doc, c, h))
-        h, doc, c, pos, whole = h[order], doc[order], c[order], pos[order], whole[order]
-        at = np.flatnonzero(np.concatenate([[True], (h[1:] != h[:-1]) | (c[1:] != c[:-1])]))
-        first = np.repeat(doc[at], np.diff(np.append(at, len(h))))
-        settled = (doc > first) & whole
-        groups = _runs(h)
-        kinds_of = np.add.reduceat(np.bincount(at, minlength=len(h)), groups)
-        more = np.repeat(kinds_of > 1, np.diff(np.append(groups, len(h))))
-        keep = settled | more
-        if keep.any():
-            yield pa.RecordBatch.from_arrays([pa.array(doc[keep]), pa.array(pos[keep]), pa.array(h[keep].view(np.int64)), pa.array(c[keep].view(np.int64)), pa.array(settled[keep])], names=["doc_id", "pos", "gram", "seal", "settled"])
+        got = rows[place]
+        at = _runs(equal)
+        least = np.repeat(np.minimum.reduceat(doc[got], at), np.diff(np.append(at, len(got))))
+        hit = got[doc[got] > least]
+        far[hit] = o
+        near[hit] = np.minimum(near[hit], o)
+    some = np.flatnonzero(far >= 0)
+    return some, far[some], near[some]
+
+
+SPANS = "doc_id long, text_crc long, lo int, hi int"
+
+
+def _intervals(doc, text, lo, hi) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(doc), pa.array(text.astype(np.int64)), pa.array(lo.astype(np.int32)), pa.array(hi.astype(np.int32))], names=["doc_id", "text_crc", "lo", "hi"])
+
+
+def _order_bucket(batches):
+    """The intervals to remove that a bucket's runs prove."""
+    for bucket, held in _by_bucket(batches):
+        if bucket == -1:
+            for raw in held:
+                yield _intervals(*unplanes(raw, np.int64, np.uint32, np.int32, np.int32))
+            continue
+        doc, text, pos, span, before, after, around = (np.concatenate(c) for c in zip(*map(_unpack, held)))
+        held.clear()
+        # the anchor's own bytes first
+        left, group = sort_digits(around[:, LEFT : LEFT + GRAM], np.zeros(len(doc), np.int64), doc)
+        if not len(left):
+            continue
+        doc, text, pos, span, before, after, around = (c[left] for c in (doc, text, pos.astype(np.int64), span.astype(np.int64), before.astype(np.int64), after.astype(np.int64), around))
+        # runs of equal bytes
+        total = (_TABLE[around] * _POWER[:WIDTH]).sum(axis=1, dtype=np.uint64) ^ mix64((before * 64 + after).astype(np.uint64))
+        order = np.lexsort((doc, total, group))
+        first = np.ones(len(order), bool)
+        first[1:] = (group[order][1:] != group[order][:-1]) | (total[order][1:] != total[order][:-1])
+        at = np.flatnonzero(first)
+        least = order[np.repeat(at, np.diff(np.append(at, len(order))))]
+        same = (doc[least] < doc[order]) & (before[least] == before[order]) & (after[least] == after[order]) & (around[least] == around[order]).all(axis=1)
+        whole = order[same]
+        if len(whole):
+            yield _intervals(doc[whole], text[whole], pos[whole] - before[whole], pos[whole] + span[whole] + after[whole])
+        left = np.sort(order[~same])
+        # the others window by window, whole groups together
+        at = np.append(_runs(group[left]), len(left))
+        many = np.repeat(np.diff(at) > 1, np.diff(at))
+        left = left[many]
+        at = np.append(_runs(group[left]), len(left))
+        i = 0
+        while i < len(at) - 1:
+            j = max(i + 1, int(np.searchsorted(at, at[i] + BATCH, "right")) - 1)
+            r = left[at[i] : at[j]]
+            row, far, near = _settle(group[r], doc[r], before[r], after[r], around[r])
+            if len(row):
+                r = r[row]
+                yield _intervals(doc[r], text[r], pos[r] - far, pos[r] + span[r] - near + DEPTH)
+            i = j
+
+
+def _with_removed(docs: DataFrame, frequent: np.ndarray | None = None) -> tuple[DataFrame, str]:
+    """The rows of docs with a column of the intervals to take out, and that column's name."""
+    spark = docs.sparkSession
+    radix = BUCKETS_PER_TASK * int(spark.conf.get("spark.sql.shuffle.partitions"))
+    common = frequent_grams(docs) if frequent is None else frequent
+    marks = frequency_filter(common) if len(common) else None
+    base = texts(docs).withColumn("doc_id", F.coalesce(F.col("doc_id").cast("long"), F.lit(LAST)))
+    packed = base.mapInArrow(lean(lambda it: _emit_runs(it, radix, marks)), "bucket int, payload binary")
+    path = new_path(spark, "repeats")
+    packed.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(lean(_order_bucket), SPANS).write.parquet(path)
+    del packed
+    release(spark)
+    spans = spark.read.schema(SPANS).parquet(path)
+    name, crc, removed = (fresh(docs.columns, x) for x in ("id", "crc", "removed"))
+    back = spans.groupBy(F.col("doc_id").alias(name), F.col("text_crc").alias(crc)).agg(F.collect_list(F.struct("lo", "hi")).alias(removed))
+    none = F.from_json(F.lit("[]"), "array<struct<lo:int,hi:int>>")
+    keyed = docs.withColumn(name, F.coalesce(F.col("doc_id").cast("long"), F.lit(LAST))).withColumn(crc, F.crc32(F.encode(F.coalesce("text", F.lit("")), "UTF-8")))
+    return keyed.join(back, [name, crc], "left").withColumn(removed, F.coalesce(removed, none)).drop(name, crc), removed
+
+
+def _spans(b: pa.RecordBatch, removed: str):
+    """Text bytes, offsets and the removed runs of a batch."""
+    buf, off = text_bytes(b)
+    row, f = _flat(b, removed)
+    return buf, off, *merged_spans(row, f["lo"].astype(np.int64), f["hi"].astype(np.int64))
 
 
 def _flat(b: pa.RecordBatch, name: str) -> tuple[np.ndarray, dict[str, np.ndarray]]:
@@ -248,96 +437,6 @@ def _flat(b: pa.RecordBatch, name: str) -> tuple[np.ndarray, dict[str, np.ndarra
     return row, {f.name: fields.field(i).to_numpy(zero_copy_only=False) for i, f in enumerate(fields.type)}
 
 
-def _emit_contexts(batches, radix: int):
-    """Anchors with the bytes that windows through them can reach, dealt by gram."""
-    left, width = DEPTH - GRAM, 2 * DEPTH - GRAM
-    for b in slices(batches, SLICE // 2):
-        buf, off = text_bytes(b)
-        row, f = _flat(b, "found")
-        pos, h = f["pos"].astype(np.int64), f["gram"].view(np.uint64)
-        size = (off[1:] - off[:-1])[row]
-        fits = pos + GRAM <= size
-        row, pos, h, size = row[fits], pos[fits], h[fits], size[fits]
-        wide = np.concatenate([np.zeros(left, np.uint8), buf, np.zeros(DEPTH, np.uint8)])
-        place = off[:-1][row] + pos
-        for i in range(0, len(row), 20_000):
-            j = slice(i, i + 20_000)
-            around = wide[place[j, None] + np.arange(width)]
-            g = _gram(around)
-            g ^= g >> np.uint64(32)
-            g *= np.uint64(0x9FB21C651E98DF25)
-            own = g >> np.uint64(24) == h[j]  # rows with the same doc_id may have other texts
-            before, after = np.minimum(pos[j], left).astype(np.uint8), np.minimum(size[j] - pos[j], DEPTH).astype(np.uint8)
-            order = np.flatnonzero(own)[np.argsort(h[j][own], kind="stable")]
-            yield from _blocks(_bucket_of(h[j][order] << np.uint64(24), radix), _doc_ids(b)[row[j]][order], pos[j][order].astype(np.int32), before[order], after[order], around[order])
-
-
-def _settle(doc, pos, before, after, around):
-    """Intervals to remove: (row, start, end) of the occurrences whose windows occur in a smaller document."""
-    left, n = DEPTH - GRAM, len(doc)
-    term = _TABLE[around]
-    term *= _POWER[: around.shape[1]]
-    total = np.zeros((n, around.shape[1] + 1), np.uint64)
-    np.cumsum(term, axis=1, out=total[:, 1:])
-    whole = (before == left) & (after == DEPTH)
-    key = np.where(whole, total[:, -1], mix64(np.arange(1, n + 1, dtype=np.uint64)))
-    order = np.lexsort((doc, key))
-    at = _runs(key[order])
-    first = order[np.repeat(at, np.diff(np.append(at, n)))]
-    same = np.zeros(n, bool)
-    same[order] = (doc[first] < doc[order]) & (around[first] == around[order]).all(axis=1) & whole[order]
-    rows, lo, hi = [np.flatnonzero(same)], [pos[same] - left], [pos[same] + DEPTH]
-    rest = np.flatnonzero(~same)
-    if len(rest):
-        far, near = np.full(len(rest), -1, np.int64), np.full(len(rest), DEPTH, np.int64)
-        d = doc[rest]
-        for o in range(left + 1):  # the window that starts o bytes before the anchor
-            c = left - o
-            fits = np.flatnonzero((before[rest] >= o) & (after[rest] >= DEPTH - o))
-            if len(fits) < 2:
-                continue
-            k = total[rest[fits], c + DEPTH] - total[rest[fits], c]
-            order = fits[np.lexsort((d[fits], k))]
-            k = np.sort(k)
-            at = _runs(k)
-            first = order[np.repeat(at, np.diff(np.append(at, len(k))))]
-            hit = d[first] < d[order]
-            hit[hit] = (around[rest[first[hit]], c : c + DEPTH] == around[rest[order[hit]], c : c + DEPTH]).all(axis=1)
-            got = order[hit]
-            far[got] = o
-            near[got] = np.minimum(near[got], o)
-        some = np.flatnonzero(far >= 0)
-        rows.append(rest[some])
-        lo.append(pos[rest[some]] - far[some])
-        hi.append(pos[rest[some]] - near[some] + DEPTH)
-    return np.concatenate(rows), np.concatenate(lo), np.concatenate(hi), total
-
-
-def _repeats(batches):
-    left, width = DEPTH - GRAM, 2 * DEPTH - GRAM
-    for held in _by_bucket(batches):
-        doc, pos, before, after, around = (np.concatenate(c) for c in zip(*(unplanes(x, np.int64, np.int32, np.uint8, np.uint8, width) for x in held)))
-        order = np.lexsort((doc, _gram(around)))
-        gram = _gram(around)[order]
-        doc, pos, before, after, around = doc[order], pos[order].astype(np.int64), before[order].astype(np.int64), after[order].astype(np.int64), around[order]
-        at = np.append(_runs(gram), len(gram))
-        i = 0
-        while i < len(at) - 1:  # whole groups, about 20,000 rows at a time
-            j = max(i + 1, int(np.searchsorted(at, at[i] + 20_000, "right")) - 1)
-            s = slice(at[i], at[j])
-            r, lo, hi, total = _settle(doc[s], pos[s], before[s], after[s], around[s])
-            if len(r):
-                c0, c1 = lo - pos[s][r] + left, hi - pos[s][r] + left
-                mark = seal((total[r, c1] - total[r, c0]) * _INVERSE[c0])
-                yield pa.RecordBatch.from_arrays([pa.array(doc[s][r]), pa.array(lo.astype(np.int32)), pa.array(hi.astype(np.int32)), pa.array(mark.view(np.int64))], names=["doc_id", "lo", "hi", "seal"])
-            i = j
-
-
-def _gram(around: np.ndarray) -> np.ndarray:
-    left = DEPTH - GRAM
-    return (_TABLE[around[:, left : left + GRAM]] * _POWER[:GRAM]).sum(axis=1, dtype=np.uint64)
-
-
 def merged_spans(row: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Maximal runs per row of intervals that overlap or touch."""
     if not len(row):
@@ -352,29 +451,6 @@ def merged_spans(row: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> tuple[np.nd
     return row[at], lo[at], np.maximum.reduceat(hi, at)
 
 
-def _own(buf: np.ndarray, place: np.ndarray, size: np.ndarray, seals: np.ndarray) -> np.ndarray:
-    """Whether the bytes at each interval are those it was found on."""
-    out = np.zeros(len(place), bool)
-    for i in range(0, len(place), 10_000):
-        p, n = place[i : i + 10_000], size[i : i + 10_000]
-        at = p[:, None] + np.arange(2 * DEPTH - GRAM)
-        inside = np.arange(2 * DEPTH - GRAM) < n[:, None]
-        v = _TABLE[buf[np.minimum(at, len(buf) - 1)]] * _POWER[: 2 * DEPTH - GRAM]
-        out[i : i + 10_000] = seal(np.where(inside, v, np.uint64(0)).sum(axis=1, dtype=np.uint64)) == seals[i : i + 10_000]
-    return out
-
-
-def _spans(b: pa.RecordBatch):
-    """Text bytes, offsets and the removed runs of a batch of (doc_id, text, __removed)."""
-    buf, off = text_bytes(b)
-    row, f = _flat(b, "__removed")
-    lo, hi, seals = f["lo"].astype(np.int64), f["hi"].astype(np.int64), f["seal"].view(np.uint64)
-    fits = hi <= (off[1:] - off[:-1])[row]
-    row, lo, hi, seals = row[fits], lo[fits], hi[fits], seals[fits]
-    own = _own(buf, off[:-1][row] + lo, hi - lo, seals)
-    return buf, off, *merged_spans(row[own], lo[own], hi[own])
-
-
 def _kept(buf: np.ndarray, off: np.ndarray, row, lo, hi) -> tuple[np.ndarray, np.ndarray]:
     """The remaining bytes and their bounds per document."""
     mark = np.zeros(len(buf) + 1, np.int8)
@@ -386,76 +462,57 @@ def _kept(buf: np.ndarray, off: np.ndarray, row, lo, hi) -> tuple[np.ndarray, np
     return buf[keep], count[off]
 
 
-def _by_document(docs: DataFrame) -> DataFrame:
-    """__id (null doc_ids as the largest number), __removed ARRAY<lo, hi, seal>: what to take from each document."""
-    radix = BUCKETS_PER_TASK * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    base = texts(docs).withColumn("doc_id", F.coalesce("doc_id", F.lit(LAST)))
-    packed = base.mapInArrow(lean(lambda it: _emit_anchors(it, radix)), "bucket int, payload binary")
-    shared = stash(packed.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(lean(_shared), FOUND), "anchors")
-    del packed
-    release(docs.sparkSession)
-    found = shared.where("not settled").groupBy("doc_id").agg(F.collect_list(F.struct("pos", "gram")).alias("found"))
-    around = base.join(found, "doc_id").mapInArrow(lean(lambda it: _emit_contexts(it, radix)), "bucket int, payload binary")
-    hits = stash(around.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(lean(_repeats), "doc_id long, lo int, hi int, seal long"), "repeats")
-    del around, found
-    release(docs.sparkSession)
-    reach = shared.where("settled").select("doc_id", (F.col("pos") - (DEPTH - GRAM)).alias("lo"), (F.col("pos") + DEPTH).alias("hi"), "seal")
-    return hits.unionByName(reach).groupBy(F.col("doc_id").alias("__id")).agg(F.collect_list(F.struct("lo", "hi", "seal")).alias("__removed"))
-
-
-def _with_removed(docs: DataFrame) -> DataFrame:
-    """The rows of docs with __removed."""
-    back = _by_document(docs)
-    none = F.from_json(F.lit("[]"), "array<struct<lo:int,hi:int,seal:bigint>>")
-    return docs.withColumn("__id", F.coalesce("doc_id", F.lit(LAST))).join(back, "__id", "left").withColumn("__removed", F.coalesce("__removed", none)).drop("__id")
-
-
 def remove_repeats(docs: DataFrame) -> DataFrame:
     """doc_id, kept BINARY (the remaining bytes), spans ARRAY<start, end> in bytes of the input text."""
     schema = pa.schema([("doc_id", pa.int64()), ("kept", pa.binary()), ("spans", pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())])))])
+    rows, removed = _with_removed(texts(docs))
 
     def run(batches):
         for b in slices(batches):
-            buf, off, row, lo, hi = _spans(b)
+            buf, off, row, lo, hi = _spans(b, removed)
             kept, at = _kept(buf, off, row, lo, hi)
             raw = kept.tobytes()
             per = np.searchsorted(row, np.arange(b.num_rows + 1))
             spans = pa.ListArray.from_arrays(pa.array(per, pa.int32()), pa.StructArray.from_arrays([pa.array(lo, pa.int32()), pa.array(hi, pa.int32())], names=["start", "end"]))
             yield pa.RecordBatch.from_arrays([b.column("doc_id").cast(pa.int64()), pa.array([raw[x:y] for x, y in zip(at[:-1], at[1:])], pa.binary()), spans], schema=schema)
 
-    return _with_removed(texts(docs)).mapInArrow(lean(run), "doc_id long, kept binary, spans array<struct<start:int,end:int>>")
+    return rows.mapInArrow(lean(run), "doc_id long, kept binary, spans array<struct<start:int,end:int>>")
 
 
 def repeat_digests(docs: DataFrame) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256."""
     schema = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_removed", pa.int64()), ("n_spans", pa.int64()), ("kept_sha256", pa.string())])
+    rows, removed = _with_removed(texts(docs))
 
     def run(batches):
         for b in slices(batches):
-            buf, off, row, lo, hi = _spans(b)
+            buf, off, row, lo, hi = _spans(b, removed)
             kept, at = _kept(buf, off, row, lo, hi)
             raw, size = memoryview(kept.tobytes()), np.diff(off)
             sha = [hashlib.sha256(raw[x:y]).hexdigest() for x, y in zip(at[:-1], at[1:])]
             yield pa.RecordBatch.from_arrays([b.column("doc_id").cast(pa.int64()), pa.array(size), pa.array(size - np.diff(at)), pa.array(np.bincount(row, minlength=b.num_rows)), pa.array(sha, pa.string())], schema=schema)
 
-    return _with_removed(texts(docs)).mapInArrow(lean(run), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+    return rows.mapInArrow(lean(run), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
 
 
 def without_repeats(docs: DataFrame) -> DataFrame:
-    """The documents with the repeated bytes taken out of text, n_chars set anew; all other columns stay.
+    """The documents with the repeated bytes taken out of text and n_chars (if it is there, of any whole type) set anew;
+    all other columns stay.
 
-    Where a cut falls inside a character, the rest of its bytes is left out of the text. A null text becomes
-    empty. n_chars must be a long, as in documents.
+    Where a cut falls inside a character, the rest of its bytes is left out of the text. A null text becomes empty.
     """
     columns = docs.columns
+    rows, removed = _with_removed(docs)
 
     def run(batches):
         for b in slices(batches):
-            buf, off, row, lo, hi = _spans(b)
+            buf, off, row, lo, hi = _spans(b, removed)
             kept, at = _kept(buf, off, row, lo, hi)
             raw = kept.tobytes()
             text = [raw[x:y].decode("utf-8", "ignore") for x, y in zip(at[:-1], at[1:])]
-            new = {"text": pa.array(text, pa.string()), "n_chars": pa.array(map(len, text), pa.int64())}
-            yield pa.RecordBatch.from_arrays([new.get(c, b.column(c)) for c in columns], names=columns)
+            new = {"text": pa.array(text, pa.string())}
+            if "n_chars" in columns:
+                new["n_chars"] = pa.array(map(len, text), pa.int64()).cast(b.column("n_chars").type)
+            yield pa.RecordBatch.from_arrays([new[c] if c in new else b.column(c) for c in columns], names=columns)
 
-    return _with_removed(docs).mapInArrow(lean(run), docs.schema)
+    return rows.mapInArrow(lean(run), docs.schema)

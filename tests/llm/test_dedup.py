@@ -176,14 +176,59 @@ def test_spans_and_text(spark):
 
 
 def test_anchors_depend_on_windows_only():
-    """A window's anchor lies at the same place wherever the window stands, also across chunks."""
+    """Every window is in one run, and its anchor lies at the same place wherever it stands, also across chunks and for avoided grams."""
     rng = np.random.default_rng(0)
     text = rng.integers(97, 103, 400_000).astype(np.uint8)
     text[300_000:300_200] = text[100:300]
-    p, h, _ = suffix_dedup.anchors(text, np.array([0, len(text)]))
-    one, two = set((p[(p >= 130) & (p < 270)] - 100).tolist()), set((p[(p >= 300_030) & (p < 300_170)] - 300_000).tolist())
-    assert one == two and one
-    assert (np.diff(p) > 0).all() and np.diff(p).max() <= 50 - suffix_dedup.GRAM + 1
+    text[200_000:210_000] = 65  # a constant stretch
+    plain = suffix_dedup.anchors(text, np.array([0, len(text)]))
+    for marks in (None, suffix_dedup.frequency_filter(plain[1][::7].view(np.int64))):
+        place, _, first, last, _ = suffix_dedup.anchors(text, np.array([0, len(text)]), marks)
+        windows = np.concatenate([np.arange(a, b + 1) for a, b in zip(first, last)])
+        assert (windows == np.arange(len(text) - 49)).all()
+        own = np.repeat(place, last - first + 1)
+        assert ((own >= windows) & (own <= windows + 30)).all()
+        assert (own[100:251] - 100 == own[300_000:300_151] - 300_000).all()
+
+
+def test_digit_passes_order_and_group():
+    rng = np.random.default_rng(1)
+    rows = rng.integers(97, 99, (400, 11)).astype(np.uint8)
+    rows[200:260] = rows[:60]
+    group, doc = rng.integers(0, 3, 400), rng.integers(0, 40, 400)
+    group = np.sort(group)
+    left, equal = suffix_dedup.sort_digits(rows, group, doc)
+    want = {}
+    for i in range(400):
+        want.setdefault((int(group[i]), rows[i].tobytes()), []).append(i)
+    several = {k: v for k, v in want.items() if len(set(doc[v])) > 1}
+    got = {}
+    for i, g in zip(left, equal):
+        got.setdefault(int(g), []).append(int(i))
+    assert sorted(map(sorted, got.values())) == sorted(map(sorted, several.values()))
+    keys = [(int(group[i]), rows[i].tobytes()) for i in left]
+    assert keys == sorted(keys)
+
+
+def test_hot_passages_and_constant_texts(spark, monkeypatch):
+    """A passage of most documents, texts of one letter or of a short period, and avoided grams change nothing in the result."""
+    rng = random.Random(9)
+    hot = "this passage is part of a great many documents, and it is longer than any window of fifty bytes."
+    rows = [(i, "".join(rng.choice("abcd ") for _ in range(rng.randint(0, 80))) + (hot if i % 3 else "") + rng.choice(["z" * 400, "xy" * 150, "abc" * 70, ""])) for i in range(90)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    want = brute_repeats(rows)
+    for limit in (24, 2):
+        monkeypatch.setattr(suffix_dedup, "FREQUENT", limit)
+        for r in suffix_dedup.repeat_digests(df).collect():
+            assert (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) == want[r.doc_id][0]
+
+
+def test_repeats_with_clashing_columns(spark):
+    p = "a passage that is certainly longer than fifty bytes, for sure it is."
+    df = spark.createDataFrame([(1, p, 9, "x", 1), (2, "head " + p, 9, "y", 2)], "doc_id int, text string, n_chars int, _id string, _removed int")
+    got = {r.doc_id: r for r in suffix_dedup.without_repeats(df).collect()}
+    assert (got[2].text, got[2].n_chars, got[2]["_id"], got[2]["_removed"]) == ("head ", 5, "y", 2)
+    assert suffix_dedup.without_repeats(df).schema == df.schema
 
 
 # --- lines -------------------------------------------------------------------------------------------------
