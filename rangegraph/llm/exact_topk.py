@@ -6,9 +6,9 @@ its own terms into a dense array of scores, one per candidate of the block; a pa
 the best of the block, and a running merge keeps the best of the task. Tasks send k rows per query, and
 a window merges them.
 
-Queries are gathered in blocks of a bounded number of rows (QUERY_BLOCK, at most QUERY_BLOCK * dims * 8
-bytes) that are sent to all tasks; there is one pass over the candidates per block, and no shuffle of
-candidates.
+Queries and candidates are packed into blocks of a bounded number of rows, one row per block, and every block of
+queries meets every block of candidates inside Spark. Query blocks whose size is checked go to all tasks; more
+of them are dealt like the candidates. No query passes through the driver.
 
 Defined cases: vectors that are null, or hold null, NaN or infinities, take no part; neither do rows with
 a null id. Ties go to the smaller id. A query's own row is the one with its id; rows that repeat an id
@@ -23,10 +23,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import lean
+from .common import lean, stash
 
-QUERY_BLOCK = 8_192
+QUERY_BLOCK = 2_048
 CANDIDATES = 4_096
+SENT_BYTES = 64_000_000
+PACKED = "ids binary, width int, weights binary"
 OUT = "query_id long, vec_id long, score long"
 
 
@@ -89,60 +91,51 @@ def scatter(queries: np.ndarray, block: np.ndarray) -> np.ndarray:
     return scores
 
 
+def packed(rows: DataFrame, size: int) -> DataFrame:
+    """PACKED rows of (vec_id, w): blocks of at most `size` rows, short vectors filled with 0."""
+
+    def run(batches):
+        for b in batches:
+            for at in range(0, b.num_rows, size):
+                part = b.slice(at, size)
+                width = int(np.diff(part.column("w").offsets.to_numpy()).max(initial=0))
+                m = dense(part.column("w"), width)
+                yield pa.RecordBatch.from_arrays([pa.array([part.column("vec_id").cast(pa.int64()).to_numpy().tobytes()]), pa.array([width], pa.int32()), pa.array([m.tobytes()])], names=["ids", "width", "weights"])
+
+    return rows.select("vec_id", "w").mapInArrow(lean(run), PACKED)
+
+
 def search(queries: DataFrame, candidates: DataFrame, k: int = 5, block: int = QUERY_BLOCK) -> DataFrame:
     """query_id, rank, vec_id, score of each query against every candidate row but its own. Inputs: (vec_id, w)."""
-    spark = candidates.sparkSession
-    numbered = queries.dropDuplicates().orderBy("vec_id")
-    rows = numbered.toLocalIterator(prefetchPartitions=False)
-    parts, held = [], []
-
-    def one_block(held: list) -> DataFrame:
-        width = max(len(r.w) for r in held)
-        matrix = np.zeros((len(held), width), np.int64)
-        for i, r in enumerate(held):
-            matrix[i, : len(r.w)] = r.w
-        sent = spark.sparkContext.broadcast((np.array([r.vec_id for r in held], np.int64), matrix))
-        return candidates.select("vec_id", "w").mapInArrow(lean(lambda it: _run(it, sent, k)), OUT)
-
-    for r in rows:
-        held.append(r)
-        if len(held) == block:
-            parts.append(one_block(held))
-            held = []
-    if held:
-        parts.append(one_block(held))
-    if not parts:
-        return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
-    found = parts[0]
-    for p in parts[1:]:
-        found = found.unionByName(p)
+    asked = stash(packed(queries.dropDuplicates(), block), "queries").select(F.monotonically_increasing_id().alias("block"), *[F.col(c).alias(f"q_{c}") for c in ("ids", "width", "weights")])
+    size = asked.agg(F.sum(F.octet_length("q_weights"))).first()[0] or 0
+    asked = F.broadcast(asked) if size <= SENT_BYTES else asked.hint("shuffle_replicate_nl")
+    found = packed(candidates, CANDIDATES).join(asked, F.lit(True)).mapInArrow(lean(lambda it: _run(it, k)), OUT)
     w = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 
 
-def _run(batches, sent, k: int):
-    query_ids, matrix = sent.value
-    n, chunk = len(query_ids), 256
-    top_s, top_i = np.full((n, k), NONE), np.full((n, k), -1, np.int64)
-    seen = False
-    for b in batches:
-        for at in range(0, b.num_rows, CANDIDATES):
-            part = b.slice(at, CANDIDATES)
-            ids = part.column("vec_id").to_numpy()
-            sizes = np.diff(part.column("w").offsets.to_numpy())
-            width = max(matrix.shape[1], int(sizes.max(initial=0)))
-            block = dense(part.column("w"), width)
-            seen = True
+def _padded(m: np.ndarray, width: int) -> np.ndarray:
+    return np.pad(m, ((0, 0), (0, width - m.shape[1]))) if width > m.shape[1] else m
+
+
+def _run(batches, k: int, chunk: int = 256):
+    """The k best of each query over all blocks of candidates that a task sees."""
+    top: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]] = {}
+    for t in batches:
+        for row in t.to_pylist():
+            ids, query_ids = np.frombuffer(row["ids"], np.int64), np.frombuffer(row["q_ids"], np.int64)
+            width = max(row["width"], row["q_width"])
+            block = _padded(np.frombuffer(row["weights"], np.int64).reshape(len(ids), row["width"]), width)
+            matrix = _padded(np.frombuffer(row["q_weights"], np.int64).reshape(len(query_ids), row["q_width"]), width)
+            n = len(query_ids)
+            _, top_s, top_i = top.setdefault(row["block"], (query_ids, np.full((n, k), NONE), np.full((n, k), -1, np.int64)))
             for q in range(0, n, chunk):
-                mine = matrix[q : q + chunk]
-                if width > mine.shape[1]:
-                    mine = np.pad(mine, ((0, 0), (0, width - mine.shape[1])))
-                scores = scatter(mine, block).astype(np.int64)
-                own = query_ids[q : q + chunk, None] == ids[None, :]
-                scores[own] = NONE
+                scores = scatter(matrix[q : q + chunk], block).astype(np.int64)
+                scores[query_ids[q : q + chunk, None] == ids[None, :]] = NONE
                 s, i = best(scores, ids, k)
                 both_s, both_i = np.hstack([top_s[q : q + chunk], s]), np.hstack([top_i[q : q + chunk], i])
                 top_s[q : q + chunk], top_i[q : q + chunk] = best(both_s, both_i, k)
-    if seen:
+    for query_ids, top_s, top_i in top.values():
         r, c = np.nonzero(top_s != NONE)
         yield pa.RecordBatch.from_arrays([pa.array(query_ids[r]), pa.array(top_i[r, c]), pa.array(top_s[r, c])], names=["query_id", "vec_id", "score"])

@@ -12,7 +12,7 @@ remembered in a bounded cache, and long texts without such places are encoded in
 
 Defined cases: null text is the empty text and has the end id only; ids are those of the library
 for every text, including control characters, runs of spaces, the space symbol itself and characters
-outside the vocabulary (their UTF-8 bytes, or the unknown id without byte pieces).
+outside the vocabulary (their UTF-8 bytes, or the unknown id without byte pieces). Decoding reads the ids alone.
 """
 
 from __future__ import annotations
@@ -33,6 +33,23 @@ PIECES = 1 << 22  # more than any vocabulary has
 CHARACTER = 1 << 21  # keys of single characters start here
 
 
+def characters(raw: bytes) -> str:
+    """UTF-8 bytes as text; each byte that begins no character is one replacement character."""
+    try:
+        return raw.decode()
+    except UnicodeDecodeError:
+        out, at = [], 0
+        while at < len(raw):
+            size = 1 if raw[at] < 0x80 else 2 if raw[at] < 0xE0 else 3 if raw[at] < 0xF0 else 4
+            try:
+                out.append(raw[at : at + size].decode())
+                at += size
+            except UnicodeDecodeError:
+                out.append("\ufffd")
+                at += 1
+        return "".join(out)
+
+
 class PieceTable:
     """The vocabulary with its automaton, pair memory and unit cache; one per Python worker."""
 
@@ -64,10 +81,13 @@ class PieceTable:
             if len(p) > 1 and self.merged(p) == [p]:
                 self.automaton.add_word(p, (len(p), p, i))
         self.automaton.make_automaton()
-        self.id_text = {p: str(i) for p, (_, i) in self.score.items()}
+        self.id_of = {p: i for p, (_, i) in self.score.items()}
+        self.number = [str(i) for i in range(n)]
+        #: What an id decodes to; None for byte pieces, which are decoded together.
+        self.text_of = [None if i in self.byte_of else "" if i in self.control else " ⁇ " if i == self.unk else p.replace(SPACE, " ") for i, p in enumerate(self.surface)]
         self.pair: dict[int, bool] = {}
-        self.newer: dict[str, tuple[str, str]] = {}
-        self.older: dict[str, tuple[str, str]] = {}
+        self.newer: dict[str, tuple[int, ...]] = {}
+        self.older: dict[str, tuple[int, ...]] = {}
         self.max_units, self.max_pairs = units, pairs
         self.lines = not lone
         self.line_end = self.encode_unit("\n")
@@ -149,34 +169,32 @@ class PieceTable:
 
     def surface_of(self, ids: list[int]) -> str:
         """Decoded text of ids, before the space of the start is taken off."""
-        out, run = [], bytearray()
-        for i in ids:
-            b = self.byte_of.get(i)
-            if b is not None:
-                run.append(b)
-                continue
-            if run:
-                out.append(run.decode("utf-8", "replace"))
-                run.clear()
-            if i not in self.control:
-                out.append(self.surface[i].replace(SPACE, " ") if i != self.unk else " ⁇ ")
-        if run:
-            out.append(run.decode("utf-8", "replace"))
-        return "".join(out)
+        try:
+            return "".join([self.text_of[i] for i in ids])
+        except TypeError:  # byte pieces among them: runs of these are characters together
+            out, run = [], bytearray()
+            for i in ids:
+                if i in self.byte_of:
+                    run.append(self.byte_of[i])
+                else:
+                    if run:
+                        out.append(characters(bytes(run)))
+                        run.clear()
+                    out.append(self.text_of[i])
+            return "".join(out) + characters(bytes(run))
 
     def units(self, text: str) -> list[str]:
         return self.cut.findall(SPACE + text.replace(" ", SPACE)) if text else []
 
-    def encode_unit(self, u: str) -> tuple[str, str]:
-        """Decimal ids and decoded surface of a unit."""
+    def encode_unit(self, u: str) -> tuple[int, ...]:
+        """The ids of a unit."""
         tokens = self.split(u)
         try:
-            return " ".join([self.id_text[t] for t in tokens]), "".join(tokens).replace(SPACE, " ")
+            return tuple([self.id_of[t] for t in tokens])
         except KeyError:
-            numbers = self.ids_of(tokens)
-            return " ".join(map(str, numbers)), self.surface_of(numbers)
+            return tuple(self.ids_of(tokens))
 
-    def learn(self, word: str) -> tuple[str, str]:
+    def learn(self, word: str) -> tuple[int, ...]:
         """The unit of a word with a space in front: from the older half of the cache, or encoded now."""
         got = self.older.get(word)
         if got is None:
@@ -184,46 +202,41 @@ class PieceTable:
                 got = self.encode_unit(SPACE + word)
             else:  # no piece spans the last two characters (a stop behind a letter)
                 stem, tail = word[:-1], word[-1]
-                a, b = self.newer.get(stem) or self.learn(stem), self.single.get(tail) or self.encode_unit(tail)
-                return a[0] + " " + b[0], a[1] + b[1]
+                return (self.newer.get(stem) or self.learn(stem)) + (self.single.get(tail) or self.encode_unit(tail))
         if len(word) <= 64:
             if len(self.newer) >= self.max_units:  # what was used since the last turn stays
                 self.older, self.newer = self.newer, {}
             self.newer[word] = got
         return got
 
-    def coded(self, text: str) -> list[tuple[str, str]]:
-        """Decimal ids and surfaces of the units of a text."""
+    def encode(self, text: str) -> list[int]:
+        """The ids of a text, without the end id."""
+        out: list[int] = []
         if not text:
-            return []
+            return out
         if not self.lines or SPACE in text or text[0] == " " or "  " in text:
-            return [self.learn(u[1:]) if u[0] == SPACE else self.encode_unit(u) for u in self.units(text)]
-        out: list[tuple[str, str]] = []
+            for u in self.units(text):
+                out += self.learn(u[1:]) if u[0] == SPACE else self.encode_unit(u)
+            return out
         for k, line in enumerate(text.split("\n")):
             words = line.split(" ")
             if k:  # the first word of a later line has no space in front
-                out.append(self.line_end)
+                out += self.line_end
                 if words[0]:
-                    out.append(self.encode_unit(words[0]))
+                    out += self.encode_unit(words[0])
                 del words[0]
-            known = self.newer
-            out += [known.get(w) or self.learn(w) for w in words]
+            for w in words:
+                out += self.newer.get(w) or self.learn(w)
         return out
 
-    def encode(self, text: str) -> list[int]:
-        return [i for ids, _ in self.coded(text) for i in map(int, ids.split(" "))]
-
     def decode(self, ids: list[int]) -> str:
         s = self.surface_of(ids)
         return s[1:] if ids and self.surface[next((i for i in ids if i not in self.control), self.eos)].startswith(SPACE) else s
 
-    def round_trip(self, text: str) -> tuple[str, str]:
-        """Decimal ids with the end id, and the text decoded from them."""
-        got = self.coded(text)
-        if not got:
-            return str(self.eos), ""
-        back = "".join([g[1] for g in got])
-        return " ".join([g[0] for g in got]) + f" {self.eos}", back[1:] if back.startswith(" ") else back
+    def round_trip(self, text: str) -> tuple[list[int], str]:
+        """The ids with the end id, and the text decoded from them."""
+        ids = [*self.encode(text), self.eos]
+        return ids, self.decode(ids)
 
 
 _tables: dict[str, PieceTable] = {}
@@ -243,9 +256,7 @@ def encode_documents(docs: DataFrame, model_path: str) -> DataFrame:
         t = piece_table(model_path)
         for b in batches:
             pairs = [t.round_trip(x or "") for x in b.column("text").to_pylist()]
-            yield pa.RecordBatch.from_arrays(
-                [b.column("doc_id").cast(pa.int64()), pa.array([list(map(int, p[0].split(" "))) for p in pairs], pa.list_(pa.int32())), pa.array([p[1] for p in pairs], pa.string())], schema=schema
-            )
+            yield pa.RecordBatch.from_arrays([b.column("doc_id").cast(pa.int64()), pa.array([p[0] for p in pairs], pa.list_(pa.int32())), pa.array([p[1] for p in pairs], pa.string())], schema=schema)
 
     return texts(docs).mapInArrow(lean(run), "doc_id long, ids array<int>, decoded string")
 
@@ -259,9 +270,9 @@ def encode_digests(docs: DataFrame, model_path: str) -> DataFrame:
         for b in batches:
             count, ids, back = [], [], []
             for x in b.column("text"):
-                line, text = t.round_trip(x.as_py() or "")
-                count.append(line.count(" ") + 1)
-                ids.append(hashlib.sha256(line.encode()).hexdigest())
+                got, text = t.round_trip(x.as_py() or "")
+                count.append(len(got))
+                ids.append(hashlib.sha256(" ".join([t.number[i] for i in got]).encode()).hexdigest())
                 back.append(hashlib.sha256(text.encode()).hexdigest())
             yield pa.RecordBatch.from_arrays([b.column("doc_id").cast(pa.int64()), pa.array(count, pa.int64()), pa.array(ids, pa.string()), pa.array(back, pa.string())], schema=schema)
 
