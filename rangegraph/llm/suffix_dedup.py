@@ -17,8 +17,8 @@ are exactly the repeated windows.
   only groups of several documents go on to the next digit.
 * The covered bytes come back to their documents as intervals.
 
-Every removal is proved on bytes. Hashes only deal rows to buckets, find runs that are then compared, and tell rows
-that share a doc_id apart (by the CRC of their text).
+Every removal is proved on bytes. Hashes only deal rows to buckets, find runs that are then compared, and, where some
+doc_id has several texts, tell these apart (by the CRC of the text).
 
 Defined cases: null text is empty; matches never cross documents; documents with equal doc_id do not
 remove from each other (each row keeps its own spans); a null doc_id counts as larger than any other;
@@ -50,6 +50,7 @@ SAMPLE_BYTES = 8_000_000  # of text in which frequent grams are counted
 FREQUENT = 24  # anchors of one gram in the sample that make it frequent
 FILTER_BITS = 22
 BATCH = 60_000  # rows ordered together
+ROUNDS = 2  # portions of the anchors, one after the other, so that the runs of only one portion are on disk
 
 _TABLE = mix64(np.arange(1, 257, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
 _M = np.uint64(0xD1342543DE82EF95)
@@ -225,33 +226,41 @@ def _pack(*columns) -> bytes:
     return zstandard.ZstdCompressor(level=1).compress(planes(*columns[:-1]) + np.ascontiguousarray(columns[-1]).tobytes())
 
 
-KINDS = (np.int64, np.uint32, np.int32, np.int32, np.uint8, np.uint8)  # doc, text, pos, span, before, after
+KINDS = (np.int64, np.uint32, np.int32, np.int32, np.uint8, np.uint8)  # doc (as steps), text, pos, span, before, after
 
 
 def _unpack(raw: bytes) -> list[np.ndarray]:
     raw = zstandard.ZstdDecompressor().decompress(raw)
     n = int.from_bytes(raw[:4], "little")
     size = 4 + n * sum(np.dtype(k).itemsize for k in KINDS)
-    return [*unplanes(raw, *KINDS), np.frombuffer(raw, np.uint8, n * WIDTH, size).reshape(n, WIDTH)]
+    step, *others = unplanes(raw, *KINDS)
+    return [np.cumsum(step), *others, np.frombuffer(raw, np.uint8, n * WIDTH, size).reshape(n, WIDTH)]
 
 
-def _emit_runs(batches, radix: int, frequent: np.ndarray | None):
-    """Rows (bucket, payload) of runs by their anchor; bucket -1: intervals that equal runs of the slice settle already."""
+def _emit_runs(batches, radix: int, frequent: np.ndarray | None, turn: int = 0, rounds: int = 1, mark: bool = True):
+    """Rows (bucket, payload) of runs by their anchor, of the anchors of one round; bucket -1: intervals that equal runs of
+    the slice settle already. mark: whether rows are to be told apart by their text too."""
     for b in slices(batches):
         buf, off = text_bytes(b)
         place, h, first, last, whole = anchors(buf, off, frequent)
-        if not len(place):
+        mine = np.flatnonzero((h >> np.uint64(12)) % np.uint64(rounds) == turn)
+        if not len(mine):
             continue
+        place, h, first, last, whole = (c[mine] for c in (place, h, first, last, whole))
         row = np.searchsorted(off, place, "right") - 1
         doc, pos = _doc_ids(b)[row], place - off[row]
         raw = memoryview(buf)
-        text = np.array([zlib.crc32(raw[x:y]) for x, y in zip(off[:-1], off[1:])], np.uint32)[row]
+        text = np.array([zlib.crc32(raw[x:y]) for x, y in zip(off[:-1], off[1:])], np.uint32)[row] if mark else np.zeros(len(row), np.uint32)
         wide = np.concatenate([np.zeros(LEFT, np.uint8), buf, np.zeros(DEPTH, np.uint8)])
         before, after = place - first, last + DEPTH - place
         # runs of equal bytes: side by side by document, then place
-        order = np.lexsort((pos, text, doc, before, whole))
+        order = np.argsort(whole)
+        again = whole[order][1:] == whole[order][:-1]
+        order = order[np.append(again, False) | np.append(False, again)]
+        order = order[np.lexsort((pos[order], row[order], text[order], doc[order], before[order], whole[order]))]
         same = np.zeros(len(order), bool)
-        same[1:] = (whole[order][1:] == whole[order][:-1]) & (before[order][1:] == before[order][:-1]) & (after[order][1:] == after[order][:-1])
+        if len(order):
+            same[1:] = (whole[order][1:] == whole[order][:-1]) & (before[order][1:] == before[order][:-1]) & (after[order][1:] == after[order][:-1])
         twins = np.flatnonzero(same | np.append(same[1:], False))
         span, keep = np.zeros(len(place), np.int64), np.ones(len(place), bool)
         if len(twins):
@@ -288,8 +297,7 @@ def _emit_runs(batches, radix: int, frequent: np.ndarray | None):
             packed = []
             for x, y in few:
                 i = left[x:y]
-                i = i[np.argsort(h[i], kind="stable")]
-                packed.append(_pack(doc[i], text[i], pos[i].astype(np.int32), span[i].astype(np.int32), before[i].astype(np.uint8), after[i].astype(np.uint8), _strings(wide, place[i], first[i], last[i])))
+                packed.append(_pack(np.diff(doc[i], prepend=0), text[i], pos[i].astype(np.int32), span[i].astype(np.int32), before[i].astype(np.uint8), after[i].astype(np.uint8), _strings(wide, place[i], first[i], last[i])))
             yield pa.RecordBatch.from_arrays([pa.array([int(bucket[x]) for x, _ in few], pa.int32()), pa.array(packed, pa.binary())], names=["bucket", "payload"])
 
 
@@ -408,16 +416,19 @@ def _with_removed(docs: DataFrame, frequent: np.ndarray | None = None) -> tuple[
     common = frequent_grams(docs) if frequent is None else frequent
     marks = frequency_filter(common) if len(common) else None
     base = texts(docs).withColumn("doc_id", F.coalesce(F.col("doc_id").cast("long"), F.lit(LAST)))
-    packed = base.mapInArrow(lean(lambda it: _emit_runs(it, radix, marks)), "bucket int, payload binary")
+    checked = F.crc32(F.encode("text", "UTF-8"))
+    mark = base.groupBy("doc_id").agg(F.min(checked).alias("a"), F.max(checked).alias("b")).where("a <> b").limit(1).count() > 0
     path = new_path(spark, "repeats")
-    packed.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(lean(_order_bucket), SPANS).write.parquet(path)
-    del packed
-    release(spark)
+    for turn in range(ROUNDS):
+        packed = base.mapInArrow(lean(lambda it, turn=turn: _emit_runs(it, radix, marks, turn, ROUNDS, mark)), "bucket int, payload binary")
+        packed.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(lean(_order_bucket), SPANS).write.mode("append").parquet(path)
+        del packed
+        release(spark)
     spans = spark.read.schema(SPANS).parquet(path)
     name, crc, removed = (fresh(docs.columns, x) for x in ("id", "crc", "removed"))
     back = spans.groupBy(F.col("doc_id").alias(name), F.col("text_crc").alias(crc)).agg(F.collect_list(F.struct("lo", "hi")).alias(removed))
     none = F.from_json(F.lit("[]"), "array<struct<lo:int,hi:int>>")
-    keyed = docs.withColumn(name, F.coalesce(F.col("doc_id").cast("long"), F.lit(LAST))).withColumn(crc, F.crc32(F.encode(F.coalesce("text", F.lit("")), "UTF-8")))
+    keyed = docs.withColumn(name, F.coalesce(F.col("doc_id").cast("long"), F.lit(LAST))).withColumn(crc, F.crc32(F.encode(F.coalesce("text", F.lit("")), "UTF-8")) if mark else F.lit(0).cast("long"))
     return keyed.join(back, [name, crc], "left").withColumn(removed, F.coalesce(removed, none)).drop(name, crc), removed
 
 
