@@ -6,23 +6,25 @@ and documents are drawn without replacement by Gumbel top-k on weight plus noise
 
 Features of a text cut at white space: its words, its pairs of words, and n-grams of one to three word
 forms (kinds of characters, first kind, last character, same as the word before). Each stream has its own
-range of BUCKETS counts, so the models have a fixed size at any size of corpus. Log ratios are means over
-the n-grams of each stream, times WEIGHT, so that long documents are not favoured by their length alone.
+range of BUCKETS counts, so the models have a fixed size at any size of corpus. A document's log weight is its
+log-likelihood under the target model less that under the raw one, the mean over the streams: the scale on which the
+noise (deviation 1.28) decides between documents that the models rate alike.
 
-The labels enter twice, through a sample of at most SAMPLE labelled rows per class (those least by a hash
-of doc_id): as target text, and to place the cut that separates good from bad rows of the sample. k is
-the number of all documents beyond that cut. All other counts are over all documents.
+k, the number of documents to draw, is an argument. Without it, it is the number that rejection by the same ratios
+would accept: the sum over all documents of the likelihood ratio, at most one each. All labelled good rows make the
+target, all documents the raw model; labels of bad rows have no part.
 
 Defined cases: null text is empty; texts without words have log weight 0 and are judged like any other;
-without good or without bad labels nothing is rejected; repeated rows share their noise and are kept or
-dropped alike up to k (ties: smaller doc_id first); an empty table gives an empty result.
+without good labels nothing is rejected unless k says so; a document with several labels counts as
+good if one says so; repeated rows share their noise and are kept or dropped alike up to k (ties: smaller doc_id
+first); an empty table gives an empty result.
 """
 
 from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .chosen_path import word_hashes
@@ -31,9 +33,7 @@ from .suffix_dedup import slices
 
 BUCKETS = 1 << 14
 STREAMS = 5
-SAMPLE = 10_000
-WEIGHT = 400.0
-SMOOTH = 1.0
+SMOOTH = 30.0  # n-grams of each bucket that the target has seen, as it were, at the raw rate
 SEED = 17
 
 # Kinds of bytes: 0 white space, 1 small letter or part of a longer character, 2 capital, 3 digit, 4 other.
@@ -95,64 +95,45 @@ def _count(batches):
     yield pa.RecordBatch.from_arrays([pa.array(some.astype(np.int32)), pa.array(total[0][some]), pa.array(total[1][some])], names=["bucket", "raw", "target"])
 
 
-def labelled_sample(labels: DataFrame, column: str, rows: int = SAMPLE) -> DataFrame:
-    """doc_id, label: at most `rows` labelled documents of each class, the least by a hash of doc_id."""
-    one = labels.where(F.col("doc_id").isNotNull() & F.col(column).isNotNull()).groupBy("doc_id").agg(F.max(column).cast("int").alias("label"))
-    order = F.md5(F.col("doc_id").cast("string"))
-    return one.where("label = 1").orderBy(order).limit(rows).unionByName(one.where("label = 0").orderBy(order).limit(rows))
+def ratios(raw: np.ndarray, target: np.ndarray) -> np.ndarray:
+    """Log of the target model over the raw one, per bucket. Each is a distribution over the buckets of its stream; the target
+    is smoothed towards the raw model bucket by bucket, so that buckets it has hardly seen decide little."""
+    out = np.zeros(STREAMS * BUCKETS)
+    for s in range(STREAMS if target.sum() else 0):
+        part = slice(s * BUCKETS, (s + 1) * BUCKETS)
+        share = raw[part] / max(raw[part].sum(), 1)
+        relative = (target[part] + SMOOTH) / (target[part].sum() * share + SMOOTH)
+        out[part] = np.where(share > 0, np.log(relative / max((relative * share).sum(), 1e-300)), 0.0)
+    return out
 
 
-def log_ratios(docs: DataFrame, sample: DataFrame) -> DataFrame:
-    """doc_id, label (of sampled rows), log_weight of every document. sample: bounded (doc_id, label)."""
+def log_ratios(docs: DataFrame, good: DataFrame) -> DataFrame:
+    """doc_id, log_weight of every document. good: the doc_ids (distinct) of the target text."""
     spark = docs.sparkSession
-    held = {r.doc_id: r.label for r in sample.collect()}
-    small = spark.createDataFrame(list(held.items()), "doc_id long, label int")
-    marked = texts(docs).join(F.broadcast(small), "doc_id", "left")
-    half = F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(2)) == 0  # the other half places the cut
-    counted = marked.select("text", F.when(half, F.col("label")).alias("good")).mapInArrow(lean(_count), "bucket int, raw long, target long")
-    rows = counted.groupBy("bucket").agg(F.sum("raw").alias("raw"), F.sum("target").alias("target")).collect()
+    marked = texts(docs).join(good.select("doc_id", F.lit(1).alias("good")), "doc_id", "left")
+    counted = marked.select("text", "good").mapInArrow(lean(_count), "bucket int, raw long, target long")
+    rows = counted.groupBy("bucket").agg(F.sum("raw").alias("raw"), F.sum("target").alias("target")).collect()  # at most STREAMS * BUCKETS
     raw, target = np.zeros(STREAMS * BUCKETS), np.zeros(STREAMS * BUCKETS)
     for r in rows:
         raw[r.bucket], target[r.bucket] = r.raw, r.target
-    ratio = np.zeros(STREAMS * BUCKETS, np.float64)
-    for s in range(STREAMS if target.sum() else 0):
-        part = slice(s * BUCKETS, (s + 1) * BUCKETS)
-        share = raw[part] / max(raw[part].sum(), 1)  # the target is smoothed towards the raw model
-        smooth = SMOOTH * BUCKETS / 16
-        model = (target[part] + smooth * share) / (target[part].sum() + smooth)
-        ratio[part] = np.where(share > 0, np.log(np.maximum(model, 1e-300) / np.maximum(share, 1e-300)), 0.0)
-    sent = spark.sparkContext.broadcast(ratio)
-    schema = pa.schema([("doc_id", pa.int64()), ("label", pa.int32()), ("log_weight", pa.float64())])
+    sent_ratio = ratios(raw, target)
+    sent = spark.sparkContext.broadcast(sent_ratio)
+    schema = pa.schema([("doc_id", pa.int64()), ("log_weight", pa.float64())])
 
     def score(batches):
         table = sent.value
         for b in slices(batches, 1_500_000):
             doc, bucket = features(*text_bytes(b))
-            stream = bucket // BUCKETS
-            slot = doc * STREAMS + stream
-            total = np.bincount(slot, table[bucket], b.num_rows * STREAMS).reshape(-1, STREAMS)
-            n = np.bincount(slot, minlength=b.num_rows * STREAMS).reshape(-1, STREAMS)
-            # the mean of each stream over at least as many n-grams as a short paragraph has
-            weight = WEIGHT * (total / np.maximum(n, 20)).mean(axis=1)
-            yield pa.RecordBatch.from_arrays([b.column("doc_id").cast(pa.int64()), b.column("label").cast(pa.int32()), pa.array(weight)], schema=schema)
-
-    return marked.mapInArrow(lean(score), "doc_id long, label int, log_weight double")
-
-
-def best_cut(weight: np.ndarray, label: np.ndarray) -> float:
-    """The cut below which rows are bad: least sum of both error rates, the middle of the best gap."""
-    if not (label == 1).any() or not (label == 0).any():
-        return -np.inf
-    order = np.argsort(weight, kind="stable")
-    w, y = weight[order], label[order]
-    lost = np.concatenate([[0], np.cumsum(y == 1)]) / (y == 1).sum()
-    passed = 1 - np.concatenate([[0], np.cumsum(y == 0)]) / (y == 0).sum()
-    # losing good text counts more than passing bad text
-    cost = 4 * lost + passed
-    edges = np.concatenate([[w[0] - 1], (w[1:] + w[:-1]) / 2, [w[-1] + 1]])
-    valid = np.concatenate([[True], w[1:] > w[:-1], [True]])
-    cost[~valid] = np.inf
-    return float(edges[int(np.argmin(cost))])
+            total = np.bincount(doc, table[bucket], b.num_rows) / STREAMS
+            yield pa.RecordBatch.from_arrays([b.column("doc_id").cast(pa.int64()), pa.array(total)], schema=schema)
+
+    return texts(docs).mapInArrow(lean(score), "doc_id long, log_weight double")
+
+
+def gumbel(seed: Column, doc_id: Column) -> Column:
+    """Standard Gumbel noise from a hash of the seed and the id."""
+    uniform = (F.pmod(F.xxhash64(seed, doc_id), F.lit(1 << 52)).cast("double") + 0.5) / float(1 << 52)
+    return -F.log(-F.log(uniform))
 
 
 def radix_select(keys: DataFrame, column: str, k: int) -> int:
@@ -169,18 +150,20 @@ def radix_select(keys: DataFrame, column: str, k: int) -> int:
     return prefix
 
 
-def resample(docs: DataFrame, labels: DataFrame, column: str = "quality", seed: int = SEED) -> DataFrame:
-    """doc_id, log_weight, gumbel_key of the documents that the draw keeps."""
-    scored = log_ratios(docs, labelled_sample(labels, column))
-    uniform = (F.pmod(F.xxhash64(F.lit(seed), "doc_id"), F.lit(1 << 52)).cast("double") + 0.5) / float(1 << 52)
-    keyed = scored.withColumn("gumbel_key", F.col("log_weight") - F.log(-F.log(uniform)))
+def resample(docs: DataFrame, labels: DataFrame, column: str = "quality", seed: int = SEED, k: int | None = None) -> DataFrame:
+    """doc_id, log_weight, gumbel_key of the k documents that the draw keeps."""
+    one = labels.where(F.col("doc_id").isNotNull() & F.col(column).isNotNull()).groupBy("doc_id").agg(F.max(column).cast("int").alias("label"))
+    scored = log_ratios(docs, one.where("label = 1").select("doc_id"))
+    keyed = scored.withColumn("gumbel_key", F.col("log_weight") + gumbel(F.lit(seed), F.col("doc_id")))
     # doubles as integers of the same order, to the ten-thousandth
     keyed = stash(keyed.withColumn("order_key", F.round(F.col("gumbel_key") * 1e4).cast("long")), "weights")
-    fit = keyed.where(F.col("label").isNotNull() & (F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(2)) == 1)).select("log_weight", "label").limit(4 * SAMPLE).toPandas()
-    cut = best_cut(fit.log_weight.to_numpy(), fit.label.to_numpy())
-    k = keyed.where(F.col("log_weight") >= F.lit(cut)).count() if np.isfinite(cut) else keyed.count()
-    if not k:
-        return keyed.where("false").select("doc_id", "log_weight", "gumbel_key")
+    r = keyed.agg(F.count(F.lit(1)).alias("n"), F.sum(F.exp(F.least(F.col("log_weight"), F.lit(0.0)))).alias("accepted")).first()
+    n, k = r.n, round(r.accepted or 0) if k is None else k
+    result = keyed.select("doc_id", "log_weight", "gumbel_key")
+    if k >= n:
+        return result
+    if k < 1:
+        return result.where("false")
     least = radix_select(keyed, "order_key", k)
     above = keyed.where(F.col("order_key") > least)
     room = k - above.count()
