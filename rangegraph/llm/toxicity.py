@@ -3,10 +3,11 @@
 Each class (toxic, ordinary) has an interpolated Kneser-Ney model of characters inside words, of order
 ORDER with word ends marked. Orders above SHARED have counts of their own class; the orders below are
 continuation counts that both classes share, so rare expressions fall back on the same ground and their
-stems decide. A word's evidence is the difference of its two log-likelihoods, divided by its length for
-the mean over a text. The features of a text are that length-normalised mean, the means of its
-strongest words and what exceeds some levels; a logistic curve, fitted on labelled rows the models have not seen, turns them into a
-score.
+stems decide. A word's evidence is the difference of its two log-likelihoods. The score of a text is a
+logistic curve over its length-normalised evidence: the mean over its words, what its words exceed two
+levels by, over the root of their number, and the logarithm of that number. The curve is fitted on labelled rows
+the models have not seen; which of these numbers it gets was decided by cross-validation on rows that
+may be learnt from.
 
 Runs of more than LONGEST characters (scripts without spaces, words joined by `_`) count as words of LONGEST
 characters each, which see the ORDER - 1 characters before them, so every character of a run has its part.
@@ -27,6 +28,7 @@ columns are ignored; conflicting labels of a document count as toxic.
 
 from __future__ import annotations
 
+import hashlib
 import re
 
 import numpy as np
@@ -35,16 +37,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import lean, mix64, texts
-from .importance import labelled_sample
 
 ORDER = 6
 SHARED = 2
 DISCOUNT = 0.75
 SAMPLE = 8_000  # for the curve
-STRONGEST = (1, 2)  # different words
-STRONG_PLACES = (4, 8)
-ABOVE = (1, 2, 3, 4)
-FEATURES = 13
+ABOVE = (2, 3)
+FEATURES = 2 + len(ABOVE)
 CUT = 0.7
 LONGEST = 40
 _WORD = re.compile(r"\w+")
@@ -142,7 +141,7 @@ class Evidence:
 
     def _fit(self, codes: np.ndarray, owner: np.ndarray, toxic: np.ndarray, ordinary: np.ndarray) -> None:
         self.levels: list[tuple[Lookup, Lookup]] = []
-        size = int((codes > 2).any() and len(np.unique(codes)))
+        size = len(np.unique(codes[places(owner)]))  # of the characters and the mark that a model can give
         below = None  # per character place: the two log-probabilities of the order below
         weights = None
         for order in range(1, ORDER + 1):
@@ -176,6 +175,12 @@ class Evidence:
                 back.append(np.log(np.maximum(free, 1e-12)))
             self.levels.append((Lookup(uniq, (logs[0] - logs[1]).astype(np.float32)), Lookup(c_uniq, (back[0] - back[1]).astype(np.float32))))
             below = [x[inverse].astype(np.float32) for x in logs]
+        digest = hashlib.sha256()
+        for pair in self.levels:
+            for table in pair:
+                digest.update(table.key.tobytes())
+                digest.update(table.value.tobytes())
+        self.digest = digest.hexdigest()
 
     def of(self, words: list[str]) -> np.ndarray:
         """Evidence of each word."""
@@ -194,12 +199,16 @@ class Evidence:
         return np.bincount(owner[at], total, len(words)) if len(words) else np.zeros(0)
 
 
-_remembered: dict[int, dict[str, float]] = {}
+#: The digest of a model and the evidence of words under it; a worker keeps one model's.
+_memory: tuple[str, dict[str, float]] = ("", {})
 
 
-def text_features(texts_: list[str], model: Evidence, key: int = 0, most: int = 300_000) -> np.ndarray:
-    """Per text: length-normalised mean evidence, means of the strongest words, and what exceeds some levels."""
-    known = _remembered.setdefault(key, {})
+def text_features(texts_: list[str], model: Evidence, most: int = 300_000) -> np.ndarray:
+    """Per text: mean evidence, what words exceed each level by over the root of their number, the logarithm of that number."""
+    global _memory
+    if _memory[0] != model.digest:
+        _memory = (model.digest, {})
+    known = _memory[1]
     split = [words_of(t) for t in texts_]
     new = [w for w in set().union(*split) if w not in known] if split else []
     if len(known) + len(new) > most:
@@ -211,20 +220,14 @@ def text_features(texts_: list[str], model: Evidence, key: int = 0, most: int =
     out = np.zeros((len(texts_), FEATURES))
     for i, words in enumerate(split):
         if words:
-            out[i] = _features(np.fromiter(map(known.__getitem__, words), float, len(words)), np.fromiter(map(known.__getitem__, set(words)), float))
+            out[i] = _features(np.fromiter(map(known.__getitem__, words), float, len(words)))
     return out
 
 
-def _features(v: np.ndarray, distinct: np.ndarray) -> list[float]:
-    """v: evidence of each word of a text; distinct: of its different words."""
+def _features(v: np.ndarray) -> list[float]:
+    """v: evidence of each word of a text."""
     n = len(v)
-    top = np.sort(v[v > np.partition(v, n - 9)[n - 9]] if n > 9 else v)[::-1]
-    some = np.sort(distinct)[: -3 : -1] if len(distinct) < 10 else np.sort(np.partition(distinct, len(distinct) - 2)[-2:])[::-1]
-    over = [np.maximum(v[v > a] - a, 0).sum() for a in ABOVE]
-    return (
-        [v.mean()] + [some[:k].sum() / k for k in STRONGEST] + [top[:k].sum() / k for k in STRONG_PLACES]
-        + [np.log1p(x) for x in over[:3]] + [over[0] / n**0.5, over[1] / n**0.5, over[1] / n, np.log1p(over[3]), np.log1p(n)]
-    )
+    return [v.mean(), *(np.maximum(v - a, 0).sum() / n**0.5 for a in ABOVE), np.log1p(n)]
 
 
 def _gram_counts(batches, most: int = 200_000):
@@ -276,6 +279,13 @@ def logistic(x: np.ndarray, y: np.ndarray, steps: int = 60, ridge: float = 1e-2)
     return w
 
 
+def labelled_sample(labels: DataFrame, column: str, rows: int = SAMPLE) -> DataFrame:
+    """doc_id, label: at most `rows` labelled documents of each class, the least by a hash of doc_id."""
+    one = labels.where(F.col("doc_id").isNotNull() & F.col(column).isNotNull()).groupBy("doc_id").agg(F.max(column).cast("int").alias("label"))
+    order = F.md5(F.col("doc_id").cast("string"))
+    return one.where("label = 1").orderBy(order).limit(rows).unionByName(one.where("label = 0").orderBy(order).limit(rows))
+
+
 def fit(docs: DataFrame, labels: DataFrame) -> tuple[Evidence, np.ndarray, np.ndarray, np.ndarray] | None:
     """Models and curve from the labels whose rows may be learnt from."""
     spark = docs.sparkSession
@@ -298,7 +308,7 @@ def fit(docs: DataFrame, labels: DataFrame) -> tuple[Evidence, np.ndarray, np.nd
 
     def measure(batches):
         for b in batches:
-            f = text_features([t or "" for t in b.column("text").to_pylist()], sent.value, id(sent))
+            f = text_features([t or "" for t in b.column("text").to_pylist()], sent.value)
             yield pa.RecordBatch.from_arrays([pa.array(f[:, i]) for i in range(f.shape[1])] + [b.column("label").cast(pa.int32())], names=[f"f{i}" for i in range(f.shape[1])] + ["label"])
 
     rows = texts(docs).where(learn).join(curve, "doc_id").select("text", "label")
@@ -323,11 +333,10 @@ def score(docs: DataFrame, labels: DataFrame) -> DataFrame:
 
     def run(batches):
         model, middle, spread, w = sent.value
-        key = hash((float(w[0]), float(w[-1])))
         for b in batches:
             for i in range(0, b.num_rows, 2_000):
                 part = b.slice(i, 2_000)
-                f = text_features([t or "" for t in part.column("text").to_pylist()], model, key)
+                f = text_features([t or "" for t in part.column("text").to_pylist()], model)
                 s = 1 / (1 + np.exp(-np.clip((f - middle) / spread @ w[:-1] + w[-1], -30, 30)))
                 yield pa.RecordBatch.from_arrays([part.column("doc_id").cast(pa.int64()), part.column("held_out"), pa.array(s), pa.array((s >= CUT).astype(np.int32))], schema=schema)
 
