@@ -12,12 +12,15 @@ least THRESHOLD.
 * Small buckets are compared outright on sketches (first values of bins of the set), which gives the
   families of candidates of a bucket as stars, never its pairs. Equal buckets of several runs count once.
 * The components of these stars are small families of sets. Inside a family all pairs are
-  verified exactly on the sets, by accumulating shared tokens, in blocks of at most BLOCK sets a side:
-  each block pair gives a number of links per set and the stars of true links.
+  verified exactly on the sets, by accumulating shared tokens, in blocks of bounded sets and tokens: each pair of
+  blocks gives a number of links per set and the stars of true links, so a family of n sets ships each set
+  n / block times and never a row per pair.
 * The components of the true links are the classes.
 
 So links within a family are exact; a true link is lost only if no run brings its two sets (or a chain of
-candidates) together.
+candidates) together, or if it falls below the sketch bound wherever they meet: SLACK lies about seven deviations of
+a full sketch below the threshold. Buckets are as many as the session's shuffle partitions times a factor, so they keep their
+size as the input grows. `Limits` are arguments; tests take every level of the recursion with small ones.
 
 Defined cases: null text is empty; documents without words have the empty set, and count as copies of each
 other; n_links counts linked documents, copies included, the document itself not; rows with the same
@@ -29,6 +32,7 @@ Sets are known by 64-bit digests.
 from __future__ import annotations
 
 import math
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -36,20 +40,28 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import lean, mix64, stash, texts
+from .common import fresh, lean, mix64, stash, texts
 from .components import components
-from .suffix_dedup import _TABLE, _blocks, _by_bucket, _runs, planes, slices, unplanes
+from .suffix_dedup import _TABLE, BUCKETS_PER_TASK, _blocks, _by_bucket, _runs, planes, slices, unplanes
 
 SHINGLE = 5
 THRESHOLD = 0.8
 TARGET = 1 - 1e-6
-LIMIT = 4_096
-DEPTH = 3
 BINS = 128
-BLOCK = 512
-LEAF = 4_096
-RADIX = 256
-SLACK = 0.16  # a candidate's sketch may fall short of the threshold by so much (over four deviations)
+SLACK = 0.24  # a candidate's sketch may fall short of the threshold by so much
+
+
+@dataclass(frozen=True)
+class Limits:
+    """bucket: sets compared outright; depth: levels of splitting; leaf: sets of a last bucket that one task compares;
+    block, tokens: sets and tokens of a side of a verifying task."""
+
+    bucket: int = 4_096
+    depth: int = 3
+    leaf: int = 4_096
+    block: int = 1_024
+    tokens: int = 2_000_000
+
 
 _ODD = mix64(np.arange(1, 65, dtype=np.uint64)) | np.uint64(1)
 
@@ -159,12 +171,12 @@ def picks(value: np.ndarray, at: np.ndarray, runs: int, threshold: float, level:
 SUMMARY = "doc_id long, set long, n int, sketch binary, picks binary"
 
 
-def _summaries(batches, runs: int, threshold: float):
+def _summaries(batches, runs: int, threshold: float, depth: int):
     """Digest, size, sketch and the selected tokens of all levels, per document."""
     for b in slices(batches, 1_500_000):
         value, at = shingle_sets(b)
         sk, size = sketches(value, at), np.diff(at)
-        chosen = [picks(value, at, runs, threshold, level) for level in range(DEPTH)]
+        chosen = [picks(value, at, runs, threshold, level) for level in range(depth)]
         owner = np.concatenate([c[0] for c in chosen])
         run = np.concatenate([c[1] + 256 * level for level, c in enumerate(chosen)]).astype(np.int16)
         token = np.concatenate([c[2] for c in chosen])
@@ -213,7 +225,7 @@ def _deeper_keys(batches, radix: int, level: int):
 BUCKETS = "set long, key long, run short, large boolean"
 
 
-def _grouped(batches, last: bool):
+def _grouped(batches, last: bool, limits: Limits):
     """Buckets with two sets or more. Small ones are named by their members, so equal ones coincide."""
     for _, held in _by_bucket(batches):
         key, run, sets = (np.concatenate(c) for c in zip(*(unplanes(x, np.uint64, np.int16, np.int64) for x in held)))
@@ -226,13 +238,13 @@ def _grouped(batches, last: bool):
         size = np.diff(np.append(at, len(key)))
         name = np.add.reduceat(mix64(sets.view(np.uint64)), at)
         each = np.repeat(size, size)
-        large = (each > LIMIT) & (not last)
+        large = (each > limits.bucket) & (not last)
         label = np.where(large, key, np.repeat(name, size))
         keep = each > 1
-        if last and (each > LEAF).any():  # leaves too large for one task: pairs of blocks
-            keep &= each <= LEAF
-            for a, n in zip(at[size > LEAF], size[size > LEAF]):
-                own, parts = sets[a : a + n], -(-int(n) // LEAF)
+        if last and (each > limits.leaf).any():  # leaves too large for one task: pairs of blocks
+            keep &= each <= limits.leaf
+            for a, n in zip(at[size > limits.leaf], size[size > limits.leaf]):
+                own, parts = sets[a : a + n], -(-int(n) // limits.leaf)
                 block = (mix64(own.view(np.uint64)) % np.uint64(parts)).astype(np.int64)
                 for i in range(parts):
                     for j in range(i if parts == 1 else i + 1, parts):
@@ -370,27 +382,30 @@ def _verify(batches, threshold: float):
         yield pa.RecordBatch.from_arrays([pa.array(sets[some]), pa.array([least[r] for r in top.tolist()], pa.int64()), pa.array(links[some])], names=["u", "v", "links"])
 
 
-def link_classes(docs: DataFrame, threshold: float = THRESHOLD, target: float = TARGET) -> DataFrame:
+def link_classes(docs: DataFrame, threshold: float = THRESHOLD, target: float = TARGET, limits: Limits = Limits()) -> DataFrame:
     """doc_id, class_id, n_links, class_size (documents in the class), set (digest of the document's shingle set)."""
-    runs = runs_for(threshold, target)
+    runs, depth = runs_for(threshold, target), limits.depth
+    radix = BUCKETS_PER_TASK * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     base = texts(docs)
-    summaries = stash(base.mapInArrow(lean(lambda it: _summaries(it, runs, threshold)), SUMMARY), "summaries")
+    summaries = stash(base.mapInArrow(lean(lambda it: _summaries(it, runs, threshold, depth)), SUMMARY), "summaries")
     reps = stash(summaries.groupBy("set").agg(F.min("doc_id").alias("doc_id"), F.count(F.lit(1)).alias("copies"), F.first("n").alias("n"), F.first("sketch").alias("sketch"), F.first("picks").alias("picks")), "sets")
-    dealt = reps.where("n > 0").select("set", "picks").mapInArrow(lean(lambda it: _first_keys(it, RADIX)), "bucket int, payload binary")
+    dealt = reps.where("n > 0").select("set", "picks").mapInArrow(lean(lambda it: _first_keys(it, radix)), "bucket int, payload binary")
     ready = None
-    for level in range(1, DEPTH + 1):
-        last = level == DEPTH
-        found = stash(dealt.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(lean(lambda it, last=last: _grouped(it, last)), BUCKETS), "buckets")
+    for level in range(1, depth + 1):
+        last = level == depth
+        found = stash(dealt.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(lean(lambda it, last=last: _grouped(it, last, limits)), BUCKETS), "buckets")
         small = found.where("not large").select("set", "key")
         ready = small if ready is None else ready.unionByName(small)
         if last or not found.where("large").limit(1).count():
             break
         deep = found.where("large").join(reps.select("set", "picks"), "set")
-        dealt = deep.select("set", "key", "run", "picks").mapInArrow(lean(lambda it, level=level: _deeper_keys(it, RADIX, level)), "bucket int, payload binary")
+        dealt = deep.select("set", "key", "run", "picks").mapInArrow(lean(lambda it, level=level: _deeper_keys(it, radix, level)), "bucket int, payload binary")
     sketched = ready.distinct().join(reps.select("set", "n", "sketch"), "set")
     near = sketched.repartition("key").sortWithinPartitions("key").select("key", "set", "n", "sketch").mapInArrow(lean(lambda it: _forest(it, threshold)), "u long, v long")
     family = components(near, "families")
-    sizes = family.groupBy("root").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("parts"))
+    sized = family.join(reps.select(F.col("set").alias("node"), "n"), "node")
+    parts = F.greatest(F.ceil(F.count(F.lit(1)) / limits.block), F.ceil(F.sum("n") / limits.tokens)).cast("int")
+    sizes = sized.groupBy("root").agg(parts.alias("parts"))
     chosen = family.join(sizes, "root").select(F.col("node").alias("set"), "root", "parts").join(reps.select("set", "doc_id", "copies"), "set")
     with_text = base.join(chosen, base.doc_id.eqNullSafe(chosen.doc_id)).select("text", "set", "root", "copies", "parts")
     members = with_text.mapInArrow(lean(_members), "set long, root long, copies long, parts int, tokens binary").dropDuplicates(["set"])
@@ -406,8 +421,9 @@ def link_classes(docs: DataFrame, threshold: float = THRESHOLD, target: float =
 
 def one_per_class(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """The documents with one row of each class: that with the least doc_id (any one where rows repeat that doc_id)."""
-    keep = link_classes(docs, threshold).where(F.col("doc_id").eqNullSafe(F.col("class_id"))).select(F.col("doc_id").alias("__id")).distinct()
-    kept = docs.join(keep, docs.doc_id.eqNullSafe(keep["__id"]), "left_semi")
+    name = fresh(docs.columns, "kept")
+    keep = link_classes(docs, threshold).where(F.col("doc_id").eqNullSafe(F.col("class_id"))).select(F.col("doc_id").alias(name)).distinct()
+    kept = docs.join(keep, docs.doc_id.eqNullSafe(keep[name]), "left_semi")
     if docs.groupBy("doc_id").count().where("count > 1").limit(1).count():
         kept = kept.dropDuplicates(["doc_id"])
     return kept
