@@ -3,14 +3,19 @@
 `pack` writes bytes as a single-program transport stream: 188-byte packets, program association and
 program map tables with their CRC, one elementary stream of private data whose access units are PES
 packets with presentation timestamps; some units are marked as random-access points, carry a clock
-reference and are preceded by the tables. `unpack` reads any such stream: it follows the association
-table to the map table and the map table to the elementary stream, checks the continuity counter of each
-PID, takes the packets' payloads together to PES packets, and gives the payload with each unit's
-timestamp, byte position and random-access mark.
+reference and are preceded by the tables.
+
+`unpack` reads streams of any writer with such content: tables over several packets or sections, repeated and with
+new versions; several programs and elementary streams (one is chosen); adaptation fields; a packet sent twice, which
+is read once; marked discontinuities, which are no error; packets marked as damaged, which are left out. It follows
+the association table to the map table and that to the elementary stream, checks the continuity counter of each PID,
+takes the payloads together to PES packets, and gives the payload with each unit's timestamp, byte position and
+random-access mark.
 
 Defined cases: null text is the empty text; payload of any length (also 0) packs to a stream; an input
-whose length is no multiple of 188, or with a wrong sync byte, table CRC or missing table raises
-ValueError in `unpack`; a continuity gap is counted and reported, the rest is still read.
+whose length is no multiple of 188, or with a wrong sync byte, without an undamaged table, or without the program or
+stream asked for raises ValueError in `unpack`; continuity gaps, repeated and damaged packets and damaged tables are
+counted and reported, the rest is still read; scrambled packets raise ValueError.
 """
 
 from __future__ import annotations
@@ -132,54 +137,156 @@ class Stream:
     gaps: int
     packets: int
     pids: int
+    repeated: int = 0
+    damaged: int = 0
+    marked: int = 0  # discontinuities that the writer announces
 
 
-def _table_body(packet: np.ndarray, start: int, table_id: int) -> bytes:
-    raw = packet[start:].tobytes()
-    raw = raw[1 + raw[0] :]
-    size = 3 + (int.from_bytes(raw[1:3], "big") & 0x0FFF)
-    if raw[0] != table_id or len(raw) < size or section_crc(raw[:size]):
-        raise ValueError("damaged program table")
-    return raw[8 : size - 4]
-
-
-def unpack(media: bytes) -> Stream:
-    """Payload, timestamps and random-access points of a transport stream."""
-    if not media or len(media) % PACKET:
-        raise ValueError("no whole number of packets")
-    p = np.frombuffer(media, np.uint8).reshape(-1, PACKET)
-    if (p[:, 0] != SYNC).any():
-        raise ValueError("sync byte missing")
-    pid = (p[:, 1].astype(np.int32) & 0x1F) << 8 | p[:, 2]
-    first = p[:, 1] & 0x40 > 0
-    has_field, has_data = p[:, 3] & 0x20 > 0, p[:, 3] & 0x10 > 0
-    start = 4 + np.where(has_field, p[:, 4].astype(np.int32) + 1, 0)
-    gaps = 0
-    for one in np.unique(pid[pid != NULL_PID]):
-        counter = (p[(pid == one) & has_data, 3] & 0x0F).astype(np.int32)
-        gaps += int(((np.diff(counter) % 16) != 1).sum())
-
-    def where(which: int) -> np.ndarray:
-        return np.flatnonzero((pid == which) & has_data)
-
-    at = where(PAT_PID)
-    if not len(at):
+@dataclass
+class Packets:
+    """The packets of a stream with their header fields."""
+
+    raw: np.ndarray
+    pid: np.ndarray
+    first: np.ndarray
+    field: np.ndarray
+    data: np.ndarray
+    start: np.ndarray
+
+    @classmethod
+    def of(cls, media: bytes) -> Packets:
+        if not media or len(media) % PACKET:
+            raise ValueError("no whole number of packets")
+        p = np.frombuffer(media, np.uint8).reshape(-1, PACKET)
+        if (p[:, 0] != SYNC).any():
+            raise ValueError("sync byte missing")
+        pid = (p[:, 1].astype(np.int32) & 0x1F) << 8 | p[:, 2]
+        field = p[:, 3] & 0x20 > 0
+        start = np.minimum(4 + np.where(field, p[:, 4].astype(np.int32) + 1, 0), PACKET)
+        return cls(p, pid, p[:, 1] & 0x40 > 0, field, p[:, 3] & 0x10 > 0, start)
+
+    def flags(self, rows: np.ndarray) -> np.ndarray:
+        """The flags of the adaptation fields; 0 without one."""
+        return np.where(self.field[rows] & (self.raw[rows, 4] > 0), self.raw[rows, 5], 0)
+
+
+def _continuity(p: Packets, whole: np.ndarray) -> tuple[np.ndarray, int, int, int]:
+    """(packets to read, gaps, packets sent twice, marked discontinuities) from the counters of each PID."""
+    keep, gaps, twice, marked = whole.copy(), 0, 0, 0
+    for one in np.unique(p.pid[whole & (p.pid != NULL_PID)]):
+        rows = np.flatnonzero(whole & (p.pid == one) & p.data)
+        if len(rows) < 2:
+            continue
+        step = np.diff((p.raw[rows, 3] & 0x0F).astype(np.int32)) % 16
+        announced = p.flags(rows)[1:] & 0x80 > 0
+        same = np.zeros(len(step), bool)
+        for i in np.flatnonzero((step == 0) & ~announced):
+            a, b = rows[i], rows[i + 1]
+            same[i] = p.start[a] == p.start[b] and (p.raw[a, p.start[a] :] == p.raw[b, p.start[b] :]).all() and not (i and same[i - 1])
+        keep[rows[1:][same]] = False
+        twice += int(same.sum())
+        marked += int((announced & (step != 1)).sum())
+        gaps += int(((step != 1) & ~same & ~announced).sum())
+    return keep, gaps, twice, marked
+
+
+def sections(p: Packets, rows: np.ndarray) -> tuple[list[bytes], int]:
+    """The whole sections of a PID, taken together over its packets, and how many are damaged (by length or CRC)."""
+    out, damaged, held = [], 0, None
+
+    def cut(raw: bytearray) -> bytearray:
+        nonlocal damaged
+        while len(raw) >= 3 and raw[0] != 0xFF:
+            size = 3 + (int.from_bytes(raw[1:3], "big") & 0x0FFF)
+            if len(raw) < size:
+                return raw
+            if size < 12 or section_crc(bytes(raw[:size])):
+                damaged += 1
+            else:
+                out.append(bytes(raw[:size]))
+            del raw[:size]
+        return raw if raw and raw[0] != 0xFF else bytearray()
+
+    for r in rows:
+        raw = p.raw[r, p.start[r] :].tobytes()
+        if p.first[r]:
+            if not raw:
+                continue
+            pointer = raw[0]
+            if held is not None and held:
+                held = cut(held + raw[1 : 1 + pointer])
+                damaged += bool(held)
+            held = cut(bytearray(raw[1 + pointer :]))
+        elif held:
+            held = cut(held + raw)
+    return out, damaged + bool(held)
+
+
+def _table(found: list[bytes], table_id: int) -> list[bytes]:
+    """The bodies of the last version of a table that is in force, in the order of its sections."""
+    now = [x for x in found if x[0] == table_id and x[5] & 1]
+    if not now:
+        return []
+    version = now[-1][5] >> 1 & 0x1F
+    last = {x[6]: x for x in now if x[5] >> 1 & 0x1F == version}
+    return [last[k][8:-4] for k in sorted(last)]
+
+
+def programs(media: bytes) -> dict[int, list[tuple[int, int]]]:
+    """Program number -> (PID, stream type) of its elementary streams."""
+    return _tables(p := Packets.of(media), _sound(p))[0]
+
+
+def _sound(p: Packets) -> np.ndarray:
+    return (p.raw[:, 1] & 0x80 == 0) & (p.start < PACKET + (~p.data))
+
+
+def _tables(p: Packets, keep: np.ndarray) -> tuple[dict[int, list[tuple[int, int]]], int]:
+    where = lambda which: np.flatnonzero(keep & (p.pid == which) & p.data)
+    found, damaged = sections(p, where(PAT_PID))
+    maps = {}
+    for body in _table(found, 0x00):
+        for i in range(0, len(body) - 3, 4):
+            if number := int.from_bytes(body[i : i + 2], "big"):
+                maps[number] = int.from_bytes(body[i + 2 : i + 4], "big") & 0x1FFF
+    if not maps:
         raise ValueError("no association table")
-    body = _table_body(p[at[0]], start[at[0]], 0x00)
-    maps = [int.from_bytes(body[i + 2 : i + 4], "big") & 0x1FFF for i in range(0, len(body), 4) if int.from_bytes(body[i : i + 2], "big")]
-    at = where(maps[0]) if maps else []
-    if not len(at):
+    out: dict[int, list[tuple[int, int]]] = {}
+    for number, pid in maps.items():
+        found, bad = sections(p, where(pid))
+        damaged += bad
+        for body in _table([x for x in found if int.from_bytes(x[3:5], "big") == number], 0x02):
+            i = 4 + (int.from_bytes(body[2:4], "big") & 0x0FFF)
+            while i + 5 <= len(body):
+                out.setdefault(number, []).append((int.from_bytes(body[i + 1 : i + 3], "big") & 0x1FFF, body[i]))
+                i += 5 + (int.from_bytes(body[i + 3 : i + 5], "big") & 0x0FFF)
+    if not out:
         raise ValueError("no program map")
-    body = _table_body(p[at[0]], start[at[0]], 0x02)
-    i = 4 + (int.from_bytes(body[2:4], "big") & 0x0FFF)
-    stream = int.from_bytes(body[i + 1 : i + 3], "big") & 0x1FFF
-    rows = where(stream)
-    own, begin = p[rows], start[rows]
+    return out, damaged
+
+
+def unpack(media: bytes, program: int | None = None, pid: int | None = None) -> Stream:
+    """Payload, timestamps and random-access points of an elementary stream: that of `pid`, or the first of `program`
+    (None: the least program number with a map)."""
+    p = Packets.of(media)
+    sound = _sound(p)
+    keep, gaps, twice, marked = _continuity(p, sound)
+    known, bad = _tables(p, keep)
+    if program is not None and program not in known:
+        raise ValueError(f"no program {program}")
+    streams = [x for x, _ in known[min(known) if program is None else program]]
+    if pid is not None and pid not in streams:
+        raise ValueError(f"no stream {pid} in the program")
+    rows = np.flatnonzero(keep & (p.pid == (streams[0] if pid is None else pid)) & p.data)
+    if (p.raw[rows, 3] & 0xC0).any():
+        raise ValueError("scrambled packets")
+    own, begin = p.raw[rows], p.start[rows]
     data = own[np.arange(PACKET) >= begin[:, None]]
     ends = np.cumsum(PACKET - begin)
-    heads = np.flatnonzero(first[rows])
+    heads = np.flatnonzero(p.first[rows])
     opens = ends[heads] - (PACKET - begin[heads])
     closes = np.append(opens[1:], len(data))
+    random_access = p.flags(rows) & 0x40 > 0
     out, pts, position, access, size = [], [], [], [], 0
     for h, a, b in zip(heads, opens, closes):
         pes = data[a:b].tobytes()
@@ -189,11 +296,11 @@ def unpack(media: bytes) -> Stream:
         if pes[7] & 0x80:
             pts.append((t[0] & 0x0E) << 29 | t[1] << 22 | (t[2] & 0xFE) << 14 | t[3] << 7 | t[4] >> 1)
             position.append(size)
-            if has_field[rows[h]] and own[h, 4] and own[h, 5] & 0x40:
+            if random_access[h]:
                 access.append(len(pts) - 1)
         out.append(pes[skip : 6 + length if length else None])
         size += len(out[-1])
-    return Stream(b"".join(out), pts, position, access, gaps, len(p), len(np.unique(pid)))
+    return Stream(b"".join(out), pts, position, access, gaps, len(p.raw), len(np.unique(p.pid)), twice, int((~sound).sum()) + bad, marked)
 
 
 def padded(text: bytes, block: int = 64) -> bytes:

@@ -49,6 +49,78 @@ def test_damage():
             ts.unpack(broken)
 
 
+def packets_of(media):
+    return [bytearray(media[i : i + 188]) for i in range(0, len(media), 188)]
+
+
+def test_packets_sent_twice_announced_jumps_and_marked_damage():
+    data = random.Random(2).randbytes(120_000)
+    plain = packets_of(ts.pack(data))
+    twice = [q for i, p in enumerate(plain) for q in ([p, p] if i % 7 == 3 and p[1] & 0x1F == 1 else [p])]
+    s = ts.unpack(b"".join(map(bytes, twice)))
+    assert s.payload == data and s.gaps == 0 and s.repeated == len(twice) - len(plain) > 3
+    # the writer announces a jump of the counter
+    jump, own = [bytearray(p) for p in plain], 0
+    at = [i for i, p in enumerate(jump) if (p[1] & 0x1F) << 8 | p[2] == ts.ES_PID and p[1] & 0x40 and p[3] & 0x20][1]
+    for p in jump[at:]:
+        if (p[1] & 0x1F) << 8 | p[2] == ts.ES_PID:
+            p[3] = p[3] & 0xF0 | (p[3] + 5) & 0x0F
+            own += 1
+    jump[at][5] |= 0x80
+    s = ts.unpack(b"".join(map(bytes, jump)))
+    assert own and s.payload == data and (s.gaps, s.marked) == (0, 1)
+    # a packet marked as damaged is left out, and leaves a gap
+    hurt = [bytearray(p) for p in plain]
+    hurt[10][1] |= 0x80
+    s = ts.unpack(b"".join(map(bytes, hurt)))
+    assert s.damaged == 1 and s.gaps == 1 and len(s.payload) < len(data)
+    scrambled = [bytearray(p) for p in plain]
+    for p in scrambled[2:]:
+        p[3] |= 0x80
+    with pytest.raises(ValueError):
+        ts.unpack(b"".join(map(bytes, scrambled)))
+
+
+def table_packets(pid, raw, counter=0):
+    """Sections that may be longer than a packet."""
+    raw, out = b"\x00" + raw, []
+    for i in range(0, len(raw), 184):
+        head = bytes([0x47, (0x40 if i == 0 else 0) | pid >> 8, pid & 0xFF, 0x10 | (counter + i // 184) % 16])
+        out.append(head + raw[i : i + 184].ljust(184, b"\xff"))
+    return out
+
+
+def test_long_tables_versions_and_several_programs():
+    """Two programs; the map of one has descriptors over three packets and a newer version that names another stream."""
+    one, two = (random.Random(k).randbytes(3_000) for k in (3, 4))
+    streams = {0x200: packets_of(ts.pack(one))[2:], 0x300: packets_of(ts.pack(two))[2:]}
+    for pid, own in streams.items():
+        for p in own:
+            p[1], p[2] = p[1] & 0xE0 | pid >> 8, pid & 0xFF
+    entry = lambda number, pid: number.to_bytes(2, "big") + (0xE000 | pid).to_bytes(2, "big")
+    pat = ts._section(0x00, 1, entry(0, 0x10) + entry(7, 0x1001) + entry(9, 0x1002))
+
+    def pmt(number, pid, descriptors, version=0):
+        body = (0xE000 | pid).to_bytes(2, "big") + (0xF000 | len(descriptors)).to_bytes(2, "big") + descriptors + bytes([6]) + (0xE000 | pid).to_bytes(2, "big") + b"\xf0\x00"
+        raw = bytearray(ts._section(0x02, number, body)[:-4])
+        raw[5] = raw[5] & 0xC1 | version << 1
+        return bytes(raw) + ts.section_crc(bytes(raw)).to_bytes(4, "big")
+
+    long = b"".join(bytes([0x80 + k % 100, 18]) + bytes(18) for k in range(20))
+    packets = table_packets(0, pat) + table_packets(0x1001, pmt(7, 0x300, long)) + table_packets(0x1002, pmt(9, 0x300, b""))
+    packets += table_packets(0x1001, pmt(7, 0x200, long, 1), 3) + table_packets(0, pat, 1) + [bytes(p) for own in zip(*streams.values()) for p in own]
+    media = b"".join(packets)
+    assert ts.programs(media) == {7: [(0x200, 6)], 9: [(0x300, 6)]}
+    assert ts.unpack(media).payload == one == ts.unpack(media, 7).payload and ts.unpack(media, 9).payload == two
+    assert ts.unpack(media).gaps == 0
+    for wrong in ({"program": 8}, {"program": 7, "pid": 0x300}):
+        with pytest.raises(ValueError):
+            ts.unpack(media, **wrong)
+    hurt = bytearray(media)
+    hurt[188 + 100] ^= 1  # in the first map of program 7; its second version still holds
+    assert ts.unpack(bytes(hurt)).payload == one and ts.unpack(bytes(hurt)).damaged == 1
+
+
 def test_frames(spark):
     rows = [(1, "abc", 5), (2, None, 5), (3, "", 5), (4, "ü" * 40_000, 5), (1, "abc", 6), (5, "a" * 64, 5), (None, "x", 1)]
     df = spark.createDataFrame(rows, "doc_id long, text string, media long")
