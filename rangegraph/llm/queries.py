@@ -95,7 +95,7 @@ ORACLES: dict[str, str] = {
         s AS (
           SELECT *, la + coalesce(sum(length(unit) + 1) OVER (PARTITION BY doc_id, li ORDER BY si ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS a FROM s0),
         u0 AS (
-          SELECT doc_id, li, 0 AS si, a, line AS unit, 4 AS least FROM l
+          SELECT doc_id, li, 0 AS si, a, line AS unit, 1 AS least FROM l
           UNION ALL SELECT doc_id, li, si, a, unit, 8 FROM s WHERE ns > 1),
         u1 AS (SELECT *, trim(regexp_replace(lower(unit), '\s+', ' ', 'g')) AS form FROM u0),
         u2 AS (SELECT * FROM u1 WHERE form <> '' AND length(form) - length(replace(form, ' ', '')) + 1 >= least),

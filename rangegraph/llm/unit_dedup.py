@@ -8,8 +8,8 @@ removed with their separator. What is a repeat is judged on the input, not on wh
 and offsets are shuffled: the minimum per digest is combined before the shuffle, so a line that a third of
 all documents share costs one row per task; the join back splits it where it is hot.
 
-Lines of fewer than MIN_WORDS words and sentences of fewer than MIN_SENTENCE stay: such short forms
-repeat without being copies.
+Every line that is not empty counts, however short. Sentences inside lines are there to find passages, so those of
+fewer than MIN_SENTENCE words have no digest of their own; they go where their whole line goes.
 
 Defined cases: null text is empty; empty units stay; a line whose sentences all go is removed as a whole;
 rows that repeat a doc_id share their rank, so equal units at equal places of them stay together; null
@@ -25,9 +25,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import lean, texts
+from .common import lean, stash, texts
 
-MIN_WORDS = 4
+MIN_WORDS = 1
 MIN_SENTENCE = 8
 _END = re.compile("(?<=[.!?]) ")
 LAST = (1 << 63) - 1
@@ -76,7 +76,8 @@ def units(docs: DataFrame, separator: str = "\n", min_words: int = MIN_WORDS, mi
 
 def repeated_units(docs: DataFrame, separator: str = "\n", min_words: int = MIN_WORDS, min_sentence: int = MIN_SENTENCE) -> DataFrame:
     """doc_id, start, end of all units that occur at a lesser rank (also sentences of lines that go as a whole)."""
-    every = units(docs, separator, min_words, min_sentence).withColumn("rank", F.struct(F.coalesce("doc_id", F.lit(LAST)).alias("doc_id"), "start"))
+    # written once: the text is cut and hashed by one pass, and both sides of the join read the digests
+    every = stash(units(docs, separator, min_words, min_sentence), "units").withColumn("rank", F.struct(F.coalesce("doc_id", F.lit(LAST)).alias("doc_id"), "start"))
     kept = every.groupBy("digest").agg(F.min("rank").alias("kept"), F.count(F.lit(1)).alias("n")).where("n > 1").select("digest", "kept")
     return every.join(kept, "digest").where("rank > kept").select("doc_id", "start", "end")
 
