@@ -22,7 +22,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import stash
+from .common import fresh, stash
 
 #: source (its number modulo the list) -> domain, as the tables name sources src0, src1, ...
 DOMAINS = ("web", "books", "code", "forum")
@@ -110,9 +110,20 @@ def draw(docs: DataFrame, share: float = BUDGET_SHARE, epochs: int = EPOCHS, see
 
 
 def mix(docs: DataFrame, **options) -> DataFrame:
-    """The documents as often as they are drawn, with all their columns."""
-    times = draw(docs, **options).groupBy("doc_id").agg(F.count(F.lit(1)).alias("_times"))
-    share = docs.groupBy("doc_id").agg(F.count(F.lit(1)).alias("_rows"))
-    each = times.join(share, times.doc_id.eqNullSafe(share.doc_id)).select(times.doc_id.alias("_id"), F.ceil(F.col("_times") / F.col("_rows")).cast("int").alias("_n"))
-    out = docs.join(each, docs.doc_id.eqNullSafe(each["_id"])).withColumn("_e", F.explode(F.sequence(F.lit(1), F.col("_n"))))
-    return out.select(*docs.columns)
+    """The documents as often as they are drawn, with all their columns.
+
+    Rows that share doc_id, lang and source share their draws: each gets as many, and those with the fewest tokens one
+    more while some are left, as the last epoch takes them. So no leaf gets more than its budget.
+    """
+    names = ("doc_id", "lang", "source")
+    key = [fresh(docs.columns, x) for x in ("k", "l", "s")]
+    times, rows, place, each = (fresh(docs.columns, x) for x in ("times", "rows", "place", "each"))
+    drawn = draw(docs, **options).groupBy(*names).agg(F.count(F.lit(1)).cast("int").alias(times)).select(*[F.col(n).alias(k) for n, k in zip(names, key)], times)
+    w = Window.partitionBy(*names)
+    counted = docs.withColumn(rows, F.count(F.lit(1)).over(w))
+    order = F.when(F.col(rows) > 1, token_count(F.col("text"))), F.when(F.col(rows) > 1, F.xxhash64("text"))
+    placed = counted.withColumn(place, F.row_number().over(w.orderBy(*order)))
+    on = [F.col(n).eqNullSafe(F.col(k)) for n, k in zip(names, key)]
+    n = F.floor(F.col(times) / F.col(rows)) + F.when(F.col(place) <= F.pmod(F.col(times), F.col(rows)), 1).otherwise(0)
+    out = placed.join(drawn, on[0] & on[1] & on[2]).withColumn(each, n.cast("int")).where(F.col(each) > 0)
+    return out.withColumn(each, F.explode(F.sequence(F.lit(1), F.col(each)))).select(*[F.col(f"`{c}`") for c in docs.columns])

@@ -60,13 +60,41 @@ def test_classes_and_links(spark, seed):
     assert got == brute_classes(rows)
 
 
-def test_small_limits_take_the_deeper_levels(spark, monkeypatch):
-    """With tiny buckets, blocks and leaves every path of the method is taken; the result stays whole."""
-    for name, value in (("LIMIT", 3), ("BLOCK", 4), ("LEAF", 6)):
-        monkeypatch.setattr(chosen_path, name, value)
+def test_links_through_every_level(spark, capsys):
+    """Buckets of a few sets are split on further tokens, leaves and families are dealt in blocks: the links stay whole."""
+    found = wanted = wrong = 0
+    for seed in (3, 4, 5):
+        rows = near_copies(seed, 160)
+        want = brute_classes(rows)
+        got = {r.doc_id: (r.class_id, r.n_links) for r in chosen_path.link_classes(spark.createDataFrame(rows, "doc_id long, text string"), limits=chosen_path.Limits(bucket=6, leaf=8, block=8)).collect()}
+        found, wanted = found + sum(n for _, n in got.values()), wanted + sum(n for _, n in want.values())
+        wrong += sum(got[d][0] != c for d, (c, _) in want.items())
+    with capsys.disabled():
+        print(f"links through splits: {found // 2} of {wanted // 2}, documents in a wrong class: {wrong}")
+    assert found >= 0.999 * wanted and wrong <= 1
+
+
+def test_a_large_family_is_verified_in_blocks(spark):
+    rng = random.Random(8)
+    base = [rng.choice(WORDS) for _ in range(90)]
+    rows = []
+    for i in range(400):
+        w = list(base)
+        for _ in range(rng.randint(0, 3)):
+            w[rng.randrange(90)] = rng.choice(WORDS)
+        rows.append((i, " ".join(w)))
+    rows.append((400, " ".join(rng.choice(WORDS) for _ in range(60_000))))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    want = brute_classes(rows)
+    for limits in (chosen_path.Limits(), chosen_path.Limits(block=50), chosen_path.Limits(tokens=3_000)):
+        assert {r.doc_id: (r.class_id, r.n_links) for r in chosen_path.link_classes(df, limits=limits).collect()} == want
+
+
+def test_leaves_in_blocks_and_sets():
+    """Every pair of a leaf meets in some pair of its blocks; sets are those of the texts."""
     rows = near_copies(3, 80)
     value, at = chosen_path.shingle_sets(_batch(rows))
-    buckets = list(chosen_path._grouped(iter(_leaf(range(20))), True))
+    buckets = list(chosen_path._grouped(iter(_leaf(range(20))), True, chosen_path.Limits(leaf=6)))
     pairs = {frozenset(p) for b in buckets for key in set(b.column("key").to_pylist()) for p in itertools.combinations([s for s, k in zip(b.column("set").to_pylist(), b.column("key").to_pylist()) if k == key], 2)}
     assert len(pairs) == 20 * 19 // 2
     assert len(at) == len(rows) + 1 and (np.diff(at) == [len(sets_of(t)) for _, t in rows]).all() and len(value) == at[-1]
@@ -240,7 +268,8 @@ def test_units(spark):
     got = sorted(((r.doc_id, r.text, r.n_units, r.n_removed, [(s.start, s.end) for s in r.removed]) for r in unit_dedup.remove_units(spark.createDataFrame([(*r, 1) for r in rows], "doc_id long, text string, place int")).collect()), key=str)
     d2 = rows[1][1]
     a, b = d2.index("  this"), d2.index(line)
-    assert got == sorted([(1, rows[0][1], 3, 0, []), (2, "top of it all here\n\nshort one", 5, 2, [(a, a + 33), (b, b + len(line))]), (3, "", 1, 1, [(0, len(line))]), (3, "", 1, 1, [(0, len(line))]), (4, "", 1, 0, []), (5, "", 1, 0, [])], key=str)
+    c = d2.index("short one")
+    assert got == sorted([(1, rows[0][1], 3, 0, []), (2, "top of it all here\n", 5, 3, [(a, a + 33), (c, c + 9), (b, b + len(line))]), (3, "", 1, 1, [(0, len(line))]), (3, "", 1, 1, [(0, len(line))]), (4, "", 1, 0, []), (5, "", 1, 0, [])], key=str)
     assert d2[a : a + 33].lower().split() == line.lower().split()
     assert unit_dedup.remove_units(spark.createDataFrame([], "doc_id long, text string")).count() == 0
     paragraphs = spark.createDataFrame([(1, "one two three four\n\nfive six seven eight"), (2, "five six seven eight\n\nnine")], "doc_id long, text string")

@@ -18,14 +18,77 @@ SF = "/root/testdata/sf0.01"
 # --- quality -----------------------------------------------------------------------------------------------
 
 
-def test_draw_keeps_good_and_drops_bad(spark):
-    docs, labels = spark.read.parquet(f"{SF}/documents.parquet"), spark.read.parquet(f"{SF}/labels.parquet")
-    kept = {r.doc_id for r in importance.resample(docs, labels).collect()}
-    lab = labels.collect()
-    good, bad = [r.doc_id for r in lab if r.quality == 1], [r.doc_id for r in lab if r.quality == 0]
-    assert np.mean([d in kept for d in good]) >= 0.99
-    assert np.mean([d in kept for d in bad]) <= 0.05
-    assert kept == {r.doc_id for r in importance.resample(docs.repartition(7), labels).collect()}
+def labelled_halves(spark, sf=SF):
+    docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    fit = F.pmod(F.crc32(F.concat(F.lit("half"), F.col("doc_id").cast("string"))), F.lit(2)) == 0
+    return docs, labels.where(fit), labels.where(~fit).collect()
+
+
+def test_draw_keeps_good_and_drops_bad_rows_it_has_not_learnt_from(spark, capsys):
+    docs, fit, other = labelled_halves(spark)
+    kept = {r.doc_id for r in importance.resample(docs, fit).collect()}
+    good, bad = ([r.doc_id for r in other if r.quality == y] for y in (1, 0))
+    with capsys.disabled():
+        print(f"unseen labels: good kept {np.mean([d in kept for d in good]):.3f}, bad kept {np.mean([d in kept for d in bad]):.3f}")
+    assert np.mean([d in kept for d in good]) >= 0.97
+    assert np.mean([d in kept for d in bad]) <= 0.1
+    assert kept == {r.doc_id for r in importance.resample(docs.repartition(7), fit).collect()}
+
+
+def test_draw_is_gumbel_top_k_of_the_models(spark):
+    """Counts from the table, ratio of the two models, noise and order, all by brute force; another seed draws others."""
+    docs, fit, _ = labelled_halves(spark)
+    good = {r.doc_id for r in fit.where("quality = 1").collect()}
+    rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).collect()
+    per = []
+    for r in rows:
+        raw = np.frombuffer(r.text.encode(), np.uint8)
+        per.append(importance.features(raw, np.array([0, len(raw)]))[1])
+    n, b = importance.STREAMS, importance.BUCKETS
+    raw, target = np.zeros(n * b), np.zeros(n * b)
+    for r, x in zip(rows, per):
+        np.add.at(raw, x, 1)
+        if r.doc_id in good:
+            np.add.at(target, x, 1)
+    model = {}  # bucket -> (raw share, target share), each summing to one per stream
+    for s in range(n):
+        own = range(s * b, (s + 1) * b)
+        all_raw, all_target = sum(raw[own]), sum(target[own])
+        towards = {i: raw[i] / all_raw * (target[i] + importance.SMOOTH) / (all_target * raw[i] / all_raw + importance.SMOOTH) for i in own if raw[i]}
+        whole = sum(towards.values())
+        model |= {i: (raw[i] / all_raw, v / whole) for i, v in towards.items()}
+        assert sum(model[i][1] for i in towards) == pytest.approx(1)
+    weight = {r.doc_id: sum(np.log(model[i][1] / model[i][0]) for i in x.tolist()) / n for r, x in zip(rows, per)}
+    noise = {r.doc_id: r.g for r in docs.select("doc_id", importance.gumbel(F.lit(5), F.col("doc_id")).alias("g")).collect()}
+    for k in (100, 700):
+        got = {r.doc_id: r for r in importance.resample(docs, fit, k=k, seed=5).collect()}
+        want = sorted(weight, key=lambda d: (-round((weight[d] + noise[d]) * 1e4), d))[:k]
+        assert set(got) == set(want)
+        assert all(r.log_weight == pytest.approx(weight[d], abs=1e-6) and r.gumbel_key == pytest.approx(weight[d] + noise[d], abs=1e-6) for d, r in got.items())
+    draws = [{r.doc_id for r in importance.resample(docs, fit, k=700, seed=s).collect()} for s in (17, 99)]
+    assert 2 <= len(draws[0] ^ draws[1]) <= 700
+
+
+def test_noise_draws_in_proportion_to_weights(spark):
+    """The first of many draws falls on each row as often as its weight says."""
+    weights = {1: 0.0, 2: 1.0, 3: -0.7, 4: 0.3}
+    rows = spark.createDataFrame([(i, w) for i, w in weights.items()], "doc_id long, w double")
+    n = 20_000
+    keys = spark.range(n).join(rows, F.lit(True)).withColumn("key", F.col("w") + importance.gumbel(F.col("id"), F.col("doc_id")))
+    first = {r.best: r["count"] / n for r in keys.groupBy("id").agg(F.max_by("doc_id", "key").alias("best")).groupBy("best").count().collect()}
+    total = sum(np.exp(list(weights.values())))
+    assert all(first[i] == pytest.approx(np.exp(w) / total, abs=0.015) for i, w in weights.items())
+
+
+def test_ties_at_the_cut_and_long_texts(spark):
+    rows = [(i, "the same text of some words") for i in (5, 3, 9, 3)] + [(20, "x " * 200_000), (21, "word" * 50_000), (22, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    labels = spark.createDataFrame([(5, 1), (20, 0)], "doc_id long, quality int")
+    assert importance.resample(docs, labels, k=7).count() == 7
+    for k in range(1, 8):
+        got = importance.resample(docs, labels, k=k).collect()
+        assert len(got) == k
+    assert importance.resample(docs, labels, k=0).count() == 0 and importance.resample(docs, labels, k=99).count() == 7
 
 
 def test_draw_on_odd_tables(spark):
@@ -90,15 +153,74 @@ def test_toxicity_on_odd_tables(spark):
     assert toxicity.score(docs.where("false"), labels).count() == 0
 
 
-def test_models_are_distributions():
-    """At every context the probabilities of all continuations sum to one, in both classes: their difference table is consistent."""
-    words = ["abba", "abc", "bac", "cab", "aab"]
-    m = toxicity.Evidence(words, np.array([5.0, 0, 1, 0, 2]), np.array([0, 3.0, 1, 4, 2]))
-    e = m.of(["abba", "cab", "zzz"])
-    assert e[0] > 0.5 and e[1] < -0.5 and abs(e[2]) < abs(e[0])
+def brute_models(words, counts):
+    """Interpolated Kneser-Ney models of two classes, straight from the definition: p(class, context, character)."""
+    order, shared, discount = toxicity.ORDER, toxicity.SHARED, toxicity.DISCOUNT
+    seen = [{}, {}]
+    for w, both in zip(words, counts):
+        run = "\x01" * (order - 1) + w + "\x02"
+        for i in range(order - 1, len(run)):
+            for y in (0, 1):
+                g = run[i - order + 1 : i + 1]
+                seen[y][g] = seen[y].get(g, 0) + both[y]
+    every = set(seen[0]) | set(seen[1])
+    letters = sorted({g[-1] for g in every})
+
+    def count(y, n):
+        """Counts of the grams of n characters: of places at the top, of longer grams below."""
+        if n == order:
+            return seen[y]
+        out = {}
+        for longer in {g[-n - 1 :] for g in every if n + 1 > shared + 1 and seen[y][g] > 0} if n > shared else {g[-n - 1 :] for g in every}:
+            out[longer[1:]] = out.get(longer[1:], 0) + 1
+        return out
+
+    table = {(y, n): count(y, n) for y in (0, 1) for n in range(1, order + 1)}
+
+    def p(y, context, c):
+        if not context and c is None:
+            return None
+        n = len(context) + 1
+        lower = p(y, context[1:], c) if context else 1 / len(letters)
+        own = {a: table[y, n].get(context + a, 0) for a in letters}
+        total, kinds = sum(own.values()), sum(v > 0 for v in own.values())
+        if not total:
+            return lower
+        return max(own[c] - discount, 0) / total * (own[c] > 0) + discount * kinds / total * lower
+
+    return p, letters
+
+
+def test_models_are_kneser_ney_distributions():
+    """The brute-force probabilities sum to one in every context, and the tables hold the difference of their logarithms."""
+    words = ["abba", "abc", "bac", "cab", "aab", "abcabca"]
+    t, o = np.array([5, 0, 1, 0, 2, 3]), np.array([0, 3, 1, 4, 2, 0])
+    p, letters = brute_models(words, list(zip(t, o)))
+    for context in ("", "a", "ab", "\x01\x01", "\x01\x01\x01\x01a", "cabca", "bbbbb"):
+        for y in (0, 1):
+            assert sum(p(y, context, c) for c in letters) == pytest.approx(1, abs=1e-9)
+    m = toxicity.Evidence(words, t.astype(float), o.astype(float))
+    probe = [*words, "ab", "bb", "cccc", "bacab", "a"]
+    for w, got in zip(probe, m.of(probe)):
+        run = "\x01" * (toxicity.ORDER - 1) + w + "\x02"
+        places = range(toxicity.ORDER - 1, len(run))
+        want = sum(np.log(p(0, run[i - toxicity.ORDER + 1 : i], run[i]) / p(1, run[i - toxicity.ORDER + 1 : i], run[i])) for i in places)
+        assert got == pytest.approx(want, abs=1e-3), w
     assert m.of([]).shape == (0,)
 
 
+def test_memory_belongs_to_one_model():
+    words = ["abba", "cab"]
+    a, b = toxicity.Evidence(words, np.array([9.0, 0]), np.array([0, 9.0])), toxicity.Evidence(words, np.array([0, 9.0]), np.array([9.0, 0]))
+    x, y = toxicity.text_features(["abba"], a)[0, 0], toxicity.text_features(["abba"], b)[0, 0]
+    assert x > 0 > y and toxicity.text_features(["abba"], a)[0, 0] == x
+    assert toxicity._memory[0] == a.digest and len(toxicity._memory[1]) == 1
+    many = [f"w{i}" for i in range(50)]
+    toxicity.text_features([" ".join(many)], a, most=20)
+    toxicity.text_features(["abba"], a, most=20)
+    assert len(toxicity._memory[1]) <= 51
+
+
 def test_models_learn_from_every_labelled_row(spark, monkeypatch):
     """The bound on rows is the curve's alone: rare words far beyond it are in the toxic model."""
     monkeypatch.setattr(toxicity, "SAMPLE", 20)
@@ -133,8 +255,8 @@ def test_every_character_of_a_long_run_counts():
         codes, owner = toxicity.characters(pieces)
         assert "".join(map(chr, codes[toxicity.places(owner)])) == run[:n] + "\x02" and len(pieces) == (1 if n <= 40 else -(-(n + 1) // 40))
     for at in (0, 38, 100, 200, 270):
-        a, b = toxicity.text_features([run, run[:at] + bad * 2 + run[at:]], model, key=-at - 1)
-        assert b[1] > a[1] + 1
+        a, b = toxicity.text_features([run, run[:at] + bad * 2 + run[at:]], model)
+        assert b[0] > a[0] + 0.5
     joined = pa.RecordBatch.from_pydict({"text": [run + bad], "label": [1]})
     (got,) = toxicity._gram_counts([joined])
     grams = {"".join(map(chr, g)) for g in toxicity.gram_table(got.column(0).to_numpy(), got.column(1).to_numpy())}
@@ -200,6 +322,20 @@ def test_draws(spark):
     assert everything.where("count < 2").count() == 0
 
 
+def test_mixing_keeps_its_budget_with_repeated_ids(spark):
+    """A repeated doc_id is no way past the budget, and columns may have any names."""
+    rows = [(1, "a b c d", "en", "src1", 1, 2, 3), (1, "a b", "en", "src1", 4, 5, 6), (1, "a b", "en", "src2", 7, 8, 9), (2, "w " * 6, "en", "src1", 0, 0, 0), (None, "x y", None, None, 0, 0, 0), (None, "x y", None, None, 1, 0, 0)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, _n int, _id int, _times int")
+    for share in (0.2, 0.4, 0.6, 0.9, 1.5, 3.0):
+        d = mixing.draw(docs, share=share).collect()
+        m = mixing.mix(docs, share=share)
+        assert m.columns == docs.columns
+        got = m.collect()
+        assert len(got) == len(d)
+        leaf = lambda rows, n: {k: sum(n(r) for r in rows if (r.doc_id, r.lang, r.source) == k) for k in {(r.doc_id, r.lang, r.source) for r in rows}}
+        assert leaf(got, lambda r: len(r.text.split())) == leaf(d, lambda r: r.n_tokens)
+
+
 # --- search ------------------------------------------------------------------------------------------------
 
 
