@@ -15,15 +15,16 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from rangegraph.llm import chosen_path, importance, mixing, pieces, suffix_dedup
-from rangegraph.llm.common import stash
+from rangegraph.llm.common import fresh, stash
 
 MODEL = "piece_bpe_32k.model"
 
 
 def quality_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the importance draw keeps."""
-    drawn = importance.resample(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")).select(F.col("doc_id").alias("__id")).distinct()
-    return docs.join(drawn, docs.doc_id.eqNullSafe(drawn["__id"]), "left_semi")
+    name = fresh(docs.columns, "drawn")
+    drawn = importance.resample(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")).select(F.col("doc_id").alias(name)).distinct()
+    return docs.join(drawn, docs.doc_id.eqNullSafe(drawn[name]), "left_semi")
 
 
 def ngram_jaccard_join(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
