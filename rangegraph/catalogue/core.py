@@ -55,6 +55,13 @@ SQL_ROWS = {
     "text_emb": "docs AS (SELECT doc_id, text FROM documents WHERE doc_id IN (SELECT vec_id FROM embeddings))," + _vector_sql(64, of="docs") + f", w AS (SELECT doc_id AS id, v AS e, list_transform(embedding, {_D}) AS s FROM vec64 JOIN embeddings ON vec_id = doc_id)",
     "doc_pair": _vector_sql(64, "i % 2 = 1") + "," + _vector_sql(32, "i % 2 = 0") + ", w AS (SELECT a.doc_id AS id, a.v AS e, b.v AS s FROM vec64 a JOIN vec32 b USING (doc_id))",
     "doc_geo": "docs AS (SELECT doc_id, text FROM documents WHERE doc_id IN (SELECT c_custkey FROM customer))," + _vector_sql(64, of="docs") + f", w AS (SELECT i AS id, v AS e, {_COORD} AS s FROM (SELECT doc_id AS i, c_nationkey AS n, v FROM vec64 JOIN customer ON doc_id = c_custkey))",
+    "line_geo": """st AS (SELECT avg(l_quantity) AS m1, stddev_pop(l_quantity) AS d1, avg(l_extendedprice) AS m2, stddev_pop(l_extendedprice) AS d2, avg(l_discount) AS m3, stddev_pop(l_discount) AS d3, avg(l_tax) AS m4, stddev_pop(l_tax) AS d4 FROM lineitem),
+      w AS (SELECT (l_orderkey * 8 + l_linenumber) * 64 + copy AS id,
+        list_transform([(l_quantity - m1) / d1, (l_extendedprice - m2) / d2, (l_discount - m3) / d3, (l_tax - m4) / d4,
+          CAST(l_returnflag = 'A' AS DOUBLE), CAST(l_returnflag = 'N' AS DOUBLE), CAST(l_returnflag = 'R' AS DOUBLE), CAST(l_linestatus = 'O' AS DOUBLE), CAST(l_linestatus = 'F' AS DOUBLE)], lambda x: CAST(CAST(x AS FLOAT) AS DOUBLE)) AS e,
+        [CAST(date_diff('day', DATE '1995-01-01', CAST(l_shipdate AS DATE)) AS DOUBLE), CAST(p_size AS DOUBLE)] AS s
+        FROM (SELECT *, row_number() OVER (PARTITION BY l_orderkey, l_linenumber ORDER BY l_partkey, l_suppkey, l_quantity, l_extendedprice, l_discount, l_tax, l_returnflag, l_linestatus, l_shipdate) AS copy FROM lineitem)
+        JOIN part ON l_partkey = p_partkey, st)""",
     "event_stream": """w AS (SELECT event_id AS id,
         list_transform([CAST(event_type = 'click' AS INT), CAST(event_type = 'error' AS INT), CAST(event_type = 'purchase' AS INT), CAST(event_type = 'signup' AS INT), CAST(event_type = 'view' AS INT),
           ln(1 + value), CAST(json_extract_string(props, '$.k') AS DOUBLE) / 100, (user_id % 10) / 10e0], lambda x: CAST(CAST(x AS FLOAT) AS DOUBLE)) AS e,
@@ -112,8 +119,8 @@ for _name in tables.WORKLOADS:
 def l2_distance(spark, sf_dir):
     c = case(spark, sf_dir)
     q = c.queries.where("band = 0").select("qid", F.col("e").alias("qe"), F.col("s").alias("qs"))
-    # a stated block of queries against all rows
-    return c.objects.join(F.broadcast(q), F.lit(True)).select("qid", "id", F.round(vectors.l2("e", "qe"), 6).alias("de"), F.round(vectors.l2("s", "qs"), 6).alias("ds"))
+    # a stated block of queries against all rows; Spark sends the smaller side
+    return c.objects.join(q, F.lit(True)).select("qid", "id", F.round(vectors.l2("e", "qe"), 6).alias("de"), F.round(vectors.l2("s", "qs"), 6).alias("ds"))
 
 
 @query("normalisers", f"{sql_with()} SELECT round(em, 6) AS e_max, round(sm, 6) AS s_max FROM nrm")
@@ -138,7 +145,7 @@ def normaliser_bounds(spark, sf_dir):
 def hybrid_distance(spark, sf_dir):
     c = case(spark, sf_dir)
     q = c.queries.select("qid", "band", "alpha", F.col("e").alias("qe"), F.col("s").alias("qs"))
-    return c.objects.join(F.broadcast(q), F.lit(True)).select("qid", "band", "id", F.round(vectors.hybrid("e", "s", "qe", "qs", F.col("alpha"), c.norm.e, c.norm.s), 6).alias("dist"))
+    return c.objects.join(q, F.lit(True)).select("qid", "band", "id", F.round(vectors.hybrid("e", "s", "qe", "qs", F.col("alpha"), c.norm.e, c.norm.s), 6).alias("dist"))
 
 
 @query("exact_topk", TOP10)
@@ -206,9 +213,18 @@ def pareto_layers_by_peeling(spark, sf_dir):
     return pareto.layers_by_peeling(pairs_of(case(spark, sf_dir)), 3).select("p", "x", "layer")
 
 
-@query("pareto_layers_bounded")
+#: A layer is the length of the longest chain of rows, each before and no farther than the next.
+CHAINS = f"""{PAIRS.replace("WITH ", "WITH RECURSIVE ", 1)},
+      ar AS (SELECT a.p, a.x, b.x AS y FROM pr a JOIN pr b ON a.p = b.p AND a.de <= b.de AND (a.ds, a.de, a.x) < (b.ds, b.de, b.x)),
+      ch AS (SELECT p, x, 1 AS l FROM pr UNION SELECT ar.p, ar.y, ch.l + 1 FROM ch JOIN ar ON ar.p = ch.p AND ar.x = ch.x),
+      ly AS (SELECT p, x, max(l) AS layer FROM ch GROUP BY p, x)"""
+
+
+@query("pareto_layers_bounded", f"""{CHAINS}, n AS (SELECT p, layer, sum(count(*)) OVER (PARTITION BY p ORDER BY layer) AS upto FROM ly GROUP BY p, layer)
+      SELECT p, x, CAST(layer AS INTEGER) AS layer FROM ly JOIN n USING (p, layer) WHERE upto <= 50 OR layer = 1""")
 def pareto_layers_bounded(spark, sf_dir):
-    return pareto.layers(pairs_of(case(spark, sf_dir)), bound=50)
+    """Whole layers of each pool up to fifty rows."""
+    return pareto.layers(pairs_of(case(spark, sf_dir)), bound=50).select("p", "x", "layer")
 
 
 @query("frontier_contains_nn", f"{PAIRS}, m AS (SELECT p, i, min(i / 10e0 * de + (1 - i / 10e0) * ds) AS d FROM pr, (SELECT unnest(range(11)) AS i) GROUP BY p, i) SELECT CAST(count(*) AS BIGINT) AS nodes_and_weights, CAST(0 AS BIGINT) AS missing FROM m")
@@ -224,8 +240,10 @@ def frontier_contains_nn(spark, sf_dir):
 
 # --- weights at which edges are of use ---------------------------------------------------------------------
 
-TRI = f"""{PAIRS},
-      near AS (SELECT p, x, de, ds FROM (SELECT *, row_number() OVER (PARTITION BY p ORDER BY round(0.5e0 * de + 0.5e0 * ds, 9), x) AS r FROM pr) WHERE r <= 6),
+THREE = f"""{PAIRS}, f1 AS ({_L.format(t='pr')}), r1 AS (SELECT * FROM pr WHERE (p, x) NOT IN (SELECT p, x FROM f1)), f2 AS ({_L.format(t='r1')}),
+      r2 AS (SELECT * FROM r1 WHERE (p, x) NOT IN (SELECT p, x FROM f2)), f3 AS ({_L.format(t='r2')})"""
+TRI = f"""{THREE},
+      near AS (SELECT * FROM f1 UNION ALL SELECT * FROM f2 UNION ALL SELECT * FROM f3),
       tri AS (
         SELECT a.p, a.x, b.x AS z, a.de AS pxe, a.ds AS pxs, b.de AS pze, b.ds AS pzs, list_distance(ox.e, oz.e) / em AS zxe, list_distance(ox.s, oz.s) / sm AS zxs
         FROM near a JOIN near b ON a.p = b.p AND a.x <> b.x JOIN o ox ON ox.id = a.x JOIN o oz ON oz.id = b.x, nrm)"""
@@ -249,9 +267,8 @@ UNION = f"""{PRUNED},
 
 
 def triangles(c: Case) -> DataFrame:
-    """p, x, z among the six nearest of each query at 0.5, with the six distances."""
-    w = Window.partitionBy("p").orderBy(F.round(F.col("de") * 0.5 + F.col("ds") * 0.5, 9), "x")
-    near = pairs_of(c).withColumn("r", F.row_number().over(w)).where("r <= 6").drop("r")
+    """p, x, z among the first three layers of each query's pool, with the six distances."""
+    near = pareto.layers(pairs_of(c)).where("layer <= 3").select("p", "x", "de", "ds")
     other = near.select("p", F.col("x").alias("z"), F.col("de").alias("pze"), F.col("ds").alias("pzs"))
     o = c.objects
     t = near.withColumnRenamed("de", "pxe").withColumnRenamed("ds", "pxs").join(other, "p").where("x <> z")
@@ -276,7 +293,7 @@ def pruned_interval(spark, sf_dir):
 
 
 def active_sets(c: Case) -> DataFrame:
-    """p, x, active: the weights at which none of the other five removes the edge."""
+    """p, x, active: the weights at which none of the others removes the edge."""
     return triangles(c).groupBy("p", "x").agg(F.collect_list(al.pruned_by(*_six())).alias("r")).withColumn("active", al.complement(F.col("r")))
 
 

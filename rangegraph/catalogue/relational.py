@@ -105,15 +105,14 @@ def join_shuffle_hash(spark, sf_dir):
 
 def _outer(kind: str):
     def run(spark, sf_dir):
-        d, lb = load(spark, sf_dir, "documents").select("doc_id", "lang"), load(spark, sf_dir, "labels").where("doc_id % 3 <> 0")
-        d = d.where("doc_id % 2 = 0")
-        return d.join(lb, "doc_id", kind).select("doc_id", "lang", "quality", "toxic")
+        e, lb = load(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("doc_id"), "label"), load(spark, sf_dir, "labels")
+        return e.join(lb, "doc_id", kind).select("doc_id", "label", "quality", "toxic")
 
     return run
 
 
-for _kind in ("left", "right", "full"):
-    query(f"join_{_kind}", f"SELECT doc_id, lang, quality, toxic FROM (SELECT doc_id, lang FROM documents WHERE doc_id % 2 = 0) {_kind.upper()} JOIN (SELECT * FROM labels WHERE doc_id % 3 <> 0) USING (doc_id)")(_outer(_kind))
+for _kind in ("left", "right", "full"):  # neither table has all ids of the other
+    query(f"join_{_kind}", f"SELECT doc_id, label, quality, toxic FROM (SELECT vec_id AS doc_id, label FROM embeddings) {_kind.upper()} JOIN labels USING (doc_id)")(_outer(_kind))
 
 
 @query("join_semi", "SELECT vec_id, label FROM embeddings WHERE vec_id IN (SELECT doc_id FROM labels)")
@@ -310,7 +309,7 @@ def sort_global(spark, sf_dir):
     return o.withColumn("r", F.row_number().over(own)).join(F.broadcast(offsets), "part").select("o_orderkey", (F.col("before") + F.col("r")).alias("place"))
 
 
-@query("sort_within")
+@query("sort_within", "SELECT o_orderkey, o_custkey FROM orders")
 def sort_within(spark, sf_dir):
     return load(spark, sf_dir, "orders").select("o_orderkey", "o_custkey").repartition("o_custkey").sortWithinPartitions("o_custkey", "o_orderkey")
 
@@ -499,4 +498,4 @@ def sink_partitioned(spark, sf_dir):
 @query("str_leaves")
 def str_leaves(spark, sf_dir):
     c = case(spark, sf_dir, "emb_geo")
-    return spatial.leaf_boxes(spatial.str_pack(c.objects))
+    return spatial.boxes(spatial.str_pack(c.objects), "slab", "leaf")

@@ -9,7 +9,7 @@ from ..streaming import events
 QUERIES = {
     "stream_tumbling": lambda spark, sf_dir: events.tumbling(spark, sf_dir)[0].select(F.unix_seconds("start").alias("start"), "event_type", "n", "mean"),
     "stream_sliding": lambda spark, sf_dir: events.sliding(spark, sf_dir)[0].select(F.unix_seconds("start").alias("start"), "event_type", "n", "mean"),
-    "stream_session": lambda spark, sf_dir: events.sessions(spark, sf_dir)[0],
+    "stream_session": lambda spark, sf_dir: events.sessions(spark, sf_dir)[0].select("user_id", F.unix_micros("start").alias("start"), F.unix_micros("end").alias("end"), "n"),
     "stream_watermark_late": events.late,
     "stream_dedup": events.deduplicated,
     "stream_stream_join": lambda spark, sf_dir: events.view_to_click(spark, sf_dir)[0],
@@ -21,6 +21,10 @@ QUERIES = {
 ORACLES = {
     "stream_tumbling": "SELECT CAST(epoch(date_trunc('day', ts)) AS BIGINT) AS start, event_type, count(*) AS n, round(avg(value), 6) AS mean FROM events GROUP BY ALL",
     "stream_sliding": "SELECT CAST(s AS BIGINT) AS start, event_type, count(*) AS n, round(avg(value), 6) AS mean FROM (SELECT *, unnest([floor(epoch(ts) / 21600) * 21600 - 21600 * k for k in [0, 1, 2, 3]]) AS s FROM events) GROUP BY ALL",
+    "stream_session": """WITH g AS (SELECT user_id, ts, CASE WHEN ts <= lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 8 HOUR THEN 0 ELSE 1 END AS new FROM events),
+        s AS (SELECT user_id, ts, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g),
+        w AS (SELECT user_id, min(ts) AS a, max(ts) + INTERVAL 8 HOUR AS b, count(*) AS n FROM s GROUP BY user_id, k)
+        SELECT user_id, epoch_us(a) AS start, epoch_us(b) AS "end", n FROM w WHERE b < (SELECT max(ts) FROM events) - INTERVAL 1 HOUR""",
     "stream_dedup": "SELECT event_id, event_type FROM events",
     "stream_stream_join": "SELECT v.event_id AS view_id, c.event_id AS click_id FROM events v JOIN events c ON v.user_id = c.user_id AND v.event_type = 'view' AND c.event_type = 'click' AND c.ts >= v.ts AND c.ts <= v.ts + INTERVAL 1 HOUR",
 }

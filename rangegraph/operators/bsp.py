@@ -13,11 +13,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.vectors import hybrid, l2, l2_block
+from ..functions.vectors import hybrid, l2
 from ..schema import BuildParams, Norm
-from ..storage import stash
+from ..storage import Steps, stash
 from . import pareto, prune
-from .exact import final_topk
+from .exact import final_topk, pair_distances
 
 
 def search(edges: DataFrame, objects: DataFrame, queries: DataFrame, seeds: DataFrame, norm: Norm, k: int = 10, ef: int = 10, most: int | None = None) -> DataFrame:
@@ -35,8 +35,9 @@ def search(edges: DataFrame, objects: DataFrame, queries: DataFrame, seeds: Data
         d = rows.join(vectors, "id").join(q, ["qid", "band"])
         return d.select("qid", "band", "id", hybrid("e", "s", "qe", "qs", F.col("alpha"), norm.e, norm.s).alias("dist"))
 
-    start = q.select("qid", "band").join(F.broadcast(seeds.select("id").distinct()), F.lit(True))
-    state = stash(scored(start).withColumn("expanded", F.lit(False)), "hop")
+    start = q.select("qid", "band").join(seeds.select("id").distinct(), F.lit(True))
+    steps = Steps(objects.sparkSession, "hop")
+    state = steps.write(scored(start).withColumn("expanded", F.lit(False)))
     best = Window.partitionBy("qid", "band").orderBy("dist", "id")
     for hops in count():
         ranked = state.withColumn("r", F.row_number().over(best))
@@ -48,7 +49,7 @@ def search(edges: DataFrame, objects: DataFrame, queries: DataFrame, seeds: Data
         arcs = now.join(q.select("qid", "band", "alpha"), ["qid", "band"]).join(edges.select(F.col("src").alias("id"), "dst", "lo", "hi"), "id").where((F.col("lo") <= at) & (at <= F.col("hi")))
         new = arcs.select("qid", "band", F.col("dst").alias("id")).distinct().join(state.select("qid", "band", "id"), ["qid", "band", "id"], "left_anti")
         marked = state.join(now.withColumn("now", F.lit(True)), ["qid", "band", "id"], "left").select("qid", "band", "id", "dist", (F.col("expanded") | F.coalesce("now", F.lit(False))).alias("expanded"))
-        state = stash(marked.unionByName(scored(new).withColumn("expanded", F.lit(False))), "hop")
+        state = steps.write(marked.unionByName(scored(new).withColumn("expanded", F.lit(False))))
     return final_topk(state.select("qid", "band", "id", "dist"), k)
 
 
@@ -79,15 +80,16 @@ def frontier_search(edges: DataFrame, objects: DataFrame, targets: DataFrame, se
     t = targets.select(F.col("id").alias("p"), F.col("e").alias("pe"), F.col("s").alias("ps"))
     vectors = objects.select(F.col("id").alias("x"), "e", "s")
     arcs = stash(edges.select("src", "dst").distinct(), "arcs")
+    steps = Steps(objects.sparkSession, "hop")
 
     def entered(rows: DataFrame) -> DataFrame:
         d = rows.join(vectors, "x").join(t, "p")
         return d.select("p", "x", (l2("e", "pe") / norm.e).alias("de"), (l2("s", "ps") / norm.s).alias("ds"), F.lit(-1).alias("layer"), F.lit(False).alias("explored"), F.lit(False).alias("now"))
 
     def hop(state: DataFrame) -> DataFrame:
-        return stash(state.groupBy("p").applyInArrow(lambda g: _layered(g, ef), STATE), "hop")
+        return steps.write(state.groupBy("p").applyInArrow(lambda g: _layered(g, ef), STATE))
 
-    state = hop(entered(t.select("p").join(F.broadcast(seeds.select(F.col("id").alias("x")).distinct()), F.lit(True))))
+    state = hop(entered(t.select("p").join(seeds.select(F.col("id").alias("x")).distinct(), F.lit(True))))
     for hops in count():
         if not state.where("now").limit(1).count():
             break
@@ -97,40 +99,56 @@ def frontier_search(edges: DataFrame, objects: DataFrame, targets: DataFrame, se
     return state.where("layer > 0").select("p", "x", "de", "ds", "layer")
 
 
-def build(objects: DataFrame, params: BuildParams, norm: Norm, wave0: int = 128, growth: int = 4) -> tuple[DataFrame, DataFrame]:
+WHOLE = 1 << 30  # of the hash that orders the rows
+
+
+def build(objects: DataFrame, params: BuildParams, norm: Norm, wave0: int = 128, growth: int = 2) -> tuple[DataFrame, DataFrame]:
     """(edges src, dst, lo, hi; seeds) by waves: the nodes of a wave see the graph before it and each other.
 
-    Waves grow by a factor, in the order of a seeded hash. The rim of the whole table serves as seeds.
+    Waves are ranges of a seeded hash, each `growth` times as large as all before it, so no task orders the table. The
+    first, of about wave0 rows, is compared outright. Later ones search the graph before them; nodes of a wave then meet
+    over the neighbours they share, in two steps along edges whose number per node is bounded. The rim of the whole
+    table serves as seeds.
     """
     from . import seeds as sd
 
-    order = Window.orderBy(F.xxhash64("id", F.lit(params.seed)), "id")
-    placed = stash(objects.select("id", "e", "s").withColumn("n", F.row_number().over(order) - 1), "waves")
-    total, low, high = placed.count(), 0, wave0
+    spark = objects.sparkSession
+    placed = stash(objects.select("id", "e", "s").withColumn("u", F.pmod(F.xxhash64("id", F.lit(params.seed)), F.lit(WHOLE))), "waves")
+    total, low = placed.count(), 0
     rim = stash(sd.rim(objects, norm).select("id"), "rim")
-    edges = None
-    while low < total:
-        wave = placed.where((F.col("n") >= low) & (F.col("n") < high))
-        inner = _block_pairs(wave, norm)
+    edges, steps = None, Steps(spark, "edges")
+    share = min(1.0, wave0 / max(total, 1))
+    while low < WHOLE and total:
+        high = WHOLE if share >= 1 else int(share * WHOLE)
+        wave, have = placed.where((F.col("u") >= low) & (F.col("u") < high)), placed.where(F.col("u") < low)
+        low, share = high, share * growth
+        if not wave.limit(1).count():
+            continue
         if edges is None:
-            found = inner
-        else:
-            have = placed.where(F.col("n") < low)
-            starts = have.join(rim, "id", "left_semi").select("id")
-            starts = starts if starts.limit(1).count() else have.orderBy("n").limit(1).select("id")
-            far = frontier_search(edges, have, wave, starts, norm, params.ef_c).select("p", "x", "de", "ds")
-            found = far.unionByName(inner)
+            edges = steps.write(_refreshed(None, stash(_choose(pair_distances(wave, norm), placed, params, norm), "wave"), placed, params, norm))
+            continue
+        starts = have.join(rim, "id", "left_semi").select("id")
+        starts = starts if starts.limit(1).count() else have.orderBy("u", "id").limit(1).select("id")
+        found = stash(frontier_search(edges, have, wave, starts, norm, params.ef_c).select("p", "x", "de", "ds"), "found")
         chosen = stash(_choose(found, placed, params, norm), "wave")
-        back = chosen.select(F.col("dst").alias("p"), F.col("src").alias("x")).distinct()
-        mine = chosen.select(F.col("src").alias("p"), F.col("dst").alias("x")).distinct()
-        old = edges.select(F.col("src").alias("p"), F.col("dst").alias("x")).distinct() if edges is not None else None
-        touched = back.select("p").distinct()
-        pool = back.unionByName(mine) if old is None else back.unionByName(mine).unionByName(old)
-        again = _choose(_measure(pool.distinct().join(touched, "p", "left_semi"), placed, norm), placed, params, norm)
-        same = chosen if edges is None else chosen.unionByName(edges)
-        edges = stash(again.unionByName(same.join(touched.select(F.col("p").alias("src")), "src", "left_anti")), "edges")
-        low, high = high, high * growth
-    return edges, rim
+        first = stash(_refreshed(edges, chosen, placed, params, norm), "first")
+        back = first.select(F.col("src").alias("y"), F.col("dst").alias("x")).distinct().join(wave.select(F.col("id").alias("x")), "x", "left_semi")
+        met = chosen.select(F.col("src").alias("p"), F.col("dst").alias("y")).distinct().join(back, "y").where("p <> x").select("p", "x").distinct()
+        again = stash(_choose(found.unionByName(_measure(met, placed, norm)), placed, params, norm), "wave")
+        edges = steps.write(_refreshed(edges, again, placed, params, norm))
+    empty = spark.createDataFrame([], prune.EDGES)
+    return edges if edges is not None else empty, rim
+
+
+def _refreshed(edges: DataFrame | None, chosen: DataFrame, placed: DataFrame, params: BuildParams, norm: Norm) -> DataFrame:
+    """The edges with those of new nodes, and with every touched node's choice made anew."""
+    pair = lambda df: df.select(F.col("src").alias("p"), F.col("dst").alias("x")).distinct()
+    back = chosen.select(F.col("dst").alias("p"), F.col("src").alias("x")).distinct()
+    touched = back.select("p").distinct()
+    pool = back.unionByName(pair(chosen)) if edges is None else back.unionByName(pair(chosen)).unionByName(pair(edges))
+    anew = _choose(_measure(pool.distinct().join(touched, "p", "left_semi"), placed, norm), placed, params, norm)
+    same = chosen if edges is None else chosen.unionByName(edges)
+    return anew.unionByName(same.join(touched.select(F.col("p").alias("src")), "src", "left_anti"))
 
 
 def _measure(pairs: DataFrame, objects: DataFrame, norm: Norm) -> DataFrame:
@@ -142,30 +160,3 @@ def _measure(pairs: DataFrame, objects: DataFrame, norm: Norm) -> DataFrame:
 def _choose(pairs: DataFrame, objects: DataFrame, params: BuildParams, norm: Norm) -> DataFrame:
     rows = pairs.join(objects.select(F.col("id").alias("x"), "e", "s"), "x").select("p", "x", "de", "ds", "e", "s")
     return prune.range_gated(rows, norm, params.M, params.th, params.cap, params.witness, params.ties)
-
-
-def _block_pairs(wave: DataFrame, norm: Norm, block: int = 256, most: int = 64) -> DataFrame:
-    """Candidates inside a wave: each node against the blocks of the wave, the nearest `most` at three weights kept."""
-    placed = wave.withColumn("b", F.floor(F.col("n") / block).cast("int"))
-    packs = placed.groupBy("b").agg(F.collect_list(F.struct("id", "e", "s")).alias("rows"))
-    left, right = packs.select(F.col("b").alias("a"), F.col("rows").alias("left")), packs
-
-    def run(batches):
-        for t in batches:
-            for l_rows, r_rows in zip(t.column("left").to_pylist(), t.column("rows").to_pylist()):
-                p, x = np.array([r["id"] for r in l_rows]), np.array([r["id"] for r in r_rows])
-                de = l2_block(np.array([r["e"] for r in l_rows], float), np.array([r["e"] for r in r_rows], float)) / norm.e
-                ds = l2_block(np.array([r["s"] for r in l_rows], float), np.array([r["s"] for r in r_rows], float)) / norm.s
-                keep = np.zeros(de.shape, bool)
-                for a in (0.0, 0.5, 1.0):
-                    d = a * de + (1 - a) * ds
-                    d[p[:, None] == x[None, :]] = np.inf
-                    n = min(most // 3, d.shape[1])
-                    np.put_along_axis(keep, np.argsort(d, axis=1)[:, :n], True, 1)
-                keep &= p[:, None] != x[None, :]
-                i, j = np.nonzero(keep)
-                yield pa.RecordBatch.from_arrays([pa.array(p[i]), pa.array(x[j]), pa.array(de[i, j]), pa.array(ds[i, j])], names=["p", "x", "de", "ds"])
-
-    return left.join(right, F.lit(True)).mapInArrow(run, "p long, x long, de double, ds double")
-
-

@@ -31,6 +31,7 @@ from .exact import final_topk
 FOUND = "qid long, band int, ef int, id long, dist double, shard int, n_dist long, hops long, scanned long, gated long, stopped long, seconds double"
 SHARDS = "shard int, n long, ce array<double>, cs array<double>, re double, rs double"
 ROUTE_BYTES = 64_000_000
+NAMES = [f.split()[0] for f in NODES.split(", ")]
 
 
 @dataclass
@@ -164,6 +165,39 @@ def build_index(objects: DataFrame, params: BuildParams, norm: Norm, shards: Sha
     return built
 
 
+def insert(index: Index, objects: DataFrame, max_rows: int = 1_000_000) -> Index:
+    """The index with further objects inserted into its shards' graphs, written as a new table; readers of the old one are
+    not disturbed. Objects whose id is there already are left out. Shards are chosen by a hash of the id; one that is full
+    takes no more, and what it would get goes to a new shard beside it."""
+    assert_vectors(objects, "e", "s")
+    began = time.time()
+    sizes = {r.shard: r.n for r in index.shards.select("shard", "n").collect()}
+    names = sorted(sizes)
+    params, norm = index.params, index.norm
+    fresh = objects.select(*[F.col(c).alias(c) for c in ("id", "e", "s")]).dropDuplicates(["id"]).join(index.nodes.where("level = 0").select("id"), "id", "left_anti")
+    if names:
+        slot = F.pmod(F.xxhash64("id"), F.lit(len(names)))
+        full = [sizes[n] >= max_rows for n in names]
+        beside = max(names) + 1
+        target = F.element_at(F.array(*[F.lit(int(beside + i if full[i] else n)) for i, n in enumerate(names)]), (slot + 1).cast("int"))
+    else:
+        target = F.lit(0)
+
+    def run(nodes: pa.Table, new: pa.Table) -> pa.Table:
+        shard = (nodes if nodes.num_rows else new).column("shard")[0].as_py()
+        old = _graph(nodes, norm) if nodes.num_rows else kernel.Graph(np.zeros(0, np.int64), np.zeros((0, 1)), np.zeros((0, 1)), norm)
+        if not new.num_rows:
+            return nodes.select(NAMES)
+        new = new.sort_by("id")
+        ids = new.column("id").to_numpy()
+        g = kernel.extend(old, ids, matrix(new.column("e")), matrix(new.column("s")), params, np.lexsort((ids, mix(ids, params.seed))))
+        return _node_table(g, shard)
+
+    placed = fresh.withColumn("shard", target.cast("int"))
+    nodes = stash(index.nodes.groupBy("shard").cogroup(placed.groupBy("shard")).applyInArrow(run, NODES), "index")
+    return Index(nodes, stash(summarise(nodes), "shards"), norm, params, {"build_s": time.time() - began})
+
+
 def summarise(nodes: DataFrame) -> DataFrame:
     """Per shard its size, centroid and radii."""
 
@@ -249,7 +283,8 @@ def search_shards(index: Index, queries: DataFrame, routed: DataFrame | None, pa
         types = [pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.float64(), pa.int32()] + [pa.int64()] * 5 + [pa.float64()]
         return pa.table({f.split()[0]: pa.array([r[j] for r in rows], t) for j, (f, t) in enumerate(zip(FOUND.split(", "), types))})
 
-    q = queries.select("qid", "band", "alpha", "e", "s")
+    # named anew: queries may come from the same table as the nodes
+    q = queries.select(*[F.col(c).alias(c) for c in ("qid", "band", "alpha", "e", "s")])
     if routed is None:
         asked = q.join(F.broadcast(index.shards.select("shard")), F.lit(True))
     else:

@@ -175,22 +175,50 @@ def build(ids: np.ndarray, e: np.ndarray, s: np.ndarray, norm: Norm, params: Bui
     g = Graph(ids, e, s, norm)
     if not len(ids):
         return g
+    order = np.arange(len(ids)) if order is None else order
     if params.levels:
         return _build_levels(g, params, order)
+    return _insert(g, params, order, 0)
+
+
+def extend(old: Graph, ids: np.ndarray, e: np.ndarray, s: np.ndarray, params: BuildParams, order: np.ndarray | None = None) -> Graph:
+    """The graph with further nodes inserted into it, as if they had come last. Not for graphs with levels.
+
+    The rim is seen from the centroid of all nodes, old and new. Stored ranges are read back as they are stored.
+    """
+    if params.levels:
+        raise ValueError("a graph with levels is built anew")
+    n = len(old.ids)
+    g = Graph(np.concatenate([old.ids, ids]), np.concatenate([old.e, e]) if n else e, np.concatenate([old.s, s]) if n else s, old.norm)
+    for p in range(n):
+        dst, lo, hi = old.arcs(p)
+        at = np.flatnonzero(np.concatenate([[True], dst[1:] != dst[:-1]])) if len(dst) else np.zeros(0, np.int64)
+        ends = np.append(at[1:], len(dst))
+        g.set_edges(p, dst[at], [list(zip((lo[a:b] / SCALE).tolist(), (hi[a:b] / SCALE).tolist())) for a, b in zip(at, ends)])
     order = np.arange(len(ids)) if order is None else order
+    first = old.seeds.astype(np.int64)
+    return _insert(g, params, np.concatenate([np.arange(n), n + order]), n, first) if len(g.ids) else g
+
+
+def _insert(g: Graph, params: BuildParams, order: np.ndarray, have: int, first: np.ndarray | None = None) -> Graph:
+    """Inserts order[have:] into a graph whose nodes order[:have] are there (order[0] with no edges counts as there)."""
+    ids, e, s, norm = g.ids, g.e, g.s, g.norm
     pick = params_rule(params)
     ce, cs = e.mean(axis=0), s.mean(axis=0)
     rim_e, rim_s = g.to_query(ce, cs, np.arange(len(ids)))
-    first = int(order[0])
-    rim = np.array([first])
-    fixed = np.array([first])
+    sign = 1 if params.seeds == "rim" else -1
+    start = np.array([int(order[0])])
+    there = order[: max(have, 1)]
+    rim = there[rim_block(sign * rim_e[there], sign * rim_s[there], ids[there])] if params.seeds in ("rim", "centroid") else start
+    fixed = start
     if params.seeds == "random":  # as many as the rim of the whole shard
-        n = len(rim_block(rim_e, rim_s, ids))
-        fixed = np.random.default_rng(params.seed).permutation(len(ids))[:n]
+        fixed = np.random.default_rng(params.seed).permutation(len(ids))[: len(rim_block(rim_e, rim_s, ids))]
     done = np.zeros(len(ids), bool)
-    done[first] = True
-    for p in order[1:].tolist():
-        starts = {"rim": rim, "first": np.array([first]), "centroid": rim, "random": fixed[done[fixed]] if done[fixed].any() else np.array([first])}[params.seeds]
+    done[there] = True
+    for p in order[max(have, 1) :].tolist():
+        starts = {"rim": rim, "first": start, "centroid": rim, "random": fixed[done[fixed]] if done[fixed].any() else start}[params.seeds]
+        if first is not None and len(first):  # entries of the stored graph reach what the new rim may not
+            starts = np.union1d(starts, first)
         if params.candidates == "greedy":
             got = best_first(g, e[p], s[p], params.alpha0, starts, params.ef_c, gate=params.pruning == "range", early_stop=False, counts=(c := {}))
             g.n_dist += c["n_dist"]
@@ -205,9 +233,8 @@ def build(ids: np.ndarray, e: np.ndarray, s: np.ndarray, norm: Norm, params: Bui
         done[p] = True
         if params.seeds in ("rim", "centroid"):
             both = np.append(rim, p)
-            sign = 1 if params.seeds == "rim" else -1
             rim = both[rim_block(sign * rim_e[both], sign * rim_s[both], ids[both])]
-    g.seeds = {"rim": rim, "centroid": rim, "first": np.array([first]), "random": fixed}[params.seeds]
+    g.seeds = {"rim": rim, "centroid": rim, "first": start, "random": fixed}[params.seeds]
     if params.max_seeds and len(g.seeds) > params.max_seeds:  # evenly along the staircase
         along = g.seeds[np.argsort(rim_s[g.seeds], kind="stable")]
         g.seeds = along[np.linspace(0, len(along) - 1, params.max_seeds).round().astype(int)]

@@ -7,7 +7,6 @@ import time
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.alpha import overlay_tag  # noqa: F401
 from ..schema import SCALE
 from .index import Index
 
@@ -85,14 +84,15 @@ def work(result: DataFrame, width: int = 0) -> DataFrame:
 
 def reachability(index: Index) -> DataFrame:
     """One row: nodes, reached from the seeds over any edges, by semi-joins to a fixpoint."""
-    from ..storage import stash
+    from ..storage import Steps
 
     edges = index.edges().select("shard", "src", "dst").distinct()
-    reached = stash(index.seeds().distinct(), "reached")
+    steps = Steps(index.nodes.sparkSession, "reached")
+    reached = steps.write(index.seeds().distinct())
     n = reached.count()
     while True:
         step = reached.join(edges, (reached.shard == edges.shard) & (reached.id == edges.src)).select(edges.shard, F.col("dst").alias("id"))
-        reached = stash(reached.unionByName(step).distinct(), "reached")
+        reached = steps.write(reached.unionByName(step).distinct())
         now = reached.count()
         if now == n:
             break

@@ -31,14 +31,20 @@ def frontier(pairs: DataFrame, by: str | None = "p", ties: str = "peel", order:
 
 
 def global_frontier(rows: DataFrame, order: str = "id") -> DataFrame:
-    """The frontier of a whole table without one task seeing all rows: the frontier of the partitions' frontiers."""
+    """The frontier of a whole table without one task seeing all rows: the frontier of the partitions' frontiers.
+
+    A task keeps the frontier of what it has read so far and gives it once, so the last step gets a few rows per task.
+    """
 
     def local(batches):
+        held = None
         for b in batches:
-            de, ds, ids = (b.column(c).to_numpy(zero_copy_only=False) for c in ("de", "ds", order))
+            t = pa.Table.from_batches([b] if held is None else [*held, b]).combine_chunks()
+            de, ds, ids = (t.column(c).to_numpy() for c in ("de", "ds", order))
             at = np.lexsort((ids, de, ds))
             least = np.minimum.accumulate(np.concatenate([[np.inf], de[at]]))[:-1]
-            yield b.take(pa.array(np.sort(at[de[at] < least])))
+            held = t.take(pa.array(np.sort(at[de[at] < least]))).to_batches()
+        yield from held or []
 
     return frontier(rows.mapInArrow(local, rows.schema), None, order=order)
 

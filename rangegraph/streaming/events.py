@@ -6,13 +6,16 @@ batch frame of its output, so that results can be compared with batch queries.
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import exact, index, seeds
 from ..schema import BuildParams, Norm, SearchParams, ShardParams
 from ..sources import tables
-from ..storage import new_path, stash
+from ..storage import drop_path, exists, new_path
 
 OUT_SCHEMA_SEEDS = "id long, de double, ds double"
 
@@ -44,9 +47,7 @@ def run_to_end(stream: DataFrame, mode: str = "append") -> DataFrame:
         batch.withColumn("batch", F.lit(number)).write.mode("append").parquet(out)
 
     stream.writeStream.outputMode(mode).option("checkpointLocation", new_path(spark, "stream-state")).trigger(availableNow=True).foreachBatch(keep).start().awaitTermination()
-    jvm = spark.sparkContext._jvm
-    p = jvm.org.apache.hadoop.fs.Path(out)
-    if not p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(p):
+    if not exists(spark, out):
         from pyspark.sql.types import IntegerType, StructType
 
         return spark.createDataFrame([], StructType([*stream.schema.fields]).add("batch", IntegerType()))
@@ -130,46 +131,67 @@ def search_arrivals(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(out)
 
 
+STATE = "ids binary, de binary, ds binary"
+
+
+def _rim_state(key, frames, state):
+    """The rim of all rows so far: the old rim is the state, new rows come reduced to the rims of their batches."""
+    old = [np.frombuffer(x, t) for x, t in zip(state.get, (np.int64, float, float))] if state.exists else [np.zeros(0, np.int64), np.zeros(0), np.zeros(0)]
+    for f in frames:
+        old = [np.concatenate([o, f[c].to_numpy()]) for o, c in zip(old, ("id", "de", "ds"))]
+        keep = np.sort(seeds.rim_block(old[1], old[2], old[0]))
+        old = [o[keep] for o in old]
+    state.update(tuple(np.ascontiguousarray(o).tobytes() for o in old))
+    yield pd.DataFrame({"id": old[0], "de": old[1], "ds": old[2]})
+
+
 def seeds_as_state(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
-    """(rim seeds kept up to date batch by batch, rim of all): events as objects, a fixed centroid."""
+    """(rim seeds kept as the state of a streaming operator, rim of all): events as objects, a fixed centroid.
+
+    Tasks reduce their batches to rims first, so the one group of the operator gets few rows. The state lives in the
+    stream's checkpoint and survives a restart.
+    """
     rows = tables.event_stream(spark, sf_dir)
     ce, cs = seeds.centroid(rows)
     norm = Norm(1.0, 1.0)
-    path = replay(spark, sf_dir)
-    at = {"path": None}
 
-    def grow(batch: DataFrame, number: int) -> None:
-        new = seeds.from_centroid(tables.event_features(batch), ce, cs, norm)
-        old = spark.read.parquet(at["path"]) if at["path"] else spark.createDataFrame([], OUT_SCHEMA_SEEDS)
-        target = new_path(spark, f"seeds-{number}")
-        seeds.update(old, new).write.parquet(target)
-        at["path"] = target  # the next version is named only when it is whole
+    def reduce(batches):
+        for b in batches:
+            if b.num_rows:
+                yield b.take(pa.array(np.sort(seeds.rim_block(*(b.column(c).to_numpy() for c in ("de", "ds", "id"))))))
 
-    _stream(spark, path).writeStream.option("checkpointLocation", new_path(spark, "stream-state")).trigger(availableNow=True).foreachBatch(grow).start().awaitTermination()
-    return spark.read.parquet(at["path"]), seeds.rim_of(seeds.from_centroid(rows, ce, cs, norm))
+    new = seeds.from_centroid(tables.event_features(_stream(spark, replay(spark, sf_dir))), ce, cs, norm).mapInArrow(reduce, OUT_SCHEMA_SEEDS)
+    grown = new.withColumn("all", F.lit(0)).groupBy("all").applyInPandasWithState(_rim_state, OUT_SCHEMA_SEEDS, STATE, "update", "NoTimeout")
+    got = run_to_end(grown, "update")
+    return got.where(F.col("batch") == got.agg(F.max("batch")).first()[0]).drop("batch"), seeds.rim_of(seeds.from_centroid(rows, ce, cs, norm))
 
 
-def insert_waves(spark: SparkSession, sf_dir: str, params: BuildParams = BuildParams(M=10, ef_c=50), per_shard: int = 2_000) -> index.Index:
-    """An index that grows by micro-batches of events: each wave becomes shards of its own, searched with the others.
+def insert_waves(spark: SparkSession, sf_dir: str, params: BuildParams = BuildParams(M=10, ef_c=50), shards: int = 8, max_rows: int = 100_000) -> index.Index:
+    """An index that grows by micro-batches of events: each batch is inserted into the graphs of its shards.
 
-    A shard is built once and never changed, so readers of earlier versions are not disturbed, and a failed
-    micro-batch leaves nothing behind. The number of the batch names the shards, so a repeated one replaces itself.
+    Version n of the index is made from version n - 1 and batch n, and is found by its number in the shared folder. So
+    a restarted stream goes on from what is written, a repeated batch replaces its own version, and readers of earlier
+    versions are not disturbed.
     """
-    norm = Norm(1.0, 30.0)
-    path, done = replay(spark, sf_dir), {}
+    norm, root = Norm(1.0, 30.0), new_path(spark, "grown")
 
     def insert(batch: DataFrame, number: int) -> None:
         objects = tables.event_features(batch).dropDuplicates(["id"])
-        n = max(1, -(-objects.count() // per_shard))
-        ix = index.build_index(objects, params, norm, ShardParams(n), f"wave-{number}")
-        done[number] = ix.nodes.withColumn("shard", (F.col("shard") + 1_000 * number).cast("int"))
-
-    _stream(spark, path).writeStream.option("checkpointLocation", new_path(spark, "stream-state")).trigger(availableNow=True).foreachBatch(insert).start().awaitTermination()
-    nodes = None
-    for k in sorted(done):
-        nodes = done[k] if nodes is None else nodes.unionByName(done[k])
-    nodes = stash(nodes, "grown")
-    return index.Index(nodes, index.summarise(nodes), norm, params)
+        if number == 0:
+            now = index.build_index(objects, params, norm, ShardParams(shards, max_rows=max_rows), "wave")
+        else:
+            now = index.insert(index.read_index(spark, f"{root}/v{number - 1}"), objects, max_rows)
+        drop_path(spark, f"{root}/v{number}")
+        index.write_index(now, f"{root}/v{number}")
+        if number > 1:
+            drop_path(spark, f"{root}/v{number - 2}")
+
+    query = _stream(spark, replay(spark, sf_dir)).writeStream.option("checkpointLocation", new_path(spark, "stream-state")).trigger(availableNow=True).foreachBatch(insert).start()
+    query.awaitTermination()
+    last = 0
+    while exists(spark, f"{root}/v{last + 1}/meta") or not exists(spark, f"{root}/v{last}/meta"):
+        last += 1
+    return index.read_index(spark, f"{root}/v{last}")
 
 
 def grown_queries(objects: DataFrame) -> DataFrame:
@@ -182,7 +204,7 @@ def grown_recall(spark: SparkSession, sf_dir: str) -> DataFrame:
     from ..operators import metrics
 
     ix = insert_waves(spark, sf_dir)
-    objects = ix.nodes.select("id", "e", "s")
+    objects = ix.nodes.where("level = 0").select("id", "e", "s")
     q = grown_queries(objects)
     truth = exact.topk(objects, q, ix.norm, 10)
     return metrics.by_band(metrics.recall(index.topk(ix, q, SearchParams(10, 50)), truth))
