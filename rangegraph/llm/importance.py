@@ -35,6 +35,7 @@ BUCKETS = 1 << 14
 STREAMS = 5
 SMOOTH = 30.0  # n-grams of each bucket that the target has seen, as it were, at the raw rate
 SEED = 17
+SENT_BYTES = 64_000_000  # of doc_ids of the target that may go to all tasks
 
 # Kinds of bytes: 0 white space, 1 small letter or part of a longer character, 2 capital, 3 digit, 4 other.
 _KIND = np.full(256, 4, np.uint8)
@@ -83,13 +84,17 @@ def features(buf: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return np.concatenate([d for d, _ in streams]), np.concatenate([(mix64(h) % np.uint64(BUCKETS)).astype(np.int64) + s * BUCKETS for s, (_, h) in enumerate(streams)])
 
 
-def _count(batches):
-    """Sums of raw and target counts per bucket, over a task."""
+def _count(batches, ids: np.ndarray | None):
+    """Sums of raw and target counts per bucket, over a task. ids: the sorted doc_ids of the target; None: the rows say so."""
     total = np.zeros((2, STREAMS * BUCKETS), np.int64)
     for b in slices(batches, 1_500_000):
         doc, bucket = features(*text_bytes(b))
         total[0] += np.bincount(bucket, minlength=total.shape[1])
-        good = b.column("good").fill_null(0).to_numpy(zero_copy_only=False) == 1
+        if ids is None:
+            good = b.column("good").fill_null(0).to_numpy(zero_copy_only=False) == 1
+        else:
+            own = b.column("doc_id").cast(pa.int64())
+            good = np.isin(own.fill_null(0).to_numpy(zero_copy_only=False), ids) & own.is_valid().to_numpy(zero_copy_only=False)
         total[1] += np.bincount(bucket[good[doc]], minlength=total.shape[1])
     some = np.flatnonzero(total[0])
     yield pa.RecordBatch.from_arrays([pa.array(some.astype(np.int32)), pa.array(total[0][some]), pa.array(total[1][some])], names=["bucket", "raw", "target"])
@@ -110,8 +115,13 @@ def ratios(raw: np.ndarray, target: np.ndarray) -> np.ndarray:
 def log_ratios(docs: DataFrame, good: DataFrame) -> DataFrame:
     """doc_id, log_weight of every document. good: the doc_ids (distinct) of the target text."""
     spark = docs.sparkSession
-    marked = texts(docs).join(good.select("doc_id", F.lit(1).alias("good")), "doc_id", "left")
-    counted = marked.select("text", "good").mapInArrow(lean(_count), "bucket int, raw long, target long")
+    schema = "bucket int, raw long, target long"
+    if 8 * good.count() <= SENT_BYTES:  # ids of this size go to all tasks, and no text is shuffled
+        ids = spark.sparkContext.broadcast(np.sort(good.select(F.col("doc_id").cast("long")).toArrow().column(0).to_numpy()))
+        counted = texts(docs).mapInArrow(lean(lambda it: _count(it, ids.value)), schema)
+    else:
+        marked = texts(docs).join(good.select("doc_id", F.lit(1).alias("good")), "doc_id", "left")
+        counted = marked.select("text", "good").mapInArrow(lean(lambda it: _count(it, None)), schema)
     rows = counted.groupBy("bucket").agg(F.sum("raw").alias("raw"), F.sum("target").alias("target")).collect()  # at most STREAMS * BUCKETS
     raw, target = np.zeros(STREAMS * BUCKETS), np.zeros(STREAMS * BUCKETS)
     for r in rows:

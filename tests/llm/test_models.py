@@ -69,6 +69,16 @@ def test_draw_is_gumbel_top_k_of_the_models(spark):
     assert 2 <= len(draws[0] ^ draws[1]) <= 700
 
 
+def test_target_ids_are_sent_or_joined_alike(spark, monkeypatch):
+    docs, fit, _ = labelled_halves(spark)
+    odd = docs.select("doc_id", "text").unionByName(spark.createDataFrame([(None, "no id at all"), (0, None)], "doc_id long, text string"))
+    draws = []
+    for limit in (importance.SENT_BYTES, 0):
+        monkeypatch.setattr(importance, "SENT_BYTES", limit)
+        draws.append(sorted((str(r.doc_id), round(r.log_weight, 6)) for r in importance.resample(odd, fit).collect()))
+    assert draws[0] == draws[1] and draws[0]
+
+
 def test_noise_draws_in_proportion_to_weights(spark):
     """The first of many draws falls on each row as often as its weight says."""
     weights = {1: 0.0, 2: 1.0, 3: -0.7, 4: 0.3}
