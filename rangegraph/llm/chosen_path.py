@@ -40,7 +40,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import fresh, lean, mix64, stash, texts
+from .common import Scratch, fresh, lean, mix64, stash, texts
 from .components import components
 from .suffix_dedup import _TABLE, BUCKETS_PER_TASK, _blocks, _by_bucket, _runs, planes, slices, unplanes
 
@@ -386,14 +386,14 @@ def link_classes(docs: DataFrame, threshold: float = THRESHOLD, target: float =
     """doc_id, class_id, n_links, class_size (documents in the class), set (digest of the document's shingle set)."""
     runs, depth = runs_for(threshold, target), limits.depth
     radix = BUCKETS_PER_TASK * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    base = texts(docs)
+    base, scratch = texts(docs), Scratch(docs.sparkSession)
     summaries = stash(base.mapInArrow(lean(lambda it: _summaries(it, runs, threshold, depth)), SUMMARY), "summaries")
     reps = stash(summaries.groupBy("set").agg(F.min("doc_id").alias("doc_id"), F.count(F.lit(1)).alias("copies"), F.first("n").alias("n"), F.first("sketch").alias("sketch"), F.first("picks").alias("picks")), "sets")
     dealt = reps.where("n > 0").select("set", "picks").mapInArrow(lean(lambda it: _first_keys(it, radix)), "bucket int, payload binary")
     ready = None
     for level in range(1, depth + 1):
         last = level == depth
-        found = stash(dealt.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(lean(lambda it, last=last: _grouped(it, last, limits)), BUCKETS), "buckets")
+        found = scratch.stash(dealt.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(lean(lambda it, last=last: _grouped(it, last, limits)), BUCKETS), "buckets")
         small = found.where("not large").select("set", "key")
         ready = small if ready is None else ready.unionByName(small)
         if last or not found.where("large").limit(1).count():
@@ -411,6 +411,7 @@ def link_classes(docs: DataFrame, threshold: float = THRESHOLD, target: float =
     members = with_text.mapInArrow(lean(_members), "set long, root long, copies long, parts int, tokens binary").dropDuplicates(["set"])
     tasks = members.mapInArrow(lean(_block_pairs), PAIRS)
     verified = stash(tasks.repartition("task").sortWithinPartitions("task").mapInArrow(lean(lambda it: _verify(it, threshold)), "u long, v long, links long"), "links")
+    scratch.drop("buckets")
     classes = components(verified.where("u <> v").select("u", "v"), "classes")
     links = verified.where("links > 0").groupBy(F.col("u").alias("set")).agg(F.sum("links").alias("links"))
     mine = reps.select("set", "doc_id", "copies").join(links, "set", "left").join(classes.select(F.col("node").alias("set"), "root"), "set", "left").withColumn("root", F.coalesce("root", "set"))

@@ -57,6 +57,26 @@ def drop_path(spark: SparkSession, path: str) -> None:
     p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
 
 
+class Scratch:
+    """Written intermediate tables by tag, and their deletion once nothing reads them any more."""
+
+    def __init__(self, spark: SparkSession):
+        self.spark, self.paths = spark, []
+
+    def stash(self, df: DataFrame, tag: str) -> DataFrame:
+        path = new_path(self.spark, tag)
+        df.write.parquet(path)
+        self.paths.append((tag, path))
+        return self.spark.read.schema(df.schema).parquet(path)
+
+    def drop(self, tag: str, keep: int = 0) -> None:
+        """Deletes the tables of a tag, but for the last `keep`."""
+        old = [x for x in self.paths if x[0] == tag]
+        for x in old[: len(old) - keep]:
+            drop_path(self.spark, x[1])
+            self.paths.remove(x)
+
+
 def texts(docs: DataFrame, *more: str) -> DataFrame:
     """doc_id, text (null becomes empty), and the named further columns."""
     return docs.select("doc_id", F.coalesce(F.col("text"), F.lit("")).alias("text"), *more)

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import stash
+from .common import Scratch
 
 
 def _large_star(edges: DataFrame) -> DataFrame:
@@ -35,7 +35,9 @@ def components(edges: DataFrame, tag: str = "components") -> DataFrame:
     Distributed; each round is written to the shared folder, so a lost executor costs one round.
     Self-loops and repeated edges are allowed; nodes without edges are left out.
     """
-    now = stash(edges.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), tag)
+    scratch = Scratch(edges.sparkSession)
+    now = scratch.stash(edges.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), tag)
     while _unsettled(now):
-        now = stash(_small_star(_large_star(now)), tag)
+        now = scratch.stash(_small_star(_large_star(now)), tag)
+        scratch.drop(tag, keep=1)
     return now.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(now.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
