@@ -115,10 +115,21 @@ def halfline_block(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray
 
 
 def pruned_block(de_pz, ds_pz, de_px, ds_px, de_zx, ds_zx) -> tuple[np.ndarray, np.ndarray]:
+    """As `pruned_by`, for arrays that broadcast; no length: hi <= lo. Both inequalities at once."""
     slope = de_px - ds_px
-    lo1, hi1 = halfline_block(ds_px - ds_pz, (de_pz - ds_pz) - slope)
-    lo2, hi2 = halfline_block(ds_px - ds_zx, (de_zx - ds_zx) - slope)
-    return np.maximum(lo1, lo2), np.minimum(hi1, hi2)
+    shape = np.broadcast_shapes(de_pz.shape, de_px.shape, de_zx.shape)
+    a, b = np.empty((2, *shape)), np.empty((2, *shape))
+    a[0], b[0] = ds_px - ds_pz, (de_pz - ds_pz) - slope
+    a[1], b[1] = ds_px - ds_zx, (de_zx - ds_zx) - slope
+    falls, rises = b < 0, b > 0
+    with np.errstate(divide="ignore", invalid="ignore"):
+        cut = a / b
+    lo = np.maximum(np.where(falls, cut, 0.0).max(axis=0), 0.0)
+    hi = np.minimum(np.where(rises, cut, 1.0).min(axis=0), 1.0)
+    never = ~(falls | rises) & (a <= 0)
+    if never.any():
+        hi[never.any(axis=0)] = -1.0
+    return lo, hi
 
 
 def gaps(intervals: list[tuple[float, float]]) -> list[tuple[float, float]]:

@@ -80,24 +80,28 @@ def frontier_search(g: Graph, qe, qs, starts: np.ndarray, ef: int, ties: str = "
     de, ds = g.to_query(qe, qs, pool)
     g.n_dist += len(pool)
     explored = np.zeros(len(pool), bool)
+    layer = None
     while True:
-        layer = layer_block(de, ds, g.ids[pool], ties)
-        keep = keep_bound(layer, ef)
-        pool, de, ds, explored, layer = pool[keep], de[keep], ds[keep], explored[keep], layer[keep]
+        if layer is None:  # the pool has changed
+            layer = layer_block(de, ds, g.ids[pool], ties)
+            if len(pool) > ef:
+                keep = keep_bound(layer, ef)
+                pool, de, ds, explored, layer = pool[keep], de[keep], ds[keep], explored[keep], layer[keep]
         left = ~explored
         if not left.any():
             return pool, de, ds
         now = left & (layer == layer[left].min())
         explored |= now
-        near = [g.nbrs[p] for p in pool[now].tolist()]
-        new = np.unique(np.concatenate(near)) if near else np.zeros(0, np.int64)
+        new = np.concatenate([g.nbrs[p] for p in pool[now].tolist()])
         new = new[~seen[new]]
         if len(new):
             seen[new] = True
+            new = np.unique(new)
             a, b = g.to_query(qe, qs, new)
             g.n_dist += len(new)
             pool, de, ds = np.concatenate([pool, new]), np.concatenate([de, a]), np.concatenate([ds, b])
             explored = np.concatenate([explored, np.zeros(len(new), bool)])
+            layer = None
 
 
 def best_first(g: Graph, qe, qs, alpha: float, starts, ef: int, gate: bool = True, early_stop: bool = True, adjacency=None, counts: dict | None = None) -> list[tuple[float, int]]:

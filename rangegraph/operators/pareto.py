@@ -58,20 +58,28 @@ def layer_block(de: np.ndarray, ds: np.ndarray, ids: np.ndarray, ties: str = "pe
     order = np.lexsort((ids, de, ds))
     out = np.empty(len(de), np.int32)
     tails: list[float] = []
-    last = (None, None, 0)
-    d, s = de.tolist(), ds.tolist()
-    for i in order.tolist():
-        x = d[i]
-        if ties == "definition" and (x, s[i]) == last[:2]:
-            k = last[2]
-        else:
-            k = bisect_right(tails, x)
+    got: list[int] = []
+    if ties == "definition":
+        last = (None, None, 0)
+        for x, y in zip(de[order].tolist(), ds[order].tolist()):
+            k = last[2] if (x, y) == last[:2] else bisect_right(tails, x)
             if k == len(tails):
                 tails.append(x)
             else:
                 tails[k] = x
-        last = (x, s[i], k)
-        out[i] = k + 1
+            last = (x, y, k)
+            got.append(k + 1)
+    else:
+        n = 0
+        for x in de[order].tolist():
+            k = bisect_right(tails, x)
+            if k == n:
+                tails.append(x)
+                n += 1
+            else:
+                tails[k] = x
+            got.append(k + 1)
+    out[order] = got
     return out
 
 

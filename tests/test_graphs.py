@@ -277,3 +277,88 @@ def test_vectors_are_checked(spark):
     uneven = spark.createDataFrame([(1, [1.0], [0.0]), (2, [1.0, 2.0], [0.0])], "id long, e array<float>, s array<float>")
     with pytest.raises(ValueError):
         vectors.assert_vectors(uneven, "e")
+
+
+def test_inserted_objects_are_found(spark, small):
+    """Half of the objects built, the rest inserted in two steps: nothing is lost, nothing twice, and recall holds."""
+    c = case(spark, small)
+    parts = [c.objects.where(F.pmod(F.xxhash64("id"), F.lit(4)).isin(*k)) for k in ([0, 1], [2], [3])]
+    for shards in (ShardParams(), ShardParams(2)):
+        ix = index.build_index(parts[0], c.params, c.norm, shards)
+        before = {(r.shard, r.src, r.dst) for r in ix.edges().collect()}
+        for p in parts[1:]:
+            ix = index.insert(ix, p.unionByName(parts[0].limit(5)))  # known ids are left out
+        ids = [r.id for r in ix.nodes.where("level = 0").select("id").collect()]
+        assert len(ids) == len(set(ids)) == c.n
+        assert metrics.recall(index.topk(ix, c.queries, SearchParams(10, 100)), c.truth()).agg(F.avg("recall")).first()[0] >= 0.9
+        assert metrics.reachability(ix).first().reached == c.n
+        assert len(before & {(r.shard, r.src, r.dst) for r in ix.edges().collect()}) > 0
+    full = index.insert(index.build_index(parts[0], c.params, c.norm), parts[1], max_rows=10)
+    assert sorted(r.shard for r in full.shards.collect()) == [0, 1]
+    with pytest.raises(Exception):
+        index.insert(c.fixed(), parts[2].withColumn("id", F.col("id") + 10**6)).nodes.count()
+
+
+def test_waves_make_a_graph_that_reaches_its_nodes(spark, small):
+    c = case(spark, small)
+    edges, seeds = bsp.build(c.objects, BuildParams(M=10, ef_c=40), c.norm, wave0=40)
+    assert {r.src for r in edges.select("src").distinct().collect()} == {r.id for r in c.objects.select("id").collect()}
+    assert edges.where("src = dst or lo < 0 or hi > 10000 or lo > hi").count() == 0
+    hits = bsp.search(edges, c.objects, c.queries, seeds, c.norm, 10, 50)
+    assert metrics.recall(hits, c.truth()).agg(F.avg("recall")).first()[0] >= 0.9
+    assert bsp.build(c.objects.where("false"), BuildParams(), c.norm)[0].count() == 0
+
+
+def test_measures_of_a_written_index_are_those_of_sql(spark, small, tmp_path):
+    """Degrees, ranges, bytes, active edges and reachability, against SQL over the written nodes."""
+    import duckdb
+
+    c = case(spark, small)
+    ix = c.index()
+    ix.nodes.write.parquet(str(tmp_path / "nodes"))
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW n AS SELECT * FROM '{tmp_path}/nodes/*.parquet'")
+    con.execute("CREATE VIEW d AS SELECT id AS src, unnest(dst) AS dst, unnest(lo) AS lo, unnest(hi) AS hi FROM n WHERE level = 0")
+    con.execute("CREATE VIEW e AS SELECT src, dst, unnest(lo) AS lo, unnest(hi) AS hi FROM d")
+    one = lambda sql: con.execute(sql).fetchone()
+    row = lambda df: tuple(df.first())
+    assert row(metrics.degree(ix.edges(), ix.nodes)) == pytest.approx(one("SELECT count(*), sum(len(dst)), avg(len(dst)), max(len(dst)) FROM n WHERE level = 0"))
+    assert row(metrics.range_stats(ix.edges())) == pytest.approx(one("SELECT count(*), avg(l), avg(k), avg(CASE WHEN l >= 1 THEN 1.0 ELSE 0.0 END) FROM (SELECT src, dst, sum(hi - lo) / 1e4 AS l, count(*) AS k FROM e GROUP BY ALL)"))
+    assert row(metrics.index_size(ix)) == one("SELECT sum(4 * (len(e) + len(s))), sum(8 * len(dst)), sum(4 * len(flatten(lo))) FROM n")
+    got = {(r.band, r.alpha): r.active_edges for r in metrics.active_degree(ix.edges(), c.queries.select("band", "alpha").distinct()).collect()}
+    assert len(got) > 20
+    for (_, alpha), n in got.items():
+        assert n == one(f"SELECT count(*) FROM (SELECT DISTINCT src, dst FROM e WHERE lo <= {round(alpha * 10_000)} AND hi >= {round(alpha * 10_000)})")[0]
+    reached = one("WITH RECURSIVE g AS (SELECT id FROM n WHERE seed UNION SELECT e.dst FROM g JOIN e ON e.src = g.id) SELECT count(*) FROM g")[0]
+    assert row(metrics.reachability(ix)) == (c.n, reached)
+
+
+def test_edges_chosen_from_pools_obey_their_rules(spark, small):
+    """Range-gated and fixed-weight choices on the tables, against the rules point by point on a grid of weights."""
+    from rangegraph.catalogue import core
+
+    c = case(spark, small)
+    rows = {}
+    for r in c.objects.select("id", "e", "s").collect():
+        rows[r.id] = (np.array(r.e, float), np.array(r.s, float))
+    dist = lambda a, b: (float(np.linalg.norm(rows[a][0] - rows[b][0])) / c.norm.e, float(np.linalg.norm(rows[a][1] - rows[b][1])) / c.norm.s)
+    chosen: dict = {}
+    for r in core.range_prune(spark, small).collect():
+        chosen.setdefault(r.src, {}).setdefault(r.dst, []).append((r.lo, r.hi))
+    for p in sorted(chosen)[:25]:
+        order = list(chosen[p])
+        for x in order:
+            away = dist(p, x)
+            for a in np.linspace(0.003, 0.997, 41):
+                mix = lambda d, a=a: a * d[0] + (1 - a) * d[1]
+                removed = any(mix(dist(p, y)) < mix(away) - 1e-9 and mix(dist(y, x)) < mix(away) - 1e-9 for y in order if y != x)
+                active = any(lo <= a * 10_000 <= hi for lo, hi in chosen[p][x])
+                if not removed:  # no other edge stands in the way at this weight
+                    assert active
+    greedy: dict = {}
+    for r in core.rng_greedy(spark, small).collect():
+        greedy.setdefault(r.src, set()).add(r.dst)
+    mid = lambda a, b: sum(dist(a, b)) / 2
+    for p in sorted(greedy)[:25]:
+        for x in greedy[p]:
+            assert all(mid(y, x) >= mid(p, x) - 1e-9 for y in greedy[p] if y != x and mid(p, y) < mid(p, x))
