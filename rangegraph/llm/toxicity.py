@@ -46,6 +46,7 @@ ABOVE = (2, 3)
 FEATURES = 2 + len(ABOVE)
 CUT = 0.7
 LONGEST = 40
+SENT_BYTES = 64_000_000  # of labels that may go to all tasks
 _WORD = re.compile(r"\w+")
 _BITS = 21  # of a code point; half a gram is one number
 _C = mix64(np.arange(1, ORDER + 2, dtype=np.uint64)) | np.uint64(1)
@@ -257,6 +258,16 @@ def _gram_counts(batches, most: int = 200_000):
     yield part()
 
 
+def _labelled(batches, ids: np.ndarray, labels: np.ndarray):
+    """text, label of the rows whose doc_id is among the sorted ids."""
+    for b in batches:
+        own = b.column("doc_id").cast(pa.int64())
+        values = own.fill_null(0).to_numpy(zero_copy_only=False)
+        at = np.minimum(np.searchsorted(ids, values), max(len(ids) - 1, 0))
+        rows = np.flatnonzero((ids[at] == values) & own.is_valid().to_numpy(zero_copy_only=False)) if len(ids) else np.zeros(0, np.int64)
+        yield pa.RecordBatch.from_arrays([b.column("text").take(pa.array(rows)), pa.array(labels[at[rows]])], names=["text", "label"])
+
+
 def gram_table(high: np.ndarray, low: np.ndarray) -> np.ndarray:
     """n x ORDER code points of grams packed by _gram_counts."""
     out = np.zeros((len(high), ORDER), np.uint32)
@@ -296,8 +307,14 @@ def fit(docs: DataFrame, labels: DataFrame) -> tuple[Evidence, np.ndarray, np.nd
         return None
     curve = F.broadcast(spark.createDataFrame([(r.doc_id, r.label) for r in sample], "doc_id long, label int"))
     train = allowed.groupBy("doc_id").agg(F.max("toxic").cast("int").alias("label")).where("label in (0, 1)").join(curve, "doc_id", "left_anti")
-    rows = texts(docs).where(learn).join(train.hint("shuffle_hash"), "doc_id").select("text", "label")
-    counts = rows.mapInArrow(lean(_gram_counts), "high long, low long, toxic long, ordinary long").groupBy("high", "low").agg(F.sum("toxic").alias("toxic"), F.sum("ordinary").alias("ordinary")).toArrow()
+    schema = "high long, low long, toxic long, ordinary long"
+    if 12 * train.count() <= SENT_BYTES:  # labels of this size go to all tasks, and no text is shuffled
+        held = train.select("doc_id", "label").orderBy("doc_id").toArrow()
+        marks = spark.sparkContext.broadcast((held.column(0).to_numpy(), held.column(1).to_numpy()))
+        parts = texts(docs).where(learn).mapInArrow(lean(lambda it: _gram_counts(_labelled(it, *marks.value))), schema)
+    else:
+        parts = texts(docs).where(learn).join(train, "doc_id").select("text", "label").mapInArrow(lean(_gram_counts), schema)
+    counts = parts.groupBy("high", "low").agg(F.sum("toxic").alias("toxic"), F.sum("ordinary").alias("ordinary")).toArrow()
     if not len(counts):
         return None
     high, low, toxic, ordinary = (counts.column(c).to_numpy() for c in counts.column_names)

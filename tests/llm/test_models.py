@@ -154,6 +154,16 @@ def test_held_out_labels_have_no_influence(spark):
     assert a == pytest.approx(b, abs=1e-12)
 
 
+def test_labels_are_sent_or_joined_alike(spark, monkeypatch):
+    docs, labels = toxic_texts(spark, 300)
+    docs = docs.unionByName(spark.createDataFrame([(None, "vilgaro"), (5, "again vilgaro")], "doc_id long, text string"))
+    models = []
+    for limit in (toxicity.SENT_BYTES, 0):
+        monkeypatch.setattr(toxicity, "SENT_BYTES", limit)
+        models.append(toxicity.fit(docs, labels)[0].digest)
+    assert models[0] == models[1]
+
+
 def test_toxicity_on_odd_tables(spark):
     docs, labels = toxic_texts(spark, 200)
     odd = docs.unionByName(spark.createDataFrame([(900, None), (901, ""), (902, "!!!"), (0, "again"), (None, "x")], "doc_id long, text string")).withColumn("score", F.lit("x"))
