@@ -12,8 +12,8 @@ least THRESHOLD.
 * Small buckets are compared outright on sketches (first values of bins of the set), which gives the
   families of candidates of a bucket as stars, never its pairs. Equal buckets of several runs count once.
 * The components of these stars are small families of sets. Inside a family all pairs are
-  verified exactly on the sets, by accumulating shared tokens, in blocks of bounded sets and tokens: each pair of
-  blocks gives a number of links per set and the stars of true links, so a family of n sets ships each set
+  verified exactly on the sets, in blocks of bounded sets and tokens, by one product of matrices over the tokens that
+  several sets of the two blocks share (or by marks, where these are many): each pair of blocks gives a number of links per set and the stars of true links, so a family of n sets ships each set
   n / block times and never a row per pair.
 * The components of the true links are the classes.
 
@@ -330,6 +330,14 @@ def _block_pairs(batches):
 PAIRS = "task long, set long, copies long, second boolean, alone boolean, tokens binary"
 
 
+DENSE = 20_000_000  # places of a matrix of sets by shared tokens that a task may hold
+
+
+def _needed(threshold: float, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Shared tokens that sets of these sizes need for the threshold."""
+    return np.ceil(threshold * (a + b) / (1 + threshold) - 1e-9)
+
+
 def _verify(batches, threshold: float):
     """Exact similarities between two blocks (or inside one): links per set, and the least set it is connected with."""
     for g in _groups(batches, "task"):
@@ -337,49 +345,86 @@ def _verify(batches, threshold: float):
         second, alone = g.column("second").to_numpy(zero_copy_only=False), bool(g.column("alone")[0].as_py())
         tokens = [np.frombuffer(x.as_py(), np.uint64) for x in g.column("tokens")]
         size = np.array([len(t) for t in tokens])
-        order = np.lexsort((size, second))
-        left = order if alone else order[~second[order]]
-        right = order if alone else order[second[order]]
-        if not len(right) or not len(left) or not size.sum():
+        left = np.flatnonzero(size > 0) if alone else np.flatnonzero(~second & (size > 0))
+        right = left if alone else np.flatnonzero(second & (size > 0))
+        if not len(right) or not len(left):
             continue
-        flat, code = np.unique(np.concatenate([tokens[r] for r in order]), return_inverse=True)
-        start = np.concatenate([[0], np.cumsum(size[order])])
-        place = np.empty(len(sets), np.int64)
-        place[order] = np.arange(len(order))
-        mark = np.zeros(len(flat) + 1, bool)
-        links, parent = np.zeros(len(sets), np.int64), np.arange(len(sets))
-        rsize = size[right]
-
-        def root(x):
-            while parent[x] != x:
-                parent[x] = parent[parent[x]]
-                x = parent[x]
-            return x
-
-        for x, a in enumerate(left):
-            lo = x + 1 if alone else int(np.searchsorted(rsize, math.ceil(threshold * size[a])))
-            hi = int(np.searchsorted(rsize, size[a] / threshold, "right"))
-            if lo >= hi or not size[a]:
-                continue
-            own = code[start[place[a]] : start[place[a] + 1]]
-            mark[own] = True
-            p, q = place[right[lo]], place[right[hi - 1]] + 1
-            found = np.concatenate([[0], np.cumsum(mark[code[start[p] : start[q]]])])
-            inter = found[start[p + 1 : q + 1] - start[p]] - found[start[p:q] - start[p]]
-            mark[own] = False
-            got = right[lo:hi][inter >= np.ceil(threshold * (size[a] + rsize[lo:hi]) / (1 + threshold) - 1e-9)]
-            links[a] += copies[got].sum()
-            links[got] += copies[a]
-            for b in got:
-                ra, rb = root(a), root(b)
-                if ra != rb:
-                    parent[ra] = rb
+        order = left if alone else np.concatenate([left, right])
+        _, code, times = np.unique(np.concatenate([tokens[r] for r in order]), return_inverse=True, return_counts=True)
+        own = np.repeat(np.arange(len(order)), size[order])
+        shared = times[code] > 1  # a token of one set alone is in no intersection
+        names = np.cumsum(times > 1) - 1
+        own, code, width = own[shared], names[code[shared]], int((times > 1).sum())
+        if width * len(order) <= DENSE:
+            links, least = _by_product(own, code, width, size, copies, sets, left, right, order, alone, threshold)
+        else:
+            links, least = _by_marks(own, code, width, size, copies, sets, left, right, order, alone, threshold)
         some = np.flatnonzero(links)
-        top = np.array([root(x) for x in some.tolist()], np.int64)
-        least: dict[int, int] = {}
-        for r, x in zip(top.tolist(), sets[some].tolist()):
-            least[r] = min(x, least.get(r, x))
-        yield pa.RecordBatch.from_arrays([pa.array(sets[some]), pa.array([least[r] for r in top.tolist()], pa.int64()), pa.array(links[some])], names=["u", "v", "links"])
+        yield pa.RecordBatch.from_arrays([pa.array(sets[some]), pa.array(least[some]), pa.array(links[some])], names=["u", "v", "links"])
+
+
+def _by_product(own, code, width, size, copies, sets, left, right, order, alone, threshold):
+    """All intersections of two blocks as one product of 0/1 matrices over the tokens that several sets have."""
+    m = np.zeros((len(order), width), np.float32)
+    m[own, code] = 1
+    a, b = (m, m) if alone else (m[: len(left)], m[len(left) :])
+    near = (a @ b.T) >= _needed(threshold, size[left][:, None], size[right][None, :])
+    if alone:
+        np.fill_diagonal(near, False)
+    links, least = np.zeros(len(sets), np.int64), sets.copy()
+    links[left] += near @ copies[right]
+    if not alone:
+        links[right] += copies[left] @ near
+    last = np.iinfo(np.int64).max
+    while True:  # the least set spreads along the links
+        before = least[left], least[right]
+        least[left] = np.minimum(least[left], np.where(near, least[right][None, :], last).min(axis=1))
+        least[right] = np.minimum(least[right], np.where(near, least[left][:, None], last).min(axis=0))
+        if (least[left] == before[0]).all() and (least[right] == before[1]).all():
+            return links, least
+
+
+def _by_marks(own, code, width, size, copies, sets, left, right, order, alone, threshold):
+    """The same for blocks with many different tokens: each set of one side marks its tokens, and the other side counts them."""
+    by_size = lambda rows: rows[np.argsort(size[rows], kind="stable")]
+    place = np.empty(len(sets), np.int64)
+    place[order] = np.arange(len(order))
+    start = np.searchsorted(own, np.arange(len(order) + 1))
+    left, right = by_size(left), by_size(right)
+    if alone:
+        right = left
+    flat = np.concatenate([code[start[place[r]] : start[place[r] + 1]] for r in right])
+    at = np.concatenate([[0], np.cumsum([start[place[r] + 1] - start[place[r]] for r in right])])
+    mark, rsize = np.zeros(width + 1, bool), size[right]
+    links, parent = np.zeros(len(sets), np.int64), np.arange(len(sets))
+
+    def root(x):
+        while parent[x] != x:
+            parent[x] = parent[parent[x]]
+            x = parent[x]
+        return x
+
+    for x, s in enumerate(left):
+        lo = x + 1 if alone else int(np.searchsorted(rsize, math.ceil(threshold * size[s] - 1e-9)))
+        hi = int(np.searchsorted(rsize, size[s] / threshold + 1e-9, "right"))
+        if lo >= hi:
+            continue
+        mine = code[start[place[s]] : start[place[s] + 1]]
+        mark[mine] = True
+        found = np.concatenate([[0], np.cumsum(mark[flat[at[lo] : at[hi]]])])
+        inter = found[at[lo + 1 : hi + 1] - at[lo]] - found[at[lo:hi] - at[lo]]
+        mark[mine] = False
+        got = right[lo:hi][inter >= _needed(threshold, size[s], rsize[lo:hi])]
+        links[s] += copies[got].sum()
+        links[got] += copies[s]
+        for b in got:
+            ra, rb = root(s), root(b)
+            if ra != rb:
+                parent[ra] = rb
+    least = np.full(len(sets), np.iinfo(np.int64).max)
+    top = np.array([root(x) for x in range(len(sets))], np.int64)
+    np.minimum.at(least, top, sets)
+    return links, least[top]
 
 
 def link_classes(docs: DataFrame, threshold: float = THRESHOLD, target: float = TARGET, limits: Limits = Limits()) -> DataFrame:

@@ -90,6 +90,32 @@ def test_a_large_family_is_verified_in_blocks(spark):
         assert {r.doc_id: (r.class_id, r.n_links) for r in chosen_path.link_classes(df, limits=limits).collect()} == want
 
 
+def test_products_and_marks_give_the_same(monkeypatch):
+    """Both ways of verifying a pair of blocks, against every pair of sets."""
+    import pyarrow as pa
+
+    rng = random.Random(2)
+    base = [rng.sample(range(300), 40) for _ in range(6)]
+    made = [sorted(set(rng.choice(base)[: rng.randint(30, 40)]) | set(rng.sample(range(300, 400), rng.randint(0, 4)))) for _ in range(60)] + [[]]
+    names, copies = rng.sample(range(10**6), 61), [rng.randint(1, 3) for _ in range(61)]
+    for alone in (True, False):
+        second = [False] * 61 if alone else [i % 3 == 0 for i in range(61)]
+        batch = pa.RecordBatch.from_pydict({"task": [1] * 61, "set": names, "copies": copies, "second": second, "alone": [alone] * 61, "tokens": [np.array(t, np.uint64).tobytes() for t in made]})
+        links, joined = [0] * 61, list(range(61))
+        for i, j in itertools.combinations(range(61), 2):
+            a, b = set(made[i]), set(made[j])
+            if a and b and (alone or second[i] != second[j]) and 5 * len(a & b) >= 4 * len(a | b):
+                links[i] += copies[j]
+                links[j] += copies[i]
+                x, y = joined[i], joined[j]
+                joined = [x if k == y else k for k in joined]
+        want = {names[i]: (min(names[k] for k in range(61) if joined[k] == joined[i]), links[i]) for i in range(61) if links[i]}
+        for dense in (10**9, 0):
+            monkeypatch.setattr(chosen_path, "DENSE", dense)
+            (got,) = chosen_path._verify(iter([batch]), 0.8)
+            assert {u: (v, n) for u, v, n in zip(*(got.column(c).to_pylist() for c in ("u", "v", "links")))} == want
+
+
 def test_leaves_in_blocks_and_sets():
     """Every pair of a leaf meets in some pair of its blocks; sets are those of the texts."""
     rows = near_copies(3, 80)
