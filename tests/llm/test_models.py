@@ -382,28 +382,79 @@ def test_exact_search(spark):
 # --- pipeline ----------------------------------------------------------------------------------------------
 
 
-def test_pipeline_stages(spark):
-    """Each stage keeps a subset and the columns of documents; what each decides is what its operator decides alone."""
-    from rangegraph.llm import chosen_path, suffix_dedup
+def brute_mix(rows, share):
+    """The rows (doc_id, text, lang, source) that one epoch at most gives, by budgets down the tree and prefixes of a hashed order."""
+    import hashlib
+    import re
+
+    def domain(source):
+        number = re.search(r"([0-9]+)$", source or "")
+        return mixing.DOMAINS[int(number.group(1)) % 4] if number else "other"
+
+    leaves: dict = {}
+    for d, text, lang, source in rows:
+        leaves.setdefault((domain(source), lang, source), []).append((d, len((text or "").split())))
+    tokens = {k: sum(n for _, n in v) for k, v in leaves.items()}
+    names = lambda depth: sorted({k[:depth] for k in leaves}, key=str)
+    capacity = lambda node: float(sum(t for k, t in tokens.items() if k[: len(node)] == node))
+    weight = lambda node: mixing.DOMAIN_WEIGHTS.get(node[0], 1.0) if len(node) == 1 else mixing.LANGUAGE_WEIGHTS.get(node[1], 1.0) if len(node) == 2 else 1.0
+    budget = {(): share * sum(tokens.values())}
+    for depth in (1, 2, 3):
+        for parent in [()] if depth == 1 else names(depth - 1):
+            budget |= fill([(n, weight(n), capacity(n)) for n in names(depth) if n[:-1] == parent], budget[parent])
+    out = []
+    for leaf, docs in leaves.items():
+        have, total = int(budget[leaf] + 1e-6), tokens[leaf]
+        if total and have >= total:
+            out += [d for d, _ in docs]
+        elif have > 0:
+            for d, n in sorted(docs, key=lambda x: (hashlib.md5(f"{mixing.SEED}:0:{x[0]}".encode()).hexdigest(), x)):
+                have -= n
+                if have < 0:
+                    break
+                out.append(d)
+    return out
+
+
+def test_pipeline_against_brute_force(spark):
+    """Every stage on what its predecessor kept: draw, classes, repeated bytes, mix and ids, each worked out without the operator."""
+    import public_tokenizers
+    import sentencepiece
+    from test_dedup import brute_classes, sets_of  # noqa: F401
+
     from rangegraph.llm.common import stash
 
-    docs = spark.read.parquet(f"{SF}/documents.parquet")
+    small = "/root/testdata/sf0.001"
+    docs = spark.read.parquet(f"{small}/documents.parquet")
     seen = [docs]
     for name, stage in corpus_pipeline.STAGES:
-        seen.append(stash(stage(spark, seen[-1], SF), name))
+        seen.append(stash(stage(spark, seen[-1], small), name))
     for a in seen[1:-1]:
         assert a.columns == docs.columns
-    ids = [{r.doc_id for r in d.select("doc_id").collect()} for d in seen]
-    assert all(b <= a for a, b in zip(ids, ids[1:]))
-    classes = chosen_path.link_classes(seen[1]).collect()
-    assert ids[2] == {r.class_id for r in classes}
-    texts = {r.doc_id: r.text for r in seen[3].select("doc_id", "text").collect()}
-    for r in suffix_dedup.remove_repeats(seen[2]).collect():
-        assert texts[r.doc_id] == bytes(r.kept).decode("utf-8", "ignore")
-    import public_tokenizers
-    import sentencepiece
-
+    rows = [{r.doc_id: r for r in d.collect()} for d in seen]
+    assert all(set(b) <= set(a) for a, b in zip(rows, rows[1:]))
+    labels = {r.doc_id: r.quality for r in spark.read.parquet(f"{small}/labels.parquet").collect()}
+    assert all(d in rows[1] for d, q in labels.items() if q == 1) and not any(d in rows[1] for d, q in labels.items() if q == 0)
+    assert set(rows[2]) == {c for c, _ in brute_classes([(d, rows[1][d].text) for d in sorted(rows[1])]).values()}
+    marks: dict = {}
+    for d in sorted(rows[2]):
+        raw = (rows[2][d].text or "").encode()
+        for i in range(len(raw) - 49):
+            marks.setdefault(raw[i : i + 50], d)
+    for d in rows[2]:
+        raw = (rows[2][d].text or "").encode()
+        gone = bytearray(len(raw))
+        for i in range(len(raw) - 49):
+            if marks[raw[i : i + 50]] < d:
+                gone[i : i + 50] = b"\1" * 50
+        assert rows[3][d].text == bytes(x for x, g in zip(raw, gone) if not g).decode("utf-8", "ignore") and rows[3][d].n_chars == len(rows[3][d].text)
+    assert sorted(rows[4]) == sorted(brute_mix([(d, r.text, r.lang, r.source) for d, r in rows[3].items()], mixing.BUDGET_SHARE))
     sp = sentencepiece.SentencePieceProcessor(model_file=public_tokenizers.path("piece_bpe_32k.model"))
-    mixed = {r.doc_id: r.text for r in seen[4].select("doc_id", "text").collect()}
-    for r in seen[5].collect():
-        assert list(r.ids) == [*sp.encode(mixed[r.doc_id]), 2] and r.n_tokens == len(r.ids)
+    for d, r in rows[5].items():
+        assert list(r.ids) == [*sp.encode(rows[4][d].text), 2] and r.n_tokens == len(r.ids)
+    assert len(rows[5]) == len(rows[4]) > 20
+
+
+def test_pipeline_run_is_its_stages(spark):
+    got = {r.doc_id: r.n_tokens for r in corpus_pipeline.run(spark, "/root/testdata/sf0.001").collect()}
+    assert got and set(got) <= {r.doc_id for r in spark.read.parquet("/root/testdata/sf0.001/documents.parquet").collect()}
