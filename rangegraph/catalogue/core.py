@@ -465,13 +465,13 @@ def seed_count(spark, sf_dir):
     return seeds.rim(c.objects, c.norm).agg(F.count(F.lit(1)).alias("seeds"))
 
 
-@query("seeds_inner")
+@query("seeds_inner", RIM.replace("b.de >= a.de AND b.ds >= a.ds AND (b.de > a.de OR b.ds > a.ds", "b.de <= a.de AND b.ds <= a.ds AND (b.de < a.de OR b.ds < a.ds") + " SELECT id, round(de, 6) AS de, round(ds, 6) AS ds FROM rim")
 def seeds_inner(spark, sf_dir):
     c = case(spark, sf_dir)
-    return seeds.inner(c.objects, c.norm)
+    return seeds.inner(c.objects, c.norm).select("id", F.round("de", 6).alias("de"), F.round("ds", 6).alias("ds"))
 
 
-@query("seeds_random")
+@query("seeds_random", f"{sql_with(norm=False)} SELECT id FROM o ORDER BY md5('42:' || id), id LIMIT 8")
 def seeds_random(spark, sf_dir):
     return seeds.random(case(spark, sf_dir).objects, 8)
 

@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import atexit
 import os
+import shutil
 import tempfile
 import zipfile
 from functools import wraps
@@ -21,7 +23,9 @@ def ship(spark: SparkSession) -> None:
     app = spark.sparkContext.applicationId
     if app in _shipped:
         return
-    path = Path(tempfile.mkdtemp()) / "rangegraph.zip"
+    folder = tempfile.mkdtemp()  # the driver serves the zip while the application runs
+    atexit.register(shutil.rmtree, folder, ignore_errors=True)
+    path = Path(folder) / "rangegraph.zip"
     with zipfile.ZipFile(path, "w") as z:
         for f in [*(ROOT / "rangegraph").rglob("*.py"), *ROOT.glob("corpus_pipeline.py")]:
             z.write(f, f.relative_to(ROOT))
