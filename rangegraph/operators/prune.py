@@ -4,12 +4,13 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import alpha as al
 from ..functions.vectors import l2_block, matrix
 from ..schema import SCALE, BuildParams, Norm
+from ..storage import stash
 from .pareto import layer_block
 
 FULL = [(0.0, 1.0)]
@@ -128,16 +129,21 @@ def rng_greedy(candidates: DataFrame, norm: Norm, alpha: float, M: int) -> DataF
     return _grouped(candidates, run)
 
 
-def rng(distances: DataFrame, alpha: float, places: int = 9) -> DataFrame:
-    """p, x of the exact relative neighbourhood graph at a weight, from all pair rows (p, x, de, ds).
+def rng(distances: DataFrame, alpha: float, places: int = 9, first: int = 10) -> DataFrame:
+    """p, x, d of the exact relative neighbourhood graph at a weight, from all pair rows (p, x, de, ds); for small tables.
 
-    An anti-join on witnesses: equal on p, with the witness's distance to x looked up; for small tables.
+    Anti-joins on witnesses: the `first` nearest of each p remove most pairs, and only what they leave meets all others.
     """
-    d = distances.select("p", "x", F.round(F.lit(alpha) * F.col("de") + F.lit(1 - alpha) * F.col("ds"), places).alias("d"))
+    d = stash(distances.select("p", "x", F.round(F.lit(alpha) * F.col("de") + F.lit(1 - alpha) * F.col("ds"), places).alias("d")), "pairs")
     w1 = d.select("p", F.col("x").alias("y"), F.col("d").alias("py"))
     w2 = d.select(F.col("p").alias("y"), "x", F.col("d").alias("yx"))
-    removed = d.join(w1, "p").where("py < d").join(w2, ["y", "x"]).where("yx < d").select("p", "x").distinct()
-    return d.join(removed, ["p", "x"], "left_anti").select("p", "x", "d")
+
+    def without(pairs: DataFrame, witnesses: DataFrame) -> DataFrame:
+        removed = pairs.join(witnesses, "p").where("py < d").join(w2, ["y", "x"]).where("yx < d").select("p", "x").distinct()
+        return pairs.join(removed, ["p", "x"], "left_anti")
+
+    near = w1.withColumn("r", F.row_number().over(Window.partitionBy("p").orderBy("py", "y"))).where(F.col("r") <= first).drop("r")
+    return without(stash(without(d, near), "pairs"), w1).select("p", "x", "d")
 
 
 def rng_edges_block(dist: np.ndarray) -> np.ndarray:
