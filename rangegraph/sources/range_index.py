@@ -36,15 +36,21 @@ class RangeIndexReader(DataSourceReader):
         return [InputPartition((int(f.base_name.split("=")[1]), f.path)) for f in found if f.base_name.startswith("shard=")]
 
     def read(self, partition: InputPartition):
+        import numpy as np
+        import pyarrow as pa
+        import pyarrow.compute as pc
         import pyarrow.parquet as pq
 
         shard, path = partition.value
-        for r in pq.read_table(path, columns=["id", "level", "dst", "lo", "hi"], partitioning=None).to_pylist():
-            if r["level"] == 0:
-                for d, lows, highs in zip(r["dst"], r["lo"], r["hi"]):
-                    for lo, hi in zip(lows, highs):
-                        if self.at is None or lo <= self.at <= hi:
-                            yield shard, r["id"], d, lo, hi
+        for b in pq.ParquetDataset(path, partitioning=None).read(columns=["id", "level", "dst", "lo", "hi"]).to_batches(max_chunksize=20_000):
+            b = b.filter(pc.equal(b.column("level"), 0))
+            dst, lo, hi = (b.column(c).flatten() for c in ("dst", "lo", "hi"))
+            pieces = pc.list_value_length(lo).to_numpy()
+            src = np.repeat(b.column("id").to_numpy(), pc.list_value_length(b.column("dst")).to_numpy())
+            low, high = lo.flatten().to_numpy(), hi.flatten().to_numpy()
+            keep = np.ones(len(low), bool) if self.at is None else (low <= self.at) & (self.at <= high)
+            rows = (np.full(len(low), shard, np.int32), np.repeat(src, pieces), np.repeat(dst.to_numpy(), pieces), low, high)
+            yield pa.RecordBatch.from_arrays([pa.array(r[keep]) for r in rows], names=["shard", "src", "dst", "lo", "hi"])
 
 
 def register(spark: SparkSession) -> None:
