@@ -5,7 +5,9 @@ with the cache on both digests. Of the texts without a stored count one row per
 these are encoded (by the tokenizer's own library), and the new counts are appended to the cache.
 
 The text itself moves once, for distinct misses only; hits move 32 bytes. Choosing the row per digest is
-a plain aggregate, so copies are combined before the shuffle however many there are.
+a plain aggregate, so copies are combined before the shuffle however many there are. Counts of texts with very many
+copies (by their share of the rows, so they are few) are sent to all tasks, and only the others are joined by
+digest: a text that a third of all documents have does not gather in one task.
 
 Defined cases: null text is the empty text (0 tokens); rows with null doc_id are kept; repeated rows give
 repeated results; an empty table gives an empty result; other columns are ignored. A cache written twice
@@ -20,10 +22,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import lean, new_path, texts
+from .common import lean, new_path, stash, texts
 
 CACHE_SCHEMA = "text_digest binary, tokenizer_digest string, n_tokens long"
 LIMIT = 4096
+HOT = 500  # copies below which a text is never hot
 
 _encoders: dict[str, object] = {}
 
@@ -82,10 +85,14 @@ def count_tokens(docs: DataFrame, model_path: str, cache_path: str | None = None
     cache_path = cache_path or new_path(spark, "token-cache")
     version = tokenizer_digest(model_path)
     keyed = texts(docs).withColumn("text_digest", F.unhex(F.sha2(F.encode("text", "UTF-8"), 256)))
-    rows = keyed.select("doc_id", "text_digest", F.octet_length("text").cast("long").alias("n_bytes"))
+    rows = stash(keyed.select("doc_id", "text_digest", F.octet_length("text").cast("long").alias("n_bytes")), "digests")
     stored = read_cache(spark, cache_path).where(F.col("tokenizer_digest") == version).select("text_digest")
     fresh = keyed.select("text_digest", "text").join(stored.distinct(), "text_digest", "left_anti") if stored.limit(1).count() else keyed.select("text_digest", "text")
     misses = fresh.groupBy("text_digest").agg(F.first("text").alias("text"))
     misses.mapInArrow(lean(lambda it: _encode(it, model_path, version)), CACHE_SCHEMA).write.mode("append").parquet(cache_path)
     counts = read_cache(spark, cache_path).where(F.col("tokenizer_digest") == version).groupBy("text_digest").agg(F.max("n_tokens").alias("n_tokens"))
-    return rows.join(counts, "text_digest").select("doc_id", "n_bytes", "n_tokens", (F.col("n_tokens") > LIMIT).alias("over_limit"))
+    many = max(HOT, rows.count() // (4 * int(spark.conf.get("spark.sql.shuffle.partitions"))))
+    hot = stash(rows.groupBy("text_digest").count().where(F.col("count") > many).select("text_digest"), "hot")  # at most rows / many
+    sent = F.broadcast(counts.join(F.broadcast(hot), "text_digest", "left_semi"))
+    joined = rows.join(sent, "text_digest").unionByName(rows.join(F.broadcast(hot), "text_digest", "left_anti").join(counts, "text_digest"))
+    return joined.select("doc_id", "n_bytes", "n_tokens", (F.col("n_tokens") > LIMIT).alias("over_limit"))

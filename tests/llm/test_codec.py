@@ -85,5 +85,14 @@ def test_counts(spark, texts, name):
     assert again[1] == want[3] and token_counts.read_cache(spark, cache).count() == size + 1
 
 
+def test_counts_of_a_hot_text(spark, monkeypatch):
+    """A text with very many copies, and one just below: same counts however they are joined."""
+    monkeypatch.setattr(token_counts, "HOT", 20)
+    sp = sentencepiece.SentencePieceProcessor(model_file=MODEL)
+    rows = [(i, ["the same text again", None, f"text {i}", "a rarer one"][0 if i % 3 == 0 else 1 if i % 3 == 1 else 2 if i % 2 else 3]) for i in range(300)]
+    got = {r.doc_id: r.n_tokens for r in token_counts.count_tokens(spark.createDataFrame(rows, "doc_id long, text string"), MODEL).collect()}
+    assert got == {i: len(sp.encode(t or "")) for i, t in rows}
+
+
 def test_counts_of_an_empty_table(spark):
     assert token_counts.count_tokens(spark.createDataFrame([], "doc_id long, text string"), MODEL).count() == 0
