@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, Window
@@ -16,6 +17,12 @@ from ..storage import stash
 FIVE = (0.1, 0.3, 0.5, 0.7, 0.9)
 
 
+def at_once(*makes) -> list:
+    """The results of independent builds, run at the same time: each is a job with a task per shard."""
+    with ThreadPoolExecutor(8) as pool:
+        return list(pool.map(lambda f: f(), makes))
+
+
 def fixed_alpha(objects: DataFrame, params: BuildParams, norm: Norm, alpha0: float = 0.5, shards: ShardParams = ShardParams()) -> Index:
     """A hierarchical small-world graph for one weight, searched for any."""
     return index.build_index(objects, params.but(levels=True, pruning="rng", alpha0=alpha0), norm, shards, "fixed")
@@ -65,7 +72,8 @@ def merge(objects: DataFrame, params: BuildParams, norm: Norm, shards: ShardPara
     """The two indexes; a rectangle tree takes the place of the second graph where s has two dimensions."""
     width = objects.select(F.size("s").alias("n")).first()
     flat = width is not None and width.n == 2
-    return Merge(fixed_alpha(objects, params, norm, 1.0, shards), None if flat else fixed_alpha(objects, params, norm, 0.0, shards), objects, norm)
+    by_e, by_s = at_once(lambda: fixed_alpha(objects, params, norm, 1.0, shards), lambda: None if flat else fixed_alpha(objects, params, norm, 0.0, shards))
+    return Merge(by_e, by_s, objects, norm)
 
 
 def rerank(a: DataFrame, b: DataFrame, objects: DataFrame, queries: DataFrame, norm: Norm, k: int) -> DataFrame:
@@ -87,7 +95,7 @@ def overlay(objects: DataFrame, params: BuildParams, norm: Norm, shards: ShardPa
     of the nearest weight. A tag is stored as its band of weights, so the search is a gated descent, and a weight on
     the edge of two bands belongs to the lower one.
     """
-    parts = [fixed_alpha(objects, params, norm, a, shards) for a in FIVE]
+    parts = at_once(*[lambda a=a: fixed_alpha(objects, params, norm, a, shards) for a in FIVE])
     width, key = SCALE // 5, ["shard", "level", "id"]
     tagged = work = None
     for i, p in enumerate(parts):
@@ -131,7 +139,7 @@ class Oracle:
 
 
 def oracle(objects: DataFrame, params: BuildParams, norm: Norm, alphas=FIVE, shards: ShardParams = ShardParams()) -> Oracle:
-    return Oracle({a: fixed_alpha(objects, params, norm, a, shards) for a in alphas})
+    return Oracle(dict(zip(alphas, at_once(*[lambda a=a: fixed_alpha(objects, params, norm, a, shards) for a in alphas]))))
 
 
 def tag_of(alpha: float) -> float:

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-from concurrent.futures import ThreadPoolExecutor
 from functools import cached_property
 from threading import Lock
 
@@ -10,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .baselines import graphs
+from .baselines.graphs import at_once as together
 from .operators import exact, index, metrics, normalisers
 from .schema import BuildParams, Norm, SearchParams, ShardParams
 from .sources import tables
@@ -83,14 +83,15 @@ class Case:
 
     def merge(self, params: BuildParams | None = None) -> graphs.Merge:
         p = params or self.params
-        return graphs.Merge(self.fixed(p, 1.0), None if self.flat else self.fixed(p, 0.0), self.objects, self.norm)
+        by_e, by_s = together(lambda: self.fixed(p, 1.0), lambda: None if self.flat else self.fixed(p, 0.0))
+        return graphs.Merge(by_e, by_s, self.objects, self.norm)
 
     def overlay(self, params: BuildParams | None = None) -> index.Index:
         p = params or self.params.but(M=max(4, self.params.M // 4), ef_c=max(16, self.params.ef_c // 4))
         return self.once(("overlay", p), lambda: graphs.overlay(self.objects, p, self.norm))
 
     def oracle(self, alphas=graphs.FIVE, params: BuildParams | None = None) -> graphs.Oracle:
-        return graphs.Oracle({a: self.fixed(params, a) for a in alphas})
+        return graphs.Oracle(dict(zip(alphas, together(*[lambda a=a: self.fixed(params, a) for a in alphas]))))
 
 
 def portion(spark: SparkSession, sf_dir: str, name: str, part: int, params: BuildParams) -> "Case":
@@ -107,12 +108,6 @@ def portion(spark: SparkSession, sf_dir: str, name: str, part: int, params: Buil
     return _cases[key]
 
 
-def together(*makes) -> None:
-    """Runs independent builds at the same time; each is a job with a task per shard."""
-    with ThreadPoolExecutor(8) as pool:
-        list(pool.map(lambda f: f(), makes))
-
-
 def runs_of(method: str, c: Case, search, efs=SWEEP, queries: DataFrame | None = None, tag: str = "bands", k: int = 10) -> DataFrame:
     """method, ef, band (null: all), recall, n_dist, qps of search(queries, efs) -> hits with ef, n_dist, seconds.
 
