@@ -793,7 +793,7 @@ def wl_extreme(spark, sf_dir):
     return _union([runs_of(m, c, s, queries=q, tag="extreme") for m, s in searches.items()])
 
 
-SCALES = (("doc_geo", 1), ("event_stream", 1), ("line_geo", 16), ("line_geo", 4), ("line_geo", 1))
+SCALES = (("doc_geo", 1), ("line_geo", 16), ("line_geo", 4), ("line_geo", 1))
 
 
 @query("wl_scale")

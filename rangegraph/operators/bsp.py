@@ -115,10 +115,12 @@ def build(objects: DataFrame, params: BuildParams, norm: Norm, wave0: int = 128,
     spark = objects.sparkSession
     placed = stash(objects.select("id", "e", "s").withColumn("u", F.pmod(F.xxhash64("id", F.lit(params.seed)), F.lit(WHOLE))), "waves")
     total, low = placed.count(), 0
+    if not total:
+        return spark.createDataFrame([], prune.EDGES), placed.select("id")
     rim = stash(sd.rim(objects, norm).select("id"), "rim")
     edges, steps = None, Steps(spark, "edges")
     share = min(1.0, wave0 / max(total, 1))
-    while low < WHOLE and total:
+    while low < WHOLE:
         high = WHOLE if share >= 1 else int(share * WHOLE)
         wave, have = placed.where((F.col("u") >= low) & (F.col("u") < high)), placed.where(F.col("u") < low)
         low, share = high, share * growth
@@ -136,8 +138,7 @@ def build(objects: DataFrame, params: BuildParams, norm: Norm, wave0: int = 128,
         met = chosen.select(F.col("src").alias("p"), F.col("dst").alias("y")).distinct().join(back, "y").where("p <> x").select("p", "x").distinct()
         again = stash(_choose(found.unionByName(_measure(met, placed, norm)), placed, params, norm), "wave")
         edges = steps.write(_refreshed(edges, again, placed, params, norm))
-    empty = spark.createDataFrame([], prune.EDGES)
-    return edges if edges is not None else empty, rim
+    return edges, rim
 
 
 def _refreshed(edges: DataFrame | None, chosen: DataFrame, placed: DataFrame, params: BuildParams, norm: Norm) -> DataFrame:

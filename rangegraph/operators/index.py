@@ -257,7 +257,7 @@ ROUTED = "qid long, band int, shard int, bound double, place int"
 def search_shards(index: Index, queries: DataFrame, routed: DataFrame | None, params: SearchParams, efs: tuple[int, ...] | None = None) -> DataFrame:
     """FOUND: results of each query in each shard it is routed to (None: all), for each ef, with counters and seconds of work.
 
-    k is params.k for every ef, or ef itself where params.k is 0 (lists for a merge).
+    params.k results for every ef, or ef of them where params.whole says so (lists for a merge).
     """
     norm, levels, efs = index.norm, index.params.levels, tuple(efs or (params.ef_search,))
     n = index.shards.count()
@@ -279,7 +279,7 @@ def search_shards(index: Index, queries: DataFrame, routed: DataFrame | None, pa
                     else:
                         got = kernel.best_first(g, qe[i], qs[i], alpha, g.seeds, ef, params.gate, params.early_stop, None, c)
                     seconds = time.perf_counter() - began
-                    rows += [(qid, band, ef, ids[x], d, shard, c["n_dist"], c["hops"], c["scanned"], c["gated"], c["stopped"], seconds) for d, x in got[: params.k or ef]]
+                    rows += [(qid, band, ef, ids[x], d, shard, c["n_dist"], c["hops"], c["scanned"], c["gated"], c["stopped"], seconds) for d, x in got[: ef if params.whole else params.k]]
         types = [pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.float64(), pa.int32()] + [pa.int64()] * 5 + [pa.float64()]
         return pa.table({f.split()[0]: pa.array([r[j] for r in rows], t) for j, (f, t) in enumerate(zip(FOUND.split(", "), types))})
 
@@ -311,7 +311,7 @@ def sweep(index: Index, queries: DataFrame, efs: tuple[int, ...], params: Search
 
 def lists(index: Index, queries: DataFrame, efs: tuple[int, ...]) -> DataFrame:
     """As `sweep` over all shards, but the ef best for each ef."""
-    return merge(search_shards(index, queries, None, SearchParams(k=0), efs), 0)
+    return merge(search_shards(index, queries, None, SearchParams(k=1, whole=True), efs), 0)
 
 
 WORK = ("n_dist", "hops", "scanned", "gated", "stopped", "seconds")

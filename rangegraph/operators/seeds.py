@@ -25,7 +25,7 @@ def centroid_df(objects: DataFrame) -> DataFrame:
 
     part = objects.select("e", "s").mapInArrow(run, "e array<double>, s array<double>, n long")
     n = part.agg(F.sum("n").alias("n"), F.collect_list("e").alias("e"), F.collect_list("s").alias("s"))
-    total = lambda c: F.aggregate(c, F.array_repeat(F.lit(0.0), F.size(F.element_at(c, 1))), lambda acc, x: F.zip_with(acc, x, lambda a, b: a + b), lambda acc: F.transform(acc, lambda v: v / F.col("n")))
+    total = lambda c: F.aggregate(c, F.array_repeat(F.lit(0.0), F.coalesce(F.array_size(F.try_element_at(c, F.lit(1))), F.lit(0))), lambda acc, x: F.zip_with(acc, x, lambda a, b: a + b), lambda acc: F.transform(acc, lambda v: v / F.col("n")))
     return n.select(total("e").alias("e"), total("s").alias("s"))
 
 

@@ -52,11 +52,12 @@ class SearchParams:
     gate: bool = True
     early_stop: bool = True
     probes: int | str = "all"  # shards per query, or 'bound': rounds in the order of the lower bound
+    whole: bool = False  # all that a search of ef_search holds, instead of k: lists for a merge
     copies: int | None = None  # tasks that share a shard's queries; None: as many as there are cores for
 
     def __post_init__(self):
-        if self.k < 0:
-            raise ValueError("k is at least 1, or 0 for as many as ef_search")
+        if self.k < 1:
+            raise ValueError("k is at least 1")
         if self.ef_search < self.k:
             warnings.warn("ef_search is raised to k", stacklevel=2)
             object.__setattr__(self, "ef_search", self.k)
