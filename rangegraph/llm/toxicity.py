@@ -4,10 +4,10 @@ Each class (toxic, ordinary) has an interpolated Kneser-Ney model of characters
 ORDER with word ends marked. Orders above SHARED have counts of their own class; the orders below are
 continuation counts that both classes share, so rare expressions fall back on the same ground and their
 stems decide. A word's evidence is the difference of its two log-likelihoods. The score of a text is a
-logistic curve over its length-normalised evidence: the mean over its words, what its words exceed two
-levels by, over the root of their number, and the logarithm of that number. The curve is fitted on labelled rows
-the models have not seen; which of these numbers it gets was decided by cross-validation on rows that
-may be learnt from.
+logistic curve over its length-normalised evidence: the mean over all its words, over its strongest one to eight
+words, what words exceed some levels by, over their number or its root, and the logarithm of that number. The curve
+is fitted on labelled rows the models have not seen; which of these numbers it gets was decided by
+cross-validation on rows that may be learnt from.
 
 Runs of more than LONGEST characters (scripts without spaces, words joined by `_`) count as words of LONGEST
 characters each, which see the ORDER - 1 characters before them, so every character of a run has its part.
@@ -42,8 +42,9 @@ ORDER = 6
 SHARED = 2
 DISCOUNT = 0.75
 SAMPLE = 8_000  # for the curve
-ABOVE = (2, 3)
-FEATURES = 2 + len(ABOVE)
+ABOVE = (1, 2, 3)
+STRONGEST = (1, 2, 4, 8)
+FEATURES = 1 + len(ABOVE) + 2 + len(STRONGEST) + 1
 CUT = 0.7
 LONGEST = 40
 SENT_BYTES = 64_000_000  # of labels that may go to all tasks
@@ -205,7 +206,7 @@ _memory: tuple[str, dict[str, float]] = ("", {})
 
 
 def text_features(texts_: list[str], model: Evidence, most: int = 300_000) -> np.ndarray:
-    """Per text: mean evidence, what words exceed each level by over the root of their number, the logarithm of that number."""
+    """Per text the length-normalised evidence: of all words, beyond each level, of the strongest words; and the number of words."""
     global _memory
     if _memory[0] != model.digest:
         _memory = (model.digest, {})
@@ -227,8 +228,10 @@ def text_features(texts_: list[str], model: Evidence, most: int = 300_000) -> np
 
 def _features(v: np.ndarray) -> list[float]:
     """v: evidence of each word of a text."""
-    n = len(v)
-    return [v.mean(), *(np.maximum(v - a, 0).sum() / n**0.5 for a in ABOVE), np.log1p(n)]
+    n, most = len(v), STRONGEST[-1]
+    over = [np.maximum(v - a, 0).sum() for a in ABOVE]
+    top = np.sort(np.partition(v, n - most)[n - most :] if n > most else v)[::-1]
+    return [v.mean(), *(x / n**0.5 for x in over), over[1] / n, over[2] / n, *(top[:k].sum() / k for k in STRONGEST), np.log1p(n)]
 
 
 def _gram_counts(batches, most: int = 200_000):
