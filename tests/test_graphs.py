@@ -10,9 +10,9 @@ from pyspark.sql import functions as F
 
 from rangegraph.baselines import graphs
 from rangegraph.functions import vectors
-from rangegraph.operators import bsp, exact, index, kernel, metrics, normalisers, prune
+from rangegraph.operators import bsp, exact, index, kernel, metrics, normalisers, prune, whole
 from rangegraph.schema import BuildParams, Norm, SearchParams, ShardParams
-from rangegraph.workloads import case
+from rangegraph.workloads import Case, case
 
 
 @pytest.fixture(scope="module")
@@ -362,3 +362,25 @@ def test_edges_chosen_from_pools_obey_their_rules(spark, small):
     for p in sorted(greedy)[:25]:
         for x in greedy[p]:
             assert all(mid(y, x) >= mid(p, x) - 1e-9 for y in greedy[p] if y != x and mid(p, y) < mid(p, x))
+
+
+def test_range_graph_of_all_candidates_is_that_of_all_pairs(spark):
+    """Chosen node by node, with distances between candidates measured when needed; twins in one or both vectors too."""
+    rng = np.random.default_rng(5)
+    e, s = rng.normal(size=(90, 6)).astype(np.float32), rng.normal(size=(90, 2)).astype(np.float32)
+    e[7], s[7], s[20] = e[8], s[8], s[21]
+    o = spark.createDataFrame([(i, e[i].tolist(), s[i].tolist()) for i in range(90)], "id long, e array<float>, s array<float>")
+    norm = normalisers.exact(o)
+    rows = exact.pair_distances(o, norm).join(o.withColumnRenamed("id", "x"), "x")
+    for witness in ("any", "active"):
+        want = sorted(map(tuple, prune.range_gated(rows, norm, 10**9, 0.0, witness=witness).collect()))
+        assert sorted(map(tuple, whole.exact_range_graph(o, norm, witness).collect())) == want
+
+
+def test_range_graph_needs_no_table_of_pairs(spark, small, monkeypatch):
+    """The table of all pairs was 24 bytes for every two objects; nothing of its size is written now."""
+    from rangegraph.catalogue import core
+
+    monkeypatch.setattr(core, "all_pairs", lambda c: pytest.fail("all pairs are written"))
+    c = Case(spark, small, "emb_geo")
+    assert core.range_graph(c, "active").select("src").distinct().count() == c.n
