@@ -384,3 +384,24 @@ def test_range_graph_needs_no_table_of_pairs(spark, small, monkeypatch):
     monkeypatch.setattr(core, "all_pairs", lambda c: pytest.fail("all pairs are written"))
     c = Case(spark, small, "emb_geo")
     assert core.range_graph(c, "active").select("src").distinct().count() == c.n
+
+
+def test_greedy_reach_needs_no_table_of_pairs(spark, small, monkeypatch):
+    from rangegraph.catalogue import core
+
+    c = Case(spark, small, "emb_geo")
+    monkeypatch.setattr(core, "all_pairs", lambda c: pytest.fail("all pairs are written"))
+    monkeypatch.setattr(core, "case", lambda *_: c)
+    rows = core.greedy_reach(spark, small).collect()
+    assert len(rows) == 10 and all(r.reached == 1.0 for r in rows if r.witness == "active")
+
+
+def test_neighbourhood_graph_without_a_table_of_pairs(spark, small, monkeypatch):
+    from rangegraph.catalogue import core
+
+    monkeypatch.setattr(core, "case", lambda *_: c)
+    c = Case(spark, small, "emb_geo")
+    pairs = exact.pair_distances(c.objects, c.norm)
+    want = sorted((r.p, r.x, round(r.d, 6)) for r in prune.rng(pairs, 0.5).collect())
+    monkeypatch.setattr(core, "all_pairs", lambda c: pytest.fail("all pairs are written"))
+    assert sorted((r.p, r.x, round(r.d, 6)) for r in core.rng_edges(spark, small).collect()) == want
