@@ -75,3 +75,29 @@ def test_rim_is_decomposable(spark):
     ids = np.arange(300)
     block = seeds.rim_block(np.array([r[1] for r in rows]), np.array([r[2] for r in rows]), ids)
     assert set(ids[block].tolist()) == whole
+
+
+def test_first_layers_of_few_rows_are_those_of_all():
+    """What is left out before the layers are made belongs to none of the first ones, nor to the bounded ones."""
+    rng = np.random.default_rng(3)
+    for n, places in ((1, 3), (40, 1), (900, 2), (900, 6)):
+        de, ds, ids = np.round(rng.random(n), places), np.round(rng.random(n), places), np.arange(n)
+        want = pareto.layer_block(de, ds, ids)
+        for most in (1, 3):
+            at = pareto.in_first_layers(de, ds, most)
+            got = pareto.layer_block(de[at], ds[at], ids[at])
+            assert {i: k for i, k in zip(at.tolist(), got.tolist()) if k <= most} == {i: k for i, k in enumerate(want.tolist()) if k <= most}
+        assert n < 900 or len(at) < n / 2
+        for bound in (1, 20, 100):
+            at = pareto.in_bounded_layers(de, ds, bound)
+            got = pareto.layer_block(de[at], ds[at], ids[at])
+            assert at[pareto.keep_bound(got, bound)].tolist() == np.flatnonzero(pareto.keep_bound(want, bound)).tolist()
+
+
+def test_dominated_pairs_are_counted_without_pairs():
+    rng = np.random.default_rng(4)
+    for n in (0, 1, 2, 63, 64, 65, 200, 700):
+        for places in (1, 9):
+            de, ds = np.round(rng.random(n), places), np.round(rng.random(n), places)
+            a, b, c, d = de[:, None], de, ds[:, None], ds
+            assert pareto.dominated_pairs(de, ds) == ((a <= b) & (c <= d) & ((a < b) | (c < d))).sum()

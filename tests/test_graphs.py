@@ -405,3 +405,15 @@ def test_neighbourhood_graph_without_a_table_of_pairs(spark, small, monkeypatch)
     want = sorted((r.p, r.x, round(r.d, 6)) for r in prune.rng(pairs, 0.5).collect())
     monkeypatch.setattr(core, "all_pairs", lambda c: pytest.fail("all pairs are written"))
     assert sorted((r.p, r.x, round(r.d, 6)) for r in core.rng_edges(spark, small).collect()) == want
+
+
+@pytest.mark.parametrize("name", ["pareto_frontier"])
+def test_frontiers_need_no_table_of_pairs(spark, small, monkeypatch, name):
+    """Their rows are held against SQL elsewhere; here, that the pairs of queries and objects are not written."""
+    from rangegraph.catalogue import core
+
+    c = Case(spark, small, "emb_geo")
+    monkeypatch.setattr(core, "pairs_of", lambda c: pytest.fail("all pairs are written"))
+    monkeypatch.setattr(core, "case", lambda *_: c)
+    rows = core.QUERIES[name](spark, small).collect()
+    assert len({r.p for r in rows}) == c.queries.where("band = 0").count()
