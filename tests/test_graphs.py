@@ -417,3 +417,16 @@ def test_frontiers_need_no_table_of_pairs(spark, small, monkeypatch, name):
     monkeypatch.setattr(core, "case", lambda *_: c)
     rows = core.QUERIES[name](spark, small).collect()
     assert len({r.p for r in rows}) == c.queries.where("band = 0").count()
+
+
+@pytest.mark.parametrize("name", ["range_prune"])
+def test_candidates_of_all_pairs_without_their_table(spark, small, monkeypatch, name):
+    from rangegraph.catalogue import core
+
+    c = Case(spark, small, "emb_geo", BuildParams(M=5, ef_c=30))
+    monkeypatch.setattr(core, "case", lambda *_: c)
+    rows = core.candidates(c, 30)
+    want = prune.range_gated(rows, c.norm, 5, c.params.th) if name == "range_prune" else prune.rng_greedy(rows, c.norm, 0.5, 5)
+    want = sorted(map(tuple, want.collect()))
+    monkeypatch.setattr(core, "all_pairs", lambda c: pytest.fail("all pairs are written"))
+    assert sorted(map(tuple, core.QUERIES[name](spark, small).collect())) == want
