@@ -419,7 +419,7 @@ def test_frontiers_need_no_table_of_pairs(spark, small, monkeypatch, name):
     assert len({r.p for r in rows}) == c.queries.where("band = 0").count()
 
 
-@pytest.mark.parametrize("name", ["range_prune"])
+@pytest.mark.parametrize("name", ["range_prune", "rng_greedy"])
 def test_candidates_of_all_pairs_without_their_table(spark, small, monkeypatch, name):
     from rangegraph.catalogue import core
 
