@@ -407,7 +407,7 @@ def test_neighbourhood_graph_without_a_table_of_pairs(spark, small, monkeypatch)
     assert sorted((r.p, r.x, round(r.d, 6)) for r in core.rng_edges(spark, small).collect()) == want
 
 
-@pytest.mark.parametrize("name", ["pareto_frontier", "pareto_layers", "pareto_layers_by_peeling", "dominance_pairs"])
+@pytest.mark.parametrize("name", ["pareto_frontier", "pareto_layers", "pareto_layers_by_peeling", "pruned_union", "dominance_pairs"])
 def test_frontiers_need_no_table_of_pairs(spark, small, monkeypatch, name):
     """Their rows are held against SQL elsewhere; here, that the pairs of queries and objects are not written."""
     from rangegraph.catalogue import core
@@ -430,3 +430,16 @@ def test_candidates_of_all_pairs_without_their_table(spark, small, monkeypatch,
     want = sorted(map(tuple, want.collect()))
     monkeypatch.setattr(core, "all_pairs", lambda c: pytest.fail("all pairs are written"))
     assert sorted(map(tuple, core.QUERIES[name](spark, small).collect())) == want
+
+
+def test_triangles_join_no_vectors(spark, small, monkeypatch):
+    """Vectors of both ends were joined to every triangle (256 bytes each in the workload of the queries)."""
+    from rangegraph.catalogue import core
+
+    c = Case(spark, small, "emb_geo")
+    rows = core.triangles(c)
+    assert "Join" not in rows._jdf.queryExecution().executedPlan().toString()
+    got = sorted(map(tuple, rows.collect()))
+    monkeypatch.setattr(core.whole, "fits", lambda objects: False)
+    want = sorted(map(tuple, core.triangles(c).collect()))
+    assert [r[:3] for r in got] == [r[:3] for r in want] and np.allclose(np.array(got), np.array(want), atol=1e-9)
