@@ -407,7 +407,7 @@ def test_neighbourhood_graph_without_a_table_of_pairs(spark, small, monkeypatch)
     assert sorted((r.p, r.x, round(r.d, 6)) for r in core.rng_edges(spark, small).collect()) == want
 
 
-@pytest.mark.parametrize("name", ["pareto_frontier", "pareto_layers", "pareto_layers_by_peeling", "pruned_union", "dominance_pairs"])
+@pytest.mark.parametrize("name", ["pareto_frontier", "pareto_layers", "pareto_layers_by_peeling", "pruned_union", "range_length", "dominance_pairs"])
 def test_frontiers_need_no_table_of_pairs(spark, small, monkeypatch, name):
     """Their rows are held against SQL elsewhere; here, that the pairs of queries and objects are not written."""
     from rangegraph.catalogue import core
