@@ -443,3 +443,13 @@ def test_triangles_join_no_vectors(spark, small, monkeypatch):
     monkeypatch.setattr(core.whole, "fits", lambda objects: False)
     want = sorted(map(tuple, core.triangles(c).collect()))
     assert [r[:3] for r in got] == [r[:3] for r in want] and np.allclose(np.array(got), np.array(want), atol=1e-9)
+
+
+def test_distances_of_all_queries_are_measured_once_per_vector(spark, small, monkeypatch):
+    """Each query's five weights share its two vectors; the distances were made anew for every weight and object."""
+    from rangegraph.catalogue import core
+
+    monkeypatch.setattr(vectors, "hybrid", lambda *_: pytest.fail("distances are made for every weight"))
+    c = case(spark, small)
+    rows = core.hybrid_distance(spark, small)
+    assert rows.count() == c.n * c.queries.count() == rows.select("qid", "band", "id").distinct().count()
