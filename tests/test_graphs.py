@@ -309,6 +309,18 @@ def test_waves_make_a_graph_that_reaches_its_nodes(spark, small):
     assert bsp.build(c.objects.where("false"), BuildParams(), c.norm)[0].count() == 0
 
 
+def test_waves_with_sent_vectors_are_those_of_joins(spark, small, monkeypatch):
+    """Candidates found inside tasks make the graph that hops make, and no hop is written where the objects fit."""
+    c = case(spark, small)
+    p = BuildParams(M=6, ef_c=20)
+    part = c.objects.where(F.pmod(F.xxhash64("id"), F.lit(3)) == 0)
+    with monkeypatch.context() as m:
+        m.setattr(bsp, "frontier_search", lambda *_: pytest.fail("candidates are found by hops"))
+        got = sorted(map(tuple, bsp.build(part, p, c.norm, wave0=30)[0].collect()))
+    monkeypatch.setattr(whole, "fits", lambda objects: False)
+    assert got == sorted(map(tuple, bsp.build(part, p, c.norm, wave0=30)[0].collect()))
+
+
 def test_measures_of_a_written_index_are_those_of_sql(spark, small, tmp_path):
     """Degrees, ranges, bytes, active edges and reachability, against SQL over the written nodes."""
     import duckdb
