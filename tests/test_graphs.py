@@ -465,3 +465,17 @@ def test_distances_of_all_queries_are_measured_once_per_vector(spark, small, mon
     c = case(spark, small)
     rows = core.hybrid_distance(spark, small)
     assert rows.count() == c.n * c.queries.count() == rows.select("qid", "band", "id").distinct().count()
+
+
+def test_removed_weights_are_gathered_without_a_table_of_triangles(spark, small, monkeypatch):
+    """Every triangle was shuffled to the edge that it may remove."""
+    from rangegraph.catalogue import core
+
+    c = Case(spark, small, "emb_geo")
+    monkeypatch.setattr(core, "case", lambda *_: c)
+    rows = core.range_length(spark, small)
+    assert rows._jdf.queryExecution().executedPlan().toString().count("Exchange") == 1  # the nodes are dealt, no more
+    got = {(r.p, r.x): r.length for r in rows.collect()}
+    monkeypatch.setattr(core.whole, "fits", lambda objects: False)
+    want = {(r.p, r.x): r.length for r in core.range_length(spark, small).collect()}
+    assert got.keys() == want.keys() and all(abs(got[k] - want[k]) < 2e-6 for k in want)
