@@ -479,3 +479,24 @@ def test_removed_weights_are_gathered_without_a_table_of_triangles(spark, small,
     monkeypatch.setattr(core.whole, "fits", lambda objects: False)
     want = {(r.p, r.x): r.length for r in core.range_length(spark, small).collect()}
     assert got.keys() == want.keys() and all(abs(got[k] - want[k]) < 2e-6 for k in want)
+
+
+@pytest.mark.parametrize("method", ["quad_ring_topk"])
+def test_tasks_share_the_queries_of_a_part(spark, small, monkeypatch, method):
+    """One part's queries all went to one task, and trees were read leaf by leaf or row by row; results are the exact ones."""
+    from rangegraph.operators import spatial
+
+    for name in ("nearest", "leaves"):
+        monkeypatch.setattr(spatial.RectTree if name == "nearest" else spatial.QuadTree, name, lambda *_: pytest.fail("a tree is read one by one"))
+    monkeypatch.setattr(spatial, "BLOCK_QUERIES", 5)
+    monkeypatch.setattr(spatial, "merged", lambda found: found)
+    c = case(spark, small, "emb_geo")
+    found = getattr(spatial, method)(c.objects, c.queries, c.norm).withColumn("task", F.spark_partition_id()).collect()
+    assert len({r.task for r in found}) > 1
+    got = {(r.qid, r.band): set() for r in found}
+    for r in found:
+        got[r.qid, r.band].add(r.id)
+    want: dict = {}
+    for r in c.truth().collect():
+        want.setdefault((r.qid, r.band), set()).add(r.id)
+    assert got == want
