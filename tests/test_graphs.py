@@ -481,7 +481,7 @@ def test_removed_weights_are_gathered_without_a_table_of_triangles(spark, small,
     assert got.keys() == want.keys() and all(abs(got[k] - want[k]) < 2e-6 for k in want)
 
 
-@pytest.mark.parametrize("method", ["quad_ring_topk"])
+@pytest.mark.parametrize("method", ["quad_ring_topk", "pivot_topk"])
 def test_tasks_share_the_queries_of_a_part(spark, small, monkeypatch, method):
     """One part's queries all went to one task, and trees were read leaf by leaf or row by row; results are the exact ones."""
     from rangegraph.operators import spatial
