@@ -426,16 +426,24 @@ _by_sql("subquery_in", "SELECT p_partkey FROM part WHERE p_partkey IN (SELECT l_
 
 @query("cte_multi", f"{sql_with()}, {TOP}, le AS (SELECT qid, band, o.id, row_number() OVER (PARTITION BY qid, band ORDER BY round(list_distance(q.e, o.e) / em, 9), o.id) AS r FROM q, o, nrm), ls AS (SELECT qid, band, o.id, row_number() OVER (PARTITION BY qid, band ORDER BY round(list_distance(q.s, o.s) / sm, 9), o.id) AS r FROM q, o, nrm), un AS (SELECT qid, band, id FROM le WHERE r <= 20 UNION SELECT qid, band, id FROM ls WHERE r <= 20) SELECT qid, band, id, round(dist, 6) AS dist FROM (SELECT *, row_number() OVER (PARTITION BY qid, band ORDER BY round(dist, 9), id) AS r FROM h JOIN un USING (qid, band, id)) WHERE r <= 10")
 def cte_multi(spark, sf_dir):
-    """The merge baseline in one statement, over the registered distance function."""
+    """The merge baseline in one statement, over the registered functions: lists by blocks, once for the weights that share a query's vectors."""
     from ..functions.udx import register
+    from ..operators.blocks import OBJECT_BLOCK, QUERY_BLOCK, pack_objects, pack_queries
 
     c = case(spark, sf_dir)
     register(spark, c)
-    return spark.sql("""
-      WITH a AS (SELECT q.qid, q.band, o.id, hybrid_dist(q.e, q.s, o.e, o.s, 1D) AS de, hybrid_dist(q.e, q.s, o.e, o.s, 0D) AS ds, q.alpha FROM queries q JOIN objects o ON true),
-        r AS (SELECT *, row_number() OVER (PARTITION BY qid, band ORDER BY round(de, 9), id) AS re, row_number() OVER (PARTITION BY qid, band ORDER BY round(ds, 9), id) AS rs FROM a),
-        u AS (SELECT qid, band, id, alpha * de + (1 - alpha) * ds AS dist FROM r WHERE re <= 20 OR rs <= 20),
-        t AS (SELECT *, row_number() OVER (PARTITION BY qid, band ORDER BY round(dist, 9), id) AS k FROM u)
+    one = c.queries.groupBy("qid", "e", "s").agg(F.min("band").alias("band")).select("qid", "band", F.lit(0.5).alias("alpha"), "e", "s")
+    stash(pack_queries(one, 256), "query-blocks").createOrReplaceTempView("query_blocks")
+    pack_objects(c.objects).createOrReplaceTempView("object_blocks")
+    q, o = (f"struct({', '.join(n.split()[0] for n in block.split(', '))})" for block in (QUERY_BLOCK, OBJECT_BLOCK))
+    return spark.sql(f"""
+      WITH q AS (SELECT *, min(band) OVER (PARTITION BY qid, e, s) AS v FROM queries),
+        l AS (SELECT inline(hybrid_lists({q}, {o}, 20)) FROM query_blocks JOIN object_blocks ON true),
+        r AS (SELECT qid, v, id, row_number() OVER (PARTITION BY qid, v, side ORDER BY round(d, 9), id) AS r FROM l),
+        u AS (SELECT DISTINCT qid, v, id FROM r WHERE r <= 20),
+        a AS (SELECT u.qid, u.v, u.id, hybrid_dist(q.e, q.s, o.e, o.s, 1D) AS de, hybrid_dist(q.e, q.s, o.e, o.s, 0D) AS ds FROM u JOIN queries q ON q.qid = u.qid AND q.band = u.v JOIN objects o ON o.id = u.id),
+        d AS (SELECT q.qid, q.band, a.id, q.alpha * a.de + (1 - q.alpha) * a.ds AS dist FROM a JOIN q ON q.qid = a.qid AND q.v = a.v),
+        t AS (SELECT *, row_number() OVER (PARTITION BY qid, band ORDER BY round(dist, 9), id) AS k FROM d)
       SELECT qid, band, id, round(dist, 6) AS dist FROM t WHERE k <= 10""")
 
 

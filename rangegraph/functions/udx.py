@@ -7,6 +7,8 @@ import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import pandas_udf, udtf
 
+from .vectors import l2_block
+
 PUBLISHED_BYTES = 64_000_000
 
 
@@ -26,6 +28,26 @@ def vector_mean(v: pd.Series) -> np.ndarray:
     return np.stack(v).astype(float).mean(axis=0)
 
 
+def hybrid_lists(e_max: float, s_max: float):
+    """For a block of queries and one of objects (operators.blocks): the k nearest by each vector alone, as structs."""
+
+    @pandas_udf("array<struct<qid:bigint,v:int,side:int,id:bigint,d:double>>")
+    def f(q: pd.DataFrame, o: pd.DataFrame, k: pd.Series) -> pd.Series:
+        from ..operators.blocks import Objects, Queries, best_columns
+
+        out = []
+        for one, other, most in zip(q.to_dict("records"), o.to_dict("records"), k):
+            a, b, rows = Queries(one), Objects(other), []
+            for side, d in enumerate((l2_block(a.e, b.e) / e_max, l2_block(a.s, b.s) / s_max)):
+                near, ids = best_columns(d, b.ids, int(most))
+                for j, w in enumerate(a.which.tolist()):
+                    rows += [{"qid": int(a.qid[j]), "v": int(a.band[j]), "side": side, "id": i, "d": x} for x, i in zip(near[w].tolist(), ids[w].tolist()) if x < np.inf]
+            out.append(rows)
+        return pd.Series(out)
+
+    return f
+
+
 def topk_function(ids: np.ndarray, e: np.ndarray, s: np.ndarray, e_max: float, s_max: float):
     """A table function over a published set of objects; the set is sent along, so its size is bounded."""
     if e.nbytes + s.nbytes > PUBLISHED_BYTES:
@@ -49,6 +71,7 @@ def register(spark: SparkSession, case) -> bool:
     case.objects.select("id", "e", "s").createOrReplaceTempView("objects")
     case.queries.createOrReplaceTempView("queries")
     spark.udf.register("hybrid_dist", hybrid_dist(case.norm.e, case.norm.s))
+    spark.udf.register("hybrid_lists", hybrid_lists(case.norm.e, case.norm.s))
     spark.udf.register("vector_mean", vector_mean)
     width = case.objects.select("e", "s").first()
     fits = case.n * (len(width.e) + len(width.s)) * 8 <= PUBLISHED_BYTES if width else True

@@ -500,3 +500,11 @@ def test_tasks_share_the_queries_of_a_part(spark, small, monkeypatch, method):
     for r in c.truth().collect():
         want.setdefault((r.qid, r.band), set()).add(r.id)
     assert got == want
+
+
+def test_one_statement_needs_no_row_per_pair(spark, small):
+    """Every query's five weights met every object as a row with both vectors; now blocks meet, and a query's vectors once."""
+    from rangegraph.catalogue import relational
+
+    plan = relational.cte_multi(spark, small)._jdf.queryExecution().optimizedPlan().toString()
+    assert "hybrid_lists" in plan and "q_ids" in plan
