@@ -9,8 +9,8 @@ import pytest
 from pyspark.sql import functions as F
 
 from rangegraph.baselines import graphs
-from rangegraph.functions import vectors
-from rangegraph.operators import bsp, exact, index, kernel, metrics, normalisers, prune, whole
+from rangegraph.functions import hashing, vectors
+from rangegraph.operators import bsp, exact, index, kernel, metrics, normalisers, prune, waves, whole
 from rangegraph.schema import BuildParams, Norm, SearchParams, ShardParams
 from rangegraph.workloads import Case, case
 
@@ -321,6 +321,32 @@ def test_waves_with_sent_vectors_are_those_of_joins(spark, small, monkeypatch):
     assert got == sorted(map(tuple, bsp.build(part, p, c.norm, wave0=30)[0].collect()))
 
 
+def test_large_shards_are_built_by_waves(spark, small, monkeypatch):
+    """Of a shard only FIRST rows, but for chance, are inserted one by one; the rest is there all the same, whatever the number of tasks."""
+    c = case(spark, small)
+    monkeypatch.setattr(waves, "FIRST", 90)
+    sizes = {0: c.n}
+    dealt = {r.wave: r["count"] for r in waves.numbered(c.objects.withColumn("shard", F.lit(0)), sizes, c.params).groupBy("wave").count().collect()}
+    assert sum(dealt.values()) == c.n and 60 < dealt[0] < 120 and set(dealt) == set(range(waves._waves(c.n) + 1))
+    p = BuildParams(M=10, ef_c=40)
+    for params, tasks in ((p, (1, 4)), (p.but(levels=True, pruning="rng"), (4,))):
+        made = []
+        for most in tasks:
+            monkeypatch.setattr(waves, "COPIES", most)
+            ix = index.build_index(c.objects, params, c.norm)
+            made.append(sorted((r.shard, r.id, r.level, r.seed, tuple(r.dst), str(r.lo), str(r.hi), r.n_dist) for r in ix.nodes.collect()))
+        assert made[0] == made[-1]
+        rows = [r for r in made[0] if r[2] == 0]
+        assert [r[1] for r in rows] == sorted(r.id for r in c.objects.select("id").collect())
+        assert all(r[1] not in r[4] and len(set(r[4])) == len(r[4]) for r in made[0])
+        assert ix.edges().where("lo < 0 or hi > 10000 or lo > hi").count() == 0
+        assert metrics.recall(index.topk(ix, c.queries, SearchParams(10, 100)), c.truth()).agg(F.avg("recall")).first()[0] >= 0.9
+        one = c.objects.select("id", "e", "s").orderBy("id").toPandas()
+        ids, e, s = one["id"].to_numpy(), np.array(one.e.tolist(), np.float64), np.array(one.s.tolist(), np.float64)
+        g = kernel.build(ids, e, s, c.norm, params, np.lexsort((ids, hashing.mix(ids, params.seed))))
+        assert sorted(ids[g.seeds].tolist()) == [r[1] for r in rows if r[3]]
+
+
 def test_measures_of_a_written_index_are_those_of_sql(spark, small, tmp_path):
     """Degrees, ranges, bytes, active edges and reachability, against SQL over the written nodes."""
     import duckdb
