@@ -321,6 +321,21 @@ def test_waves_with_sent_vectors_are_those_of_joins(spark, small, monkeypatch):
     assert got == sorted(map(tuple, bsp.build(part, p, c.norm, wave0=30)[0].collect()))
 
 
+def test_first_wave_searches_for_its_candidates(spark, small, monkeypatch):
+    """The rows of the first wave are inserted by the search, as an insertion one by one leaves them; no table of pairs is made."""
+    c = case(spark, small)
+    p = BuildParams(M=6, ef_c=12)
+    part = c.objects.where(F.pmod(F.xxhash64("id"), F.lit(4)) == 0)
+    monkeypatch.setattr(exact, "pair_distances", lambda *_: pytest.fail("pairs are compared outright"))
+    monkeypatch.setattr(bsp, "pair_distances", exact.pair_distances, raising=False)
+    got = sorted(map(tuple, bsp.build(part, p, c.norm, wave0=10**6)[0].collect()))
+    one = part.select("id", "e", "s").orderBy("id").toPandas()
+    ids, e, s = one["id"].to_numpy(), np.array(one.e.tolist(), np.float64), np.array(one.s.tolist(), np.float64)
+    g = kernel.build(ids, e, s, c.norm, p, np.lexsort((ids, hashing.mix(ids, p.seed))))
+    want = [(ids[i], ids[x], lo, hi) for i in range(len(ids)) for x, lo, hi in zip(*map(np.ndarray.tolist, g.arcs(i)))]
+    assert len(ids) > p.ef_c and got == sorted(want)
+
+
 def test_large_shards_are_built_by_waves(spark, small, monkeypatch):
     """Of a shard only FIRST rows, but for chance, are inserted one by one; the rest is there all the same, whatever the number of tasks."""
     c = case(spark, small)
