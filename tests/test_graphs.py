@@ -321,6 +321,36 @@ def test_waves_with_sent_vectors_are_those_of_joins(spark, small, monkeypatch):
     assert got == sorted(map(tuple, bsp.build(part, p, c.norm, wave0=30)[0].collect()))
 
 
+@pytest.mark.parametrize("twins", [False, True])
+@pytest.mark.parametrize("params", [BuildParams(M=8, ef_c=40), BuildParams(M=8, ef_c=40, levels=True, pruning="rng")])
+def test_one_search_has_the_results_of_all_ef(points, params, twins, monkeypatch):
+    """Results and counts of a sweep are those of a search per ef; with twins, of a sweep of one ef. It does the work of the largest ef only."""
+    ids, e, s, norm = points
+    if twins:
+        ids, e, s = np.arange(240), np.concatenate([e, e]), np.concatenate([s, s])
+    g = kernel.build(ids, e, s, norm, params)
+    rng, efs = np.random.default_rng(4), (10, 30, 20, 60, 110)
+    for _ in range(10):
+        qe, qs, a = rng.normal(size=8), rng.normal(size=2), float(rng.random())
+        c: dict = {}
+        starts = kernel.entry(g, qe, qs, a, c, True)
+        got = kernel.sweep(g, qe, qs, a, starts, efs, True, True, c)
+        for ef in efs:
+            if twins:
+                want, spent, _ = kernel.sweep(g, qe, qs, a, starts, [ef], True, True, c)[ef]
+            else:
+                want = kernel.best_first(g, qe, qs, a, starts, ef, True, True, None, spent := dict(c))
+            assert got[ef][0] == want and got[ef][1] == spent
+    spent = []
+    measured = kernel.l2_rows
+    monkeypatch.setattr(kernel, "l2_rows", lambda q, m: spent.append(len(m)) or measured(q, m))
+    kernel.sweep(g, qe, qs, a, starts, [110], True, True, c)
+    once = sum(spent)
+    spent.clear()
+    kernel.sweep(g, qe, qs, a, starts, efs, True, True, c)
+    assert sum(spent) == once
+
+
 def test_first_wave_searches_for_its_candidates(spark, small, monkeypatch):
     """The rows of the first wave are inserted by the search, as an insertion one by one leaves them; no table of pairs is made."""
     c = case(spark, small)
