@@ -490,6 +490,28 @@ def test_neighbourhood_graph_without_a_table_of_pairs(spark, small, monkeypatch)
     assert sorted((r.p, r.x, round(r.d, 6)) for r in core.rng_edges(spark, small).collect()) == want
 
 
+def test_neighbourhood_graph_measures_few_pairs_more_than_once(spark, monkeypatch):
+    """Nodes of a block remove each other's pairs with the distances that are there; few pairs are measured again. Twins are there too."""
+    rng = np.random.default_rng(6)
+    e, s = rng.normal(size=(700, 12)).astype(np.float32).astype(float), rng.normal(size=(700, 3)).astype(np.float32).astype(float)
+    e[9], s[9], e[40] = e[8], s[8], e[41]
+    ids = np.arange(700) * 3
+    every, cells = whole.All(ids, e, s, Norm(9.0, 6.0)), []
+    x_e, x_s = every.cross(np.arange(700), np.arange(700))
+    dist = np.round(0.3 * x_e + 0.7 * x_s, 9)
+    want = {(int(ids[p]), int(ids[x])) for p, x in zip(*np.nonzero(prune.rng_edges_block(dist)))}
+    measured = whole.All.cross
+    monkeypatch.setattr(whole.All, "cross", lambda self, a, b: cells.append(len(a) * len(b)) or measured(self, a, b))
+    found = {(int(ids[p]), int(ids[x])): n for p, xs, _, near in whole.rng_candidates(every, ids, 0.3, 9) for x, n in zip(xs, near)}
+    assert want <= set(found) and len(found) < 2 * len(want) and sum(cells) < 700 * 700 * 4
+    for (p, x), n in found.items():
+        assert n >= (dist[p // 3] < dist[p // 3, x // 3]).sum()
+    objects = spark.createDataFrame([(int(i), a.tolist(), b.tolist()) for i, a, b in zip(ids, e, s)], "id long, e array<double>, s array<double>")
+    rows = whole.rng_edges(objects, Norm(9.0, 6.0), 0.3).collect()
+    assert {(r.p, r.x) for r in rows} == want and len(rows) == len(want)
+    assert all(r.d == pytest.approx(dist[r.p // 3, r.x // 3], abs=1e-9) for r in rows)
+
+
 @pytest.mark.parametrize("name", ["pareto_frontier", "pareto_layers", "pareto_layers_by_peeling", "pruned_union", "range_length", "dominance_pairs"])
 def test_frontiers_need_no_table_of_pairs(spark, small, monkeypatch, name):
     """Their rows are held against SQL elsewhere; here, that the pairs of queries and objects are not written."""
